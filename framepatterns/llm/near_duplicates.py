@@ -9,9 +9,10 @@ verified on the full shingle sets.
 
 Work stays linear in large groups.  Equal sets are merged first.  Every band, alone and joined with its
 neighbours, links its members to one pivot; the verified links are contracted to components; only pairs of
-one band bucket that lie in different components are compared again, register by register inside the bucket,
-in blocks of bounded size, and each such pair is emitted once and only if its likelihood passes.  So every
-candidate pair is either verified, or rejected by its likelihood, or already inside one component.
+one band bucket that lie in different components are compared again, inside the bucket, in blocks of bounded
+size, by a finer sketch that only the texts with candidates have.  Each such pair is emitted once and only if
+its likelihood passes.  So every candidate pair is either verified, or rejected by its likelihood, or already
+inside one component.
 """
 
 from __future__ import annotations
@@ -27,24 +28,25 @@ from framepatterns.llm.components import connected_components
 from framepatterns.llm.scratch import Scratch, bitmap, test_bits
 from framepatterns.llm.words import hashed_rows, shingle_set
 
-REGISTERS, BAND = 96, 4
+REGISTERS, BAND, FINE = 96, 4, 768
 BASE, RATE, TOP = 1.001, 20.0, (1 << 16) - 2
-_MUL = np.random.default_rng(11).integers(1, 1 << 32, REGISTERS, dtype=np.uint32) | np.uint32(1)
-_ADD = np.random.default_rng(12).integers(0, 1 << 32, REGISTERS, dtype=np.uint32)
+_MUL = np.random.default_rng(11).integers(1, 1 << 32, FINE, dtype=np.uint32) | np.uint32(1)
+_ADD = np.random.default_rng(12).integers(0, 1 << 32, FINE, dtype=np.uint32)
 #: A pair is rejected unverified when its best similarity below the threshold is e**9 times likelier than the threshold.
 REJECT = 9.0
 BLOCK_ROWS = 4096
 
 
-def registers(shingles: np.ndarray) -> np.ndarray:
-    """SetSketch registers of a set of 64-bit shingle hashes (all zero for the empty set)."""
+def registers(shingles: np.ndarray, count: int = REGISTERS) -> np.ndarray:
+    """SetSketch registers of a set of 64-bit shingle hashes (all zero for the empty set); any prefix is a sketch."""
     if shingles.size == 0:
-        return np.zeros(REGISTERS, np.uint16)
+        return np.zeros(count, np.uint16)
     h = (shingles >> np.uint64(32)).astype(np.uint32)
-    low = np.full(REGISTERS, (1 << 32) - 1, np.uint32)
-    for at in range(0, h.size, 2048):
-        v = h[None, at : at + 2048] * _MUL[:, None]
-        v += _ADD[:, None]
+    low = np.full(count, (1 << 32) - 1, np.uint32)
+    step = 2048 * REGISTERS // count
+    for at in range(0, h.size, step):
+        v = h[None, at : at + step] * _MUL[:count, None]
+        v += _ADD[:count, None]
         np.minimum(low, v.min(axis=1), out=low)
     x = -np.log1p(-(low.astype(np.float64) + 0.5) / 2.0**32)
     return np.clip(np.floor(1 - np.log(x / RATE) / np.log(BASE)), 0, TOP + 1).astype(np.uint16)
@@ -55,28 +57,28 @@ def merge(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return np.maximum(a, b)
 
 
-def _log_likelihood(j, above, below, n1, n2):
+def _log_likelihood(j, above, below, n1, n2, count=REGISTERS):
     """Log-likelihood of similarity j, given how many registers of the first set are above or below the second's."""
     u, v = n1 / (n1 + n2), n2 / (n1 + n2)
     p = lambda x: np.clip(-np.log1p(-np.clip(x, 0, 1) * (BASE - 1) / BASE) / np.log(BASE), 1e-6, 1)
     up, down = p(u - v * j), p(v - u * j)
     same = np.clip(1 - up - down, 1e-6, 1)
-    return above * np.log(up) + below * np.log(down) + (REGISTERS - above - below) * np.log(same)
+    return above * np.log(up) + below * np.log(down) + (count - above - below) * np.log(same)
 
 
-def likely(above: np.ndarray, below: np.ndarray, n1: np.ndarray, n2: np.ndarray, percent: int) -> np.ndarray:
+def likely(above: np.ndarray, below: np.ndarray, n1: np.ndarray, n2: np.ndarray, percent: int, count: int = REGISTERS) -> np.ndarray:
     """False where the registers all but exclude a similarity of ``percent`` or more."""
-    at = _log_likelihood(percent / 100, above, below, n1, n2)
+    at = _log_likelihood(percent / 100, above, below, n1, n2, count)
     best = at
-    for j in np.linspace(0, percent / 100, 17)[:-1]:
-        best = np.maximum(best, _log_likelihood(j, above, below, n1, n2))
+    for j in np.linspace(0, percent / 100, 33)[:-1]:
+        best = np.maximum(best, _log_likelihood(j, above, below, n1, n2, count))
     return best - at <= REJECT
 
 
 def estimate(a: np.ndarray, b: np.ndarray, n1: int, n2: int) -> float:
     """Maximum-likelihood similarity of two sketched sets of known sizes."""
     grid = np.linspace(0, min(n1, n2) / max(n1, n2), 501)
-    return float(grid[np.argmax(_log_likelihood(grid, int((a > b).sum()), int((a < b).sum()), n1, n2))])
+    return float(grid[np.argmax(_log_likelihood(grid, int((a > b).sum()), int((a < b).sum()), n1, n2, a.size))])
 
 
 def _sketch(batches: Iterator[pa.RecordBatch], k: int) -> Iterator[pa.RecordBatch]:
@@ -98,10 +100,13 @@ def _sets(batches: Iterator[pa.RecordBatch], k: int, wanted) -> Iterator[pa.Reco
         take = test_bits(wanted.value, batch.column("key").to_numpy().view(np.uint64))
         rows = batch.filter(pa.array(take))
         for at in range(0, rows.num_rows, 512):
-            part, out = rows.slice(at, 512), []
+            part, out, fine = rows.slice(at, 512), [], []
             for row, end, h, w in hashed_rows(part.column("text"), lower=True):
-                out += [shingle_set(h[w[i] : w[i + 1]], k).tobytes() for i in range(end - row)]
-            yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(out, pa.binary())], names=["id", "s"])
+                for i in range(end - row):
+                    s = shingle_set(h[w[i] : w[i + 1]], k)
+                    out.append(s.tobytes())
+                    fine.append(registers(s, FINE).tobytes())
+            yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(out, pa.binary()), pa.array(fine, pa.binary())], names=["id", "s", "fine"])
 
 
 def _verify(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordBatch]:
@@ -153,7 +158,7 @@ def _cross_pairs(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa
     for t in _runs(batches, ["key", "i", "j"]):
         ids, comp, n, band, home = (t.column(c).to_numpy() for c in ("rep", "comp", "n", "band", "home"))
         i, j, b = int(t.column("i")[0].as_py()), int(t.column("j")[0].as_py()), int(band[0])
-        regs = np.frombuffer(b"".join(t.column("regs").to_pylist()), np.uint16).reshape(-1, REGISTERS)
+        regs = np.frombuffer(b"".join(t.column("fine").to_pylist()), np.uint16).reshape(-1, FINE)
         names, counts = np.unique(comp, return_counts=True)
         major = names[counts.argmax()]
         left = np.flatnonzero(home == i) if i != j else np.flatnonzero(comp != major)
@@ -163,12 +168,13 @@ def _cross_pairs(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa
             c = np.flatnonzero(other)
             if not c.size:
                 continue
-            same = regs[c] == regs[r]
-            c = c[same[:, : b * BAND].reshape(c.size, -1, BAND).all(2).sum(1) == 0] if b else c
-            if not c.size:
-                continue
-            up, down = (regs[r] > regs[c]).sum(1), (regs[r] < regs[c]).sum(1)
-            c = c[likely(up, down, np.full(c.size, n[r]), n[c], percent)]
+            if b:
+                same = regs[c, : b * BAND] == regs[r, : b * BAND]
+                c = c[~same.reshape(c.size, -1, BAND).all(2).any(1)]
+            for part in (REGISTERS, FINE):
+                if c.size:
+                    up, down = (regs[r, :part] > regs[c, :part]).sum(1), (regs[r, :part] < regs[c, :part]).sum(1)
+                    c = c[likely(up, down, np.full(c.size, n[r]), n[c], percent, part)]
             if c.size:
                 xs.append(np.full(c.size, ids[r]))
                 ys.append(ids[c])
@@ -210,7 +216,7 @@ def near_duplicates(docs: DataFrame, shingle: int = 4, percent: int = 80) -> Dat
 
     wanted = spark.sparkContext.broadcast(bitmap(touched.select(F.xxhash64("id").alias("h")), "h", 23))
     keyed = source.withColumn("key", F.xxhash64("doc_id"))
-    raw = keyed.mapInArrow(lambda it: _sets(it, shingle, wanted), "id long, s binary")
+    raw = keyed.mapInArrow(lambda it: _sets(it, shingle, wanted), "id long, s binary, fine binary")
     sized = classes.select(F.col("rep").alias("id"), "n", "regs")
     sets = scratch.save(raw.join(touched, "id").dropDuplicates(["id"]).join(sized, "id"))
 
@@ -222,15 +228,14 @@ def near_duplicates(docs: DataFrame, shingle: int = 4, percent: int = 80) -> Dat
     links = scratch.save(confirmed(pairs))
     labels = scratch.save(connected_components(links, scratch))
 
-    members = sized.join(touched, "id").join(labels, "id", "left").select(F.col("id").alias("rep"), "n", "regs", F.coalesce("component", "id").alias("comp"))
-    rows = members.select("rep", "n", "regs", "comp", F.posexplode(F.array(*_band_keys(1))).alias("band", "key"))
+    members = sets.select("id", "n", "regs", "fine").join(labels, "id", "left").select(F.col("id").alias("rep"), "n", "regs", "fine", F.coalesce("component", "id").alias("comp"))
+    rows = members.select("rep", "n", "fine", "comp", F.posexplode(F.array(*_band_keys(1))).alias("band", "key"))
     open_ = rows.groupBy("key").agg(F.min("comp").alias("a"), F.max("comp").alias("b"), F.count("*").alias("c")).where("a < b").select("key", F.ceil(F.col("c") / BLOCK_ROWS).alias("nb"))
     placed = rows.join(open_, "key").withColumn("home", F.pmod(F.xxhash64("rep"), F.col("nb")).cast("long"))
-    blocks = placed.withColumn("o", F.explode(F.sequence(F.lit(0).cast("long"), F.col("nb") - 1))).select("key", "band", "rep", "n", "regs", "comp", "home", F.least("home", "o").alias("i"), F.greatest("home", "o").alias("j"))
+    blocks = placed.withColumn("o", F.explode(F.sequence(F.lit(0).cast("long"), F.col("nb") - 1))).select("key", "band", "rep", "n", "fine", "comp", "home", F.least("home", "o").alias("i"), F.greatest("home", "o").alias("j"))
     crossing = blocks.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j").mapInArrow(lambda it: _cross_pairs(it, percent), "x long, y long")
-    more = scratch.save(crossing.distinct())
-    links2 = scratch.save(links.union(confirmed(more)))
-    final = scratch.save(connected_components(links2, scratch))
+    links = scratch.save(links.union(confirmed(scratch.save(crossing.distinct()))))
+    final = scratch.save(connected_components(links, scratch))
 
     of_class = classes.join(final, classes.rep == final.id, "left").select("n", "fa", "fb", F.coalesce("component", "rep").alias("c"))
     out = sketches.select("doc_id", "n", "fa", "fb").join(of_class, ["n", "fa", "fb"], "left")

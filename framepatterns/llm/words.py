@@ -17,6 +17,9 @@ _P = np.uint64(0x9E3779B97F4A7C15)
 _P_INV = np.uint64(pow(0x9E3779B97F4A7C15, -1, 1 << 64))
 _BYTE = np.random.default_rng(20240607).integers(1, 1 << 63, 256, dtype=np.uint64) | np.uint64(1)
 _STEP = np.random.default_rng(7).integers(1, 1 << 63, 64, dtype=np.uint64) | np.uint64(1)
+#: A-Z to a-z.
+LOWER = np.arange(256, dtype=np.uint8)
+LOWER[65:91] += 32
 _powers: list[np.ndarray] = [np.ones(1, dtype=np.uint64), np.ones(1, dtype=np.uint64)]
 
 
@@ -39,11 +42,11 @@ def _tables(n: int) -> tuple[np.ndarray, np.ndarray]:
     return _powers[0], _powers[1]
 
 
-def _hash_bytes(b: np.ndarray, cuts: np.ndarray, lower: bool) -> tuple[np.ndarray, np.ndarray]:
+def _hash_bytes(b: np.ndarray, cuts: np.ndarray, fold: np.ndarray | None) -> tuple[np.ndarray, np.ndarray]:
     """Hashes of the words of ``b`` and, for each cut position, the number of words before it."""
     n = b.size
-    if lower:
-        b = b + ((b >= 65) & (b <= 90)).astype(np.uint8) * np.uint8(32)
+    if fold is not None:
+        b = fold[b]
     inside = ~((b == 32) | ((b >= 9) & (b <= 13)))
     first, last = inside.copy(), inside.copy()
     first[1:] &= ~inside[:-1]
@@ -76,20 +79,22 @@ def string_buffers(col: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return data, offs
 
 
-def hashed_rows(col: pa.Array, lower: bool = False, block: int = _BLOCK) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
+def hashed_rows(col: pa.Array, lower: bool = False, block: int = _BLOCK, fold: np.ndarray | None = None) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
     """Yield (first row, end row, word hashes, word offsets per row) for runs of rows of bounded size.
 
+    ``lower`` folds A-Z; ``fold`` maps each byte value before words are cut (bytes below 128 only, for UTF-8).
     A row larger than ``block`` comes alone and is hashed piece by piece, cut at white space, so that working
     memory stays near 8 bytes a word however long the text is.
     """
     data, offs = string_buffers(col)
+    fold = LOWER if fold is None and lower else fold
     row, rows = 0, len(offs) - 1
     while row < rows:
         end = int(np.searchsorted(offs, offs[row] + block, side="right")) - 1
         end = min(max(end, row + 1), rows)
         if offs[end] - offs[row] <= block:
             cuts = offs[row : end + 1] - offs[row]
-            h, w = _hash_bytes(data[offs[row] : offs[end]], cuts, lower) if cuts[-1] else (np.zeros(0, np.uint64), np.zeros(end - row + 1, np.int64))
+            h, w = _hash_bytes(data[offs[row] : offs[end]], cuts, fold) if cuts[-1] else (np.zeros(0, np.uint64), np.zeros(end - row + 1, np.int64))
         else:
             parts, at, stop = [], int(offs[row]), int(offs[end])
             while at < stop:
@@ -101,7 +106,7 @@ def hashed_rows(col: pa.Array, lower: bool = False, block: int = _BLOCK) -> Iter
                         to += int(gap[0])
                         break
                     to = min(to + 4096, stop)
-                parts.append(_hash_bytes(data[at:to], np.array([0, to - at]), lower)[0])
+                parts.append(_hash_bytes(data[at:to], np.array([0, to - at]), fold)[0])
                 at = to
             h = np.concatenate(parts)
             w = np.array([0, h.size])
