@@ -63,9 +63,9 @@ def op8_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
-    from framepatterns.llm.source_mixing import mix_sources
+    from framepatterns.llm.source_mixing import mix_plan
 
-    out = mix_sources(_table(spark, sf_dir, "documents").select("doc_id", "source", "text"))
+    out = mix_plan(_table(spark, sf_dir, "documents"))
     return out.select("doc_id", "size", "source_size", "target", (F.col("size") * F.col("copies")).alias("taken"))
 
 

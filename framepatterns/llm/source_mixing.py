@@ -20,7 +20,8 @@ KEY_BITS, STEP_BITS = 60, 12
 
 def word_count(text: Column) -> Column:
     """Number of runs of characters other than space and U+0009..U+000D; a null text has none."""
-    return F.coalesce(F.regexp_count(text, F.lit(r"[^\x20\x09-\x0D]+")), F.lit(0)).cast("long")
+    marks = F.regexp_replace(text, r"[^\x20\x09-\x0D]+", "x")
+    return F.coalesce(F.length(F.translate(marks, " \t\n\x0b\x0c\r", "")), F.lit(0)).cast("long")
 
 
 def hash_key(doc_id: Column) -> Column:
@@ -61,9 +62,23 @@ def mix_sources(docs: DataFrame, weights=(5, 2, 1), share: float = 1.5, cap: flo
     """
     scratch = Scratch(docs.sparkSession, "mix")
     base = docs.drop("size", "source_size", "target", "copies")
-    narrow = scratch.save(base.select("source", word_count(F.col("text")).alias("size"), hash_key(F.col("doc_id")).alias("key")))
+    plan = thresholds(scratch.save(_narrow(base)), scratch, weights, share, cap)
+    return _taken(base.withColumn("size", word_count(F.col("text"))).withColumn("_key", hash_key(F.col("doc_id"))), plan)
+
+
+def mix_plan(docs: DataFrame, weights=(5, 2, 1), share: float = 1.5, cap: float = 2.0) -> DataFrame:
+    """Like ``mix_sources``, but only doc_id, source and the added columns, from one pass over the texts."""
+    scratch = Scratch(docs.sparkSession, "mix")
+    narrow = scratch.save(_narrow(docs))
     plan = thresholds(narrow, scratch, weights, share, cap)
-    out = base.withColumn("size", word_count(F.col("text"))).withColumn("_key", hash_key(F.col("doc_id")))
+    return _taken(narrow.withColumnRenamed("key", "_key"), plan)
+
+
+def _narrow(docs: DataFrame) -> DataFrame:
+    return docs.select("doc_id", "source", word_count(F.col("text")).alias("size"), hash_key(F.col("doc_id")).alias("key"))
+
+
+def _taken(out: DataFrame, plan: DataFrame) -> DataFrame:
     t = plan.withColumnRenamed("source", "_source")
     joined = out.join(t, out["source"].eqNullSafe(t["_source"]), "left")
     more = (F.col("_key") < F.col("edge")) | ((F.col("_key") == F.col("edge")) & F.col("edge_taken"))
