@@ -1,10 +1,11 @@
 """Toxicity by class-conditional Kneser-Ney language models.
 
-Two word-pair models, one of toxic and one of ordinary texts, score every text; the score follows the
-difference of their length-normalised log-likelihoods.  A pair's probability is its discounted count in the
-class, plus the freed mass times the class's word probability, which in turn backs off to continuation counts
-(in how many left contexts a word occurs, counted a document) gathered over all documents and shared by both
-classes.  A word that is rare in both classes so tells next to nothing.
+Two word-pair models, one of toxic and one of ordinary texts, score every text.  A pair's probability is its
+discounted count in the class (the number of texts that have it), plus the freed mass times the class's word
+probability, which in turn backs off to continuation counts (in how many left contexts a word occurs, counted
+a document) gathered over all documents.  Freed masses and continuation counts are shared by both classes, so
+a word that is rare in both tells next to nothing.  The score follows the difference of the two models'
+log-likelihoods, normalised by length, and the evidence that single words add to it.
 
 The class counts come from a bounded sample of labelled rows, about ``rows_per_class`` a class, chosen by the
 hash of doc_id; three quarters of it feed the counts and one quarter fits the four weights of the logistic
@@ -27,6 +28,12 @@ from framepatterns.llm.words import hashed_rows, mix
 
 BACKOFF_BITS = 16
 DISCOUNT = 0.75
+#: Weight of the word model in every context, in counts: pairs move a probability only where a context is frequent.
+CONTEXT = 300_000.0
+#: Least expected count that the backoff gives a word in the smaller class.
+FLOOR = 1.0
+#: Log-ratio above which a word's evidence is summed.
+STRONG = 2.5
 _START = np.uint64(0x51_7C_C1_B7_27_22_0A_95)
 #: Lower case, and ASCII punctuation as white space.
 FOLD = np.arange(256, dtype=np.uint8)
@@ -53,19 +60,22 @@ def _long(x: np.ndarray) -> pa.Array:
 
 
 def _class_pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(h, w, t, o): counts of word pairs in toxic and ordinary sample texts."""
+    """(h, w, t, o): in how many toxic and ordinary sample texts a word pair occurs."""
     for batch in batches:
         toxic = batch.column("toxic").to_numpy().astype(bool)
         for row, end, h, w in hashed_rows(batch.column("text"), fold=FOLD):
             if not h.size:
                 continue
-            prev, cls = _previous(h, w), np.repeat(toxic[row:end], np.diff(w))
-            order = np.lexsort((h, prev))
-            p, x, c = prev[order], h[order], cls[order]
-            new = np.flatnonzero(np.concatenate(([True], (p[1:] != p[:-1]) | (x[1:] != x[:-1]))))
-            t = np.add.reduceat(c.astype(np.int64), new)
-            n = np.diff(np.append(new, h.size))
-            yield pa.RecordBatch.from_arrays([_long(p[new]), _long(x[new]), pa.array(t), pa.array(n - t)], names=["h", "w", "t", "o"])
+            text = np.repeat(np.arange(row, end), np.diff(w))
+            prev = _previous(h, w)
+            order = np.lexsort((text, h, prev))
+            p, x, d = prev[order], h[order], text[order]
+            pair = np.concatenate(([True], (p[1:] != p[:-1]) | (x[1:] != x[:-1])))
+            once = pair | np.concatenate(([True], d[1:] != d[:-1]))
+            new = np.flatnonzero(pair)
+            t = np.add.reduceat((once & toxic[d]).astype(np.int64), new)
+            o = np.add.reduceat((once & ~toxic[d]).astype(np.int64), new)
+            yield pa.RecordBatch.from_arrays([_long(p[new]), _long(x[new]), pa.array(t), pa.array(o)], names=["h", "w", "t", "o"])
 
 
 def _continuations(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -106,20 +116,25 @@ class Model:
         prev = _previous(h, w)
         base = self.shared[(h & np.uint64((1 << BACKOFF_BITS) - 1)).astype(np.int64)][:, None]
         word, ctx, pair = find(self.words, self.word_counts, h), find(self.words, self.word_counts, prev), find(self.pairs, self.pair_counts, pair_key(prev, h))
-        one = (np.maximum(word[:, :2] - DISCOUNT, 0) + DISCOUNT * self.types * base) / self.totals
-        seen = np.maximum(ctx[:, 2:4], 1.0)
-        free = np.where(ctx[:, 2:4] > 0, DISCOUNT * ctx[:, 4:6] / seen, 1.0)
-        two = np.where(ctx[:, 2:4] > 0, np.maximum(pair - DISCOUNT, 0) / seen, 0.0) + free * one
+        back = np.maximum(DISCOUNT * self.types.sum() / self.totals.sum() * base, FLOOR / self.totals.min())
+        one = np.maximum(word[:, :2] - DISCOUNT, 0) / self.totals + back
+        seen = ctx[:, 2:4]
+        free = (DISCOUNT * ctx[:, 4:6].sum(1) + CONTEXT) / (seen.sum(1) + CONTEXT)
+        two = np.maximum(pair - DISCOUNT, 0) / (seen + CONTEXT) + free[:, None] * one
         p = np.log(np.maximum(two, 1e-30))
         return p[:, 0] - p[:, 1]
 
     def features(self, h: np.ndarray, w: np.ndarray) -> np.ndarray:
-        """Per text: mean log-ratio, the same scaled by the root of the length, and by the length (capped)."""
+        """Per text: one, the mean log-ratio, the evidence of strongly toxic words, and that of the strongest."""
         n = np.diff(w)
-        total = np.concatenate(([0.0], np.cumsum(self.ratios(h, w) if h.size else np.zeros(0))))
-        s = total[w[1:]] - total[w[:-1]]
-        m = np.maximum(n, 1)
-        return np.stack([np.ones(n.size), np.clip(s / m, -5, 5), np.clip(s / np.sqrt(m), -20, 20) / 4, np.clip(s, -40, 40) / 8], axis=1)
+        r = self.ratios(h, w) if h.size else np.zeros(0)
+        upto = lambda x: (lambda c: c[w[1:]] - c[w[:-1]])(np.concatenate(([0.0], np.cumsum(x))))
+        top = np.zeros(n.size)
+        full = np.flatnonzero(n)
+        if full.size:
+            top[full] = np.maximum.reduceat(r, w[:-1][full])
+        mean = upto(r) / np.maximum(n, 1)
+        return np.stack([np.ones(n.size), np.clip(mean, -5, 5), np.minimum(upto(np.maximum(r - STRONG, 0)), 20) / 4, np.clip(top, 0, 10) / 2], axis=1)
 
     def scores(self, col: pa.Array) -> np.ndarray:
         out = np.zeros(len(col))
