@@ -3,11 +3,16 @@
 Level one looks at windows of about half the target length.  Of the short windows inside a target window only
 the one with the smallest hash is looked up, so a level-one pass moves about a quarter of the positions, and
 two equal target windows always look up the same short window.  Only target windows around a short window
-that occurs in two documents are extended to the target length and compared there; ``doubled_repeats`` goes on
-to twice, four times ... that length until no candidate survives.
+that occurs twice are extended to the target length and compared there; ``doubled_repeats`` goes on to twice,
+four times ... that length until no candidate survives.
 
-The set of repeated short windows travels as a bit set of fixed size.  A false positive of the bit set costs
-one needless comparison at the next level; nothing is lost however full it gets.
+Hashes travel packed: a task sends one row for each hash bucket, not one for each window, and sends a window
+once at most, for the first of its own documents that has it; its other documents are settled at once.  So a
+passage that a third of all documents share costs one entry a task.  Buckets follow the number of shuffle
+partitions and are read one at a time.
+
+The set of repeated short windows is broadcast as a bit set of fixed size.  A false positive of the bit set
+costs one needless comparison at the next level; nothing is lost however full it gets.
 """
 
 from __future__ import annotations
@@ -16,56 +21,198 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from framepatterns.llm.scratch import Scratch, bitmap, test_bits
-from framepatterns.llm.words import grams, hashed_rows, sliding_min
+from framepatterns.llm.words import grams, hashed_rows, mix, sliding_min
 
 FILTER_BITS = 27
+#: Windows that a map task holds before it packs and sends them.
+PACK = 1 << 20
+
+
+def bucket_bits(spark: SparkSession) -> int:
+    """Bits of the hash that name a bucket: sixteen buckets a shuffle partition, 4096 at least."""
+    return max(12, (16 * int(spark.conf.get("spark.sql.shuffle.partitions")) - 1).bit_length())
+
+
+def _by_bucket(bucket: np.ndarray) -> Iterator[tuple[int, slice]]:
+    """Runs of equal values of a sorted array."""
+    cut = np.flatnonzero(np.concatenate(([True], bucket[1:] != bucket[:-1], [True])))
+    for lo, hi in zip(cut[:-1], cut[1:], strict=True):
+        yield int(bucket[lo]), slice(lo, hi)
+
 
+def _anchor_key(a: np.ndarray, bits: int) -> np.ndarray:
+    """The part of a short window's hash that names it: its bucket and 32 bits more."""
+    return a >> np.uint64(32 - bits)
 
-def _long(x: np.ndarray) -> pa.Array:
-    return pa.array(x.astype(np.uint64).view(np.int64))
 
+def _anchors(batches: Iterator[pa.RecordBatch], short: int, length: int, bits: int) -> Iterator[pa.RecordBatch]:
+    """(bucket, packed keys) of the short windows with the smallest hash of their target window.
+
+    A key is sent once, or twice if two texts of this task have it.
+    """
+    held: list[np.ndarray] = []
+    have = 0
+
+    def pack() -> pa.RecordBatch:
+        keys, n = np.unique(np.concatenate(held), return_counts=True)
+        keys = np.repeat(keys, np.minimum(n, 2))
+        runs = list(_by_bucket(keys >> np.uint64(32)))
+        low = keys.astype(np.uint32)
+        return pa.RecordBatch.from_arrays([pa.array([b for b, _ in runs], pa.int64()), pa.array([low[r].tobytes() for _, r in runs], pa.binary())], names=["bucket", "keys"])
 
-def _anchors(batches: Iterator[pa.RecordBatch], short: int, length: int) -> Iterator[pa.RecordBatch]:
-    """The short window with the smallest hash of every target window, each once a document."""
     for batch in batches:
-        ids = batch.column("doc_id")
-        rows, found, have = [], [], 0
-        for row, end, h, w in hashed_rows(batch.column("text")):
+        for _, _, h, w in hashed_rows(batch.column("text")):
             g = grams(h, short)
             for i in np.flatnonzero(np.diff(w) >= length):
-                a = np.unique(sliding_min(g[w[i] : w[i + 1] - short + 1], length - short + 1))
-                rows.append(np.full(a.size, row + i))
-                found.append(a)
+                a = np.unique(_anchor_key(sliding_min(g[w[i] : w[i + 1] - short + 1], length - short + 1), bits))
+                held.append(a)
                 have += a.size
-            if have > 100_000 or end == batch.num_rows:
-                if have:
-                    yield pa.RecordBatch.from_arrays([_long(np.concatenate(found)), ids.take(pa.array(np.concatenate(rows)))], names=["a", "doc_id"])
-                rows, found, have = [], [], 0
+            if have > PACK:
+                yield pack()
+                held, have = [], 0
+    if have:
+        yield pack()
+
+
+def _bucket_runs(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, list[dict]]]:
+    """Rows of one bucket after another, from rows sorted by bucket."""
+    at, rows = None, []
+    for batch in batches:
+        for row in batch.to_pylist():
+            if row["bucket"] != at:
+                if rows:
+                    yield at, rows
+                at, rows = row["bucket"], []
+            rows.append(row)
+    if rows:
+        yield at, rows
+
+
+def _repeated(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Keys that came twice."""
+    for bucket, rows in _bucket_runs(batches):
+        low = np.sort(np.frombuffer(b"".join(r["keys"] for r in rows), np.uint32))
+        twice = np.unique(low[1:][low[1:] == low[:-1]]).astype(np.int64)
+        if twice.size:
+            yield pa.RecordBatch.from_arrays([pa.array(twice | (bucket << 32))], names=["a"])
+
+
+def _settle(h: np.ndarray, doc: np.ndarray, pos: np.ndarray) -> tuple[np.ndarray, ...]:
+    """Sort windows by hash, document and place; mark those whose hash an earlier document has, and the first documents'."""
+    order = np.lexsort((pos, doc, h))
+    h, doc, pos = h[order], doc[order], pos[order]
+    new = np.concatenate(([True], h[1:] != h[:-1]))
+    first = doc[np.flatnonzero(new)][np.cumsum(new) - 1]
+    return h, doc, pos, doc > first
+
+
+def _removed(doc: np.ndarray, pos: np.ndarray) -> tuple[list[int], list[bytes]]:
+    """Places by document, packed."""
+    order = np.argsort(doc, kind="stable")
+    doc, pos = doc[order], pos[order].astype(np.int32)
+    runs = list(_by_bucket(doc)) if doc.size else []
+    return [d for d, _ in runs], [pos[r].tobytes() for _, r in runs]
+
+
+_PACKED = "bucket long, doc_id long, h binary, doc binary, pos binary"
+
 
+def _packed(bucket, doc_id, h, doc, pos) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(bucket, pa.int64()), pa.array(doc_id, pa.int64()), pa.array(h, pa.binary()), pa.array(doc, pa.binary()), pa.array(pos, pa.binary())], names=["bucket", "doc_id", "h", "doc", "pos"])
+
+
+def _windows(batches: Iterator[pa.RecordBatch], short: int, length: int, bits: int, repeated) -> Iterator[pa.RecordBatch]:
+    """Packed target windows around a short window that may be repeated.
+
+    Rows without doc_id hold windows of a bucket, of the first document of this task that has them; rows with
+    doc_id hold the places of windows that an earlier document of this task has too.
+    """
+    hs, docs, places, have = [], [], [], 0
+
+    def pack() -> Iterator[pa.RecordBatch]:
+        h, doc, pos, later = _settle(np.concatenate(hs), np.concatenate(docs), np.concatenate(places))
+        gone, where = _removed(doc[later], pos[later])
+        if gone:
+            yield _packed([d & ((1 << bits) - 1) for d in gone], gone, [None] * len(gone), [None] * len(gone), where)
+        h, doc, pos = h[~later], doc[~later], pos[~later].astype(np.int32)
+        runs = list(_by_bucket(h >> np.uint64(64 - bits)))
+        yield _packed([b for b, _ in runs], [None] * len(runs), [h[r].tobytes() for _, r in runs], [doc[r].tobytes() for _, r in runs], [pos[r].tobytes() for _, r in runs])
 
-def _windows(batches: Iterator[pa.RecordBatch], short: int, length: int, repeated) -> Iterator[pa.RecordBatch]:
-    """Target windows around a short window that may be repeated."""
     for batch in batches:
-        ids = batch.column("doc_id")
-        rows, found, places, have = [], [], [], 0
-        for row, end, h, w in hashed_rows(batch.column("text")):
+        known = np.asarray(batch.column("doc_id").is_valid())
+        ids = batch.column("doc_id").fill_null(0).to_numpy()
+        for row, _, h, w in hashed_rows(batch.column("text")):
             g, full = grams(h, short), grams(h, length)
-            for i in np.flatnonzero(np.diff(w) >= length):
+            for i in np.flatnonzero((np.diff(w) >= length) & known[row : row + w.size - 1]):
                 a = sliding_min(g[w[i] : w[i + 1] - short + 1], length - short + 1)
-                at = np.flatnonzero(test_bits(repeated.value, a))
+                at = np.flatnonzero(test_bits(repeated.value, _anchor_key(a, bits)))
                 if at.size:
-                    rows.append(np.full(at.size, row + i))
-                    found.append(full[w[i] + at])
+                    hs.append(full[w[i] + at])
+                    docs.append(np.full(at.size, ids[row + i]))
                     places.append(at)
                     have += at.size
-            if have > 100_000 or end == batch.num_rows:
-                if have:
-                    yield pa.RecordBatch.from_arrays([_long(np.concatenate(found)), ids.take(pa.array(np.concatenate(rows))), pa.array(np.concatenate(places), pa.int32())], names=["h", "doc_id", "pos"])
-                rows, found, places, have = [], [], [], 0
+            if have > PACK:
+                yield from pack()
+                hs, docs, places, have = [], [], [], 0
+    if have:
+        yield from pack()
+
+
+def _unpack(rows: list[dict]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    return tuple(np.frombuffer(b"".join(r[c] for r in rows if r["doc_id"] is None), t) for c, t in (("h", np.uint64), ("doc", np.int64), ("pos", np.int32)))
+
+
+def _later_places(batches: Iterator[pa.RecordBatch], bits: int) -> Iterator[pa.RecordBatch]:
+    """Windows that also start in an earlier document, packed by the bucket of their document."""
+    docs, places, have = [], [], 0
+
+    def flush() -> pa.RecordBatch:
+        doc, pos = np.concatenate(docs), np.concatenate(places).astype(np.int32)
+        bucket = mix(doc.view(np.uint64)) >> np.uint64(64 - bits)
+        order = np.lexsort((doc, bucket))
+        bucket, doc, pos = bucket[order], doc[order], pos[order]
+        runs = list(_by_bucket(bucket))
+        return pa.RecordBatch.from_arrays([pa.array([b for b, _ in runs], pa.int64()), pa.array([doc[r].tobytes() for _, r in runs], pa.binary()), pa.array([pos[r].tobytes() for _, r in runs], pa.binary())], names=["bucket", "doc", "pos"])
+
+    for _, rows in _bucket_runs(batches):
+        h, doc, pos = _unpack(rows)
+        if h.size:
+            _, doc, pos, later = _settle(h, doc, pos)
+            doc, pos = doc[later], pos[later]
+        for r in rows:
+            if r["doc_id"] is not None:
+                p = np.frombuffer(r["pos"], np.int32)
+                docs.append(np.full(p.size, r["doc_id"]))
+                places.append(p)
+                have += p.size
+        if doc.size:
+            docs.append(doc)
+            places.append(pos)
+            have += doc.size
+        if have > 4 * PACK:
+            yield flush()
+            docs, places, have = [], [], 0
+    if have:
+        yield flush()
+
+
+def _places_by_document(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(doc_id, packed places), one row a document."""
+    for _, rows in _bucket_runs(batches):
+        doc, pos = (np.frombuffer(b"".join(r[c] for r in rows), t) for c, t in (("doc", np.int64), ("pos", np.int32)))
+        d, p = _removed(doc, pos)
+        yield pa.RecordBatch.from_arrays([pa.array(d, pa.int64()), pa.array(p, pa.binary())], names=["doc_id", "places"])
+
+
+def later_places(docs: DataFrame, length: int = 13) -> DataFrame:
+    """(doc_id, places): for each document with repeats, the packed 32-bit word positions of windows that an earlier document has."""
+    bits = bucket_bits(docs.sparkSession)
+    packed = _packed_windows(docs, length).mapInArrow(lambda it: _later_places(it, bits), "bucket long, doc binary, pos binary")
+    return packed.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(_places_by_document, "doc_id long, places binary")
 
 
 def _cut(batches: Iterator[pa.RecordBatch], length: int) -> Iterator[pa.RecordBatch]:
@@ -77,9 +224,9 @@ def _cut(batches: Iterator[pa.RecordBatch], length: int) -> Iterator[pa.RecordBa
             words = raw.to_pybytes().split() if raw is not None else []
             if starts[i].is_valid:
                 edge = np.zeros(len(words) + 1, np.int32)
-                p = starts[i].values.to_numpy()
-                edge[p] += 1
-                edge[p + length] -= 1
+                p = np.frombuffer(starts[i].as_buffer(), np.int32)
+                np.add.at(edge, p, 1)
+                np.add.at(edge, p + length, -1)
                 covered = np.cumsum(edge)[:-1] > 0
                 gone.append(int(covered.sum()))
                 total.append(len(words))
@@ -95,18 +242,15 @@ def _source(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
 
 
-def repeated_windows(docs: DataFrame, scratch: Scratch, length: int = 13) -> DataFrame:
-    """(h, doc_id, pos, first_doc): windows of ``length`` words that occur in two documents or more.
-
-    pos is the word position, first_doc the smallest doc_id in which the window occurs.
-    """
-    source, short = _source(docs), (length + 1) // 2
-    anchors = source.mapInArrow(lambda it: _anchors(it, short, length), "a long, doc_id long")
-    again = anchors.groupBy("a").agg(F.min("doc_id").alias("low"), F.max("doc_id").alias("high")).where("low < high")
-    repeated = docs.sparkSession.sparkContext.broadcast(bitmap(again, "a", FILTER_BITS))
-    windows = scratch.save(source.mapInArrow(lambda it: _windows(it, short, length, repeated), "h long, doc_id long, pos int"))
-    shared = windows.groupBy("h").agg(F.min("doc_id").alias("first_doc"), F.max("doc_id").alias("last_doc")).where("first_doc < last_doc").select("h", "first_doc")
-    return windows.join(shared, "h")
+def _packed_windows(docs: DataFrame, length: int) -> DataFrame:
+    """Both levels: packed target windows that survive level one, sorted by bucket."""
+    spark, source, short = docs.sparkSession, _source(docs), (length + 1) // 2
+    bits = bucket_bits(spark)
+    anchors = source.mapInArrow(lambda it: _anchors(it, short, length, bits), "bucket long, keys binary")
+    again = anchors.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(_repeated, "a long")
+    repeated = spark.sparkContext.broadcast(bitmap(again, "a", FILTER_BITS))
+    windows = source.mapInArrow(lambda it: _windows(it, short, length, bits, repeated), _PACKED)
+    return windows.repartition("bucket").sortWithinPartitions("bucket")
 
 
 def remove_repeats(docs: DataFrame, length: int = 13) -> DataFrame:
@@ -119,29 +263,30 @@ def remove_repeats(docs: DataFrame, length: int = 13) -> DataFrame:
     that repeat a doc_id are one document in that they never remove each other's words, and each row comes
     back.  A null doc_id neither removes nor loses words.  Columns other than doc_id and text are ignored.
     """
-    scratch = Scratch(docs.sparkSession, "repeats")
-    later = repeated_windows(docs, scratch, length).where("doc_id > first_doc")
-    starts = later.groupBy("doc_id").agg(F.collect_set("pos").alias("starts"))
-    joined = _source(docs).join(starts, "doc_id", "left")
+    joined = _source(docs).join(later_places(docs, length).withColumnRenamed("places", "starts"), "doc_id", "left")
     return joined.select("doc_id", "text", "starts").mapInArrow(lambda it: _cut(it, length), "doc_id long, n_words long, n_removed long, kept_text string")
 
 
+def _survivors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        for row in batch.to_pylist():
+            p = np.frombuffer(row["places"], np.int32)
+            yield pa.RecordBatch.from_arrays([pa.array(np.full(p.size, row["doc_id"])), pa.array(p)], names=["doc_id", "pos"])
+
+
 def doubled_repeats(docs: DataFrame, length: int = 13, max_levels: int = 24) -> DataFrame:
-    """(doc_id, pos, length): for each word position, the longest level at which its window is repeated.
+    """(doc_id, pos, length): for each word position whose window is in an earlier document, its longest repeated level.
 
-    Levels are ``length``, 2 * ``length``, 4 * ``length`` ...; a level's candidates are the positions where two
-    adjacent windows of the level below are both repeated.  Stops at the first level without survivors.
+    Levels are ``length``, 2 * ``length``, 4 * ``length`` ...; a level's candidates are the windows around a
+    repeated window of half its length.  Stops at the first level without survivors.
     """
     scratch = Scratch(docs.sparkSession, "doubling")
-    level = scratch.save(repeated_windows(docs, scratch, length).select("h", "doc_id", "pos"))
-    found = level.select("doc_id", "pos", F.lit(length).alias("length"))
+    found, width = None, length
     for _ in range(max_levels):
-        right = level.select(F.col("h").alias("h2"), "doc_id", (F.col("pos") - length).alias("pos"))
-        wide = level.join(right, ["doc_id", "pos"]).select(F.xxhash64("h", "h2").alias("h"), "doc_id", "pos")
-        again = wide.groupBy("h").agg(F.min("doc_id").alias("a"), F.max("doc_id").alias("b")).where("a < b").select("h")
-        level = scratch.save(wide.join(again, "h"))
-        length *= 2
+        later = later_places(docs, width).mapInArrow(_survivors, "doc_id long, pos int")
+        level = scratch.save(later.distinct().withColumn("length", F.lit(width)))
+        found = level if found is None else found.union(level)
         if level.isEmpty():
             break
-        found = found.union(level.select("doc_id", "pos", F.lit(length).alias("length")))
+        width *= 2
     return found.groupBy("doc_id", "pos").agg(F.max("length").alias("length"))
