@@ -37,7 +37,7 @@ class Index:
     ids: np.ndarray
     terms: np.ndarray
     block_max: np.ndarray  # terms x blocks
-    block_terms: list  # per block: positions of its terms, ascending
+    place: np.ndarray  # terms x blocks: row of the term in the block's table, or -1
     block_weight: list  # per block: its terms x its items
     need: np.ndarray
     block_need: np.ndarray
@@ -75,7 +75,8 @@ def build_index(items: list[tuple[int, str]], share: float = 0.6) -> Index | Non
     need = np.array([share * weight.sum() for _, weight in own])
     order = np.argsort(need, kind="stable")
     starts = np.arange(0, len(items), BLOCK)
-    block_max, block_terms, block_weight = np.zeros((terms.size, starts.size), np.float32), [], []
+    block_max, block_weight = np.zeros((terms.size, starts.size), np.float32), []
+    place = np.full((terms.size, starts.size), -1, np.int32)
     for k, a in enumerate(starts):
         members = order[a : a + BLOCK]
         t = np.unique(np.concatenate([own[j][0] for j in members]))
@@ -83,7 +84,7 @@ def build_index(items: list[tuple[int, str]], share: float = 0.6) -> Index | Non
         for c, j in enumerate(members):
             table[np.searchsorted(t, own[j][0]), c] = own[j][1]
         block_max[t, k] = table.max(1)
-        block_terms.append(t)
+        place[t, k] = np.arange(t.size)
         block_weight.append(table)
     shingles = []
     for j in order:
@@ -91,7 +92,7 @@ def build_index(items: list[tuple[int, str]], share: float = 0.6) -> Index | Non
         g = grams(words[j], width)
         shingles.append((width, g, np.arange(g.size) + width > split_answer(items[j][1])))
     ids = np.array([items[j][0] for j in order], np.int64)
-    return Index(ids, terms, block_max, block_terms, block_weight, need[order], np.minimum.reduceat(need[order], starts), shingles, max(w.size for w in words))
+    return Index(ids, terms, block_max, place, block_weight, need[order], np.minimum.reduceat(need[order], starts), shingles, max(w.size for w in words))
 
 
 def _overlap(index: Index, j: int, passage: np.ndarray) -> tuple[float, float, float]:
@@ -106,38 +107,40 @@ def search(index: Index, h: np.ndarray, w: np.ndarray, least: float, each: float
     """(row, item position, score, overlap, question overlap, answer overlap) of verified hits of a batch of texts."""
     at = np.minimum(np.searchsorted(index.terms, h), index.terms.size - 1)
     term = np.where(index.terms[at] == h, at, -1)
-    step = index.longest
+    step, size = index.longest, index.terms.size
     n = np.diff(w)
     halves = np.maximum(-(-n // step), 1)
     first = np.concatenate(([0], np.cumsum(halves)))
-    starts = np.concatenate([w[i] + step * np.arange(k) for i, k in enumerate(halves)]) if n.size else np.zeros(0, int)
-    row_of = np.repeat(np.arange(n.size), halves)
     known = np.flatnonzero(term >= 0)
     if not known.size:
         return []
-    edge = np.searchsorted(known, starts)
-    sums = np.zeros((known.size + 1, index.block_max.shape[1]))
-    np.cumsum(index.block_max[term[known]], axis=0, out=sums[1:])
-    stop = np.append(edge[1:], known.size)
-    half = sums[stop] - sums[edge]
-    bound = half.copy()
-    follows = np.flatnonzero(row_of[1:] == row_of[:-1])
-    bound[follows] += half[follows + 1]
-    starts_passage = np.zeros(starts.size, bool)
-    starts_passage[first[:-1]] = starts_passage[follows] = True  # the last half of a longer text starts none
+    row = np.searchsorted(w, known, side="right") - 1
+    half = first[row] + (known - w[row]) // step
+    # a passage is a half and the next one of the same text; it is named by its first half
+    opens = (half < first[row + 1] - 1) | (halves[row] == 1)
+    closes = half > first[row]
+    keys = np.unique(np.concatenate([half[opens] * size + term[known[opens]], (half[closes] - 1) * size + term[known[closes]]]))
+    passage, t = keys // size, keys % size
+    new = np.flatnonzero(np.concatenate(([True], passage[1:] != passage[:-1])))
+    group = np.repeat(np.arange(new.size), np.diff(np.append(new, keys.size)))
+    open_ = np.add.reduceat(index.block_max[t], new, axis=0) >= index.block_need - 1e-3
     best: dict[tuple[int, int], tuple] = {}
-    for p, block in zip(*np.nonzero((bound >= index.block_need - 1e-3) & starts_passage[:, None]), strict=True):
-        row = int(row_of[p])
-        words = h[starts[p] : min(starts[p] + 2 * step, w[row + 1])]
-        t = np.unique(term[starts[p] : min(starts[p] + 2 * step, w[row + 1])])
-        own = index.block_terms[block]
-        s = index.block_weight[block][np.isin(own, t, assume_unique=True)].sum(0)
-        for j in np.flatnonzero(s >= index.need[block * BLOCK : (block + 1) * BLOCK] - 1e-9) + block * BLOCK:
-            whole, question, answer = _overlap(index, j, words)
+    for block in np.flatnonzero(open_.any(0)):
+        entry = np.flatnonzero(open_[group, block] & (index.place[t, block] >= 0))
+        if not entry.size:
+            continue
+        g = group[entry]
+        at = np.flatnonzero(np.concatenate(([True], g[1:] != g[:-1])))
+        s = np.add.reduceat(index.block_weight[block][index.place[t[entry], block]], at, axis=0)
+        for k, c in zip(*np.nonzero(s >= index.need[block * BLOCK : (block + 1) * BLOCK] - 1e-9), strict=True):
+            p, j = int(passage[new[g[at[k]]]]), int(block * BLOCK + c)
+            r = int(np.searchsorted(first, p, side="right")) - 1
+            start = w[r] + step * (p - first[r])
+            whole, question, answer = _overlap(index, j, h[start : min(start + 2 * step, w[r + 1])])
             if whole >= least and question >= each and answer >= each:
-                hit = (row, int(j), float(s[j - block * BLOCK]), whole, question, answer)
-                if (row, int(j)) not in best or hit[2:] > best[row, int(j)][2:]:
-                    best[row, int(j)] = hit
+                hit = (r, j, float(s[k, c]), whole, question, answer)
+                if (r, j) not in best or hit[2:] > best[r, j][2:]:
+                    best[r, j] = hit
     return list(best.values())
 
 
