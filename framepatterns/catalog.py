@@ -18,9 +18,15 @@ def query(name: str, sql: str | None = None):
     return keep
 
 
+def _load() -> None:
+    from framepatterns.workloads import experiments, operators, surface  # noqa: F401  each registers its queries
+
+
 def queries() -> dict:
+    _load()
     return dict(_QUERIES)
 
 
 def oracles() -> dict[str, str]:
+    _load()
     return dict(_ORACLES)
