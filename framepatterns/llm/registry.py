@@ -72,7 +72,7 @@ def op9_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op10_vector_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
     from framepatterns.llm.vector_graph import near_vectors
 
-    return near_vectors(_table(spark, sf_dir, "embeddings"))
+    return near_vectors(_table(spark, sf_dir, "embeddings")).drop("recall")
 
 
 def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -88,6 +88,10 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracles() -> dict[str, str]:
+    """SQL for the contracts that SQL expresses; the other queries are held against brute force in tests/llm."""
+    from framepatterns.llm.near_duplicates import OP2_SQL
+    from framepatterns.llm.repeated_passages import OP4_SQL
     from framepatterns.llm.source_mixing import OP9_SQL
+    from framepatterns.llm.vector_graph import OP10_SQL
 
-    return {"op9_source_mix": OP9_SQL}
+    return {"op2_setsketch_near_duplicates": OP2_SQL, "op4_doubling_substrings": OP4_SQL, "op9_source_mix": OP9_SQL, "op10_vector_near_duplicates": OP10_SQL}

@@ -290,3 +290,20 @@ def doubled_repeats(docs: DataFrame, length: int = 13, max_levels: int = 24) ->
             break
         width *= 2
     return found.groupBy("doc_id", "pos").agg(F.max("length").alias("length"))
+
+
+OP4_SQL = r"""
+WITH w AS (
+  SELECT doc_id, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS w FROM documents),
+v AS (
+  SELECT doc_id, i, array_to_string(w[i:i + 12], ' ') AS g FROM (SELECT doc_id, w, unnest(range(1, len(w) - 11)) AS i FROM w)),
+f AS (SELECT g, min(doc_id) AS first_doc FROM v GROUP BY g),
+c AS (
+  SELECT DISTINCT doc_id, unnest(range(i, i + 13)) AS i FROM v JOIN f USING (g) WHERE doc_id > first_doc),
+k AS (
+  SELECT t.doc_id, string_agg(t.word, ' ' ORDER BY t.i) AS kept
+  FROM (SELECT doc_id, unnest(w) AS word, generate_subscripts(w, 1) AS i FROM w) t ANTI JOIN c ON t.doc_id = c.doc_id AND t.i = c.i
+  GROUP BY t.doc_id)
+SELECT w.doc_id, CAST(len(w.w) AS BIGINT) AS n_words, coalesce(n.n, 0) AS n_removed, sha256(coalesce(k.kept, '')) AS kept_sha256
+FROM w LEFT JOIN (SELECT doc_id, count(*) AS n FROM c GROUP BY doc_id) n USING (doc_id) LEFT JOIN k USING (doc_id)
+"""

@@ -167,7 +167,7 @@ def train(docs: DataFrame, labels: DataFrame, scratch: Scratch, rows_per_class:
     counts = dict(known.groupBy("toxic").count().collect())
     draw = F.pmod(F.xxhash64(F.lit("sample"), F.col("doc_id")), F.lit(1 << 30))
     limit = F.when(F.col("toxic") == 1, F.lit((1 << 30) * min(1.0, rows_per_class / max(counts.get(1, 1), 1)))).otherwise(F.lit((1 << 30) * min(1.0, rows_per_class / max(counts.get(0, 1), 1))))
-    chosen = known.where(draw < limit)
+    chosen = F.broadcast(known.where(draw < limit))  # about 2 * rows_per_class rows, however many labels there are
     sample = scratch.save(docs.select("doc_id", F.col("text").cast("string").alias("text")).join(chosen, "doc_id").withColumn("part", F.pmod(F.xxhash64(F.lit("part"), F.col("doc_id")), F.lit(4))))
     pairs = scratch.save(sample.where("part > 0").select("text", "toxic").mapInArrow(_class_pairs, "h long, w long, t long, o long").groupBy("h", "w").agg(F.sum("t").alias("t"), F.sum("o").alias("o")))
 

@@ -261,3 +261,16 @@ def near_vectors(vectors: DataFrame, least: float = 0.98) -> DataFrame:
     out = every.select("vec_id").join(links, "vec_id", "left").join(comps.withColumnRenamed("id", "vec_id"), "vec_id", "left")
     comp = F.coalesce("component", "vec_id")
     return out.select("vec_id", F.coalesce("n_links", F.lit(0)).alias("n_links"), comp.alias("component_id"), (F.col("vec_id") == comp).alias("kept"), F.coalesce("recall", F.lit(1.0)).alias("recall"))
+
+
+OP10_SQL = """
+WITH RECURSIVE v AS (
+  SELECT vec_id, label, CAST(embedding AS DOUBLE[]) AS e FROM embeddings
+  WHERE label IS NOT NULL AND embedding IS NOT NULL AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0 AND len(list_filter(embedding, lambda x: x <> 0)) > 0),
+l AS (
+  SELECT a.vec_id AS x, b.vec_id AS y FROM v a JOIN v b ON a.label = b.label AND a.vec_id <> b.vec_id AND len(a.e) = len(b.e)
+  WHERE list_cosine_similarity(a.e, b.e) >= 0.98),
+r(x, y) AS (SELECT x, y FROM l UNION SELECT r.x, l.y FROM r JOIN l ON r.y = l.x)
+SELECT e.vec_id, coalesce(n, 0) AS n_links, least(e.vec_id, coalesce(m, e.vec_id)) AS component_id, e.vec_id <= coalesce(m, e.vec_id) AS kept
+FROM embeddings e LEFT JOIN (SELECT x, count(*) AS n FROM l GROUP BY x) c ON e.vec_id = c.x LEFT JOIN (SELECT x, min(y) AS m FROM r GROUP BY x) d ON e.vec_id = d.x
+"""
