@@ -62,9 +62,11 @@ def estimated_bytes(df: DataFrame) -> int:
 
 
 def broadcast_frame(df: DataFrame, limit: int = BROADCAST_BYTES) -> DataFrame:
-    """Mark a frame for replication if its estimated size allows."""
+    """Mark a frame for replication if its size allows: by the optimizer's estimate, or else by counting rows up to the limit."""
     if estimated_bytes(df) > limit:
-        raise MemoryError(f"broadcast of more than {limit} bytes refused")
+        rows = limit // max(sum(64 if t == "string" else 16 for _, t in df.dtypes), 1)
+        if df.limit(rows + 1).count() > rows:
+            raise MemoryError(f"broadcast of more than {limit} bytes refused")
     return F.broadcast(df)
 
 
