@@ -8,6 +8,8 @@ from pyspark.sql import functions as F
 from framepatterns.llm import curve_shards, decontamination, near_duplicates, source_mixing, toxicity
 from framepatterns.llm.scratch import Scratch
 
+#: Ids that may be replicated: 16 MB.
+BROADCAST_ROWS = 1_000_000
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
 
@@ -19,8 +21,10 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group with five-word shingle similarity of 0.8 or more."""
-    found = Scratch(spark, "pipeline").save(near_duplicates.near_duplicates(docs, shingle=5))
-    return docs.select(*COLUMNS).join(found.where("not kept").select("doc_id").distinct(), "doc_id", "left_anti").select(*COLUMNS)
+    found = near_duplicates.near_duplicates(docs, shingle=5)
+    gone = Scratch(spark, "pipeline").save(found.where("not kept").select("doc_id").distinct())
+    few = gone.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS  # beyond it, both sides are dealt by doc_id
+    return docs.select(*COLUMNS).join(F.broadcast(gone) if few else gone, "doc_id", "left_anti").select(*COLUMNS)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

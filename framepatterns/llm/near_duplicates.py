@@ -30,6 +30,8 @@ from framepatterns.llm.words import hashed_rows, shingle_set
 
 REGISTERS, BAND, FINE = 96, 4, 768
 BASE, RATE, TOP = 1.001, 20.0, (1 << 16) - 2
+#: The fine sketch has a coarser scale, so that a register takes one byte.
+FINE_BASE, FINE_TOP = 1.12, (1 << 8) - 2
 _MUL = np.random.default_rng(11).integers(1, 1 << 32, FINE, dtype=np.uint32) | np.uint32(1)
 _ADD = np.random.default_rng(12).integers(0, 1 << 32, FINE, dtype=np.uint32)
 #: A pair is rejected unverified when its best similarity below the threshold is e**9 times likelier than the threshold.
@@ -37,10 +39,11 @@ REJECT = 9.0
 BLOCK_ROWS = 4096
 
 
-def registers(shingles: np.ndarray, count: int = REGISTERS) -> np.ndarray:
+def registers(shingles: np.ndarray, fine: bool = False) -> np.ndarray:
     """SetSketch registers of a set of 64-bit shingle hashes (all zero for the empty set); any prefix is a sketch."""
+    count, base, top, kind = (FINE, FINE_BASE, FINE_TOP, np.uint8) if fine else (REGISTERS, BASE, TOP, np.uint16)
     if shingles.size == 0:
-        return np.zeros(count, np.uint16)
+        return np.zeros(count, kind)
     h = (shingles >> np.uint64(32)).astype(np.uint32)
     low = np.full(count, (1 << 32) - 1, np.uint32)
     step = 2048 * REGISTERS // count
@@ -49,7 +52,7 @@ def registers(shingles: np.ndarray, count: int = REGISTERS) -> np.ndarray:
         v += _ADD[:count, None]
         np.minimum(low, v.min(axis=1), out=low)
     x = -np.log1p(-(low.astype(np.float64) + 0.5) / 2.0**32)
-    return np.clip(np.floor(1 - np.log(x / RATE) / np.log(BASE)), 0, TOP + 1).astype(np.uint16)
+    return np.clip(np.floor(1 - np.log(x / RATE) / np.log(base)), 0, top + 1).astype(kind)
 
 
 def merge(a: np.ndarray, b: np.ndarray) -> np.ndarray:
@@ -57,21 +60,21 @@ def merge(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return np.maximum(a, b)
 
 
-def _log_likelihood(j, above, below, n1, n2, count=REGISTERS):
+def _log_likelihood(j, above, below, n1, n2, count=REGISTERS, base=BASE):
     """Log-likelihood of similarity j, given how many registers of the first set are above or below the second's."""
     u, v = n1 / (n1 + n2), n2 / (n1 + n2)
-    p = lambda x: np.clip(-np.log1p(-np.clip(x, 0, 1) * (BASE - 1) / BASE) / np.log(BASE), 1e-6, 1)
+    p = lambda x: np.clip(-np.log1p(-np.clip(x, 0, 1) * (base - 1) / base) / np.log(base), 1e-6, 1)
     up, down = p(u - v * j), p(v - u * j)
     same = np.clip(1 - up - down, 1e-6, 1)
     return above * np.log(up) + below * np.log(down) + (count - above - below) * np.log(same)
 
 
-def likely(above: np.ndarray, below: np.ndarray, n1: np.ndarray, n2: np.ndarray, percent: int, count: int = REGISTERS) -> np.ndarray:
+def likely(above: np.ndarray, below: np.ndarray, n1: np.ndarray, n2: np.ndarray, percent: int, count: int = REGISTERS, base: float = BASE) -> np.ndarray:
     """False where the registers all but exclude a similarity of ``percent`` or more."""
-    at = _log_likelihood(percent / 100, above, below, n1, n2, count)
+    at = _log_likelihood(percent / 100, above, below, n1, n2, count, base)
     best = at
     for j in np.linspace(0, percent / 100, 33)[:-1]:
-        best = np.maximum(best, _log_likelihood(j, above, below, n1, n2, count))
+        best = np.maximum(best, _log_likelihood(j, above, below, n1, n2, count, base))
     return best - at <= REJECT
 
 
@@ -105,7 +108,7 @@ def _sets(batches: Iterator[pa.RecordBatch], k: int, wanted) -> Iterator[pa.Reco
                 for i in range(end - row):
                     s = shingle_set(h[w[i] : w[i + 1]], k)
                     out.append(s.tobytes())
-                    fine.append(registers(s, FINE).tobytes())
+                    fine.append(registers(s, True).tobytes())
             yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(out, pa.binary()), pa.array(fine, pa.binary())], names=["id", "s", "fine"])
 
 
@@ -158,7 +161,8 @@ def _cross_pairs(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa
     for t in _runs(batches, ["key", "i", "j"]):
         ids, comp, n, band, home = (t.column(c).to_numpy() for c in ("rep", "comp", "n", "band", "home"))
         i, j, b = int(t.column("i")[0].as_py()), int(t.column("j")[0].as_py()), int(band[0])
-        regs = np.frombuffer(b"".join(t.column("fine").to_pylist()), np.uint16).reshape(-1, FINE)
+        regs = np.frombuffer(b"".join(t.column("fine").to_pylist()), np.uint8).reshape(-1, FINE)
+        coarse = np.frombuffer(b"".join(t.column("regs").to_pylist()), np.uint16).reshape(-1, REGISTERS)
         names, counts = np.unique(comp, return_counts=True)
         major = names[counts.argmax()]
         left = np.flatnonzero(home == i) if i != j else np.flatnonzero(comp != major)
@@ -169,12 +173,12 @@ def _cross_pairs(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa
             if not c.size:
                 continue
             if b:
-                same = regs[c, : b * BAND] == regs[r, : b * BAND]
+                same = coarse[c, : b * BAND] == coarse[r, : b * BAND]
                 c = c[~same.reshape(c.size, -1, BAND).all(2).any(1)]
-            for part in (REGISTERS, FINE):
+            for sketch, base in ((coarse, BASE), (regs, FINE_BASE)):
                 if c.size:
-                    up, down = (regs[r, :part] > regs[c, :part]).sum(1), (regs[r, :part] < regs[c, :part]).sum(1)
-                    c = c[likely(up, down, np.full(c.size, n[r]), n[c], percent, part)]
+                    up, down = (sketch[r] > sketch[c]).sum(1), (sketch[r] < sketch[c]).sum(1)
+                    c = c[likely(up, down, np.full(c.size, n[r]), n[c], percent, sketch.shape[1], base)]
             if c.size:
                 xs.append(np.full(c.size, ids[r]))
                 ys.append(ids[c])
@@ -209,7 +213,7 @@ def near_duplicates(docs: DataFrame, shingle: int = 4, percent: int = 80) -> Dat
     sketches = scratch.save(source.mapInArrow(lambda it: _sketch(it, shingle), "doc_id long, n long, fa long, fb long, regs binary"))
     classes = scratch.save(sketches.where("n > 0").groupBy("n", "fa", "fb").agg(F.min("doc_id").alias("rep"), F.first("regs").alias("regs")))
 
-    banded = classes.select("rep", F.explode(F.array(*_band_keys(1), *_band_keys(2), *_band_keys(3))).alias("key"))
+    banded = classes.select("rep", F.explode(F.array(*_band_keys(1), *_band_keys(3))).alias("key"))
     pivots = banded.groupBy("key").agg(F.min("rep").alias("pivot"), F.count("*").alias("c")).where("c > 1").select("key", "pivot")
     pairs = scratch.save(banded.join(pivots, "key").where("rep <> pivot").select(F.col("rep").alias("x"), F.col("pivot").alias("y")).distinct())
     touched = pairs.select(F.explode(F.array("x", "y")).alias("id")).distinct()
@@ -229,10 +233,10 @@ def near_duplicates(docs: DataFrame, shingle: int = 4, percent: int = 80) -> Dat
     labels = scratch.save(connected_components(links, scratch))
 
     members = sets.select("id", "n", "regs", "fine").join(labels, "id", "left").select(F.col("id").alias("rep"), "n", "regs", "fine", F.coalesce("component", "id").alias("comp"))
-    rows = members.select("rep", "n", "fine", "comp", F.posexplode(F.array(*_band_keys(1))).alias("band", "key"))
+    rows = members.select("rep", "n", "regs", "fine", "comp", F.posexplode(F.array(*_band_keys(1))).alias("band", "key"))
     open_ = rows.groupBy("key").agg(F.min("comp").alias("a"), F.max("comp").alias("b"), F.count("*").alias("c")).where("a < b").select("key", F.ceil(F.col("c") / BLOCK_ROWS).alias("nb"))
     placed = rows.join(open_, "key").withColumn("home", F.pmod(F.xxhash64("rep"), F.col("nb")).cast("long"))
-    blocks = placed.withColumn("o", F.explode(F.sequence(F.lit(0).cast("long"), F.col("nb") - 1))).select("key", "band", "rep", "n", "fine", "comp", "home", F.least("home", "o").alias("i"), F.greatest("home", "o").alias("j"))
+    blocks = placed.withColumn("o", F.explode(F.sequence(F.lit(0).cast("long"), F.col("nb") - 1))).select("key", "band", "rep", "n", "regs", "fine", "comp", "home", F.least("home", "o").alias("i"), F.greatest("home", "o").alias("j"))
     crossing = blocks.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j").mapInArrow(lambda it: _cross_pairs(it, percent), "x long, y long")
     links = scratch.save(links.union(confirmed(scratch.save(crossing.distinct()))))
     final = scratch.save(connected_components(links, scratch))
