@@ -83,7 +83,7 @@ def curve_shards(docs: DataFrame, shards: int = 24, dims: list[Column] | None =
     slice_ = F.pmod(F.xxhash64(F.col(key)), F.lit(SLICES)).cast("int")
     keep = [c for c in docs.columns if c not in ("curve", "shard", "slot")] if carry is None else carry
     tie = F.lit(0) if tie is None else tie
-    rows = docs.select(*keep, *[d.alias(n) for d, n in zip(dims, names, strict=True)], slice_.alias("_slice"), F.col(key).alias("_key"), tie.alias("_tie"))
+    rows = docs.select(F.struct(*keep).alias("_row"), *[d.alias(n) for d, n in zip(dims, names, strict=True)], slice_.alias("_slice"), F.col(key).alias("_key"), tie.alias("_tie"))
     parts = docs.select(*[d.alias(n) for d, n in zip(dims, names, strict=True)], slice_.alias("_slice")).groupBy(*names, "_slice").agg(F.count("*").alias("_n"))
     in_cell = W.Window.partitionBy(*names).orderBy("_slice").rowsBetween(W.Window.unboundedPreceding, -1)
     parts = parts.withColumn("_before", F.coalesce(F.sum("_n").over(in_cell), F.lit(0)))
@@ -100,7 +100,7 @@ def curve_shards(docs: DataFrame, shards: int = 24, dims: list[Column] | None =
     shard = F.when(F.col("_at") < edge, F.floor(F.col("_at") / (base + 1))).otherwise(extra + F.floor((F.col("_at") - edge) / F.greatest(base, F.lit(1))))
     at = at.withColumn("shard", shard.cast("int"))
     start = F.col("shard") * base + F.least(F.col("shard"), extra)
-    return at.withColumn("slot", (F.col("_at") - start).cast("long")).select(*keep, "curve", "shard", "slot")
+    return at.withColumn("slot", (F.col("_at") - start).cast("long")).select("_row.*", "curve", "shard", "slot")
 
 
 def document_shards(docs: DataFrame, shards: int = 24, bits: int = 6) -> DataFrame:

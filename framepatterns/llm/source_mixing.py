@@ -63,7 +63,8 @@ def mix_sources(docs: DataFrame, weights=(5, 2, 1), share: float = 1.5, cap: flo
     scratch = Scratch(docs.sparkSession, "mix")
     base = docs.drop("size", "source_size", "target", "copies")
     plan = thresholds(scratch.save(_narrow(base)), scratch, weights, share, cap)
-    return _taken(base.withColumn("size", word_count(F.col("text"))).withColumn("_key", hash_key(F.col("doc_id"))), plan)
+    rows = base.select("source", word_count(F.col("text")).alias("size"), hash_key(F.col("doc_id")).alias("key"), F.struct(*base.columns).alias("row"))
+    return _taken(rows, plan).select("row.*", "size", "source_size", "target", "copies")
 
 
 def mix_plan(docs: DataFrame, weights=(5, 2, 1), share: float = 1.5, cap: float = 2.0) -> DataFrame:
@@ -71,19 +72,18 @@ def mix_plan(docs: DataFrame, weights=(5, 2, 1), share: float = 1.5, cap: float
     scratch = Scratch(docs.sparkSession, "mix")
     narrow = scratch.save(_narrow(docs))
     plan = thresholds(narrow, scratch, weights, share, cap)
-    return _taken(narrow.withColumnRenamed("key", "_key"), plan)
+    return _taken(narrow, plan).select("doc_id", "source", "size", "source_size", "target", "copies")
 
 
 def _narrow(docs: DataFrame) -> DataFrame:
     return docs.select("doc_id", "source", word_count(F.col("text")).alias("size"), hash_key(F.col("doc_id")).alias("key"))
 
 
-def _taken(out: DataFrame, plan: DataFrame) -> DataFrame:
+def _taken(rows: DataFrame, plan: DataFrame) -> DataFrame:
     t = plan.withColumnRenamed("source", "_source")
-    joined = out.join(t, out["source"].eqNullSafe(t["_source"]), "left")
-    more = (F.col("_key") < F.col("edge")) | ((F.col("_key") == F.col("edge")) & F.col("edge_taken"))
-    copies = F.coalesce(F.col("passes") + F.when(more, 1).otherwise(0), F.lit(0)).cast("long")
-    return joined.withColumn("copies", copies).drop("_source", "_key", "passes", "edge", "edge_taken")
+    joined = rows.join(t, rows["source"].eqNullSafe(t["_source"]), "left")
+    more = (F.col("key") < F.col("edge")) | ((F.col("key") == F.col("edge")) & F.col("edge_taken"))
+    return joined.withColumn("copies", F.coalesce(F.col("passes") + F.when(more, 1).otherwise(0), F.lit(0)).cast("long"))
 
 
 def thresholds(narrow: DataFrame, scratch: Scratch, weights=(5, 2, 1), share: float = 1.5, cap: float = 2.0) -> DataFrame:
