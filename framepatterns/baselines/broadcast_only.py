@@ -21,5 +21,6 @@ def join(left: DataFrame, right: DataFrame, on: list[str], how: str = "inner", l
 
 def transpose_blocks(df: DataFrame, index: str, columns: list[str]) -> DataFrame:
     """Block transpose without a shuffle: each partition turns its own rows, blocks stay where they are."""
-    packed = df.groupBy(F.spark_partition_id().alias("block")).agg(*[F.collect_list(F.struct(index, c)).alias(c) for c in columns])
-    return packed.select("block", F.inline(F.array(*[F.struct(F.lit(c).alias("column"), F.transform(F.array_sort(c), lambda x: x[1]).alias("values")) for c in columns]))) if len(columns) == 1 else packed.unpivot(["block"], columns, "column", "cells")
+    cell = lambda c: F.struct(F.col(index).alias("label"), F.col(c).alias("value"))
+    packed = df.groupBy(F.spark_partition_id().alias("block")).agg(*[F.array_sort(F.collect_list(cell(c))).alias(c) for c in columns])
+    return packed.unpivot(["block"], columns, "column", "cells")

@@ -19,7 +19,7 @@ def query(name: str, sql: str | None = None):
 
 
 def _load() -> None:
-    from framepatterns.workloads import experiments, operators, surface  # noqa: F401  each registers its queries
+    from framepatterns.workloads import experiments, measures, operators, surface  # noqa: F401  each registers its queries
 
 
 def queries() -> dict:

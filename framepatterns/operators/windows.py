@@ -66,12 +66,12 @@ def rolling_time(df: DataFrame, ts: str, micros: int, aggs: dict[str, Callable[[
     return copies.withColumns({n: f().over(w) for n, f in aggs.items()}).where("_home").drop("_us", "_b", "_home")
 
 
-_MERGE = {"sum": F.sum, "count": F.sum, "min": F.min, "max": F.max}
-_PART = {"sum": F.sum, "count": F.count, "min": F.min, "max": F.max}
+_MERGE = {"sum": F.sum, "count": F.sum, "min": F.min, "max": F.max, "prod": F.product}
+_PART = {"sum": F.sum, "count": F.count, "min": F.min, "max": F.max, "prod": F.product}
 
 
 def expanding(df: DataFrame, order: list, aggs: dict[str, tuple[str, str]], min_periods: int = 1, block: int = 1 << 16) -> DataFrame:
-    """Aggregates of all rows up to each row; ``aggs`` maps a name to (column, sum | count | min | max | mean)."""
+    """Aggregates of all rows up to each row; ``aggs`` maps a name to (column, sum | count | min | max | prod | mean)."""
     parts = {f"_{n}_{p}": (c, p) for n, (c, h) in aggs.items() for p in (("sum", "count") if h == "mean" else (h,))}
     placed = with_position(df, order, "_at").withColumn("_block", F.floor(F.col("_at") / block))
     states = placed.groupBy("_block").agg(*[_PART[p](c).alias(n) for n, (c, p) in parts.items()])
@@ -84,6 +84,8 @@ def expanding(df: DataFrame, order: list, aggs: dict[str, tuple[str, str]], min_
         own, prev = F.col(n), F.col(f"{n}_before")
         if p in ("sum", "count"):
             return F.when(own.isNull() & prev.isNull(), None).otherwise(F.coalesce(own, F.lit(0)) + F.coalesce(prev, F.lit(0)))
+        if p == "prod":
+            return F.when(own.isNull() & prev.isNull(), None).otherwise(F.coalesce(own, F.lit(1.0)) * F.coalesce(prev, F.lit(1.0)))
         return (F.least if p == "min" else F.greatest)(own, prev)
 
     final = {n: total(f"_{n}_sum", "sum") / total(f"_{n}_count", "count") if h == "mean" else total(f"_{n}_{h}", h) for n, (_, h) in aggs.items()}
