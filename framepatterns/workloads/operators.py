@@ -255,7 +255,6 @@ def duplicated_flag(spark, d):
     return grouping.duplicated(table(spark, d, "orders").select("o_orderkey", "o_custkey"), ["o_custkey"], "o_orderkey").select("o_orderkey", "duplicated")
 
 
-_AGGS = {"qty": (money("l_quantity"), "sum"), "n": ("l_quantity", "count"), "hi": ("l_extendedprice", "max")}
 LOW, HIGH = ["l_returnflag", "l_linestatus"], ["l_partkey", "l_suppkey"]
 
 
@@ -265,7 +264,8 @@ def _group_sql(keys: list[str]) -> str:
 
 
 def _group(spark, d, keys, pattern, **more):
-    out = grouping.groupby(table(spark, d, "lineitem"), keys, _AGGS, pattern, **more).df
+    aggs = {"qty": (money("l_quantity"), "sum"), "n": ("l_quantity", "count"), "hi": ("l_extendedprice", "max")}
+    out = grouping.groupby(table(spark, d, "lineitem"), keys, aggs, pattern, **more).df
     return out.withColumn("qty", F.col("qty").cast("double"))
 
 
