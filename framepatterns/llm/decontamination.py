@@ -21,6 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from framepatterns.llm.scratch import bound_batches
 from framepatterns.llm.toxicity import FOLD
 from framepatterns.llm.words import grams, hashed_rows
 
@@ -146,6 +147,7 @@ def search(index: Index, h: np.ndarray, w: np.ndarray, least: float, each: float
 
 def _indexes(benchmark: DataFrame, share: float) -> list:
     """Broadcast indexes over all items; each holds INDEX_ITEMS items at most."""
+    bound_batches(benchmark.sparkSession)
     rows = benchmark.select(F.col("item_id").cast("long"), F.col("text").cast("string")).where("item_id is not null and text is not null").distinct()
     total, sc = rows.count(), benchmark.sparkSession.sparkContext
     parts = -(-total // (INDEX_ITEMS // 2)) if total > INDEX_ITEMS else 1

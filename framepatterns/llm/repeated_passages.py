@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from framepatterns.llm.scratch import Scratch, bitmap, test_bits
+from framepatterns.llm.scratch import Scratch, bitmap, bound_batches, test_bits
 from framepatterns.llm.words import grams, hashed_rows, mix, sliding_min
 
 FILTER_BITS = 27
@@ -245,6 +245,7 @@ def _source(docs: DataFrame) -> DataFrame:
 def _packed_windows(docs: DataFrame, length: int) -> DataFrame:
     """Both levels: packed target windows that survive level one, sorted by bucket."""
     spark, source, short = docs.sparkSession, _source(docs), (length + 1) // 2
+    bound_batches(spark)
     bits = bucket_bits(spark)
     anchors = source.mapInArrow(lambda it: _anchors(it, short, length, bits), "bucket long, keys binary")
     again = anchors.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(_repeated, "a long")

@@ -35,11 +35,27 @@ def _delete(spark: SparkSession, path: str) -> None:
     p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
 
 
+BATCH_BYTES = 4 << 20
+
+
+def bound_batches(spark: SparkSession) -> None:
+    """Keep Arrow batches to Python at BATCH_BYTES (or one row), so that long texts don't pile up in memory.
+
+    This lowers a run-time setting of the session; a smaller value that is already set stays.
+    """
+    key = "spark.sql.execution.arrow.maxBytesPerBatch"
+    with contextlib.suppress(Exception):  # versions without the setting bound batches by rows only
+        now = spark.conf.get(key, None)
+        if now is None or not now.isdigit() or not 0 < int(now) <= BATCH_BYTES:
+            spark.conf.set(key, str(BATCH_BYTES))
+
+
 class Scratch:
     """A private folder of durable intermediate tables; the whole folder goes when the program ends."""
 
     def __init__(self, spark: SparkSession, label: str):
         self.spark, self.n = spark, 0
+        bound_batches(spark)
         self.root = f"{shared_root(spark)}/{label}_{uuid.uuid4().hex}"
         atexit.register(self.close)
 

@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from framepatterns.llm.scratch import Scratch
+from framepatterns.llm.scratch import Scratch, bound_batches
 from framepatterns.llm.words import hashed_rows, mix
 
 BACKOFF_BITS = 16
@@ -212,6 +212,7 @@ def train(docs: DataFrame, labels: DataFrame, scratch: Scratch, rows_per_class:
 
 def score(docs: DataFrame, model: Model) -> DataFrame:
     """All rows and columns of ``docs`` with toxicity, a double between 0 and 1 (texts without words: the prior)."""
+    bound_batches(docs.sparkSession)
     ship = docs.sparkSession.sparkContext.broadcast(model)
     base = docs.drop("toxicity")
     schema = T.StructType([*base.schema.fields, T.StructField("toxicity", T.DoubleType())])
