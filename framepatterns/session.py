@@ -2,6 +2,10 @@
 
 from __future__ import annotations
 
+import atexit
+import shutil
+import tempfile
+
 from pyspark.sql import SparkSession
 
 RUNTIME = {
@@ -23,3 +27,24 @@ def start(master: str = "local[*]", app: str = "framepatterns", **settings: str)
 def partitions_for(n_bytes: int, target: int = 128 << 20, least: int = 1) -> int:
     """Partitions so that each holds about ``target`` bytes: the count follows the data, not the cores."""
     return max(least, -(-n_bytes // target))
+
+
+_FALLBACK: list[str] = []
+
+
+def shared_root(spark: SparkSession) -> str:
+    """The folder that all executors share, from spark.checkpoint.dir.
+
+    Where the setting is missing, a temporary folder of this machine serves a local master; on a cluster other
+    machines would not see it, so there it is an error.
+    """
+    root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
+    if root:
+        return root.rstrip("/")
+    if spark.sparkContext.master.split("[")[0] != "local":
+        raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
+    if not _FALLBACK:
+        folder = tempfile.mkdtemp(prefix="framepatterns_")
+        atexit.register(shutil.rmtree, folder, True)
+        _FALLBACK.append("file://" + folder)
+    return _FALLBACK[0]

@@ -5,13 +5,14 @@ Global sorts, windows without a key and transposes need the whole input and are
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from framepatterns.session import shared_root
+
 
 def file_stream(spark: SparkSession, path: str, schema, fmt: str = "parquet", files_per_batch: int | None = None) -> DataFrame:
     r = spark.readStream.format(fmt).schema(schema)
@@ -64,5 +65,4 @@ def to_batches(stream: DataFrame, fn: Callable[[DataFrame, int], None]) -> None:
 
 
 def _state(spark: SparkSession) -> str:
-    root = spark.conf.get("spark.checkpoint.dir", None)
-    return f"{root.rstrip('/')}/stream_{uuid.uuid4().hex}" if root else tempfile.mkdtemp(prefix="stream_")
+    return f"{shared_root(spark)}/stream_{uuid.uuid4().hex}"

@@ -10,6 +10,7 @@ from pyspark.sql import window as W
 from framepatterns.catalog import query
 from framepatterns.functions import udf
 from framepatterns.operators import ordering, windows
+from framepatterns.session import shared_root
 from framepatterns.sources import readers, writers
 from framepatterns.streaming import streams
 from framepatterns.workloads.frames import money, table
@@ -164,12 +165,7 @@ def sql_surface(spark, d):
 
 
 def _folder(spark) -> str:
-    root = spark.conf.get("spark.checkpoint.dir", None)
-    if root:
-        return f"{root.rstrip('/')}/io_{uuid.uuid4().hex}"
-    import tempfile
-
-    return f"file://{tempfile.mkdtemp(prefix='io_')}/out"
+    return f"{shared_root(spark)}/io_{uuid.uuid4().hex}"
 
 
 _LI = "SELECT l_orderkey, l_linenumber, l_quantity, l_returnflag FROM lineitem"
