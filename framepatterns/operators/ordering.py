@@ -6,7 +6,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import window as W
 
-from framepatterns.layout.rebalance import _columns, ordered_ids, with_position
+from framepatterns.layout.rebalance import with_position
+from framepatterns.operators.windows import expanding
 from framepatterns.patterns import Frame, as_frame, order_by_range, order_by_sample
 
 
@@ -35,23 +36,21 @@ def rank(df: DataFrame, by: list[str], method: str = "first", tie: list[str] | N
     """Rank from 1 over the whole frame without a window over all rows.
 
     first: by position (``tie`` breaks ties); min: rows before plus one; dense: distinct keys up to the row.
-    Equal keys share a partition (pivots are keys), so partition results only need shifting.
+    The last two rank the distinct keys, with their counts, and join the ranks back, so the rows of a hot key
+    are never brought together.
     """
     if method == "first":
         return with_position(df, [*by, *(tie or [])], "_p", partitions).withColumn(name, F.col("_p") + 1).drop("_p")
-    n = partitions or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    pid, n = ordered_ids(df, by, n)
-    dealt = df.withColumn("_pid", pid)
-    counts = {r[0]: (r[1], r[2]) for r in dealt.groupBy("_pid").agg(F.count("*"), F.count_distinct(F.struct(*by))).collect()}
-    which = 0 if method == "min" else 1
-    offsets, run = [], 0
-    for i in range(n):
-        offsets.append(run)
-        run += counts.get(i, (0, 0))[which]
-    w = W.Window.partitionBy("_pid").orderBy(*_columns(by))
-    own = F.rank().over(w) if method == "min" else F.dense_rank().over(w)
-    shift = F.element_at(F.array(*[F.lit(o).cast("long") for o in offsets]), F.col("_pid") + 1)
-    return dealt.repartitionById(n, F.col("_pid")).withColumn(name, (shift + own).cast("long")).drop("_pid")
+    keys = df.groupBy(*by).agg(F.count("*").alias("_n"))
+    if method == "dense":
+        ranked = with_position(keys, by, "_r", partitions).withColumn("_r", F.col("_r") + 1)
+    elif method == "min":
+        ranked = expanding(keys, by, {"_upto": ("_n", "sum")}).withColumn("_r", F.col("_upto") - F.col("_n") + 1)
+    else:
+        raise ValueError(method)
+    ranked = ranked.select(*[F.col(c).alias(f"_k{i}") for i, c in enumerate(by)], F.col("_r").cast("long").alias(name))
+    same = [df[c].eqNullSafe(ranked[f"_k{i}"]) for i, c in enumerate(by)]
+    return df.join(ranked, same).drop(*[f"_k{i}" for i in range(len(by))])
 
 
 def top_k(df: DataFrame, k: int, by: list) -> DataFrame:

@@ -7,10 +7,12 @@ window needs only the aggregate of everything before its block, so blocks exchan
 
 from __future__ import annotations
 
+import operator
 from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql import window as W
 
 from framepatterns.collectives import shuffle
@@ -66,17 +68,42 @@ def rolling_time(df: DataFrame, ts: str, micros: int, aggs: dict[str, Callable[[
     return copies.withColumns({n: f().over(w) for n, f in aggs.items()}).where("_home").drop("_us", "_b", "_home")
 
 
-_MERGE = {"sum": F.sum, "count": F.sum, "min": F.min, "max": F.max, "prod": F.product}
+MAX_BLOCKS = 4096
+
+
+def _either(fn: Callable) -> Callable:
+    return lambda a, b: b if a is None else a if b is None else fn(a, b)
+
+
+def _low(a, b):
+    return b if a != a else a if b != b else min(a, b)  # NaN counts as the largest number, as in Spark
+
+
+def _high(a, b):
+    return a if a != a else b if b != b else max(a, b)
+
+
+_ADD = {"sum": _either(operator.add), "count": _either(operator.add), "min": _either(_low), "max": _either(_high), "prod": _either(operator.mul)}
 _PART = {"sum": F.sum, "count": F.count, "min": F.min, "max": F.max, "prod": F.product}
 
 
 def expanding(df: DataFrame, order: list, aggs: dict[str, tuple[str, str]], min_periods: int = 1, block: int = 1 << 16) -> DataFrame:
-    """Aggregates of all rows up to each row; ``aggs`` maps a name to (column, sum | count | min | max | prod | mean)."""
+    """Aggregates of all rows up to each row; ``aggs`` maps a name to (column, sum | count | min | max | prod | mean).
+
+    Blocks grow with the frame so that there are at most MAX_BLOCKS; the driver adds up their states.
+    """
     parts = {f"_{n}_{p}": (c, p) for n, (c, h) in aggs.items() for p in (("sum", "count") if h == "mean" else (h,))}
-    placed = with_position(df, order, "_at").withColumn("_block", F.floor(F.col("_at") / block))
+    placed = with_position(df, order, "_at")
+    block = max(block, -(-placed.count() // MAX_BLOCKS))
+    placed = placed.withColumn("_block", F.floor(F.col("_at") / block))
     states = placed.groupBy("_block").agg(*[_PART[p](c).alias(n) for n, (c, p) in parts.items()])
-    before = W.Window.orderBy("_block").rowsBetween(W.Window.unboundedPreceding, -1)  # one row a block
-    prefix = states.select(F.col("_block"), *[_MERGE[p](n).over(before).alias(f"{n}_before") for n, (_, p) in parts.items()])
+    run: dict = dict.fromkeys(parts)
+    before = []
+    for row in sorted(states.collect(), key=lambda r: r["_block"]):
+        before.append((row["_block"], *run.values()))
+        run = {n: _ADD[p](run[n], row[n]) for n, (_, p) in parts.items()}
+    schema = T.StructType([T.StructField("_block", T.LongType()), *[T.StructField(f"{n}_before", states.schema[n].dataType) for n in parts]])
+    prefix = F.broadcast(df.sparkSession.createDataFrame(before, schema))
     w = W.Window.partitionBy("_block").orderBy("_at").rowsBetween(W.Window.unboundedPreceding, W.Window.currentRow)
     out = placed.join(prefix, "_block").withColumns({n: _PART[p](c).over(w) for n, (c, p) in parts.items()})
 

@@ -6,10 +6,12 @@ Global sorts, windows without a key and transposes need the whole input and are
 from __future__ import annotations
 
 import uuid
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from framepatterns.session import shared_root
 
@@ -46,6 +48,27 @@ def with_static(stream: DataFrame, static: DataFrame, on: list[str], how: str =
     return stream.join(static, on, how)
 
 
+def rolling_by_key(stream: DataFrame, key: str, order: str, value: str, k: int) -> DataFrame:
+    """(key, order, rolled): the sum of each key's last k values, kept as state across micro-batches.
+
+    The state is the key's last k - 1 values.  Rows of a micro-batch are taken in the order of ``order``; rows
+    that come in a later batch count as later.  All columns are longs.
+    """
+
+    def step(keys: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        held = list(state.get[0]) if state.exists else []
+        rows = pd.concat(list(frames)).sort_values(order)
+        rolled = []
+        for v in rows[value]:
+            held = [*held, int(v)][-k:]
+            rolled.append(sum(held))
+        state.update((held[-(k - 1) :] if k > 1 else [],))
+        yield pd.DataFrame({key: keys[0], order: rows[order].to_numpy(), "rolled": rolled})
+
+    thin = stream.select(F.col(key).cast("long").alias(key), F.col(order).cast("long").alias(order), F.col(value).cast("long").alias(value))
+    return thin.groupBy(key).applyInPandasWithState(step, f"{key} long, {order} long, rolled long", "held array<long>", "append", GroupStateTimeout.NoTimeout)
+
+
 def refuse(name: str) -> None:
     raise NotImplementedError(f"{name} needs the whole input and does not run on a stream")
 

@@ -258,3 +258,9 @@ def stream_dedup(spark, d):
 def stream_static_join(spark, d):
     s = streams.table_stream(spark, d, "events").select("event_id", F.col("user_id").alias("c_custkey"))
     return streams.run_to_end(streams.with_static(s, table(spark, d, "customer").select("c_custkey", "c_mktsegment"), ["c_custkey"]).select("event_id", "c_mktsegment"), "append")
+
+
+@query("stream_rolling", "SELECT user_id, epoch_us(ts) AS us, CAST(sum(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 2 PRECEDING AND CURRENT ROW) AS BIGINT) AS rolled FROM events")
+def stream_rolling(spark, d):
+    src = streams.table_stream(spark, d, "events").select("user_id", F.unix_micros(F.col("ts").cast("timestamp")).alias("us"), "event_id")
+    return streams.run_to_end(streams.rolling_by_key(src, "user_id", "us", "event_id", 3), "append")

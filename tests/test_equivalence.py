@@ -201,3 +201,30 @@ def test_stream_late_rows_and_batches(spark, tmp_path):
     assert sum(seen) == 4
     with pytest.raises(NotImplementedError):
         streams.refuse("global sort")
+
+
+@pytest.mark.parametrize("closed", ["right", "left", "both", "neither"])
+@pytest.mark.parametrize("keys", [None, ["g"]])
+def test_time_windows_by_their_ends(spark, closed, keys):
+    at = [0, 1, 1, 4, 10, 11, 25, 40, 41]
+    df = spark.createDataFrame([(i, t, 0) for i, t in enumerate(at)], "i long, t long, g long").withColumn("ts", F.timestamp_micros("t"))
+    got = {r["i"]: r["n"] for r in windows.rolling_time(df, "ts", 10, {"n": lambda: F.count("*")}, keys=keys, closed=closed, bucket_micros=7).collect()}
+    test = {"right": lambda x, t: t - 10 < x <= t, "left": lambda x, t: t - 10 <= x < t, "both": lambda x, t: t - 10 <= x <= t, "neither": lambda x, t: t - 10 < x < t}[closed]
+    assert got == {i: sum(test(x, t) for x in at) for i, t in enumerate(at)}
+
+
+def test_explain_tells_pattern_and_layout(spark):
+    df = spark.range(100).select((F.col("id") % 3).alias("k"), "id")
+    text = grouping.groupby(df, ["k"], {"n": ("id", "count")}).explain()
+    assert "combine-shuffle-reduce" in text and "choice: combine" in text and "exchange: Exchange hashpartitioning" in text
+
+
+def test_rolling_state_crosses_batches(spark, tmp_path):
+    from framepatterns.streaming import streams
+
+    for i in range(3):
+        spark.createDataFrame([(1, 2 * i, 10), (1, 2 * i + 1, 10), (2, i, 1)], "k long, at long, v long").coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+    s = streams.file_stream(spark, str(tmp_path / "in"), "k long, at long, v long", files_per_batch=1)
+    out = streams.run_to_end(streams.rolling_by_key(s, "k", "at", "v", 4), "append")
+    got = {(r.k, r.at): r.rolled for r in out.collect()}
+    assert len(got) == 9 and sorted(v for (k, _), v in got.items() if k == 1) == [10, 20, 30, 40, 40, 40]
