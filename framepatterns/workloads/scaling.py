@@ -23,7 +23,7 @@ def spread(df: DataFrame, partitions: int, copies: int = 1) -> DataFrame:
     """The input in ``partitions`` partitions, in memory; ``copies`` repeats its rows under other keys."""
     from pyspark.sql import functions as F
 
-    big = df.select((F.col("k") * copies + F.explode(F.sequence(F.lit(0), F.lit(copies - 1)))).alias("k"), "v") if copies > 1 else df
+    big = df.select("k", "v", F.explode(F.sequence(F.lit(0), F.lit(copies - 1))).alias("c")).select((F.col("k") * copies + F.col("c")).alias("k"), "v") if copies > 1 else df
     out = big.repartition(partitions).cache()
     out.count()
     return out
