@@ -29,7 +29,7 @@ from framepatterns.llm.words import grams, hashed_rows, mix, sliding_min
 
 FILTER_BITS = 27
 #: Windows that a map task holds before it packs and sends them.
-PACK = 1 << 20
+PACK = 1 << 19
 
 
 def bucket_bits(spark: SparkSession) -> int:
@@ -193,7 +193,7 @@ def _later_places(batches: Iterator[pa.RecordBatch], bits: int) -> Iterator[pa.R
             docs.append(doc)
             places.append(pos)
             have += doc.size
-        if have > 4 * PACK:
+        if have > 2 * PACK:
             yield flush()
             docs, places, have = [], [], 0
     if have:
