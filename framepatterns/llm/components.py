@@ -34,9 +34,10 @@ def connected_components(edges: DataFrame, scratch: Scratch, max_rounds: int = 6
         if tuple(state) == seen or state[0] == 0:
             break
         seen = tuple(state)
-        after = scratch.save(_small_star(_large_star(e)).where("u <> v").distinct())
+        after = scratch.save(_small_star(_large_star(e)).where("u <> v").distinct(), rows=2 * state[0])
         scratch.drop(e)
         e = after
     else:
         raise RuntimeError("components did not settle")
-    return e.groupBy(F.col("u").alias("id")).agg(F.min("v").alias("component")).union(e.select("v", "v").distinct())
+    out = e.groupBy(F.col("u").alias("id")).agg(F.min("v").alias("component")).union(e.select("v", "v").distinct())
+    return scratch.save(out, rows=2 * state[0])

@@ -230,7 +230,7 @@ def near_duplicates(docs: DataFrame, shingle: int = 4, percent: int = 80) -> Dat
         return both.mapInArrow(lambda it: _verify(it, percent), "u long, v long")
 
     links = scratch.save(confirmed(pairs))
-    labels = scratch.save(connected_components(links, scratch))
+    labels = connected_components(links, scratch)
 
     members = sets.select("id", "n", "regs", "fine").join(labels, "id", "left").select(F.col("id").alias("rep"), "n", "regs", "fine", F.coalesce("component", "id").alias("comp"))
     rows = members.select("rep", "n", "regs", "fine", "comp", F.posexplode(F.array(*_band_keys(1))).alias("band", "key"))
@@ -239,7 +239,7 @@ def near_duplicates(docs: DataFrame, shingle: int = 4, percent: int = 80) -> Dat
     blocks = placed.withColumn("o", F.explode(F.sequence(F.lit(0).cast("long"), F.col("nb") - 1))).select("key", "band", "rep", "n", "regs", "fine", "comp", "home", F.least("home", "o").alias("i"), F.greatest("home", "o").alias("j"))
     crossing = blocks.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j").mapInArrow(lambda it: _cross_pairs(it, percent), "x long, y long")
     links = scratch.save(links.union(confirmed(scratch.save(crossing.distinct()))))
-    final = scratch.save(connected_components(links, scratch))
+    final = connected_components(links, scratch)
 
     of_class = classes.join(final, classes.rep == final.id, "left").select("n", "fa", "fb", F.coalesce("component", "rep").alias("c"))
     out = sketches.select("doc_id", "n", "fa", "fb").join(of_class, ["n", "fa", "fb"], "left")

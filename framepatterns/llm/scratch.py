@@ -24,6 +24,7 @@ def _delete(spark: SparkSession, path: str) -> None:
 
 
 BATCH_BYTES = 4 << 20
+ROWS_PER_FILE = 100_000
 
 
 def bound_batches(spark: SparkSession) -> None:
@@ -47,11 +48,14 @@ class Scratch:
         self.root = f"{shared_root(spark)}/{label}_{uuid.uuid4().hex}"
         atexit.register(self.close)
 
-    def save(self, df: DataFrame) -> DataFrame:
-        """Write ``df`` once and return the written table."""
+    def save(self, df: DataFrame, rows: int | None = None) -> DataFrame:
+        """Write ``df`` once and return the written table.
+
+        Where the number of rows is known to be at most ``rows``, it goes to one file for each ROWS_PER_FILE.
+        """
         self.n += 1
         path = f"{self.root}/t{self.n}"
-        df.write.parquet(path)
+        (df if rows is None else df.coalesce(max(1, -(-rows // ROWS_PER_FILE)))).write.parquet(path)
         out = self.spark.read.schema(df.schema).parquet(path)
         out._scratch_path = path
         return out

@@ -92,7 +92,7 @@ def thresholds(narrow: DataFrame, scratch: Scratch, weights=(5, 2, 1), share: fl
     targets = source_targets(sizes, weights, share, cap).withColumn("passes", F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(0))
     targets = scratch.save(targets.withColumn("rest", F.col("target") - F.col("passes") * F.col("source_size")))
     state = targets.select("source", "rest", F.lit(0).cast("long").alias("below"), F.lit(0).cast("long").alias("prefix"))
-    shift = KEY_BITS
+    sources, shift = targets.count(), KEY_BITS
     while shift > 0:
         shift -= STEP_BITS
         s = state.withColumnRenamed("source", "_source")
@@ -103,7 +103,7 @@ def thresholds(narrow: DataFrame, scratch: Scratch, weights=(5, 2, 1), share: fl
         upto = W.Window.partitionBy("source").orderBy("prefix")
         run = buckets.withColumn("upto", F.col("below") + F.sum("tokens").over(upto))
         crossing = run.where("upto > rest").groupBy("source").agg(F.min_by(F.struct("rest", (F.col("upto") - F.col("tokens")).alias("below"), "prefix", "tokens", "low", "high"), "prefix").alias("b"))
-        state = scratch.save(crossing.select("source", "b.*"))
+        state = scratch.save(crossing.select("source", "b.*"), rows=sources)
         if state.where("low < high").isEmpty():
             break
     edge = state.select(F.col("source").alias("_source"), F.col("low").alias("edge"), (2 * (F.col("rest") - F.col("below")) >= F.col("tokens")).alias("edge_taken"))
