@@ -9,7 +9,9 @@ log-likelihoods, normalised by length, and the evidence that single words add to
 
 The class counts come from a bounded sample of labelled rows, about ``rows_per_class`` a class, chosen by the
 hash of doc_id; three quarters of it feed the counts and one quarter fits the four weights of the logistic
-curve that turns likelihoods into a score between 0 and 1.  The shared counts cover every document.
+curve that turns likelihoods into a score between 0 and 1.  The shared counts cover every document and are kept
+a word, in a distributed table that grows with the vocabulary.  The sample's words are looked up in it: for any
+other word both classes have the same backoff, which cancels in the difference.
 """
 
 from __future__ import annotations
@@ -26,11 +28,12 @@ from pyspark.sql import types as T
 from framepatterns.llm.scratch import Scratch, bound_batches
 from framepatterns.llm.words import hashed_rows, mix
 
-BACKOFF_BITS = 16
+#: Words that a task gathers before it sends their counts on.
+HELD_WORDS = 1 << 19
 DISCOUNT = 0.75
 #: Weight of the word model in every context, in counts: pairs move a probability only where a context is frequent.
 CONTEXT = 300_000.0
-#: Least expected count that the backoff gives a word in the smaller class.
+#: Expected count that the backoff gives, in the smaller class, to a word that no document has.
 FLOOR = 1.0
 #: Log-ratio above which a word's evidence is summed.
 STRONG = 2.5
@@ -78,30 +81,45 @@ def _class_pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([_long(p[new]), _long(x[new]), pa.array(t), pa.array(o)], names=["h", "w", "t", "o"])
 
 
+def _summed(words: list[np.ndarray], counts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+    keys, at = np.unique(np.concatenate(words), return_inverse=True)
+    return keys, np.bincount(at, np.concatenate(counts), keys.size).astype(np.int64)
+
+
 def _continuations(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Per slot of the word hash: distinct left contexts, summed over documents."""
-    total = np.zeros(1 << BACKOFF_BITS, np.int64)
+    """(k, n) per word: distinct left contexts, summed over documents; a word may come several times."""
+    words, counts, held = [], [], 0
     for batch in batches:
         for row, end, h, w in hashed_rows(batch.column("text"), fold=FOLD):
             if not h.size:
                 continue
             key = pair_key(_previous(h, w), h) + np.repeat(np.arange(end - row, dtype=np.uint64), np.diff(w))
-            total += np.bincount((h[np.unique(key, return_index=True)[1]] & np.uint64((1 << BACKOFF_BITS) - 1)).astype(np.int64), minlength=total.size)
-    slots = np.flatnonzero(total)
-    yield pa.RecordBatch.from_arrays([pa.array(slots), pa.array(total[slots])], names=["slot", "n"])
+            k, n = np.unique(h[np.unique(key, return_index=True)[1]], return_counts=True)
+            words.append(k)
+            counts.append(n)
+            held += k.size
+            if held > 2 * HELD_WORDS:
+                k, n = _summed(words, counts)
+                words, counts, held = [k], [n], k.size
+                if held > HELD_WORDS:
+                    yield pa.RecordBatch.from_arrays([_long(k), pa.array(n)], names=["k", "n"])
+                    words, counts, held = [], [], 0
+    if held:
+        k, n = _summed(words, counts)
+        yield pa.RecordBatch.from_arrays([_long(k), pa.array(n)], names=["k", "n"])
 
 
 @dataclass
 class Model:
     """Sorted key arrays with class columns (toxic, ordinary), and the weights of the logistic curve."""
 
-    words: np.ndarray  # keys; columns of word_counts: count t, o; context total t, o; followers t, o
+    words: np.ndarray  # keys; columns of word_counts: count t, o; context total t, o; followers t, o; continuations
     word_counts: np.ndarray
     pairs: np.ndarray
     pair_counts: np.ndarray
     totals: np.ndarray
     types: np.ndarray
-    shared: np.ndarray
+    continuations: float  # of all words of all documents
     weights: np.ndarray
 
     def ratios(self, h: np.ndarray, w: np.ndarray) -> np.ndarray:
@@ -114,9 +132,9 @@ class Model:
             return np.where((keys[at] == wanted)[:, None], table[at], 0.0)
 
         prev = _previous(h, w)
-        base = self.shared[(h & np.uint64((1 << BACKOFF_BITS) - 1)).astype(np.int64)][:, None]
         word, ctx, pair = find(self.words, self.word_counts, h), find(self.words, self.word_counts, prev), find(self.pairs, self.pair_counts, pair_key(prev, h))
-        back = np.maximum(DISCOUNT * self.types.sum() / self.totals.sum() * base, FLOOR / self.totals.min())
+        base = DISCOUNT * self.types.sum() / self.totals.sum() * word[:, 6:] / self.continuations
+        back = np.where(word[:, 6:] > 0, base, FLOOR / self.totals.min())  # a word outside the table: cancels
         one = np.maximum(word[:, :2] - DISCOUNT, 0) / self.totals + back
         seen = ctx[:, 2:4]
         free = (DISCOUNT * ctx[:, 4:6].sum(1) + CONTEXT) / (seen.sum(1) + CONTEXT)
@@ -180,18 +198,14 @@ def train(docs: DataFrame, labels: DataFrame, scratch: Scratch, rows_per_class:
     context = pairs.groupBy(F.col("h").alias("k")).agg(F.sum("t").alias("ct"), F.sum("o").alias("co"), F.sum((F.col("t") > 0).cast("int")).alias("ft"), F.sum((F.col("o") > 0).cast("int")).alias("fo"))
     full = word.join(context, "k", "full")
     sums = word.agg(F.sum("t"), F.sum("o"), F.sum((F.col("t") > 0).cast("int")), F.sum((F.col("o") > 0).cast("int"))).first()
-    table = full.where("coalesce(t + o, 0) >= 2 or coalesce(ct + co, 0) >= 2").na.fill(0).toArrow()
+    cont = scratch.save(docs.select(F.col("text").cast("string").alias("text")).mapInArrow(_continuations, "k long, n long").groupBy("k").agg(F.sum("n").alias("n")))
+    table = full.where("coalesce(t + o, 0) >= 2 or coalesce(ct + co, 0) >= 2").join(cont, "k", "left").na.fill(0).toArrow()
     wk = as_key(table, "k")
     worder = np.argsort(wk)
-    word_counts = np.stack([table.column(c).to_numpy().astype(np.float64) for c in ("t", "o", "ct", "co", "ft", "fo")], 1)[worder]
-
-    cont = docs.select(F.col("text").cast("string").alias("text")).mapInArrow(_continuations, "slot long, n long").groupBy("slot").agg(F.sum("n").alias("n")).toArrow()
-    shared = np.full(1 << BACKOFF_BITS, 0.5)
-    shared[cont.column("slot").to_numpy()] += cont.column("n").to_numpy()
-    shared /= shared.sum()
+    word_counts = np.stack([table.column(c).to_numpy().astype(np.float64) for c in ("t", "o", "ct", "co", "ft", "fo", "n")], 1)[worder]
 
     num = lambda v: float(v or 0)
-    model = Model(wk[worder], word_counts, k[order], pair_counts, np.array([max(num(sums[0]), 1.0), max(num(sums[1]), 1.0)]), np.array([max(num(sums[2]), 1.0), max(num(sums[3]), 1.0)]), shared, np.zeros(4))
+    model = Model(wk[worder], word_counts, k[order], pair_counts, np.array([max(num(sums[0]), 1.0), max(num(sums[1]), 1.0)]), np.array([max(num(sums[2]), 1.0), max(num(sums[3]), 1.0)]), max(num(cont.agg(F.sum("n")).first()[0]), 1.0), np.zeros(4))
     ship = scratch.spark.sparkContext.broadcast(model)
 
     def measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

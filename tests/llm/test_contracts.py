@@ -161,6 +161,44 @@ def test_op3_held_out(spark):
     assert good > 0.95 and auc > 0.9
 
 
+def test_op3_backoff_is_exact_for_every_word(spark):
+    """Words whose hashes agree in their low 16 bits keep counts of their own, and rare ones are not lifted."""
+    from framepatterns.llm import toxicity as tx
+    from framepatterns.llm.scratch import Scratch
+    from framepatterns.llm.words import hashed_rows
+
+    def hashes(text):
+        return next(hashed_rows(pa.array([text]), fold=tx.FOLD))[2]
+
+    names = [f"q{i}" for i in range(3000)]
+    low = hashes(" ".join(names)) & np.uint64(0xFFFF)
+    order = np.argsort(low, kind="stable")
+    i = np.flatnonzero(low[order][1:] == low[order][:-1])[0]
+    rare, common = names[order[i]], names[order[i + 1]]
+    rng = np.random.default_rng(3)
+    base = [f"b{i}" for i in range(400)]
+    texts = {d: " ".join([*rng.choice(base, 40), *([common] * (d % 2)), *([rare, "b1"] if d in (1, 2, 3, 4) else [])]) for d in range(200)}
+    docs = spark.createDataFrame(list(texts.items()), "doc_id long, text string").repartition(3)
+    labels = spark.createDataFrame([(d, int(d < 60)) for d in texts], "doc_id long, toxic int")
+    model = tx.train(docs, labels, Scratch(spark, "t"))
+
+    n = collections.Counter()
+    for t in texts.values():
+        seq = t.split()
+        n.update(b for _, b in set(zip(["", *seq], seq, strict=False)))
+    key = {int(hashes(x)[0]): x for x in n}
+    at = {key[int(k)]: c for k, c in zip(model.words, model.word_counts, strict=True) if k != tx._START}
+    assert {x: c[6] for x, c in at.items()} == {x: n[x] for x in at} and {rare, common} <= set(at)
+    assert model.continuations == sum(n.values())
+    back = tx.DISCOUNT * model.types.sum() / model.totals.sum() * n[rare] / sum(n.values())
+    one = np.maximum(at[rare][:2] - tx.DISCOUNT, 0) / model.totals + back
+    h = hashes(rare)  # alone in its text, a start that no pair of the table has
+    start = next((c for k, c in zip(model.words, model.word_counts, strict=True) if k == tx._START), np.zeros(7))
+    free = (tx.DISCOUNT * start[4:6].sum() + tx.CONTEXT) / (start[2:4].sum() + tx.CONTEXT)
+    want = np.log(free * one)
+    assert abs(model.ratios(h, np.array([0, 1]))[0] - (want[0] - want[1])) < 1e-9
+
+
 def test_op4_shared_passages(spark):
     from framepatterns.llm.repeated_passages import doubled_repeats, remove_repeats
 
