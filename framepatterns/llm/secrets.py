@@ -20,7 +20,7 @@ from framepatterns.llm.scratch import Scratch
 ASSIGN = r"""((?i:password|passwd|secret|token|api_?key))["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)"""
 ACCESS = r"AKIA[A-Z0-9]{14,}"  # a run that is too short holds no longer one
 HEX = r"[0-9a-f]{16,}"
-TOKEN = r"[A-Za-z0-9+/_=-]{20,}"
+TOKEN = r"[A-Za-z0-9+/_-]{20,}={0,2}"  # '=' only as padding: what follows NAME= is a token of its own
 FDR, BINS_PER_E, MAX_BIN = 0.05, 20, 700
 
 #: Encodings in the order in which they are tried: pattern and alphabet.

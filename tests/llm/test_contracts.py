@@ -363,6 +363,23 @@ def test_op8_shapes_and_random_tokens(spark):
     assert "random:0:" not in got[5].spans
 
 
+def test_op8_values_after_names(spark):
+    """The value of NAME=value is a token of its own; padding stays with its token."""
+    import base64
+    import random
+
+    from framepatterns.llm.secrets import secret_digest
+
+    rng = random.Random(11)
+    some = lambda n: base64.b64encode(rng.randbytes(n)).decode()
+    cases = [(f, some(n)) for f, n in [("AWS_SECRET_ACCESS_KEY={}", 30), ("secret_key={}", 30), ("private_key={} rest", 31), ("auth={};", 32), ("https://x.org/a?id=7&sig={}&v=2", 33), ("AUTH=={}", 36)]]
+    texts = [f.format(v) for f, v in cases]
+    got = {r.doc_id: r.spans.split(",") for r in secret_digest(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
+    for d, (t, (_, v)) in enumerate(zip(texts, cases, strict=True)):
+        at = t.index(v)
+        assert f"random:{at}:{at + len(v)}" in got[d], (t, got[d])
+
+
 def test_op9_comes_near_its_targets(spark, sf):
     rows = registry.op9_source_mix(spark, sf).collect()
     src = dict(spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "source").collect())
