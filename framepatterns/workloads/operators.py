@@ -161,6 +161,13 @@ def join_null_keys(spark, d):
     return joining.join(a, b, ["k"], null_keys="match").df.agg(F.count("*").alias("n"))
 
 
+@query("join_null_keys_all", "SELECT count(*) AS n, count(*) FILTER (a.k IS NULL) AS n_null FROM (SELECT nullif(l_partkey, 7) AS k FROM lineitem) a JOIN (SELECT nullif(p_partkey, 7) AS k FROM part) b ON a.k IS NOT DISTINCT FROM b.k")
+def join_null_keys_all(spark, d):
+    a = table(spark, d, "lineitem").select(F.nullif("l_partkey", F.lit(7)).alias("k"))
+    b = table(spark, d, "part").select(F.nullif("p_partkey", F.lit(7)).alias("k"))
+    return joining.join(a, b, ["k"], null_keys="match").df.agg(F.count("*").alias("n"), F.count_if(F.col("k").isNull()).alias("n_null"))
+
+
 @query("join_local_buckets", _join_sql("INNER"))
 def join_local_buckets(spark, d):
     from framepatterns.patterns import shuffle_compute
@@ -213,6 +220,13 @@ def join_range(spark, d):
     return joining.range_join(at, "us", spans, "lo", "hi", 3600000000).select("event_id", "span_id")
 
 
+@query("join_range_all", "SELECT e.event_id, w.event_id AS span_id FROM events e JOIN events w ON epoch_us(e.ts) >= epoch_us(w.ts) AND epoch_us(e.ts) < epoch_us(w.ts) + 60000000")
+def join_range_all(spark, d):
+    at = table(spark, d, "events").select("event_id", F.unix_micros(F.col("ts").cast("timestamp")).alias("us"))
+    spans = at.select(F.col("event_id").alias("span_id"), F.col("us").alias("lo"), (F.col("us") + 60000000).alias("hi"))
+    return joining.range_join(at, "us", spans, "lo", "hi", 60000000).select("event_id", "span_id")
+
+
 _ASOF = """SELECT l.event_id, l.user_id, r.event_id AS asof_event_id FROM (SELECT * FROM events WHERE event_type = (SELECT min(event_type) FROM events)) l
 ASOF LEFT JOIN (SELECT * FROM events WHERE event_type <> (SELECT min(event_type) FROM events)) r ON l.user_id = r.user_id AND l.ts >= r.ts"""
 
@@ -424,6 +438,15 @@ def transpose_wide(spark, d):
     return reshape.transpose(table(spark, d, "nation").where("n_nationkey < 3"), "n_nationkey", "wide")
 
 
+def _wide_sql(column):
+    return f"SELECT '{column}' AS \"column\", " + ", ".join(f'max(CAST({column} AS VARCHAR)) FILTER (n_nationkey = {k}) AS "{k}"' for k in range(25)) + " FROM nation"
+
+
+@query("transpose_wide_all", f"{_wide_sql('n_name')} UNION ALL {_wide_sql('n_regionkey')}")
+def transpose_wide_all(spark, d):
+    return reshape.transpose(table(spark, d, "nation"), "n_nationkey", "wide")
+
+
 @query("transpose_cells", "UNPIVOT (SELECT o_orderkey AS label, o_totalprice, CAST(o_custkey AS DOUBLE) AS o_custkey FROM orders) ON o_totalprice, o_custkey INTO NAME \"column\" VALUE value")
 def transpose_cells(spark, d):
     o = table(spark, d, "orders").select("o_orderkey", "o_totalprice", F.col("o_custkey").cast("double").alias("o_custkey"))
