@@ -27,7 +27,7 @@ from framepatterns.llm.words import grams, hashed_rows
 
 K1, B = 1.2, 0.75
 BLOCK, SHINGLE = 16, 5
-#: Items of one index; a larger benchmark is searched index by index.
+#: Items of one index; a larger benchmark is searched index by index, with statistics of all items.
 INDEX_ITEMS = 2048
 
 
@@ -46,6 +46,16 @@ class Index:
     longest: int
 
 
+@dataclass
+class Statistics:
+    """Sorted terms of all items, the number of items that have each, the items with words and their mean length."""
+
+    terms: np.ndarray
+    seen: np.ndarray
+    items: int
+    mean: float
+
+
 def _words(text: str) -> np.ndarray:
     return np.concatenate([h for _, _, h, _ in hashed_rows(pa.array([text], pa.string()), fold=FOLD)] or [np.zeros(0, np.uint64)])
 
@@ -59,16 +69,18 @@ def split_answer(text: str) -> int:
     return _words(body[: cut + 1]).size if cut >= 0 else 0
 
 
-def build_index(items: list[tuple[int, str]], share: float = 0.6) -> Index | None:
-    """Index (id, text) pairs; items without words are left out."""
+def build_index(items: list[tuple[int, str]], share: float = 0.6, stats: Statistics | None = None) -> Index | None:
+    """Index (id, text) pairs, weighted by ``stats`` or else by these items' own; items without words are left out."""
     words = [_words(t) for _, t in items]
     keep = [i for i, w in enumerate(words) if w.size]
     if not keep:
         return None
     items, words = [items[i] for i in keep], [words[i] for i in keep]
     terms, seen = np.unique(np.concatenate([np.unique(w) for w in words]), return_counts=True)
-    idf = np.log(1 + (len(items) - seen + 0.5) / (seen + 0.5))
-    mean = np.mean([w.size for w in words])
+    total, mean = len(items), np.mean([w.size for w in words])
+    if stats is not None:
+        seen, total, mean = stats.seen[np.searchsorted(stats.terms, terms)], stats.items, stats.mean
+    idf = np.log(1 + (total - seen + 0.5) / (seen + 0.5))
     own = []
     for w in words:
         t, tf = np.unique(np.searchsorted(terms, w), return_counts=True)
@@ -145,17 +157,44 @@ def search(index: Index, h: np.ndarray, w: np.ndarray, least: float, each: float
     return list(best.values())
 
 
+def _item_terms(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(t, n, length) a block of items: in how many each term occurs; a row without a term counts items and words."""
+    for batch in batches:
+        for _, _, h, w in hashed_rows(batch.column("text"), fold=FOLD):
+            if not h.size:
+                continue
+            item = np.repeat(np.arange(w.size - 1), np.diff(w))
+            order = np.lexsort((item, h))
+            x, i = h[order], item[order]
+            once = np.concatenate(([True], (x[1:] != x[:-1]) | (i[1:] != i[:-1])))
+            t, n = np.unique(x[once], return_counts=True)
+            terms = pa.array([*t.view(np.int64).tolist(), None], pa.int64())
+            yield pa.RecordBatch.from_arrays([terms, pa.array([*n.tolist(), int((np.diff(w) > 0).sum())], pa.int64()), pa.array([*[0] * t.size, int(h.size)], pa.int64())], names=["t", "n", "length"])
+
+
+def _statistics(rows: DataFrame) -> Statistics:
+    """Statistics of all items, gathered in one distributed pass; they are as large as the indexes' terms."""
+    table = rows.select("text").mapInArrow(_item_terms, "t long, n long, length long").groupBy("t").agg(F.sum("n").alias("n"), F.sum("length").alias("length")).toArrow()
+    t, n, length = table.column("t"), table.column("n").to_numpy(), table.column("length").to_numpy()
+    known = t.is_valid().to_numpy()
+    terms, seen = t.drop_null().to_numpy().view(np.uint64), n[known]
+    order = np.argsort(terms)
+    items = int(n[~known].sum())
+    return Statistics(terms[order], seen[order], items, float(length[~known].sum()) / max(items, 1))
+
+
 def _indexes(benchmark: DataFrame, share: float) -> list:
     """Broadcast indexes over all items; each holds INDEX_ITEMS items at most."""
     bound_batches(benchmark.sparkSession)
     rows = benchmark.select(F.col("item_id").cast("long"), F.col("text").cast("string")).where("item_id is not null and text is not null").distinct()
     total, sc = rows.count(), benchmark.sparkSession.sparkContext
     parts = -(-total // (INDEX_ITEMS // 2)) if total > INDEX_ITEMS else 1
+    stats = _statistics(rows) if total else None
     out = []
     for k in range(parts):  # by hash, so that no part outgrows the bound
         piece = sorted(tuple(r) for r in rows.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(parts)) == k).collect())
         for a in range(0, len(piece), INDEX_ITEMS):
-            if (index := build_index(piece[a : a + INDEX_ITEMS], share)) is not None:
+            if (index := build_index(piece[a : a + INDEX_ITEMS], share, stats)) is not None:
                 out.append(sc.broadcast(index))
     return out
 

@@ -267,6 +267,24 @@ def test_op6_equals_unpruned_search(spark):
     assert found == want and len(found) >= 13
 
 
+def test_op6_parts_share_the_statistics_of_all_items(spark, monkeypatch):
+    from framepatterns.llm import decontamination as dc
+
+    rng = np.random.default_rng(4)
+    vocab = [f"w{i}" for i in range(90)]
+    items = [(i, " ".join(rng.choice(vocab, rng.integers(6, 40))) + ".\n" + " ".join(rng.choice(vocab, 6))) for i in range(50)]
+    texts = [(k, " ".join([*rng.choice(vocab, 60), items[k][1], *rng.choice(vocab, 30)])) for k in range(50)]
+    bench, docs = spark.createDataFrame(items, "item_id long, text string"), spark.createDataFrame(texts, "doc_id long, text string")
+    found = lambda: {(r.doc_id, r.item_id): r.score for r in dc.contaminated(docs, bench).collect()}
+    whole = found()
+    monkeypatch.setattr(dc, "INDEX_ITEMS", 16)
+    cut = found()
+    assert len(whole) >= 50 and set(cut) == set(whole) and all(abs(cut[k] - whole[k]) < 1e-9 for k in whole)
+    own = dc.build_index(items)
+    shared = dc.build_index(items, 0.6, dc._statistics(bench))
+    assert np.allclose(own.need, shared.need)
+
+
 def test_op7_finds_notices_and_inherits(spark):
     from framepatterns.llm.licenses import license_scan
 
