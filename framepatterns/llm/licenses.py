@@ -1,14 +1,17 @@
 """Licence scans with DataFrame functions only.
 
 Segments of a text (lines and sentences) that speak of licences are compared with licence notices by the
-cosine of their TF-IDF vectors; document frequencies come from all documents.  A text without a notice of its
+cosine of their TF-IDF vectors; document frequencies come from all documents.  So are blocks of lines joined,
+as headers are wrapped, and whole texts are compared with full licence texts.  A text without a notice of its
 own inherits the licence of the nearest ancestor directory that holds a licence file.
 """
 
 from __future__ import annotations
 
 import math
+import re
 from collections import Counter
+from importlib import resources
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -31,8 +34,29 @@ TEMPLATES = (
     ("CC0-1.0", "To the extent possible under law, the author has waived all copyright and related rights to this work. Public domain dedication."),
     ("MPL-2.0", "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0."),
     ("proprietary", "Copyright. All rights reserved. No part of this work may be reproduced without written permission."),
+    # licences and versions that are told apart from the above by one term
+    ("GPL-2.0", "This work is licensed under the GNU General Public License, version 2."),
+    ("GPL-2.0", "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License, either version 2 of the License, or any later version."),
+    ("GPL-2.0", "SPDX-License-Identifier: GPL-2.0-only"),
+    ("LGPL-2.1", "This work is licensed under the GNU Lesser General Public License, version 2.1."),
+    ("LGPL-2.1", "SPDX-License-Identifier: LGPL-2.1-only"),
+    ("LGPL-3.0", "This work is licensed under the GNU Lesser General Public License, version 3."),
+    ("LGPL-3.0", "SPDX-License-Identifier: LGPL-3.0-only"),
+    ("AGPL-3.0", "This work is licensed under the GNU Affero General Public License, version 3."),
+    ("AGPL-3.0", "SPDX-License-Identifier: AGPL-3.0-only"),
+    ("BSD-2-Clause", "SPDX-License-Identifier: BSD-2-Clause"),
+    ("MPL-2.0", "SPDX-License-Identifier: MPL-2.0"),
+    ("CC-BY-4.0", "Licensed under CC BY 4.0."),
+    ("CC-BY-SA-4.0", "Licensed under CC BY-SA 4.0."),
+    ("CC-BY-SA-4.0", "This work is licensed under a Creative Commons Attribution-ShareAlike 4.0 International License."),
+    ("CC-BY-NC-4.0", "This work is licensed under a Creative Commons Attribution-NonCommercial 4.0 International License."),
 )
 CUE = r"(?i)licen[cs]|copyright|spdx|permission|permitted|redistribut|public domain|rights reserved"
+#: Lines that are empty but for comment marks part blocks.
+BLOCK = r"\n[ \t\r#*/;%!>-]*\n"
+#: Least cosine of a whole text with a full licence text.
+WHOLE = 0.8
+FILE_NAME = r"(?i)(^|/)(un)?(licen[cs]e|copying)[^/]*$"
 BREAK = r"\n|(?<=[.;:!?])[ \t]+(?=[A-Z\"'(])"
 
 
@@ -51,6 +75,19 @@ def terms_of(text: str) -> list[str]:
 VOCABULARY = sorted({t for _, text in TEMPLATES for t in terms_of(text)})
 
 
+def _full_texts() -> dict[str, str]:
+    """Full licence texts; the two without a file differ from a neighbour by a clause and by a name."""
+    folder = resources.files("framepatterns.llm") / "license_texts"
+    texts = {f.name.removesuffix(".txt"): f.read_text() for f in sorted(folder.iterdir(), key=lambda f: f.name) if f.name.endswith(".txt")}
+    texts["BSD-2-Clause"] = re.sub(r"(?s)\n3\. Neither.*?\n\n", "\n\n", texts["BSD-3-Clause"])
+    texts["AGPL-3.0"] = re.sub(r"(?i)general\s+public", "Affero General Public", texts["GPL-3.0"])
+    return texts
+
+
+FULL_TEXTS = _full_texts()
+FULL_VOCABULARY = sorted({t for text in FULL_TEXTS.values() for t in terms_of(text)})
+
+
 def _terms(text: Column) -> Column:
     return F.filter(F.split(F.lower(text), "[^a-z0-9]+"), lambda t: t != "")
 
@@ -64,20 +101,56 @@ def inverse_frequencies(docs: DataFrame) -> dict[str, float]:
     return {t: math.log((1 + total) / (1 + seen.get(t, 0))) + 1 for t in VOCABULARY} | {"": math.log(1 + total) + 1}
 
 
-def notices(docs: DataFrame, least: float = 0.6) -> DataFrame:
-    """(doc_id, license, score, share): each document's best notice with a cosine of ``least`` or more.
-
-    share is the part of the document's words that lie in segments of that cosine.
-    """
-    spark, idf = docs.sparkSession, inverse_frequencies(docs)
+def _unit_vectors(templates, idf: dict[str, float]) -> list[tuple[int, str, str, float]]:
+    """(template, license, term, weight) with weights of norm one."""
     vectors = []
-    for k, (name, text) in enumerate(TEMPLATES):
+    for k, (name, text) in enumerate(templates):
         w = {t: n * idf[t] for t, n in Counter(terms_of(text)).items()}
         norm = math.sqrt(sum(v * v for v in w.values()))
         vectors += [(k, name, t, v / norm) for t, v in sorted(w.items())]
-    templates = F.broadcast(spark.createDataFrame(vectors, "template int, license string, t string, wt double"))  # fixed size
+    return vectors
+
+
+def whole_texts(docs: DataFrame, least: float = WHOLE) -> DataFrame:
+    """(doc_id, license, score): documents whose text as a whole has a cosine of ``least`` or more with a full licence text.
+
+    Terms outside the licences' vocabulary only lengthen a document's vector: they are one row, the root of the
+    sum of their squared counts.
+    """
+    spark = docs.sparkSession
+    in_any = lambda t: t.isin(FULL_VOCABULARY)
+    own = F.filter(F.array_distinct(_terms(F.coalesce("text", F.lit("")))), in_any)
+    seen = dict(docs.select(F.explode(F.concat(F.array(F.lit("")), own)).alias("t")).groupBy("t").count().collect())  # at most one row a term
+    total = seen.get("", 0)
+    idf = {t: math.log((1 + total) / (1 + seen.get(t, 0))) + 1 for t in FULL_VOCABULARY} | {"": math.log(1 + total) + 1}
+    templates = F.broadcast(spark.createDataFrame(_unit_vectors(FULL_TEXTS.items(), idf), "template int, license string, t string, wt double"))  # fixed size
+    weights = F.broadcast(spark.createDataFrame(sorted(idf.items()), "t string, idf double"))
+
+    def step(acc: Column, t: Column) -> Column:
+        run = F.when(acc["t"] == t, acc["run"] + 1).otherwise(F.lit(1.0))
+        return F.struct(t.alias("t"), run.alias("run"), (acc["sum"] + 2 * run - 1).alias("sum"))
+
+    other = F.array_sort(F.filter("terms", lambda t: ~in_any(t)))
+    squares = F.aggregate(other, F.struct(F.lit("").alias("t"), F.lit(0.0).alias("run"), F.lit(0.0).alias("sum")), step)["sum"]
+    texts = docs.where(F.regexp("text", F.lit(CUE))).select("doc_id", F.xxhash64("text").alias("v"), _terms(F.col("text")).alias("terms"))
+    texts = texts.select("doc_id", "v", F.sqrt(squares).alias("rest"), F.explode(F.concat(F.array(F.lit("")), F.filter("terms", in_any))).alias("t"))
+    tf = texts.groupBy("doc_id", "v", "t").agg(F.count("*").alias("n"), F.max("rest").alias("rest")).join(weights, "t")
+    tf = tf.withColumn("w", F.col("n") * F.col("idf") * F.when(F.col("t") == "", F.col("rest")).otherwise(1.0))
+    norms = tf.groupBy("doc_id", "v").agg(F.sqrt(F.sum(F.col("w") * F.col("w"))).alias("norm"))
+    dots = tf.join(templates, "t").groupBy("doc_id", "v", "template", "license").agg(F.sum(F.col("w") * F.col("wt")).alias("dot"))
+    close = dots.join(norms, ["doc_id", "v"]).withColumn("score", F.round(F.col("dot") / F.col("norm"), 6)).where(F.col("score") >= least)
+    return close.groupBy("doc_id").agg(F.max(F.struct("score", (-F.col("template")).alias("order"), "license")).alias("b")).select("doc_id", "b.license", "b.score")
+
+
+def notices(docs: DataFrame, least: float = 0.6, parts: str = BREAK) -> DataFrame:
+    """(doc_id, license, score, share): each document's best notice with a cosine of ``least`` or more.
+
+    Segments are what ``parts`` cuts: lines and sentences, or BLOCKs.  share is the part of the document's words that lie in segments of that cosine.
+    """
+    spark, idf = docs.sparkSession, inverse_frequencies(docs)
+    templates = F.broadcast(spark.createDataFrame(_unit_vectors(TEMPLATES, idf), "template int, license string, t string, wt double"))  # fixed size
     weights = F.broadcast(spark.createDataFrame([(t, idf[t]) for t in VOCABULARY], "t string, idf double"))
-    segments = docs.where(F.regexp("text", F.lit(CUE))).select("doc_id", F.xxhash64("text").alias("v"), F.posexplode(F.split("text", BREAK)).alias("k", "s"))
+    segments = docs.where(F.regexp("text", F.lit(CUE))).select("doc_id", F.xxhash64("text").alias("v"), F.posexplode(F.split("text", parts)).alias("k", "s"))
     sizes = segments.groupBy("doc_id", "v").agg(F.sum(F.size(_terms(F.col("s")))).alias("words"))
     words = segments.where(F.regexp("s", F.lit(CUE))).select("doc_id", "v", "k", F.explode(_terms(F.col("s"))).alias("t"))
     tf = words.groupBy("doc_id", "v", "k", "t").agg(F.count("*").alias("tf")).join(weights, "t", "left").withColumn("w", F.col("tf") * F.coalesce("idf", F.lit(idf[""])))
@@ -103,7 +176,9 @@ def ancestors(folder: Column) -> Column:
 def license_scan(files: DataFrame, least: float = 0.6, file_share: float = 0.2) -> DataFrame:
     """(doc_id, path, own_license, score, license, inherited_from) for every row of ``files`` (doc_id, path, text).
 
-    A document whose notices fill ``file_share`` of its words or more is a licence file of its folder; of
+    A document's own licence is the full text that it is as a whole, or else its best notice on a line, in a
+    sentence or in a block of lines.  It is a licence file of its folder if it is a full text, if notices fill
+    ``file_share`` of its words or more, or if it has a licence and the name of a licence file; of
     several in one folder the best score counts, then the first name.  license is the document's own licence,
     or else that of the nearest folder at or above its own with a licence file, or null.
 
@@ -111,9 +186,13 @@ def license_scan(files: DataFrame, least: float = 0.6, file_share: float = 0.2)
     share the best notice among them and come back each.  An empty table gives an empty result.
     """
     docs = files.select("doc_id", F.coalesce("path", F.lit("")).alias("path"), F.col("text").cast("string").alias("text"))
-    own = notices(docs, least)
+    ranked = [notices(docs, least, cut).withColumn("rank", F.lit(k)) for k, cut in enumerate((BLOCK, BREAK))]
+    ranked.append(whole_texts(docs).withColumn("share", F.lit(1.0)).withColumn("rank", F.lit(2)))
+    found = ranked[0].unionByName(ranked[1]).unionByName(ranked[2])
+    first = F.max(F.struct((F.col("rank") == 2).alias("whole"), "score", "rank", "license"))
+    own = found.groupBy("doc_id").agg(first.alias("b"), F.max("share").alias("share")).select("doc_id", "b.license", "b.score", "share")
     thin = docs.select("doc_id", "path", parent(F.col("path")).alias("folder"))
-    holders = thin.join(own.where(F.col("share") >= file_share), "doc_id")
+    holders = thin.join(own, "doc_id").where((F.col("share") >= file_share) | F.regexp("path", F.lit(FILE_NAME)))
     held = holders.groupBy("folder").agg(F.max(F.struct("score", "license")).alias("b")).select("folder", F.col("b.license").alias("from_license"))
     folders = thin.select("folder").distinct()
     above = folders.select(F.col("folder").alias("at"), F.inline(ancestors(F.col("folder"))))

@@ -302,6 +302,25 @@ def test_op7_finds_notices_and_inherits(spark):
     assert got[4].license is None and got[6].license is None
 
 
+def test_op7_full_texts_and_wrapped_headers(spark):
+    import textwrap
+
+    from framepatterns.llm import licenses as li
+
+    mit = textwrap.fill(" ".join(li.FULL_TEXTS["MIT"].split()), 80)
+    header = "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation, either version {} of the License, or (at your option) any later version."
+    wrapped = lambda v: "int x;\n\n" + "\n".join(" * " + x for x in textwrap.wrap(header.format(v), 50)) + "\n\n" + "code and more code\n" * 200
+    rows = [(f"full/{k}/LICENSE", v, k) for k, v in li.FULL_TEXTS.items()]
+    rows += [(f"full/{k}/src/x", "plain words", k) for k in li.FULL_TEXTS]
+    rows += [("m/LICENSE", "MIT License\n\nCopyright (c) 2020 Some One\n\n" + mit, "MIT"), ("m/a/b", "plain words", "MIT")]
+    rows += [("w/two.c", wrapped(2), "GPL-2.0"), ("w/three.c", wrapped(3), "GPL-3.0"), ("w/none.c", "plain words", None)]
+    rows += [("v/x", "This work is licensed under the GNU General Public License, version 2.", "GPL-2.0"), ("u/COPYING", "Licensed under CC BY 4.0.\n" + "some words of a note " * 30, "CC-BY-4.0"), ("u/y", "plain words", "CC-BY-4.0")]
+    rows += [(f"other/{i}", f"these are words {i} of other documents for a count", None) for i in range(60)]
+    df = spark.createDataFrame([(i, p, t) for i, (p, t, _) in enumerate(rows)], "doc_id long, path string, text string")
+    got = {r.path: r.license for r in li.license_scan(df).collect()}
+    assert {p: got[p] for p, _, _ in rows} == {p: k for p, _, k in rows}
+
+
 def test_op7_cosines(spark, sf, docs):
     """Scores equal TF-IDF cosines computed by hand from the same frequencies."""
     import math
