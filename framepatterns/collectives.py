@@ -89,16 +89,17 @@ def all_reduce(df: DataFrame, *aggs: Column) -> DataFrame:
     return df.join(F.broadcast(df.agg(*aggs)), how="cross")
 
 
-def neighbour_exchange(df: DataFrame, block: str, back: int, ahead: int, partitions: int) -> DataFrame:
-    """Copy the edge rows of each block to its neighbours.
+def halo_exchange(df: DataFrame, at: str, back: int, ahead: int, block: int, total: int) -> DataFrame:
+    """Blocks of ``block`` positions, each with copies of the ``back`` rows before it and the ``ahead`` rows after it.
 
-    Needs ``_from_start`` and ``_from_end`` (rows before the row in its block and after it); adds ``home``,
-    false for copies.  Rows within ``ahead`` of a block's start also go to the block before, and rows within
-    ``back`` of its end to the block after.
+    ``at`` is the global position of each of ``total`` rows.  A row goes to its own block and to all blocks whose
+    reach holds it, however many neighbours that are.  Adds _block, and _home, which is false for copies.
     """
-    to = F.array_compact(F.array(F.col(block), F.when(F.col("_from_start") < ahead, F.col(block) - 1), F.when(F.col("_from_end") < back, F.col(block) + 1)))
-    out = df.withColumn("_to", F.explode(to)).withColumn("home", F.col("_to") == F.col(block))
-    return shuffle(out.where((F.col("_to") >= 0) & (F.col("_to") < partitions)), F.col("_to").cast("int"), partitions)
+    last = max((total - 1) // block, 0)
+    first = F.greatest(F.floor((F.col(at) - ahead) / block), F.lit(0))
+    end = F.least(F.floor((F.col(at) + back) / block), F.lit(last))
+    out = df.withColumn("_block", F.explode(F.sequence(first, end))).withColumn("_home", F.col("_block") == F.floor(F.col(at) / block))
+    return shuffle(out, F.col("_block").cast("int"), last + 1)
 
 
 def barrier_map(df: DataFrame, fn: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema: str) -> DataFrame:

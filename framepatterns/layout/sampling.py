@@ -1,58 +1,41 @@
-"""Regular samples of partitions, and pivots from them."""
+"""Regular samples of locally sorted partitions, and pivots from them."""
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-
-import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from framepatterns.collectives import gather
 from framepatterns.layout.ranges import key_struct
 
+#: Row number in its partition: the low bits of the id that Spark counts up in every partition.
+_ROW_BITS = 33
+
+
+def row_index() -> Column:
+    """Place of a row in its partition, as the partition is now."""
+    return F.monotonically_increasing_id().bitwiseAND(F.lit((1 << _ROW_BITS) - 1))
 
-def regular_sample(df: DataFrame, keys: list[Column], per_partition: int, strict: bool = False) -> DataFrame:
-    """About ``per_partition`` evenly spaced keys of every partition.
 
-    ``strict`` sorts each partition first and takes every n/s-th row.  Otherwise the rows with the smallest
-    hashes of their keys are taken, which needs no sort and does not depend on how rows are dealt.
+def regular_sample(df: DataFrame, keys: list[Column], per_partition: int, partitions: int | None = None) -> DataFrame:
+    """(key): every n-th key of every locally sorted partition, about ``per_partition`` for each of ``partitions``.
+
+    Places count, not values: a key that holds half of all rows holds half of the sample, and an outlier is one
+    row.  Partitions start at different places of the stride, so many short ones are sampled evenly too.
     """
     narrow = df.select(key_struct(keys).alias("key"))
-    if not strict:
-        return narrow.where(F.pmod(F.xxhash64("key"), F.lit(1 << 20)) < sample_rate(df, per_partition))
-    narrow = narrow.sortWithinPartitions("key")
-
-    def pick(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        kept: list[pa.RecordBatch] = []
-        stride, seen, rows = 1, 0, 0
-        for batch in batches:  # the stride doubles while the sample is too large, so one pass and bounded memory
-            first = -seen % stride
-            seen += batch.num_rows
-            kept.append(batch.take(pa.array(range(first, batch.num_rows, stride), pa.int64())))
-            rows += kept[-1].num_rows
-            while rows > 4 * per_partition:
-                table = pa.Table.from_batches(kept).combine_chunks()
-                kept = table.take(pa.array(range(0, table.num_rows, 2), pa.int64())).combine_chunks().to_batches()
-                rows, stride = sum(b.num_rows for b in kept), stride * 2
-        yield from kept
-
-    return narrow.mapInArrow(pick, narrow.schema)
-
-
-def sample_rate(df: DataFrame, per_partition: int) -> int:
-    """Threshold of a 20-bit hash that keeps about ``per_partition`` rows a shuffle partition."""
-    rows = max(df.count(), 1)
-    want = per_partition * int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    return max(1, min(1 << 20, (want << 20) // rows + 1))
+    want = per_partition * (partitions or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    stride = max(1, df.count() // max(want, 1))
+    first = F.pmod(F.spark_partition_id().cast("long") * 7919, F.lit(stride))
+    placed = narrow.sortWithinPartitions("key").withColumn("_i", row_index() + first)
+    return placed.where(F.pmod("_i", F.lit(stride)) == 0).select("key")
 
 
 def choose_pivots(sample: DataFrame, partitions: int, cap: int = 1_000_000) -> list:
-    """Evenly spaced pivots of the sorted sample, at the driver; the sample's size is checked."""
+    """Evenly spaced pivots of the sorted sample, at the driver; the sample's size is checked.
+
+    A key that fills several partitions is a pivot several times, so there are always ``partitions`` - 1 pivots
+    (none for an empty sample).
+    """
     keys = gather(sample.sort("key"), cap).column("key").to_pylist()
-    picks = [keys[len(keys) * i // partitions] for i in range(1, partitions)] if keys else []
-    out: list = []
-    for p in picks:
-        if not out or p != out[-1]:
-            out.append(p)
-    return out
+    return [keys[len(keys) * i // partitions] for i in range(1, partitions)] if keys else []

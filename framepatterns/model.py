@@ -7,6 +7,13 @@ from dataclasses import dataclass, field, replace
 from pyspark.sql import DataFrame
 
 
+def whole_input(df: DataFrame, name: str) -> DataFrame:
+    """``df``, refused if it is a stream: ``name`` needs all rows before it can give the first result."""
+    if df.isStreaming:
+        raise NotImplementedError(f"{name} needs the whole input and does not run on a stream")
+    return df
+
+
 @dataclass(frozen=True)
 class Arbitrary:
     """Rows lie anywhere."""
@@ -24,11 +31,15 @@ class Hashed:
 
 @dataclass(frozen=True)
 class Ordered:
-    """Partition i holds the keys from pivot i-1 (inclusive) up to pivot i."""
+    """Partition i holds the keys from pivot i-1 up to pivot i; a key that is a pivot may lie on both sides of it.
+
+    Pivots are numbers for one numeric key, else tuples of one value a key.
+    """
 
     keys: tuple[str, ...]
     pivots: tuple
     partitions: int
+    ascending: bool = True
 
 
 @dataclass(frozen=True)

@@ -7,6 +7,8 @@ from pyspark.sql import functions as F
 from pyspark.sql import window as W
 
 from framepatterns.collectives import broadcast_frame
+from framepatterns.layout.ranges import quantile_pivots, range_pid
+from framepatterns.model import Arbitrary
 from framepatterns.patterns import Frame, as_frame, broadcast_compute, shuffle_compute
 from framepatterns.plans.choose import broadcast_side, choose_join_pattern
 
@@ -63,10 +65,16 @@ def broadcast_join(big, small, on, how: str = "inner") -> Frame:
 
 
 def join_auto(left, right, on: list, how: str = "inner") -> Frame:
-    """Broadcast or shuffle, by estimated sizes and by what ``how`` allows."""
+    """Broadcast (of either side) or shuffle, by estimated sizes and by what ``how`` allows."""
     l, r = as_frame(left), as_frame(right)
     choice = choose_join_pattern(l.df, r.df, how)
-    out = broadcast_join(l, r, list(on), how) if choice.pattern == "broadcast" else join(l, r, on, how)
+    if choice.pattern != "broadcast":
+        out = join(l, r, on, how)
+    elif choice.side == "right":
+        out = broadcast_join(l, r, list(on), how)
+    else:
+        small = broadcast_frame(l.df)
+        out = r.with_df(small.join(r.df, list(on), how), Arbitrary(), "broadcast-compute: left side replicated")
     return out.with_df(out.df, note=f"choice: {choice.pattern} ({choice.reason})")
 
 
@@ -104,11 +112,13 @@ def range_join(points: DataFrame, at: str, intervals: DataFrame, low: str, high:
     return p.join(i, "_b").where((F.col(at) >= F.col(low)) & (F.col(at) < F.col(high))).drop("_b")
 
 
-def asof_join(left: DataFrame, right: DataFrame, by: list[str], at: str, take: list[str], tie: str | None = None) -> DataFrame:
+def asof_join(left: DataFrame, right: DataFrame, by: list[str], at: str, take: list[str], tie: str | None = None, slices: int | None = None) -> DataFrame:
     """Each left row with the columns ``take`` of the last right row at or before it in its group.
 
-    Both sides are stacked and a window carries the last right row forward, so nothing is multiplied.  At
-    equal ``at``, right rows come first; of several the largest ``tie`` counts.
+    Both sides are stacked and a window carries the last right row forward, so nothing is multiplied.  Time is
+    cut into ``slices`` by quantiles of the right side (default: the shuffle partitions), and every slice of a
+    group starts with the last right row of the slices before it, so a hot group is not one task.  At equal
+    ``at``, right rows come first; of several the largest ``tie`` counts.
     """
     value = F.struct(*[F.col(c).alias(c) for c in take])
     empty = F.lit(None).cast(right.select(value.alias("v")).schema["v"].dataType)
@@ -116,6 +126,17 @@ def asof_join(left: DataFrame, right: DataFrame, by: list[str], at: str, take: l
     l = left.select(*by, at, F.lit(1).alias("_side"), F.struct(*rest).alias("_row"), empty.alias("_v"), F.lit(0).cast("long").alias("_t"))
     none = F.lit(None).cast(l.schema["_row"].dataType)
     r = right.select(*by, at, F.lit(0).alias("_side"), none.alias("_row"), value.alias("_v"), (F.col(tie).cast("long") if tie else F.lit(0).cast("long")).alias("_t"))
-    upto = W.Window.partitionBy(*by).orderBy(at, "_side", "_t").rowsBetween(W.Window.unboundedPreceding, W.Window.currentRow)
-    out = l.unionByName(r).withColumn("_last", F.last("_v", ignorenulls=True).over(upto)).where("_side = 1")
-    return out.select(*by, at, "_row.*", *[F.col(f"_last.{c}").alias(f"asof_{c}") for c in take])
+    place = lambda df: df.withColumn("_x", (F.col(at).cast("timestamp") if dict(df.dtypes)[at] in ("timestamp_ntz", "date") else F.col(at)).cast("double"))
+    n = int(left.sparkSession.conf.get("spark.sql.shuffle.partitions")) if slices is None else slices
+    pivots = sorted(set(quantile_pivots(place(right), "_x", n))) if n > 1 else []
+    both = place(l.unionByName(r)).withColumn("_slice", F.coalesce(range_pid(F.col("_x"), pivots, F.lit), F.lit(0))).drop("_x")
+    order = [F.col(at), F.col("_side"), F.col("_t")]
+    upto = W.Window.partitionBy(*by, "_slice").orderBy(*order).rowsBetween(W.Window.unboundedPreceding, W.Window.currentRow)
+    out = both.withColumn("_last", F.last("_v", ignorenulls=True).over(upto))
+    if pivots:
+        ends = both.groupBy(*by, "_slice").agg(F.max_by("_v", F.when(F.col("_side") == 0, F.struct(at, "_t"))).alias("_end"))
+        before = W.Window.partitionBy(*by).orderBy("_slice").rowsBetween(W.Window.unboundedPreceding, -1)
+        carried = ends.select(*[F.col(k).alias(f"_g{i}") for i, k in enumerate(by)], F.col("_slice").alias("_s"), F.last("_end", ignorenulls=True).over(before).alias("_carried"))
+        same = [out[k].eqNullSafe(carried[f"_g{i}"]) for i, k in enumerate(by)]
+        out = out.where("_side = 1").join(carried, [*same, out["_slice"] == carried["_s"]]).withColumn("_last", F.coalesce("_last", "_carried"))
+    return out.where("_side = 1").select(*by, at, "_row.*", *[F.col(f"_last.{c}").alias(f"asof_{c}") for c in take])

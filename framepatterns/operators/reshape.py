@@ -5,7 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from framepatterns.layout.rebalance import with_position
+from framepatterns.model import whole_input
+from framepatterns.patterns import transpose_compute
 
 MAX_COLUMNS = 1000
 
@@ -21,12 +22,11 @@ def transpose(df: DataFrame, index: str, form: str = "cells", block: int = 4096,
     types = {t for c, t in df.dtypes if c != index}
     cast = "string" if len(types) > 1 else types.pop()
     typed = df.select(index, *[F.col(c).cast(cast).alias(c) for c in values])
-    if form == "cells":
+    if form == "cells":  # row-local: the one form that a stream can have
         return typed.unpivot([index], values, "column", "value").select("column", F.col(index).alias("label"), "value")
+    whole_input(df, "a transpose")
     if form == "blocks":
-        cells = with_position(typed, [index], "_at").unpivot([index, "_at"], values, "column", "value")
-        packed = cells.groupBy("column", F.floor(F.col("_at") / block).alias("block")).agg(F.array_sort(F.collect_list(F.struct("_at", "value"))).alias("v"))
-        return packed.select("column", "block", F.transform("v", lambda x: x["value"]).alias("values"))
+        return transpose_compute(typed, index, block=block).df
     labels = [r[0] for r in typed.select(index).orderBy(index).limit(max_columns + 1).collect()]
     if len(labels) > max_columns:
         raise ValueError(f"a wide transpose of more than {max_columns} rows is refused; use blocks")

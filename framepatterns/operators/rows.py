@@ -31,6 +31,18 @@ def map_scalar(df: DataFrame, cols: list[str], op: str, value) -> DataFrame:
     return df.withColumns({c: fns[op](F.col(c)) for c in cols})
 
 
+def sample_rows(df: DataFrame, share: float, label: list[str], by: str | None = None, shares: dict | None = None) -> DataFrame:
+    """A repeatable share of the rows, by the hash of their labels; samples of one label nest.
+
+    With ``by`` and ``shares`` every stratum has its own share, ``share`` where none is listed.
+    """
+    edge = lambda x: f"{round(x * (1 << 32)):08x}" if x < 1 else "g"  # noqa: E731  "g" is above every digit
+    limit = F.lit(edge(share))
+    for value, part in (shares or {}).items():
+        limit = F.when(F.col(by) == value, edge(part)).otherwise(limit)
+    return df.where(F.substring(F.md5(F.concat_ws("|", *[F.col(c).cast("string") for c in label])), 1, 8) < limit)
+
+
 def clip(c: Column, low=None, high=None) -> Column:
     c = c if low is None else F.greatest(c, F.lit(low))
     return c if high is None else F.least(c, F.lit(high))

@@ -15,17 +15,8 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql import window as W
 
-from framepatterns.collectives import shuffle
-from framepatterns.layout.rebalance import with_position
-
-
-def _blocks(df: DataFrame, at: Column, back: int, ahead: int, block: int, total: int) -> DataFrame:
-    """Copies of each row in its own block and in those whose windows reach it; home tells the original."""
-    last = max((total - 1) // block, 0)
-    first = F.greatest(F.floor((at - ahead) / block), F.lit(0))
-    end = F.least(F.floor((at + back) / block), F.lit(last))
-    out = df.withColumn("_block", F.explode(F.sequence(first, end))).withColumn("_home", F.col("_block") == F.floor(at / block))
-    return shuffle(out, F.col("_block").cast("int"), last + 1)
+from framepatterns.layout.rebalance import positioned
+from framepatterns.patterns import halo
 
 
 def rolling(df: DataFrame, order: list, k: int, aggs: dict[str, Callable[[], Column]], keys: list[str] | None = None, min_periods: int | None = None, center: bool = False, block: int = 1 << 16) -> DataFrame:
@@ -37,18 +28,14 @@ def rolling(df: DataFrame, order: list, k: int, aggs: dict[str, Callable[[], Col
     back, ahead = (k // 2, (k - 1) // 2) if center else (k - 1, 0)
     least = k if min_periods is None else min_periods
     if keys:
-        w = W.Window.partitionBy(*keys).orderBy(*order).rowsBetween(-back, ahead)
-        src, done = df, lambda d: d
-    else:
-        placed = with_position(df, order, "_at")
-        total = placed.count()
-        block = max(block, 10 * k)
-        src = _blocks(placed, F.col("_at"), back, ahead, block, total)
-        w = W.Window.partitionBy("_block").orderBy("_at").rowsBetween(-back, ahead)
-        done = lambda d: d.where("_home").drop("_block", "_home", "_at")
+        return _rolled(df, W.Window.partitionBy(*keys).orderBy(*order).rowsBetween(-back, ahead), aggs, least)
+    w = W.Window.partitionBy("_block").orderBy("_at").rowsBetween(-back, ahead)
+    return halo(df, order, back, ahead, lambda near: _rolled(near, w, aggs, least), block).df
+
+
+def _rolled(src: DataFrame, w, aggs: dict[str, Callable[[], Column]], least: int) -> DataFrame:
     out = src.withColumn("_n", F.count("*").over(w)).withColumns({n: f().over(w) for n, f in aggs.items()})
-    out = out.withColumns({n: F.when(F.col("_n") >= least, F.col(n)) for n in aggs}).drop("_n")
-    return done(out)
+    return out.withColumns({n: F.when(F.col("_n") >= least, F.col(n)) for n in aggs}).drop("_n")
 
 
 def rolling_time(df: DataFrame, ts: str, micros: int, aggs: dict[str, Callable[[], Column]], keys: list[str] | None = None, closed: str = "right", bucket_micros: int | None = None) -> DataFrame:
@@ -93,8 +80,8 @@ def expanding(df: DataFrame, order: list, aggs: dict[str, tuple[str, str]], min_
     Blocks grow with the frame so that there are at most MAX_BLOCKS; the driver adds up their states.
     """
     parts = {f"_{n}_{p}": (c, p) for n, (c, h) in aggs.items() for p in (("sum", "count") if h == "mean" else (h,))}
-    placed = with_position(df, order, "_at")
-    block = max(block, -(-placed.count() // MAX_BLOCKS))
+    placed, total = positioned(df, order, "_at")
+    block = max(block, -(-total // MAX_BLOCKS))
     placed = placed.withColumn("_block", F.floor(F.col("_at") / block))
     states = placed.groupBy("_block").agg(*[_PART[p](c).alias(n) for n, (c, p) in parts.items()])
     run: dict = dict.fromkeys(parts)
@@ -107,7 +94,7 @@ def expanding(df: DataFrame, order: list, aggs: dict[str, tuple[str, str]], min_
     w = W.Window.partitionBy("_block").orderBy("_at").rowsBetween(W.Window.unboundedPreceding, W.Window.currentRow)
     out = placed.join(prefix, "_block").withColumns({n: _PART[p](c).over(w) for n, (c, p) in parts.items()})
 
-    def total(n: str, p: str) -> Column:
+    def upto(n: str, p: str) -> Column:
         own, prev = F.col(n), F.col(f"{n}_before")
         if p in ("sum", "count"):
             return F.when(own.isNull() & prev.isNull(), None).otherwise(F.coalesce(own, F.lit(0)) + F.coalesce(prev, F.lit(0)))
@@ -115,7 +102,7 @@ def expanding(df: DataFrame, order: list, aggs: dict[str, tuple[str, str]], min_
             return F.when(own.isNull() & prev.isNull(), None).otherwise(F.coalesce(own, F.lit(1.0)) * F.coalesce(prev, F.lit(1.0)))
         return (F.least if p == "min" else F.greatest)(own, prev)
 
-    final = {n: total(f"_{n}_sum", "sum") / total(f"_{n}_count", "count") if h == "mean" else total(f"_{n}_{h}", h) for n, (_, h) in aggs.items()}
+    final = {n: upto(f"_{n}_sum", "sum") / upto(f"_{n}_count", "count") if h == "mean" else upto(f"_{n}_{h}", h) for n, (_, h) in aggs.items()}
     out = out.withColumns({n: F.when(F.col("_at") + 1 >= min_periods, e) for n, e in final.items()})
     return out.drop("_at", "_block", *parts, *[f"{n}_before" for n in parts])
 
@@ -128,10 +115,8 @@ def shift(df: DataFrame, order: list, col: str, h: int, name: str, keys: list[st
     """The value h rows before (h < 0: after)."""
     if keys:
         return df.withColumn(name, F.lag(col, h).over(W.Window.partitionBy(*keys).orderBy(*order)))
-    placed = with_position(df, order, "_at")
-    total = placed.count()
-    src = _blocks(placed, F.col("_at"), max(h, 0), max(-h, 0), max(block, 10 * abs(h)), total)
-    return src.withColumn(name, F.lag(col, h).over(W.Window.partitionBy("_block").orderBy("_at"))).where("_home").drop("_block", "_home", "_at")
+    w = W.Window.partitionBy("_block").orderBy("_at")
+    return halo(df, order, max(h, 0), max(-h, 0), lambda near: near.withColumn(name, F.lag(col, h).over(w)), block).df
 
 
 def diff(df: DataFrame, order: list, col: str, h: int, name: str, **more) -> DataFrame:
@@ -144,7 +129,31 @@ def pct_change(df: DataFrame, order: list, col: str, h: int, name: str, **more)
     return out.withColumn(name, F.col(col) / F.col("_before") - 1).drop("_before")
 
 
-def fill_forward(df: DataFrame, keys: list[str], order: list, col: str, name: str) -> DataFrame:
-    """Nulls replaced by the last value before them, by key."""
-    w = W.Window.partitionBy(*keys).orderBy(*order).rowsBetween(W.Window.unboundedPreceding, W.Window.currentRow)
-    return df.withColumn(name, F.last(col, ignorenulls=True).over(w))
+def _filled(df: DataFrame, keys: list[str], order: list, col: str, name: str, forward: bool, limit: int | None) -> DataFrame:
+    lo, hi = (W.Window.unboundedPreceding if limit is None else -limit, 0) if forward else (0, W.Window.unboundedFollowing if limit is None else limit)
+    w = W.Window.partitionBy(*keys).orderBy(*order).rowsBetween(lo, hi)
+    return df.withColumn(name, (F.last if forward else F.first)(col, ignorenulls=True).over(w))
+
+
+def fill_forward(df: DataFrame, keys: list[str], order: list, col: str, name: str, limit: int | None = None) -> DataFrame:
+    """Nulls replaced by the last value before them, by key; by one of the ``limit`` rows before only."""
+    return _filled(df, keys, order, col, name, True, limit)
+
+
+def fill_backward(df: DataFrame, keys: list[str], order: list, col: str, name: str, limit: int | None = None) -> DataFrame:
+    """Nulls replaced by the next value after them, by key; by one of the ``limit`` rows after only."""
+    return _filled(df, keys, order, col, name, False, limit)
+
+
+def interpolate(df: DataFrame, keys: list[str], at: str, col: str, name: str) -> DataFrame:
+    """Nulls between two values on the straight line through them, by key; ``at`` is the numeric place.
+
+    Nulls after the last value take it; nulls before the first stay.
+    """
+    here = F.when(F.col(col).isNotNull(), F.struct(F.col(at).cast("double").alias("x"), F.col(col).cast("double").alias("y")))
+    near = df.withColumn("_here", here)
+    w = W.Window.partitionBy(*keys).orderBy(at)
+    back, ahead = w.rowsBetween(W.Window.unboundedPreceding, 0), w.rowsBetween(0, W.Window.unboundedFollowing)
+    near = near.withColumns({"_p": F.last("_here", ignorenulls=True).over(back), "_q": F.first("_here", ignorenulls=True).over(ahead)})
+    line = F.col("_p.y") + (F.col("_q.y") - F.col("_p.y")) * (F.col(at) - F.col("_p.x")) / F.when(F.col("_q.x") != F.col("_p.x"), F.col("_q.x") - F.col("_p.x"))
+    return near.withColumn(name, F.coalesce(F.col(col).cast("double"), line, F.col("_p.y"))).drop("_here", "_p", "_q")

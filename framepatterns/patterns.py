@@ -3,16 +3,18 @@
 from __future__ import annotations
 
 from collections.abc import Callable, Iterator
+from dataclasses import replace
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from framepatterns.collectives import all_reduce, broadcast_frame, reduce, shuffle_by_key
+from framepatterns.collectives import all_reduce, broadcast_frame, halo_exchange, reduce, shuffle_by_key
 from framepatterns.layout.hashing import hash_pid, local_bucket
-from framepatterns.layout.ranges import histogram_pivots, quantile_pivots, range_pid
-from framepatterns.layout.rebalance import _columns, ordered_ids
-from framepatterns.model import Arbitrary, Frame, Hashed, Ordered
+from framepatterns.layout.ranges import histogram_pivots, key_struct, quantile_pivots, range_pid, spread_pid
+from framepatterns.layout.rebalance import _columns, merge_runs, pivot_literal, positioned, with_position
+from framepatterns.layout.sampling import choose_pivots, regular_sample
+from framepatterns.model import Arbitrary, Frame, Hashed, Ordered, whole_input
 
 
 def as_frame(x: Frame | DataFrame) -> Frame:
@@ -73,24 +75,91 @@ def global_reduce(x: Frame | DataFrame, *aggs: Column, replicate: bool = False)
     return all_reduce(df, *aggs) if replicate else reduce(df, *aggs)
 
 
-def order_by_range(x: Frame | DataFrame, key: str, partitions: int, bins: int = 1024, ascending: bool = True, sketch: bool = False) -> Frame:
-    """Global order on one numeric key: pivots by histogram (or quantile sketch), deal by range, local sort.  Nulls come last."""
+def _dealt_in_order(df: DataFrame, below: Column, upto: Column, n: int, order: list[Column], hot: bool) -> DataFrame:
+    """Deal rows by their range and merge what every partition receives.
+
+    Where pivots repeat (``hot``), rows that equal them fill all partitions that may hold them.  Then every
+    partition is sorted first, by all columns that can be ordered, and a row's place says to which of several
+    partitions it goes: rows that tie there are equal, so a task that runs again sends the same rows.
+    """
+    if not hot:
+        return merge_runs(df.withColumn("_to", upto.cast("int")).repartitionById(n, F.col("_to")).drop("_to"), order)
+    rest = [F.col(c) for c, t in df.dtypes if not any(x in t for x in ("map<", "variant", "interval"))]
+    placed = df.withColumns({"_below": below, "_upto": upto}).sortWithinPartitions(*order, *rest).withColumn("_i", F.monotonically_increasing_id())
+    dealt = placed.withColumn("_to", spread_pid(F.col("_below"), F.col("_upto"), F.xxhash64("_i")))
+    return merge_runs(dealt.repartitionById(n, F.col("_to")).drop("_below", "_upto", "_i", "_to"), order)
+
+
+def order_by_range(x: Frame | DataFrame, key: str, partitions: int, bins: int = 1024, ascending: bool = True, sketch: bool = True) -> Frame:
+    """Global order on one numeric key: pivots by quantile sketch (or by histogram), deal by range, local sort.  Nulls come last.
+
+    Both kinds of pivots follow the rows, not the range of values: outliers and hot keys leave partitions even.
+    """
     f = as_frame(x)
+    whole_input(f.df, "a global sort")
     pivots = quantile_pivots(f.df, key, partitions) if sketch else histogram_pivots(f.df, key, partitions, bins)
-    n = len(pivots) + 1
-    pid = F.coalesce(range_pid(F.col(key).cast("double"), pivots, F.lit), F.lit(n - 1))
-    pid = pid if ascending else F.when(F.col(key).isNull(), n - 1).otherwise(n - 1 - pid)
-    order = F.col(key).asc_nulls_last() if ascending else F.col(key).desc_nulls_last()
-    out = f.df.repartitionById(n, pid.cast("int")).sortWithinPartitions(order)
-    return f.with_df(out, Ordered((key,), tuple(pivots), n), f"globally ordered: range partition by {n - 1} histogram pivots")
+    return deal_by_pivots(f, Ordered((key,), tuple(pivots), len(pivots) + 1), ascending, "quantile sketch" if sketch else "histogram")
+
+
+def deal_by_pivots(x: Frame | DataFrame, layout: Ordered, ascending: bool = True, how: str = "earlier") -> Frame:
+    """Deal a frame by the pivots of an ordered layout, so that frames ordered alike can be merged without looking at their rows again."""
+    f, n, pivots = as_frame(x), layout.partitions, list(layout.pivots)
+    hot = len(set(pivots)) < len(pivots)
+    if len(layout.keys) == 1 and all(isinstance(p, float) for p in pivots):
+        key = layout.keys[0]
+        below, upto = (F.when(F.col(key).isNull(), n - 1).otherwise(range_pid(F.col(key).cast("double"), pivots, F.lit, strict)) for strict in (True, False))
+        if not ascending:
+            below, upto = (F.when(F.col(key).isNull(), n - 1).otherwise(n - 1 - b) for b in (upto, below))
+        order = F.col(key).asc_nulls_last() if ascending else F.col(key).desc_nulls_last()
+        out = _dealt_in_order(f.df, below, upto, n, [order], hot)
+        return f.with_df(out, replace(layout, ascending=ascending), f"globally ordered: range partition by {n - 1} pivots ({how})")
+    cols = [F.col(k) for k in layout.keys]
+    literal, key = pivot_literal(f.df, cols), key_struct(cols)
+    below, upto = (range_pid(key, pivots, literal, strict) for strict in (True, False))
+    return f.with_df(_dealt_in_order(f.df, below, upto, n, cols, hot), layout, f"globally ordered: sample sort with {n - 1} pivots ({how})")
 
 
 def order_by_sample(x: Frame | DataFrame, keys: list, partitions: int, per_partition: int = 64) -> Frame:
-    """Global order on several keys: regular sample, pivots at one place, split, deal, merge."""
+    """Global order on several keys: sort locally, take a regular sample, choose pivots at one place, split, deal, merge.
+
+    ``keys`` are columns by name (nulls first).  A key that fills several partitions is spread over them.
+    """
+    f = as_frame(x)
+    whole_input(f.df, "a global sort")
+    pivots = choose_pivots(regular_sample(f.df, _columns(keys), per_partition), partitions)
+    layout = Ordered(tuple(keys), tuple(tuple(p.values()) for p in pivots), len(pivots) + 1)
+    return deal_by_pivots(f, layout, how="regular sample")
+
+
+def halo(x: Frame | DataFrame, order: list, back: int, ahead: int, op: Callable[[DataFrame], DataFrame], block: int = 1 << 16) -> Frame:
+    """Global order, then the neighbours' edge rows, then a local operator on every block.
+
+    Rows are numbered in ``order`` and cut into blocks of ``block`` positions; each block receives copies of the
+    ``back`` rows before it and the ``ahead`` rows after it, from as many neighbours as hold them.  ``op`` sees
+    the columns _at (position) and _block, and its results for copies are dropped.
+    """
+    f = as_frame(x)
+    placed, total = positioned(f.df, order, "_at")
+    block = max(block, 10 * max(back, ahead, 1))
+    near = halo_exchange(placed, "_at", back, ahead, block, total)
+    out = op(near).where("_home").drop("_block", "_home", "_at")
+    return f.with_df(out, Arbitrary(), f"globally ordered with halos: blocks of {block} rows, {back} before and {ahead} after")
+
+
+def transpose_compute(x: Frame | DataFrame, index: str, op: Callable[[Column], Column] | None = None, block: int = 4096) -> Frame:
+    """Cut the rows into blocks, turn every block in place, then bring the pieces of a column together.
+
+    Gives (column, block, values): one row for each column and block of ``block`` rows in the order of
+    ``index``, so a result with as many columns as the input has rows stays distributed.  ``op`` is applied to
+    every piece before the pieces travel.  All columns but ``index`` have one type.
+    """
     f = as_frame(x)
-    pid, n = ordered_ids(f.df, keys, partitions, per_partition)
-    out = f.df.repartitionById(n, pid.cast("int")).sortWithinPartitions(*_columns(keys))
-    return f.with_df(out, Ordered(tuple(str(k) for k in keys), (), n), f"globally ordered: sample sort with {n - 1} pivots")
+    columns = [c for c in f.df.columns if c != index]
+    placed = with_position(f.df, [index], "_at").withColumn("block", F.floor(F.col("_at") / block))
+    turned = placed.groupBy("block").agg(*[F.array_sort(F.collect_list(F.struct("_at", F.col(c).alias("value")))).alias(c) for c in columns])
+    pieces = turned.unpivot(["block"], columns, "column", "cells").withColumn("values", F.transform("cells", lambda v: v["value"]))
+    values = op(F.col("values")) if op else F.col("values")
+    return f.with_df(pieces.select("column", "block", values.alias("values")), Arbitrary(), f"transpose-compute: blocks of {block} rows turned in place")
 
 
 def partition_ids(keys: list[str], partitions: int) -> Column:

@@ -2,6 +2,11 @@
 
 from __future__ import annotations
 
+from collections import OrderedDict
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -21,11 +26,34 @@ def modelled_ratio(rows: int, distinct: int, partitions: int) -> float:
     return min(1.0, partitions * distinct * (1 - (1 - 1 / partitions) ** (rows / distinct)) / rows)
 
 
+_KNOWN: OrderedDict[tuple, float] = OrderedDict()
+_REMEMBER = 256
+
+
+def _distinct(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(rows, distinct keys) of one partition."""
+    seen, n = np.zeros(0, np.int64), 0
+    for b in batches:
+        n += b.num_rows
+        seen = np.union1d(seen, b.column(0).to_numpy(zero_copy_only=False))
+    yield pa.RecordBatch.from_arrays([pa.array([n]), pa.array([seen.size])], names=["n", "d"])
+
+
 def combine_ratio(df: DataFrame, keys: list[str], splits: int = 8) -> float:
-    """Measured share of rows left by a local combine, on some whole partitions (row samples would bias it upward)."""
-    n = df.rdd.getNumPartitions()
-    step = max(1, n // splits)
-    some = df.where(F.spark_partition_id() % step == 0) if step > 1 else df
-    part = some.groupBy(F.spark_partition_id().alias("p")).agg(F.count("*").alias("n"), F.approx_count_distinct(F.xxhash64(*keys), 0.02).alias("d"))
-    rows, left = part.agg(F.sum("n"), F.sum(F.least("n", "d"))).first()
-    return left / rows if rows else 1.0
+    """Measured share of rows left by a local combine, on at most ``splits`` whole partitions.
+
+    Only these partitions' tasks run, so the read does not grow with the input; row samples would bias the share
+    upward.  It is remembered for each plan and key, for as long as the program runs: data that change under
+    the same plan can make a choice slower, never wrong.
+    """
+    name = (df.sparkSession.sparkContext.applicationId, df.semanticHash(), tuple(keys), splits)
+    if name not in _KNOWN:
+        counted = df.select(F.xxhash64(*keys).alias("h")).mapInArrow(_distinct, "n long, d long").rdd
+        parts = counted.getNumPartitions()
+        some = sorted({parts * i // splits for i in range(splits)}) if parts else []
+        found = df.sparkSession.sparkContext.runJob(counted, list, some) if some else []
+        rows = sum(r.n for r in found)
+        _KNOWN[name] = sum(r.d for r in found) / rows if rows else 1.0
+        while len(_KNOWN) > _REMEMBER:
+            _KNOWN.popitem(last=False)
+    return _KNOWN[name]

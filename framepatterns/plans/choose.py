@@ -17,6 +17,7 @@ COMBINE_LIMIT = 0.5
 class PatternChoice:
     pattern: str
     reason: str
+    side: str = "right"
 
 
 def choose_group_pattern(df: DataFrame, keys: list[str], kind: str = "algebraic", ratio: float | None = None) -> PatternChoice:
@@ -29,25 +30,43 @@ def choose_group_pattern(df: DataFrame, keys: list[str], kind: str = "algebraic"
     return PatternChoice("combine", f"a local combine keeps {ratio:.2%} of the rows")
 
 
+_SIDES = {"inner": ("right", "left"), "cross": ("right", "left"), "left": ("right",), "leftsemi": ("right",), "semi": ("right",), "leftanti": ("right",), "anti": ("right",), "right": ("left",)}
+
+
+def broadcast_sides(how: str) -> tuple[str, ...]:
+    """Which sides may be replicated: never one whose unmatched rows are kept."""
+    return _SIDES.get(how.lower().replace("_", "").replace("outer", "") or "full", ())
+
+
 def broadcast_side(how: str) -> str | None:
-    """Which side may be replicated: never one whose unmatched rows are kept."""
-    how = how.lower().replace("_", "").replace("outer", "") or "full"
-    return {"inner": "right", "cross": "right", "left": "right", "leftsemi": "right", "semi": "right", "leftanti": "right", "anti": "right", "right": "left"}.get(how)
+    """The side that is replicated first where both may be."""
+    return next(iter(broadcast_sides(how)), None)
+
+
+def broadcast_limit(spark) -> int:
+    """The session's limit in bytes for a replicated side; negative where replication is off."""
+    text = str(spark.conf.get("spark.sql.autoBroadcastJoinThreshold")).strip().lower()
+    unit = {"k": 10, "m": 20, "g": 30, "t": 40}
+    digits = text.removesuffix("b")
+    shift = unit.get(digits[-1:], 0)
+    return int(digits[:-1] if shift else digits) << shift if text.lstrip("-")[:1].isdigit() and not text.startswith("-") else -1
 
 
 def choose_join_pattern(left: DataFrame, right: DataFrame, how: str, partitions: int | None = None) -> PatternChoice:
     """Broadcast where the join type allows it, the small side is under the session's limit, and P copies cost less than two shuffles."""
     spark = left.sparkSession
-    limit = int(str(spark.conf.get("spark.sql.autoBroadcastJoinThreshold")).rstrip("bB") or -1) if str(spark.conf.get("spark.sql.autoBroadcastJoinThreshold")).rstrip("bB").lstrip("-").isdigit() else 10 << 20
+    limit = broadcast_limit(spark)
     p = partitions or spark.sparkContext.defaultParallelism
-    l, r = estimated_bytes(left), estimated_bytes(right)
-    if broadcast_side(how) != "right":
-        return PatternChoice("shuffle", f"a {how} join keeps unmatched rows of the right side")
-    if r > limit:
-        return PatternChoice("shuffle", f"right side of {r} bytes is over the limit of {limit}")
-    if p * r >= l + r:
-        return PatternChoice("shuffle", f"{p} copies of {r} bytes cost more than moving {l + r} bytes")
-    return PatternChoice("broadcast", f"right side has {r} bytes")
+    size = {"left": estimated_bytes(left), "right": estimated_bytes(right)}
+    sides = broadcast_sides(how)
+    if not sides:
+        return PatternChoice("shuffle", f"a {how} join keeps unmatched rows of both sides")
+    side = min(sides, key=lambda s: (size[s], s == "left"))
+    if size[side] > limit:
+        return PatternChoice("shuffle", f"{side} side of {size[side]} bytes is over the limit of {limit}", side)
+    if p * size[side] >= sum(size.values()):
+        return PatternChoice("shuffle", f"{p} copies of {size[side]} bytes cost more than moving {sum(size.values())} bytes", side)
+    return PatternChoice("broadcast", f"{side} side has {size[side]} bytes", side)
 
 
 def choose_sort(by: list[str], types: dict[str, str]) -> PatternChoice:

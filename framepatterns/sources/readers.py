@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import reduce
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -11,8 +12,8 @@ from pyspark.sql import types as T
 
 from framepatterns.collectives import GATHER_ROWS, shuffle
 
-#: Files above which an explicit assignment is read by tasks instead of by one plan node a worker.
-MANY_FILES = 64
+#: Workers above which an explicit assignment is read by file names instead of by one plan node a worker.
+MANY_WORKERS = 64
 
 
 def read_partitioned(spark: SparkSession, paths: str | list[str], fmt: str = "parquet", schema=None, **options) -> DataFrame:
@@ -31,15 +32,42 @@ def assign_evenly(paths: list[str], workers: int) -> dict[int, list[str]]:
     return out
 
 
+def _qualified(spark: SparkSession, path: str) -> str:
+    """The file's full name as its file system writes it, not encoded."""
+    p = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return _plain(p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).makeQualified(p).toString())
+
+
+def _plain(name: str) -> str:
+    return "file:/" + name[5:].lstrip("/") if name.startswith("file:") else name
+
+
 def read_assigned(spark: SparkSession, assignment: dict[int, list[str]], fmt: str = "parquet", schema=None, **options) -> DataFrame:
-    """Read files so that partition w holds exactly the rows of worker w's files; adds the column worker."""
-    owner = {p: w for w, ps in assignment.items() for p in ps}
+    """Read files so that partition w holds exactly the rows of worker w's files; adds the column worker.
+
+    Every worker reads its own files and nothing moves; two empty partitions follow the workers'.  With more than MANY_WORKERS workers, where a plan node
+    for each would be too much, rows go to their worker by the full name of their file; a file that no worker has
+    is an error.
+    """
+    owner = {_qualified(spark, p): w for w, ps in assignment.items() for p in ps}
     if sum(map(len, assignment.values())) != len(owner):
         raise ValueError("a file is assigned twice")
-    df = read_partitioned(spark, list(owner), fmt, schema, **options)
-    table = spark.createDataFrame([(p.rsplit("/", 1)[-1], w) for p, w in owner.items()], "_name string, worker int")
-    named = df.withColumn("_name", F.element_at(F.split(F.input_file_name(), "/"), -1))
-    return shuffle(named.join(F.broadcast(table), "_name").drop("_name"), F.col("worker"), max(assignment) + 1)
+    workers = max(assignment) + 1
+    if schema is None:
+        schema = read_partitioned(spark, [p for ps in assignment.values() for p in ps], fmt, schema, **options).schema
+    schema = T._parse_datatype_string(schema) if isinstance(schema, str) else schema
+    if workers <= MANY_WORKERS:
+        # partitions without rows, which the planner keeps; the last one is dealt otherwise than the workers' single
+        # partitions, since a union of equally dealt frames is free to lay their partitions on top of each other
+        none, last = (spark.range(0, n, 1, n).where(F.rand(0) < -1).select(*[F.lit(None).cast(f.dataType).alias(f.name) for f in schema]) for n in (1, 2))
+        parts = [read_partitioned(spark, assignment[w], fmt, schema, **options).coalesce(1) if assignment.get(w) else none for w in range(workers)]
+        return reduce(DataFrame.unionAll, [p.withColumn("worker", F.lit(w)) for w, p in enumerate([*parts, last])])
+    df = read_partitioned(spark, [p for ps in assignment.values() for p in ps], fmt, schema, **options)
+    table = spark.createDataFrame(list(owner.items()), "_name string, worker int")
+    name = F.regexp_replace(F.url_decode(F.replace(F.col("_metadata.file_path"), F.lit("+"), F.lit("%2B"))), "^file:/+", "file:/")
+    named = df.withColumn("_name", name).join(F.broadcast(table), "_name", "left")
+    found = F.coalesce("worker", F.raise_error(F.concat(F.lit("no worker has the file "), F.col("_name"))).cast("int"))
+    return shuffle(named.withColumn("worker", found), F.col("worker"), workers).select(*schema.names, "worker")
 
 
 def read_local(spark: SparkSession, path: str, partitions: int | None = None) -> DataFrame:

@@ -20,4 +20,5 @@ def save_layout(spark: SparkSession, path: str, layout: model.Layout) -> None:
 
 def load_layout(spark: SparkSession, path: str) -> model.Layout:
     d = json.loads(spark.read.text(f"{path.rstrip('/')}.layout").first()[0])
-    return KINDS[d["kind"]](**{k: tuple(v) if isinstance(v, list) else v for k, v in d["is"].items()})
+    frozen = lambda v: tuple(map(frozen, v)) if isinstance(v, list) else v
+    return KINDS[d["kind"]](**{k: frozen(v) for k, v in d["is"].items()})

@@ -1,6 +1,7 @@
 """Streams over files: row-local, windowed aggregation, stream-static joins, de-duplication.
 
-Global sorts, windows without a key and transposes need the whole input and are refused.
+Global sorts, windows without a key and transposes need the whole input and refuse a stream.  Results go to
+files, never to the driver.
 """
 
 from __future__ import annotations
@@ -48,14 +49,18 @@ def with_static(stream: DataFrame, static: DataFrame, on: list[str], how: str =
     return stream.join(static, on, how)
 
 
-def rolling_by_key(stream: DataFrame, key: str, order: str, value: str, k: int) -> DataFrame:
+def rolling_by_key(stream: DataFrame, key: str, order: str, value: str, k: int, idle_ms: int | None = None) -> DataFrame:
     """(key, order, rolled): the sum of each key's last k values, kept as state across micro-batches.
 
-    The state is the key's last k - 1 values.  Rows of a micro-batch are taken in the order of ``order``; rows
-    that come in a later batch count as later.  All columns are longs.
+    The state is the key's last k - 1 values; with ``idle_ms`` a key that is silent for longer is forgotten and
+    starts anew.  Rows of a micro-batch are taken in the order of ``order``; rows that come in a later batch count
+    as later.  All columns are longs.
     """
 
     def step(keys: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        if state.hasTimedOut:
+            state.remove()
+            return
         held = list(state.get[0]) if state.exists else []
         rows = pd.concat(list(frames)).sort_values(order)
         rolled = []
@@ -63,22 +68,40 @@ def rolling_by_key(stream: DataFrame, key: str, order: str, value: str, k: int)
             held = [*held, int(v)][-k:]
             rolled.append(sum(held))
         state.update((held[-(k - 1) :] if k > 1 else [],))
+        if idle_ms:
+            state.setTimeoutDuration(idle_ms)
         yield pd.DataFrame({key: keys[0], order: rows[order].to_numpy(), "rolled": rolled})
 
     thin = stream.select(F.col(key).cast("long").alias(key), F.col(order).cast("long").alias(order), F.col(value).cast("long").alias(value))
-    return thin.groupBy(key).applyInPandasWithState(step, f"{key} long, {order} long, rolled long", "held array<long>", "append", GroupStateTimeout.NoTimeout)
+    timeout = GroupStateTimeout.ProcessingTimeTimeout if idle_ms else GroupStateTimeout.NoTimeout
+    return thin.groupBy(key).applyInPandasWithState(step, f"{key} long, {order} long, rolled long", "held array<long>", "append", timeout)
 
 
-def refuse(name: str) -> None:
-    raise NotImplementedError(f"{name} needs the whole input and does not run on a stream")
+def to_files(stream: DataFrame, path: str, fmt: str = "parquet", by: list[str] | None = None, checkpoint: str | None = None) -> None:
+    """Append everything that is there now to files, each row once, in folders by ``by``; for append-mode streams."""
+    w = stream.writeStream.format(fmt).outputMode("append").option("checkpointLocation", checkpoint or _state(stream.sparkSession))
+    (w.partitionBy(*by) if by else w).trigger(availableNow=True).start(path).awaitTermination()
 
 
 def run_to_end(stream: DataFrame, mode: str = "complete") -> DataFrame:
-    """Process all that is there now and return the result table."""
-    name = f"stream_{uuid.uuid4().hex}"
-    q = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", _state(stream.sparkSession)).trigger(availableNow=True).start()
+    """Process all that is there now and return the result table, read from files.
+
+    Appended rows are written by the file sink.  In complete mode every micro-batch writes the whole result so
+    far to a folder of its own, and the last one counts.
+    """
+    spark, path = stream.sparkSession, f"{_state(stream.sparkSession)}_out"
+    if mode == "append":
+        to_files(stream, path)
+        return spark.read.schema(stream.schema).parquet(path)
+    last: list[int] = []
+
+    def keep(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/b{number}")
+        last.append(number)
+
+    q = stream.writeStream.outputMode(mode).foreachBatch(keep).option("checkpointLocation", _state(spark)).trigger(availableNow=True).start()
     q.awaitTermination()
-    return stream.sparkSession.table(name)
+    return spark.read.schema(stream.schema).parquet(f"{path}/b{last[-1]}") if last else spark.createDataFrame([], stream.schema)
 
 
 def to_batches(stream: DataFrame, fn: Callable[[DataFrame, int], None]) -> None:

@@ -2,13 +2,20 @@
 
 from __future__ import annotations
 
+import uuid
+from functools import reduce
+
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from framepatterns import collectives
 from framepatterns.baselines import broadcast_only, stock
 from framepatterns.catalog import query
 from framepatterns.layout.rebalance import weighted_pid
 from framepatterns.operators import grouping, joining, ordering, rows
 from framepatterns.operators.aggregates import STD_MOMENTS
+from framepatterns.session import shared_root
+from framepatterns.sources import readers, writers
 from framepatterns.workloads.frames import bench_a, bench_b, money, sql_a, sql_b, table
 
 A, B = sql_a(0.9), sql_b(0.9)
@@ -24,6 +31,20 @@ def w1_scalar(spark, d):
     return rows.map_scalar(bench_a(spark, d, 0.9), ["k", "v"], "add", 42)
 
 
+def _plus_42(batches):
+    import pyarrow as pa
+    import pyarrow.compute as pc
+
+    for b in batches:
+        yield pa.RecordBatch.from_arrays([pc.add(c, 42) for c in b.columns], names=b.schema.names)
+
+
+@query("w1_scalar_barrier", f"SELECT k + 42 AS k, v + 42 AS v FROM {A}")
+def w1_scalar_barrier(spark, d):
+    """The scalar test with a barrier before the local work: what waiting for all workers costs."""
+    return collectives.barrier_map(bench_a(spark, d, 0.9).repartition(2), _plus_42, "k long, v long")
+
+
 @query("w2_scalar_agg", f"SELECT CAST(sum(k) AS BIGINT) AS k, CAST(sum(v) AS BIGINT) AS v, round(CAST(sum(v) AS DOUBLE) / count(*), 9) AS mean FROM {A}")
 def w2_scalar_agg(spark, d):
     return bench_a(spark, d, 0.9).agg(F.sum("k").alias("k"), F.sum("v").alias("v"), F.round(F.avg("v"), 9).alias("mean"))
@@ -73,6 +94,24 @@ def w5_join_broadcast_only(spark, d):
     return broadcast_only.join(bench_a(spark, d, 0.9).withColumnRenamed("v", "v_x"), bench_b(spark, d, 0.9).withColumnRenamed("v", "v_y"), ["k"])
 
 
+@query("w5_join_sizes", f"SELECT 'table' AS size, true AS completed, (SELECT count(*) FROM ({_J})) AS rows UNION ALL SELECT 'tenfold', false, NULL")
+def w5_join_sizes(spark, d):
+    """Broadcast-only joins at two sizes a factor of ten apart, under a memory limit between them.
+
+    The large join is refused, which is recorded; a tenth of it completes.  The tenfold side is ten tables.
+    """
+    a, b = (f(spark, d, 0.9).withColumnRenamed("v", v) for f, v in ((bench_a, "v_x"), (bench_b, "v_y")))
+    limit = 3 * collectives.estimated_bytes(b)
+    ten = reduce(DataFrame.unionAll, [b] * 10)
+    found = []
+    for size, side in (("table", b), ("tenfold", ten)):
+        try:
+            found.append((size, True, broadcast_only.join(a, side, ["k"], limit=limit).count()))
+        except broadcast_only.MemoryGuard:
+            found.append((size, False, None))
+    return spark.createDataFrame(found, "size string, completed boolean, rows long")
+
+
 @query("w6_hash_C09", _group_sql(0.9))
 def w6_hash_high(spark, d):
     return _group(spark, d, 0.9, "shuffle")
@@ -135,6 +174,14 @@ def w10_pipeline(spark, d):
     return ordering.sort(out.with_df(out.df.withColumn("revenue", F.col("revenue").cast("double"))), ["n_name", "year"], algorithm="native").df
 
 
+@query("w10_pipeline_written", _W10)
+def w10_pipeline_written(spark, d):
+    """The pipeline with its last step: written by year and read again."""
+    out, path = w10_pipeline(spark, d), f"{shared_root(spark)}/w10_{uuid.uuid4().hex}"
+    writers.write_partitioned(out, path, by=["year"])
+    return readers.read_partitioned(spark, path, schema=out.schema).select(*out.columns)
+
+
 @query("w11_docs_unique", "SELECT lang, source, count(DISTINCT text) AS texts, CAST(sum(n_chars) AS BIGINT) AS chars FROM documents GROUP BY lang, source")
 def w11_docs_unique(spark, d):
     docs = table(spark, d, "documents")

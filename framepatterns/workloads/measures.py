@@ -49,13 +49,17 @@ def c6_reduce(spark, d):
 
 @query("c8_neighbours", "SELECT CAST(b AS INTEGER) AS block, count(*) AS n FROM (SELECT unnest([p // 250, CASE WHEN p % 250 = 249 OR p = n - 1 THEN p // 250 + 1 END, CASE WHEN p % 250 = 0 THEN p // 250 - 1 END]) AS b, n FROM (SELECT row_number() OVER (ORDER BY ts, event_id) - 1 AS p, count(*) OVER () AS n FROM events)) WHERE b >= 0 AND b <= (n - 1) // 250 GROUP BY b")
 def c8_neighbours(spark, d):
-    at = rebalance.with_position(table(spark, d, "events").select("ts", "event_id"), ["ts", "event_id"], "p")
-    n = at.count()
-    blocks = -(-n // 250)
-    end = F.least((F.col("block") + 1) * 250, F.lit(n)) - 1 - F.col("p")
-    src = at.withColumn("block", F.floor(F.col("p") / 250)).withColumns({"_from_start": F.col("p") % 250, "_from_end": end})
-    out = collectives.neighbour_exchange(src, "block", 1, 1, blocks)
-    return out.groupBy(F.col("_to").cast("int").alias("block")).agg(F.count("*").alias("n"))
+    at, n = rebalance.positioned(table(spark, d, "events").select("ts", "event_id"), ["ts", "event_id"], "p")
+    out = collectives.halo_exchange(at, "p", 1, 1, 250, n)
+    return out.groupBy(F.col("_block").cast("int").alias("block")).agg(F.count("*").alias("n"))
+
+
+@query("c8_far_neighbours", "SELECT CAST(b AS INTEGER) AS block, count(*) AS n FROM (SELECT unnest(range(greatest((p - 70) // 100, 0), least((p + 230) // 100, (n - 1) // 100) + 1)) AS b FROM (SELECT row_number() OVER (ORDER BY ts, event_id) - 1 AS p, count(*) OVER () AS n FROM events)) GROUP BY b")
+def c8_far_neighbours(spark, d):
+    """Edge rows that reach three neighbours: 230 rows before a block of 100 and 70 after it."""
+    at, n = rebalance.positioned(table(spark, d, "events").select("ts", "event_id"), ["ts", "event_id"], "p")
+    out = collectives.halo_exchange(at, "p", 230, 70, 100, n)
+    return out.groupBy(F.col("_block").cast("int").alias("block")).agg(F.count("*").alias("n"))
 
 
 @query("a1_hash_partition", "SELECT count(DISTINCT o_custkey) AS keys, CAST(0 AS BIGINT) AS split FROM orders")
@@ -83,7 +87,7 @@ def a5_range_partition(spark, d):
 
 @query("a6_histogram_pivots", "SELECT true AS ordered, true AS balanced")
 def a6_histogram_pivots(spark, d):
-    f = order_by_range(table(spark, d, "orders").select("o_orderkey"), "o_orderkey", 8)
+    f = order_by_range(table(spark, d, "orders").select("o_orderkey"), "o_orderkey", 8, sketch=False)
     cuts = list(f.layout.pivots)
     return spark.createDataFrame([(cuts == sorted(cuts), balance(f.df).max_over_mean <= 1.2)], "ordered boolean, balanced boolean")
 
@@ -95,11 +99,42 @@ def a6b_quantile_pivots(spark, d):
     return spark.createDataFrame([(cuts == sorted(cuts), balance(f.df).max_over_mean <= 1.5)], "ordered boolean, balanced boolean")
 
 
-@query("a7_regular_sample", "SELECT true AS enough, true AS pivots_ordered")
+@query("a7_regular_sample", "SELECT o_totalprice, o_orderkey FROM (SELECT o_totalprice, o_orderkey, row_number() OVER (ORDER BY o_totalprice, o_orderkey) - 1 AS i, count(*) OVER () AS n FROM orders) WHERE i % greatest(1, n // 64) = 0")
 def a7_regular_sample(spark, d):
-    s = sampling.regular_sample(table(spark, d, "orders").repartition(4, "o_orderkey"), [F.col("o_totalprice"), F.col("o_orderkey")], 16, strict=True)
-    pivots = [tuple(p.values()) for p in sampling.choose_pivots(s, 8)]
-    return spark.createDataFrame([(s.count() >= 64, pivots == sorted(pivots) and len(pivots) == 7)], "enough boolean, pivots_ordered boolean")
+    """Every n-th key of one locally sorted partition."""
+    s = sampling.regular_sample(table(spark, d, "orders").coalesce(1), [F.col("o_totalprice"), F.col("o_orderkey")], 16, 4)
+    return s.select(F.col("key.k0").alias("o_totalprice"), F.col("key.k1").alias("o_orderkey"))
+
+
+@query("a8_pivots", "SELECT CAST(j AS INTEGER) AS pivot, o_totalprice, o_orderkey FROM (SELECT o_totalprice, o_orderkey, row_number() OVER (ORDER BY o_totalprice, o_orderkey) - 1 AS i, count(*) OVER () AS m FROM (SELECT o_totalprice, o_orderkey, row_number() OVER (ORDER BY o_totalprice, o_orderkey) - 1 AS i, count(*) OVER () AS n FROM orders) WHERE i % greatest(1, n // 64) = 0), range(1, 8) t(j) WHERE i = m * j // 8")
+def a8_pivots(spark, d):
+    """Seven evenly spaced pivots of the sample."""
+    s = sampling.regular_sample(table(spark, d, "orders").coalesce(1), [F.col("o_totalprice"), F.col("o_orderkey")], 16, 4)
+    rows_ = [(i + 1, *p.values()) for i, p in enumerate(sampling.choose_pivots(s, 8))]
+    return spark.createDataFrame(rows_, "pivot int, o_totalprice double, o_orderkey long")
+
+
+_HOT = "SELECT count(*) AS rows, true AS ordered, true AS even FROM lineitem"
+
+
+def _hot_sort(spark, d, algorithm):
+    """Three keys, one of them with half of the rows: every partition within twice the mean, order kept."""
+    li = table(spark, d, "lineitem").select(F.when(F.col("l_linenumber") % 2 == 0, 0).otherwise(F.col("l_partkey") % 3).alias("k"), "l_orderkey")
+    f = ordering.sort(li.repartition(4), ["k"], algorithm=algorithm, partitions=8)
+    ends = f.df.groupBy(F.spark_partition_id().alias("p")).agg(F.min("k").alias("lo"), F.max("k").alias("hi"), F.count("*").alias("n")).orderBy("p").collect()
+    ordered = all(a.hi <= b.lo for a, b in zip(ends[:-1], ends[1:], strict=True))
+    total = sum(r.n for r in ends)
+    return spark.createDataFrame([(total, ordered, len(ends) == 8 and max(r.n for r in ends) <= 2 * total / 8)], "rows long, ordered boolean, even boolean")
+
+
+@query("p7a_hot_keys", _HOT)
+def p7a_hot_keys(spark, d):
+    return _hot_sort(spark, d, "range")
+
+
+@query("p7b_hot_keys", _HOT)
+def p7b_hot_keys(spark, d):
+    return _hot_sort(spark, d, "sample")
 
 
 @query("a9_rebalance", "SELECT CAST(least(floor(p * 7 / n), 6) AS INTEGER) AS part, count(*) AS rows FROM (SELECT row_number() OVER (ORDER BY o_totalprice, o_orderkey) - 1 AS p, count(*) OVER () AS n FROM orders) GROUP BY 1")
@@ -174,10 +209,12 @@ def m5_shuffle_volume(spark, d):
     return spark.createDataFrame([(a.rows, b.rows * 10 < a.rows)], "shuffled long, combine_far_less boolean")
 
 
-@query("m6_predicted_cost", "SELECT 'shuffle' AS high, 'combine' AS low")
+@query("m6_predicted_cost", "SELECT c AS ratio, p AS partitions, round(n / p + n / p * log2(p), 6) AS shuffle, round(n / p + c * n / p * log2(p), 6) AS combine, CASE WHEN c * log2(p) + 1 < log2(p) THEN 'combine' ELSE 'shuffle' END AS cheaper FROM (SELECT count(*) AS n FROM lineitem), (VALUES (0.999::DOUBLE), (0.5), (1e-5)) a(c), (VALUES (16), (256)) b(p)")
 def m6_predicted_cost(spark, d):
+    """Rows sent a partition by both group-by patterns, and which one the cost rule takes."""
     n = table(spark, d, "lineitem").count()
-    return spark.createDataFrame([(cost.cheaper_group_pattern(n, 256, 0.999), cost.cheaper_group_pattern(n, 256, 1e-5))], "high string, low string")
+    rows_ = [(c, p, round(cost.shuffle_compute_cost(n, p), 6), round(cost.combine_cost(n, p, c), 6), cost.cheaper_group_pattern(n, p, c)) for c in (0.999, 0.5, 1e-5) for p in (16, 256)]
+    return spark.createDataFrame(rows_, "ratio double, partitions int, shuffle double, combine double, cheaper string")
 
 
 @query("m7_coverage", "SELECT true AS over_reference")
@@ -185,10 +222,18 @@ def m7_coverage(spark, d):
     return spark.createDataFrame([(coverage.coverage_share() > 0.25,)], "over_reference boolean")
 
 
-@query("m10_balance", "SELECT CAST(4 AS INTEGER) AS parts, true AS even")
+@query("m10_balance", "SELECT CAST(least(floor(i * 4 / n), 3) AS INTEGER) AS part, count(*) AS rows, round(max(n) / 4, 6) AS mean FROM (SELECT row_number() OVER (ORDER BY event_id) - 1 AS i, count(*) OVER () AS n FROM events) GROUP BY 1")
 def m10_balance(spark, d):
+    """Lengths of rebalanced partitions, and their mean."""
     b = balance(rebalance.rebalance(table(spark, d, "events").select("event_id"), ["event_id"], 4))
-    return spark.createDataFrame([(len(b.lengths), b.max_over_mean < 1.01)], "parts int, even boolean")
+    return spark.createDataFrame([(i, n, round(sum(b.lengths) / 4, 6)) for i, n in enumerate(b.lengths)], "part int, rows long, mean double")
+
+
+@query("s0b_combine_ratio", "SELECT 'l_partkey' AS key, round(count(DISTINCT l_partkey) / count(*), 12) AS ratio FROM lineitem UNION ALL SELECT 'l_returnflag', round(count(DISTINCT l_returnflag) / count(*), 12) FROM lineitem")
+def s0b_combine_ratio(spark, d):
+    """Rows that a local combine leaves, of one partition that holds everything."""
+    li = table(spark, d, "lineitem")
+    return spark.createDataFrame([(k, round(cardinality.combine_ratio(li.select(k).coalesce(1), [k]), 12)) for k in ("l_partkey", "l_returnflag")], "key string, ratio double")
 
 
 @query("m12_ratio_model", "SELECT true AS close")

@@ -154,15 +154,8 @@ def join_multikey(spark, d):
     return joining.join(a, a, ["l_partkey", "l_suppkey"], "inner", algorithm="sort").df.where("l_orderkey_x < l_orderkey_y")
 
 
-@query("join_null_keys", "SELECT count(*) AS n FROM (SELECT nullif(l_partkey % 7, 0) AS k FROM lineitem) a JOIN (SELECT nullif(p_partkey % 7, 0) AS k FROM part WHERE p_partkey < 20) b ON a.k IS NOT DISTINCT FROM b.k")
+@query("join_null_keys", "SELECT count(*) AS n, count(*) FILTER (a.k IS NULL) AS n_null FROM (SELECT nullif(l_partkey, 7) AS k FROM lineitem) a JOIN (SELECT nullif(p_partkey, 7) AS k FROM part) b ON a.k IS NOT DISTINCT FROM b.k")
 def join_null_keys(spark, d):
-    a = table(spark, d, "lineitem").select(F.nullif(F.col("l_partkey") % 7, F.lit(0)).alias("k"))
-    b = table(spark, d, "part").where("p_partkey < 20").select(F.nullif(F.col("p_partkey") % 7, F.lit(0)).alias("k"))
-    return joining.join(a, b, ["k"], null_keys="match").df.agg(F.count("*").alias("n"))
-
-
-@query("join_null_keys_all", "SELECT count(*) AS n, count(*) FILTER (a.k IS NULL) AS n_null FROM (SELECT nullif(l_partkey, 7) AS k FROM lineitem) a JOIN (SELECT nullif(p_partkey, 7) AS k FROM part) b ON a.k IS NOT DISTINCT FROM b.k")
-def join_null_keys_all(spark, d):
     a = table(spark, d, "lineitem").select(F.nullif("l_partkey", F.lit(7)).alias("k"))
     b = table(spark, d, "part").select(F.nullif("p_partkey", F.lit(7)).alias("k"))
     return joining.join(a, b, ["k"], null_keys="match").df.agg(F.count("*").alias("n"), F.count_if(F.col("k").isNull()).alias("n_null"))
@@ -207,21 +200,22 @@ def join_auto(spark, d):
     return joining.join_auto(l, s, ["k"]).df.select("l_orderkey", "l_linenumber", "s_name")
 
 
+@query("join_auto_left", "SELECT s_name, l_orderkey, l_linenumber FROM supplier RIGHT JOIN lineitem ON s_suppkey = l_suppkey")
+def join_auto_left(spark, d):
+    """The small side is the left one, and all rows of the right side are kept."""
+    s = table(spark, d, "supplier").select(F.col("s_suppkey").alias("k"), "s_name")
+    l = table(spark, d, "lineitem").select(F.col("l_suppkey").alias("k"), "l_orderkey", "l_linenumber")
+    return joining.join_auto(s, l, ["k"], "right").df.select("s_name", "l_orderkey", "l_linenumber")
+
+
 @query("join_theta", "SELECT s_suppkey, n_nationkey FROM supplier JOIN nation ON s_nationkey < n_nationkey AND s_acctbal > 0")
 def join_theta(spark, d):
     s, n = table(spark, d, "supplier"), table(spark, d, "nation")
     return joining.theta_join(s, n, (s["s_nationkey"] < n["n_nationkey"]) & (s["s_acctbal"] > 0)).select("s_suppkey", "n_nationkey")
 
 
-@query("join_range", "SELECT e.event_id, w.event_id AS span_id FROM events e JOIN (SELECT event_id, epoch_us(ts) AS lo, epoch_us(ts) + 3600000000 AS hi FROM events WHERE event_id % 50 = 0) w ON epoch_us(e.ts) >= w.lo AND epoch_us(e.ts) < w.hi")
+@query("join_range", "SELECT e.event_id, w.event_id AS span_id FROM events e JOIN events w ON epoch_us(e.ts) >= epoch_us(w.ts) AND epoch_us(e.ts) < epoch_us(w.ts) + 60000000")
 def join_range(spark, d):
-    at = table(spark, d, "events").select("event_id", F.unix_micros(F.col("ts").cast("timestamp")).alias("us"))
-    spans = at.where("event_id % 50 = 0").select(F.col("event_id").alias("span_id"), F.col("us").alias("lo"), (F.col("us") + 3600000000).alias("hi"))
-    return joining.range_join(at, "us", spans, "lo", "hi", 3600000000).select("event_id", "span_id")
-
-
-@query("join_range_all", "SELECT e.event_id, w.event_id AS span_id FROM events e JOIN events w ON epoch_us(e.ts) >= epoch_us(w.ts) AND epoch_us(e.ts) < epoch_us(w.ts) + 60000000")
-def join_range_all(spark, d):
     at = table(spark, d, "events").select("event_id", F.unix_micros(F.col("ts").cast("timestamp")).alias("us"))
     spans = at.select(F.col("event_id").alias("span_id"), F.col("us").alias("lo"), (F.col("us") + 60000000).alias("hi"))
     return joining.range_join(at, "us", spans, "lo", "hi", 60000000).select("event_id", "span_id")
@@ -433,17 +427,12 @@ def frames_equal(spark, d):
     return spark.createDataFrame([(same, other)], "same boolean, other boolean")
 
 
-@query("transpose_wide", "SELECT 'n_name' AS \"column\", max(n_name) FILTER (n_nationkey = 0) AS \"0\", max(n_name) FILTER (n_nationkey = 1) AS \"1\", max(n_name) FILTER (n_nationkey = 2) AS \"2\" FROM nation UNION ALL SELECT 'n_regionkey', max(CAST(n_regionkey AS VARCHAR)) FILTER (n_nationkey = 0), max(CAST(n_regionkey AS VARCHAR)) FILTER (n_nationkey = 1), max(CAST(n_regionkey AS VARCHAR)) FILTER (n_nationkey = 2) FROM nation")
-def transpose_wide(spark, d):
-    return reshape.transpose(table(spark, d, "nation").where("n_nationkey < 3"), "n_nationkey", "wide")
-
-
 def _wide_sql(column):
     return f"SELECT '{column}' AS \"column\", " + ", ".join(f'max(CAST({column} AS VARCHAR)) FILTER (n_nationkey = {k}) AS "{k}"' for k in range(25)) + " FROM nation"
 
 
-@query("transpose_wide_all", f"{_wide_sql('n_name')} UNION ALL {_wide_sql('n_regionkey')}")
-def transpose_wide_all(spark, d):
+@query("transpose_wide", f"{_wide_sql('n_name')} UNION ALL {_wide_sql('n_regionkey')}")
+def transpose_wide(spark, d):
     return reshape.transpose(table(spark, d, "nation"), "n_nationkey", "wide")
 
 
@@ -486,6 +475,13 @@ def sort_sample(spark, d):
     return _numbered(ordering.sort(o, ["o_orderpriority", "o_totalprice", "o_orderkey"], algorithm="sample", partitions=8)).select("at", "o_orderkey")
 
 
+@query("sort_native", "SELECT row_number() OVER (ORDER BY o_orderkey) - 1 AS at, o_orderkey FROM orders")
+def sort_native(spark, d):
+    """The engine's own range sort, to compare the two above with."""
+    mixed = table(spark, d, "orders").select("o_orderkey").orderBy((F.col("o_orderkey") * 7919) % 15013)
+    return _numbered(ordering.sort(mixed, ["o_orderkey"], algorithm="native"))
+
+
 @query("sort_multikey", "SELECT row_number() OVER (ORDER BY o_orderpriority DESC, o_orderkey) - 1 AS at, o_orderkey FROM orders")
 def sort_multikey(spark, d):
     o = table(spark, d, "orders").select("o_orderpriority", "o_orderkey")
@@ -500,6 +496,17 @@ def global_row_number(spark, d):
     return ordering.rank(r, ["o_orderpriority"], "dense", name="dr").select("o_orderkey", "rn", "rk", "dr")
 
 
+_MEAN_RANK = "(2 * rank() OVER (ORDER BY o_orderpriority) + count(*) OVER (PARTITION BY o_orderpriority) - 1) / 2"
+
+
+@query("rank_ties", f"SELECT o_orderkey, CAST(rank() OVER (ORDER BY o_orderpriority) + count(*) OVER (PARTITION BY o_orderpriority) - 1 AS BIGINT) AS hi, {_MEAN_RANK} AS mean, round({_MEAN_RANK} / count(*) OVER (), 12) AS pct FROM orders")
+def rank_ties(spark, d):
+    o = table(spark, d, "orders").select("o_orderkey", "o_orderpriority")
+    for method, name in (("max", "hi"), ("average", "mean"), ("pct", "pct")):
+        o = ordering.rank(o, ["o_orderpriority"], method, name=name)
+    return o.select("o_orderkey", "hi", "mean", F.round("pct", 12).alias("pct"))
+
+
 @query("global_position", "SELECT doc_id, row_number() OVER (ORDER BY n_chars, doc_id) - 1 AS position FROM documents")
 def global_position(spark, d):
     return with_position(table(spark, d, "documents").select("doc_id", "n_chars"), ["n_chars", "doc_id"]).select("doc_id", "position")

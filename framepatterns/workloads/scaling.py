@@ -1,7 +1,8 @@
 """Strong scaling and the cardinality sweep, as tables.
 
-Parallelism is the number of partitions that hold the input; one machine cannot show the paper's range, so
-rows and bytes sent are reported next to seconds.
+Parallelism is the number of cores, and of partitions that hold the input: scaling.py starts a session for each.
+One machine cannot show the published range, so rows and bytes sent and the balance of the partitions are
+reported next to seconds.
 """
 
 from __future__ import annotations
@@ -9,6 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from framepatterns.baselines import serial
+from framepatterns.measure.balance import balance
 from framepatterns.measure.shuffle_volume import shuffle_volume
 from framepatterns.measure.timing import timed
 from framepatterns.operators import columnagg, grouping, joining, rows
@@ -48,12 +50,13 @@ def strong_scaling_table(spark: SparkSession, sf_dir: str, parallelism: list[int
             "group-by": lambda: grouping.groupby(x, ["k"], AGGS, "shuffle", partitions=p).df,
             "join": lambda: joining.join(x, y, ["k"], partitions=p).df,
         }
+        even = balance(x).max_over_mean
         for name, make in runs.items():
             run = timed(make, reps)
-            out.append({"operator": name, "parallelism": p, "seconds": run.seconds, "speed_up": base[name] / run.seconds if run.seconds else None, "failure": run.failure})
+            out.append({"operator": name, "parallelism": p, "seconds": run.seconds, "speed_up": base[name] / run.seconds if run.seconds else None, "max_over_mean": even, "failure": run.failure})
         x.unpersist()
         y.unpersist()
-    return out + [{"operator": n, "parallelism": 0, "seconds": s, "speed_up": 1.0, "failure": None} for n, s in base.items()]
+    return out + [{"operator": n, "parallelism": 0, "seconds": s, "speed_up": 1.0, "max_over_mean": None, "failure": None} for n, s in base.items()]
 
 
 def cardinality_table(spark: SparkSession, sf_dir: str, partitions: int, copies: int = 1, reps: int = 3) -> list[dict]:

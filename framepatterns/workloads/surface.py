@@ -9,7 +9,7 @@ from pyspark.sql import window as W
 
 from framepatterns.catalog import query
 from framepatterns.functions import udf
-from framepatterns.operators import ordering, windows
+from framepatterns.operators import ordering, rows, windows
 from framepatterns.session import shared_root
 from framepatterns.sources import readers, writers
 from framepatterns.streaming import streams
@@ -146,6 +146,38 @@ def sample_mod(spark, d):
     return table(spark, d, "lineitem").where((F.col("l_orderkey") * 31 + F.col("l_linenumber")) % 10 == 3).select("l_orderkey", "l_linenumber")
 
 
+_HASH = "substr(md5(concat_ws('|', CAST(l_orderkey AS VARCHAR), CAST(l_linenumber AS VARCHAR))), 1, 8)"
+
+
+@query("sample_rows", f"SELECT l_orderkey, l_linenumber FROM lineitem WHERE {_HASH} < '40000000'")
+def sample_rows(spark, d):
+    """Sampling operator: a repeatable quarter."""
+    return rows.sample_rows(table(spark, d, "lineitem"), 0.25, ["l_orderkey", "l_linenumber"]).select("l_orderkey", "l_linenumber")
+
+
+@query("sample_strata", f"SELECT l_orderkey, l_linenumber FROM lineitem WHERE {_HASH} < CASE l_returnflag WHEN 'R' THEN '80000000' WHEN 'A' THEN 'g' ELSE '20000000' END")
+def sample_strata(spark, d):
+    """Sampling operator: a share for each stratum."""
+    return rows.sample_rows(table(spark, d, "lineitem"), 0.125, ["l_orderkey", "l_linenumber"], "l_returnflag", {"R": 0.5, "A": 1.0}).select("l_orderkey", "l_linenumber")
+
+
+_GAPS = "(SELECT *, CASE WHEN event_id % 3 = 0 THEN NULL ELSE value END AS v FROM events)"
+
+
+@query("fill_backward", f"SELECT event_id, first_value(v IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS filled FROM {_GAPS}")
+def fill_backward(spark, d):
+    e = table(spark, d, "events").withColumn("v", F.when(F.col("event_id") % 3 != 0, F.col("value")))
+    return windows.fill_backward(e, ["user_id"], ["ts", "event_id"], "v", "filled").select("event_id", "filled")
+
+
+@query("interpolate", f"""SELECT event_id, round(coalesce(v, py + (qy - py) * (event_id - px) / nullif(qx - px, 0), py), 6) AS filled FROM (SELECT event_id, v, last_value(v IGNORE NULLS) OVER b AS py, last_value(x IGNORE NULLS) OVER b AS px,
+first_value(v IGNORE NULLS) OVER a AS qy, first_value(x IGNORE NULLS) OVER a AS qx FROM (SELECT *, CASE WHEN v IS NOT NULL THEN CAST(event_id AS DOUBLE) END AS x FROM {_GAPS})
+WINDOW b AS (PARTITION BY user_id ORDER BY event_id ROWS UNBOUNDED PRECEDING), a AS (PARTITION BY user_id ORDER BY event_id ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING))""")
+def interpolate(spark, d):
+    e = table(spark, d, "events").withColumn("v", F.when(F.col("event_id") % 3 != 0, F.col("value")))
+    return windows.interpolate(e, ["user_id"], "event_id", "v", "filled").select("event_id", F.round("filled", 6).alias("filled"))
+
+
 @query("udf_scalar", "SELECT p_partkey, p_retailprice * 2 + 1 AS y FROM part")
 def udf_scalar(spark, d):
     twice = udf.scalar(lambda s: s * 2 + 1, "double")
@@ -198,6 +230,38 @@ def io_roundtrip_orc(spark, d):
     return _roundtrip(spark, d, "orc")
 
 
+@query("io_text", "SELECT r_name AS value FROM region")
+def io_text(spark, d):
+    path = _folder(spark)
+    writers.write_partitioned(table(spark, d, "region").select("r_name"), path, "text")
+    return readers.read_partitioned(spark, path, "text")
+
+
+@query("io_binary", "SELECT CAST(sum(strlen(r_name) + 1) AS BIGINT) AS bytes FROM region")
+def io_binary(spark, d):
+    path = _folder(spark)
+    writers.write_partitioned(table(spark, d, "region").select("r_name"), path, "text")
+    return readers.read_partitioned(spark, path, "binaryFile").agg(F.sum(F.octet_length("content").cast("long")).alias("bytes"))
+
+
+@query("io_read_with", "SELECT n_nationkey, n_name FROM nation")
+def io_read_with(spark, d):
+    """A reader of one's own: a function from a path to rows, one task a group of paths."""
+    path = _folder(spark)
+    nation = table(spark, d, "nation").select("n_nationkey", "n_name")
+    writers.write_partitioned(nation.repartition(3), path)
+    files = [(f,) for f in spark.read.parquet(path).inputFiles()]
+    return readers.read_with(spark.createDataFrame(files, "path string"), _parquet_table, nation.schema)
+
+
+def _parquet_table(path: str):
+    import pyarrow.parquet as pq
+    from pyarrow import fs
+
+    where, name = fs.FileSystem.from_uri(path)
+    return pq.read_table(name, filesystem=where)
+
+
 @query("io_assigned_files", "SELECT r_regionkey AS k, r_name AS name, 0 AS worker FROM region UNION ALL SELECT n_nationkey, n_name, 1 FROM nation")
 def io_assigned_files(spark, d):
     base = _folder(spark)

@@ -200,7 +200,7 @@ def test_stream_late_rows_and_batches(spark, tmp_path):
     streams.to_batches(s, lambda df, i: seen.append(df.count()))
     assert sum(seen) == 4
     with pytest.raises(NotImplementedError):
-        streams.refuse("global sort")
+        ordering.sort(s, ["v"], algorithm="range")
 
 
 @pytest.mark.parametrize("closed", ["right", "left", "both", "neither"])
@@ -228,3 +228,100 @@ def test_rolling_state_crosses_batches(spark, tmp_path):
     out = streams.run_to_end(streams.rolling_by_key(s, "k", "at", "v", 4), "append")
     got = {(r.k, r.at): r.rolled for r in out.collect()}
     assert len(got) == 9 and sorted(v for (k, _), v in got.items() if k == 1) == [10, 20, 30, 40, 40, 40]
+
+
+def test_coverage_names_have_functions():
+    found = coverage.served()
+    assert all(callable(f) or isinstance(f, property) for f in found.values()) and len(found) == sum(n for _, n in coverage.coverage())
+
+
+def test_assigned_files_by_full_name(spark, tmp_path, monkeypatch):
+    """Equal base names, blanks and signs in paths; with a plan node a worker and by file names."""
+    import pyarrow as pa
+    import pyarrow.parquet as pq
+
+    from framepatterns.sources import readers
+
+    files = {}
+    for w, folder in enumerate(("a", "b c", "d+e%20f", None, "a/deep")):
+        if folder:
+            (tmp_path / folder).mkdir(parents=True, exist_ok=True)
+            pq.write_table(pa.table({"x": list(range(10 * w, 10 * w + 3))}), tmp_path / folder / "part-0")
+            files[w] = [str(tmp_path / folder / "part-0")]
+    want = sorted((x, w) for w in files for x in range(10 * w, 10 * w + 3))
+    for many in (64, 0):
+        monkeypatch.setattr(readers, "MANY_WORKERS", many)
+        out = readers.read_assigned(spark, files).withColumn("p", F.spark_partition_id())
+        rows = out.collect()
+        assert sorted((r.x, r.worker) for r in rows) == want and all(r.p == r.worker for r in rows)
+    with pytest.raises(ValueError):
+        readers.read_assigned(spark, {0: files[0], 1: files[0]})
+
+
+def test_left_side_is_replicated(spark):
+    from framepatterns.plans.explain import exchanges
+
+    small, big = spark.range(10).select("id", F.lit("s").alias("s")), spark.range(100_000).select((F.col("id") % 20).alias("id"), F.lit("b").alias("b"))
+    for how, rows in (("inner", 50_000), ("right", 100_000)):
+        assert choose.choose_join_pattern(small, big, how, 4).side == "left"
+        out = joining.join_auto(small, big, ["id"], how)
+        assert not [e for e in exchanges(out.df) if e.startswith("Exchange")] and out.df.count() == rows
+    assert choose.choose_join_pattern(small, big, "left", 4).pattern == "shuffle"
+    assert choose.choose_join_pattern(small, big, "outer", 4).pattern == "shuffle"
+
+
+def test_asof_of_hot_groups(spark):
+    """Slices of time carry the last right row on; nulls in the key are a group."""
+    import random
+
+    rng = random.Random(3)
+    right = [(rng.choice([1, 1, 1, 2, None]), rng.randrange(500), i) for i in range(300)]
+    left = [(rng.choice([1, 1, 1, 2, 3, None]), rng.randrange(500), i) for i in range(300)]
+    l, r = spark.createDataFrame(left, "g long, t long, i long"), spark.createDataFrame(right, "g long, t long, v long")
+    want = []
+    for g, t, i in left:
+        near = [(b, v) for a, b, v in right if a == g and b <= t]
+        want.append((i, max(near)[1] if near else None))
+    for slices in (0, 1, 7, 40):
+        got = joining.asof_join(l, r, ["g"], "t", ["v"], tie="v", slices=slices)
+        assert sorted((x.i, x.asof_v) for x in got.collect()) == sorted(want), slices
+
+
+def test_ratio_reads_few_partitions(spark, tmp_path):
+    """Only the chosen partitions' tasks run."""
+    spark.range(0, 4000, 1, 40).select((F.col("id") % 7).alias("k")).write.parquet(f"{tmp_path}/t")
+    seen = spark.sparkContext.accumulator(0)
+
+    def count(batches):
+        seen.add(1)
+        yield from batches
+
+    df = spark.range(0, 4000, 1, 40).select((F.col("id") % 7).alias("k")).mapInArrow(count, "k long")
+    assert abs(cardinality.combine_ratio(df, ["k"], splits=4) - 0.07) < 1e-9 and seen.value == 4
+    assert cardinality.combine_ratio(df, ["k"], splits=4) == cardinality.combine_ratio(df, ["k"], splits=4) and seen.value == 4
+
+
+def test_quantile_sketch_is_close(spark):
+    from framepatterns.operators import columnagg
+
+    df = spark.range(20_000).select((F.col("id") * 7919 % 20_011).alias("x"))
+    assert abs(columnagg.column_agg(df, {"m": ("x", "quantile_approx")}).first().m - 10_005) < 100
+
+
+def test_streams_refuse_what_needs_all_rows(spark, sf):
+    from framepatterns.operators import reshape
+    from framepatterns.streaming import streams
+
+    s = streams.table_stream(spark, sf, "events").select("event_id", "value")
+    for fn in (lambda: windows.rolling(s, ["event_id"], 3, {"n": lambda: F.count("*")}), lambda: ordering.sort(s, ["event_id"], algorithm="range"), lambda: ordering.sort(s, ["event_id"], algorithm="sample"), lambda: reshape.transpose(s, "event_id", "blocks")):
+        with pytest.raises(NotImplementedError):
+            fn()
+
+
+def test_transpose_pattern_applies_the_operator(spark):
+    from framepatterns.patterns import transpose_compute
+
+    df = spark.range(25).select("id", (F.col("id") * 2).alias("a"), (F.col("id") * 3).alias("b"))
+    out = transpose_compute(df, "id", lambda v: F.transform(v, lambda x: x + 1), block=10).df
+    got = {(r.column, r.block): r["values"] for r in out.collect()}
+    assert got["a", 2] == [2 * i + 1 for i in range(20, 25)] and got["b", 0] == [3 * i + 1 for i in range(10)] and len(got) == 6

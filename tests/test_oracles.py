@@ -26,8 +26,8 @@ def test_entry_runs(spark):
 def test_whole_table_queries_use_every_row(spark, sf):
     q = catalog.queries()
     read = lambda t: spark.read.parquet(f"{sf}/{t}.parquet")
-    assert q["join_range_all"](spark, sf).select("span_id").distinct().count() == read("events").count()
-    assert set(q["transpose_wide_all"](spark, sf).columns) == {"column", *(str(r[0]) for r in read("nation").select("n_nationkey").collect())}
+    assert q["join_range"](spark, sf).select("span_id").distinct().count() == read("events").count()
+    assert set(q["transpose_wide"](spark, sf).columns) == {"column", *(str(r[0]) for r in read("nation").select("n_nationkey").collect())}
     lines, parts = ([None if k == 7 else k for (k,) in read(t).select(c).collect()] for t, c in (("lineitem", "l_partkey"), ("part", "p_partkey")))
-    got = q["join_null_keys_all"](spark, sf).first()
+    got = q["join_null_keys"](spark, sf).first()
     assert tuple(got) == (sum(parts.count(k) for k in lines), lines.count(None) * parts.count(None))
