@@ -45,7 +45,7 @@ def _plain(name: str) -> str:
 def read_assigned(spark: SparkSession, assignment: dict[int, list[str]], fmt: str = "parquet", schema=None, **options) -> DataFrame:
     """Read files so that partition w holds exactly the rows of worker w's files; adds the column worker.
 
-    Every worker reads its own files and nothing moves; two empty partitions follow the workers'.  With more than MANY_WORKERS workers, where a plan node
+    Every worker reads its own files and nothing moves.  With more than MANY_WORKERS workers, where a plan node
     for each would be too much, rows go to their worker by the full name of their file; a file that no worker has
     is an error.
     """
@@ -57,9 +57,9 @@ def read_assigned(spark: SparkSession, assignment: dict[int, list[str]], fmt: st
         schema = read_partitioned(spark, [p for ps in assignment.values() for p in ps], fmt, schema, **options).schema
     schema = T._parse_datatype_string(schema) if isinstance(schema, str) else schema
     if workers <= MANY_WORKERS:
-        # partitions without rows, which the planner keeps; the last one is dealt otherwise than the workers' single
-        # partitions, since a union of equally dealt frames is free to lay their partitions on top of each other
-        none, last = (spark.range(0, n, 1, n).where(F.rand(0) < -1).select(*[F.lit(None).cast(f.dataType).alias(f.name) for f in schema]) for n in (1, 2))
+        # the frame without partitions is dealt otherwise than the workers' single partitions: a union of equally
+        # dealt frames is free to lay their partitions on top of each other
+        none, last = (spark.createDataFrame(rdd, schema) for rdd in (spark.sparkContext.parallelize([], 1), spark.sparkContext.emptyRDD()))
         parts = [read_partitioned(spark, assignment[w], fmt, schema, **options).coalesce(1) if assignment.get(w) else none for w in range(workers)]
         return reduce(DataFrame.unionAll, [p.withColumn("worker", F.lit(w)) for w, p in enumerate([*parts, last])])
     df = read_partitioned(spark, [p for ps in assignment.values() for p in ps], fmt, schema, **options)
