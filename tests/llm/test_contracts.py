@@ -213,23 +213,73 @@ def test_op4_shared_passages(spark):
     assert max(levels.values()) == 52 and set(levels) == set(range(20, 20 + 48))
 
 
-def test_op5_roles_come_back(spark, sf):
-    truth = spark.read.parquet(f"{sf}/conversations.parquet").collect()
-    got = {(r.conv_id, r.turn): (r.role, r.rendered) for r in registry.op5_chat_turns(spark, sf).collect()}
-    right = sum(got.get((r.conv_id, r.turn)) == (r.role, f"<|{r.role}|>\n{r.text}\n<|end|>") for r in truth)
-    assert right >= 0.97 * len(truth)
+def test_op5_turns_come_back(spark):
+    """Every turn of every held-out conversation at sf0.01, with its text unchanged."""
+    from framepatterns.llm.transcripts import held_out
+    from pyspark.sql import functions as F
+
+    sf = "/root/testdata/sf0.01"
+    truth = spark.read.parquet(f"{sf}/conversations.parquet").withColumn("held", held_out(F.col("conv_id"))).collect()
+    rows = registry.op5_chat_turns(spark, sf).collect()
+    got = {(r.conv_id, r.turn): (r.role, r.rendered) for r in rows}
+    wrong = [r for r in truth if got.get((r.conv_id, r.turn)) != (r.role, f"<|{r.role}|>\n{r.text}\n<|end|>")]
+    held = sum(r.held for r in truth)
+    assert held > 50 and len(rows) == len(truth) == 536
+    assert sum(r.held for r in wrong) <= 0.01 * held and len(wrong) <= 0.01 * len(truth)
+
+
+def test_op5_keeps_the_text(spark, sf):
+    """Lines that look like markers and blank lines inside a turn stay; only the marker that opens a turn goes."""
+    from framepatterns.llm import transcripts as tr
+
+    model = tr.fit(tr.written_turns(spark.read.parquet("/root/testdata/sf0.01/conversations.parquet")))
+    lines = ["", "User: which one?", "A: option one", "B: option two", "Answer: keep this label", "", "Assistant: The first.", "Question: why - is open", "", "User: q: short", ""]
+    df = spark.createDataFrame([(1, i, x) for i, x in enumerate(lines)], "conv_id long, pos long, line string")
+    got = [(r.turn, r.role, r.content) for r in tr.parse_lines(df, model).orderBy("pos").collect()]
+    assert got == [(0, "user", "which one?"), (0, "user", "A: option one"), (0, "user", "B: option two"), (0, "user", "Answer: keep this label"), (1, "assistant", "The first."), (1, "assistant", "Question: why - is open"), (2, "user", "q: short"), (2, "user", "")]
+
+    with_blanks = [(c, t, "user" if t % 2 == 0 else "assistant", f"first {t}\n\nsecond para {t}\n\nthird") for c in range(40) for t in range(4)]
+    turns = spark.createDataFrame(with_blanks, "conv_id long, turn long, role string, text string")
+    back = {(r.conv_id, r.turn): r.rendered for r in tr.format_conversations(turns).collect()}
+    kept = [back.get((c, t)) == f"<|{r}|>\n{x}\n<|end|>" for c, t, r, x in with_blanks]
+    assert sum(kept) > 0.6 * len(kept)  # a turn without marker looks like a paragraph here
+    joined = {c: "\n".join(back[k].split("\n", 1)[1].rsplit("\n", 1)[0] for k in sorted(back) if k[0] == c) for c in range(40)}
+    assert all([w for w in joined[c].split() if w != ""] == " ".join(x for d, _, _, x in with_blanks if d == c).split() for c in joined)
+
+
+def _plain_viterbi(model, seen):
+    """The best path by the textbook recursion over all states, without streaming."""
+    from framepatterns.llm.transcripts import Decoder
+
+    d = Decoder(model)
+    emit = lambda o, s: model.marks[s, o[0]] + model.blanks[s, o[1]] + model.feats[s, o[2]]
+    best = [{s: (d.start[s] + emit(seen[0], s), [s]) for s in range(6)}]
+    for o in seen[1:]:
+        best.append({s: max(((v + d.step[a, s] + emit(o, s), [*path, s]) for a, (v, path) in best[-1].items()), key=lambda x: x[0]) for s in range(6)})
+    return max(best[-1].values(), key=lambda x: x[0])
 
 
 def test_op5_streamed_path_is_viterbis():
-    from framepatterns.llm.transcripts import Decoder
+    from framepatterns.llm.transcripts import MARKS, Decoder, Model
 
     rng = np.random.default_rng(5)
-    trans, feats = np.log(rng.dirichlet(np.ones(3), 4)), np.log(rng.dirichlet(np.ones(8), 6))
-    seen = [(int(rng.integers(0, 4)), int(rng.integers(0, 2)), int(rng.integers(0, 8))) for _ in range(700)]
-    short, whole = Decoder(trans, feats, lag=8), Decoder(trans, feats, lag=10**9)
-    a = [s for o in seen for s in short.push(*o)] + short.finish()
-    b = [s for o in seen for s in whole.push(*o)] + whole.finish()
-    assert a == b and len(a) == 700
+    draw = lambda n, k: np.log(rng.dirichlet(np.ones(k), n))
+    model = Model(draw(4, 3), np.log(rng.uniform(0.2, 0.8, 3)), draw(6, MARKS), draw(6, 2), draw(6, 8))
+    seen = [(int(rng.integers(0, 4)), int(rng.integers(0, 2)), int(rng.integers(0, 8))) for _ in range(300)]
+    short = Decoder(model, lag=8)
+    path = [s for o in seen for s in short.push(*o)] + short.finish()
+    assert path == _plain_viterbi(model, seen)[1]
+
+
+def test_op5_counts(spark):
+    """Learnt probabilities are the counts of the lines' states and observations."""
+    from framepatterns.llm import transcripts as tr
+
+    rows = [(1, 0, "user", ["", "User: hi", "there?", "", "more"]), (1, 1, "assistant", ["", "well"]), (2, 0, "system", ["", "System: be"]), (2, 1, "tool", ["", "x"])]
+    m = tr.fit(spark.createDataFrame(rows, "conv_id long, turn long, role string, lines array<string>"))
+    assert np.allclose(np.exp(m.marks[1]), np.array([0.5, 0.5, 1.5, 0.5]) / 3) and np.allclose(np.exp(m.marks[2]), np.array([1.5, 0.5, 0.5, 0.5]) / 3)
+    assert np.allclose(np.exp(m.blanks[4]), np.array([1.5, 1.5]) / 3) and np.allclose(np.exp(m.blanks[1]), np.array([0.5, 1.5]) / 2)
+    assert np.allclose(np.exp(m.stay), [0.25, 2.5 / 4, 0.25]) and np.allclose(np.exp(m.trans[2]), np.array([0.5, 0.5, 1.5]) / 2.5)
 
 
 def test_op6_finds_planted_items(spark, sf, docs):
