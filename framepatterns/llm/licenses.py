@@ -1,9 +1,14 @@
 """Licence scans with DataFrame functions only.
 
-Segments of a text (lines and sentences) that speak of licences are compared with licence notices by the
-cosine of their TF-IDF vectors; document frequencies come from all documents.  So are blocks of lines joined,
-as headers are wrapped, and whole texts are compared with full licence texts.  A text without a notice of its
-own inherits the licence of the nearest ancestor directory that holds a licence file.
+Texts are compared with licence notices and licence texts by the cosine of their sparse TF-IDF vectors; document
+frequencies of all terms come from all documents.  Three kinds of segments are compared: lines and sentences, and
+blocks of lines joined (headers are wrapped) with notices, and whole texts with full licence texts.  A file without a
+licence of its own inherits that of the nearest ancestor directory that holds a licence file.
+
+The search is exact and in two steps.  A segment that reaches a cosine shares one of the template's heaviest terms,
+so segments without any of them are passed over; the rest is bounded from above by sums that need no vector
+norms, and only segments whose bound reaches the threshold get their exact norm, with the corpus frequency of each
+of their terms.
 """
 
 from __future__ import annotations
@@ -11,11 +16,14 @@ from __future__ import annotations
 import math
 import re
 from collections import Counter
+from dataclasses import dataclass
 from importlib import resources
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from framepatterns.llm.scratch import Scratch
+
 #: Licence notices: fixed values, short forms in common use.
 TEMPLATES = (
     ("MIT", "Released under the MIT License."),
@@ -34,6 +42,7 @@ TEMPLATES = (
     ("CC0-1.0", "To the extent possible under law, the author has waived all copyright and related rights to this work. Public domain dedication."),
     ("MPL-2.0", "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0."),
     ("proprietary", "Copyright. All rights reserved. No part of this work may be reproduced without written permission."),
+    ("proprietary", "All rights reserved."),
     # licences and versions that are told apart from the above by one term
     ("GPL-2.0", "This work is licensed under the GNU General Public License, version 2."),
     ("GPL-2.0", "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License, either version 2 of the License, or any later version."),
@@ -51,13 +60,23 @@ TEMPLATES = (
     ("CC-BY-SA-4.0", "This work is licensed under a Creative Commons Attribution-ShareAlike 4.0 International License."),
     ("CC-BY-NC-4.0", "This work is licensed under a Creative Commons Attribution-NonCommercial 4.0 International License."),
 )
-CUE = r"(?i)licen[cs]|copyright|spdx|permission|permitted|redistribut|public domain|rights reserved"
+#: A notice that names its licence by one of these groups of terms is only found where all of the group's terms are.
+NAMES = {
+    "MIT": ("mit",), "Apache-2.0": ("apache",), "MPL-2.0": ("mozilla 2", "mpl 2"), "BSD-3-Clause": ("bsd 3",), "BSD-2-Clause": ("bsd 2",),
+    "GPL-2.0": ("gnu general public 2", "gpl 2"), "GPL-3.0": ("gnu general public 3", "gpl 3"), "AGPL-3.0": ("affero 3", "agpl 3"),
+    "LGPL-2.1": ("lesser 2 1", "lgpl 2 1"), "LGPL-3.0": ("lesser 3", "lgpl 3"),
+    "CC-BY-4.0": ("cc by", "creative commons attribution"), "CC-BY-SA-4.0": ("cc by sa", "sharealike"), "CC-BY-NC-4.0": ("cc by nc", "noncommercial"),
+}
+#: Kinds of segments.
+LINE, HEADER, TEXT = 0, 1, 2
 #: Lines that are empty but for comment marks part blocks.
 BLOCK = r"\n[ \t\r#*/;%!>-]*\n"
 #: Least cosine of a whole text with a full licence text.
 WHOLE = 0.8
 FILE_NAME = r"(?i)(^|/)(un)?(licen[cs]e|copying)[^/]*$"
-BREAK = r"\n|(?<=[.;:!?])[ \t]+(?=[A-Z\"'(])"
+#: Ends of lines and sentences; what follows a colon belongs to it.
+BREAK = r"\n|(?<=[.!?])[ \t]+(?=[A-Z\"'(])"
+SALTS = 16
 
 
 def terms_of(text: str) -> list[str]:
@@ -92,75 +111,126 @@ def _terms(text: Column) -> Column:
     return F.filter(F.split(F.lower(text), "[^a-z0-9]+"), lambda t: t != "")
 
 
-def inverse_frequencies(docs: DataFrame) -> dict[str, float]:
-    """Smoothed inverse document frequency of the vocabulary's terms over all documents; "" stands for any other term."""
-    own = F.array_intersect(F.split(F.lower(F.coalesce("text", F.lit(""))), "[^a-z0-9]+"), F.array(*map(F.lit, VOCABULARY)))
-    marked = docs.select(F.explode(F.concat(F.array(F.lit("")), own)).alias("t"))
-    seen = dict(marked.groupBy("t").count().collect())  # at most one row a term
-    total = seen.get("", 0)
-    return {t: math.log((1 + total) / (1 + seen.get(t, 0))) + 1 for t in VOCABULARY} | {"": math.log(1 + total) + 1}
-
-
-def _unit_vectors(templates, idf: dict[str, float]) -> list[tuple[int, str, str, float]]:
-    """(template, license, term, weight) with weights of norm one."""
-    vectors = []
-    for k, (name, text) in enumerate(templates):
-        w = {t: n * idf[t] for t, n in Counter(terms_of(text)).items()}
-        norm = math.sqrt(sum(v * v for v in w.values()))
-        vectors += [(k, name, t, v / norm) for t, v in sorted(w.items())]
-    return vectors
-
-
-def whole_texts(docs: DataFrame, least: float = WHOLE) -> DataFrame:
-    """(doc_id, license, score): documents whose text as a whole has a cosine of ``least`` or more with a full licence text.
-
-    Terms outside the licences' vocabulary only lengthen a document's vector: they are one row, the root of the
-    sum of their squared counts.
+def term_frequencies(docs: DataFrame) -> DataFrame:
+    """(t, n): in how many documents each term occurs; the empty term counts all documents."""
+    own = F.array_distinct(F.split(F.lower(F.coalesce("text", F.lit(""))), "[^a-z0-9]+"))
+    return docs.select(F.explode(F.concat(F.array(F.lit("")), F.filter(own, lambda t: t != ""))).alias("t")).groupBy("t").agg(F.count("*").alias("n"))
+
+
+def inverse_frequency(n, total: float):
+    """Smoothed inverse document frequency, 1 at least."""
+    if isinstance(n, Column):
+        return F.ln((1.0 + total) / (1.0 + n)) + 1
+    return math.log((1 + total) / (1 + n)) + 1
+
+
+@dataclass(frozen=True)
+class Templates:
+    """Unit vectors of the templates of one kind, with the terms that a segment must share."""
+
+    least: float
+    vectors: list  # (template, license, term, weight, bit of a term that the template requires)
+    required: list  # per template: all bits
+    idf: dict
+    prefix: list  # a segment without any of these terms reaches ``least`` with no template
+
+    @classmethod
+    def weighted(cls, texts: list[tuple[str, str]], idf: dict[str, float], least: float, names: dict | None = None) -> Templates:
+        vectors, required, prefix = [], [], set()
+        for k, (name, text) in enumerate(texts):
+            w = {t: n * idf[t] for t, n in Counter(terms_of(text)).items()}
+            norm = math.sqrt(sum(v * v for v in w.values()))
+            groups = [g.split() for g in (names or {}).get(name, ()) if set(g.split()) <= set(w)]
+            must = groups[0] if groups else []
+            vectors += [(k, name, t, v / norm, 1 << must.index(t) if t in must else 0) for t, v in sorted(w.items())]
+            required.append((1 << len(must)) - 1)
+            rest = 1.0
+            for t, v in sorted(w.items(), key=lambda x: (-x[1], x[0])):
+                if rest < least * least - 1e-9:
+                    break
+                prefix.add(t)
+                rest -= (v / norm) ** 2
+        return cls(least, vectors, required, {t: idf[t] for _, _, t, _, _ in vectors}, sorted(prefix))
+
+
+def _any_of(terms: list[str]) -> str:
+    """A pattern for a text in lower case that has one of the terms as a whole term; branches by first letter."""
+    by: dict[str, list[str]] = {}
+    for t in terms:
+        by.setdefault(t[0], []).append(t[1:])
+    branches = "|".join(f"{c}(?:{'|'.join(sorted(rest))})" for c, rest in sorted(by.items()))
+    return f"(?<![a-z0-9])(?:{branches})(?![a-z0-9])" if terms else "(?!)"
+
+
+def _segments(docs: DataFrame, kinds: dict[int, Templates]) -> DataFrame:
+    """(doc_id, v, kind, k, terms, words) of the segments that share a prefix term with a template of their kind; v is a hash of the text."""
+    low = F.lower(F.col("text"))
+    cut = {LINE: lambda: F.split("text", BREAK), HEADER: lambda: F.split("text", BLOCK), TEXT: lambda: F.array("text")}
+    every = sorted({t for m in kinds.values() for t in m.prefix})
+    found = docs.where(F.regexp(low, F.lit(_any_of(every)))).select("doc_id", "text", F.xxhash64("text").alias("v"), F.size(_terms(F.col("text"))).alias("words"))
+    named = lambda kind: lambda s, i: F.struct(F.lit(kind).alias("kind"), i.alias("k"), F.lower(s).alias("s"))
+    parts = F.concat(*[F.transform(cut[kind](), named(kind)) for kind in kinds])
+    out = found.select("doc_id", "v", "words", F.inline(parts))
+    wanted = F.lit(False)
+    for kind, m in kinds.items():
+        wanted = wanted | ((F.col("kind") == kind) & F.regexp("s", F.lit(_any_of(m.prefix))))
+    return out.where(wanted).select("doc_id", "v", "kind", "k", _terms(F.col("s")).alias("terms"), "words")
+
+
+_SEGMENT = ["doc_id", "v", "kind", "k"]
+
+
+def similar_segments(docs: DataFrame, scratch: Scratch, notice: float = 0.6, whole: float = WHOLE) -> DataFrame:
+    """(doc_id, v, kind, k, n, words, license, score): segments and the templates that they reach the threshold with.
+
+    n is the number of terms in the segment, words that in the document.  A template counts only if the segment
+    has the terms that name its licence.
     """
     spark = docs.sparkSession
-    in_any = lambda t: t.isin(FULL_VOCABULARY)
-    own = F.filter(F.array_distinct(_terms(F.coalesce("text", F.lit("")))), in_any)
-    seen = dict(docs.select(F.explode(F.concat(F.array(F.lit("")), own)).alias("t")).groupBy("t").count().collect())  # at most one row a term
+    frequencies = scratch.save(term_frequencies(docs))
+    seen = dict(frequencies.where(F.col("t").isin([*VOCABULARY, *FULL_VOCABULARY, ""])).collect())  # one row a term of the templates at most
     total = seen.get("", 0)
-    idf = {t: math.log((1 + total) / (1 + seen.get(t, 0))) + 1 for t in FULL_VOCABULARY} | {"": math.log(1 + total) + 1}
-    templates = F.broadcast(spark.createDataFrame(_unit_vectors(FULL_TEXTS.items(), idf), "template int, license string, t string, wt double"))  # fixed size
-    weights = F.broadcast(spark.createDataFrame(sorted(idf.items()), "t string, idf double"))
-
-    def step(acc: Column, t: Column) -> Column:
-        run = F.when(acc["t"] == t, acc["run"] + 1).otherwise(F.lit(1.0))
-        return F.struct(t.alias("t"), run.alias("run"), (acc["sum"] + 2 * run - 1).alias("sum"))
-
-    other = F.array_sort(F.filter("terms", lambda t: ~in_any(t)))
-    squares = F.aggregate(other, F.struct(F.lit("").alias("t"), F.lit(0.0).alias("run"), F.lit(0.0).alias("sum")), step)["sum"]
-    texts = docs.where(F.regexp("text", F.lit(CUE))).select("doc_id", F.xxhash64("text").alias("v"), _terms(F.col("text")).alias("terms"))
-    texts = texts.select("doc_id", "v", F.sqrt(squares).alias("rest"), F.explode(F.concat(F.array(F.lit("")), F.filter("terms", in_any))).alias("t"))
-    tf = texts.groupBy("doc_id", "v", "t").agg(F.count("*").alias("n"), F.max("rest").alias("rest")).join(weights, "t")
-    tf = tf.withColumn("w", F.col("n") * F.col("idf") * F.when(F.col("t") == "", F.col("rest")).otherwise(1.0))
-    norms = tf.groupBy("doc_id", "v").agg(F.sqrt(F.sum(F.col("w") * F.col("w"))).alias("norm"))
-    dots = tf.join(templates, "t").groupBy("doc_id", "v", "template", "license").agg(F.sum(F.col("w") * F.col("wt")).alias("dot"))
-    close = dots.join(norms, ["doc_id", "v"]).withColumn("score", F.round(F.col("dot") / F.col("norm"), 6)).where(F.col("score") >= least)
-    return close.groupBy("doc_id").agg(F.max(F.struct("score", (-F.col("template")).alias("order"), "license")).alias("b")).select("doc_id", "b.license", "b.score")
-
-
-def notices(docs: DataFrame, least: float = 0.6, parts: str = BREAK) -> DataFrame:
-    """(doc_id, license, score, share): each document's best notice with a cosine of ``least`` or more.
-
-    Segments are what ``parts`` cuts: lines and sentences, or BLOCKs.  share is the part of the document's words that lie in segments of that cosine.
+    idf = {t: inverse_frequency(seen.get(t, 0), total) for t in {*VOCABULARY, *FULL_VOCABULARY}}
+    kinds = {LINE: Templates.weighted(list(TEMPLATES), idf, notice, NAMES)}
+    kinds |= {HEADER: kinds[LINE], TEXT: Templates.weighted(list(FULL_TEXTS.items()), idf, whole)}
+
+    # templates travel to every task; their size is fixed
+    rows = [(kind, t, idf[t], k, name, w, bit, kinds[kind].required[k]) for kind in kinds for k, name, t, w, bit in kinds[kind].vectors]
+    templates = F.broadcast(spark.createDataFrame(rows, "kind int, t string, idf double, template int, license string, wt double, bit long, required long"))
+    limits = F.element_at(F.array(*[F.lit(kinds[k].least) for k in sorted(kinds)]), F.col("kind") + 1)
+
+    tokens = _segments(docs, kinds).select(*_SEGMENT, "words", F.size("terms").alias("n"), F.explode("terms").alias("t"))
+    shared = tokens.join(templates, ["kind", "t"]).groupBy(*_SEGMENT, "template", "license", "required", "n", "words").agg(F.sum(F.col("idf") * F.col("wt")).alias("dot"), F.sum(F.col("idf") * F.col("idf") - 1).alias("more"), F.bit_or("bit").alias("bits"))
+    # a term that comes tf times adds (tf * idf) ** 2 >= tf * idf ** 2 to the squared norm, and idf >= 1
+    bound = F.col("dot") / F.sqrt(F.col("n") + F.col("more"))
+    close = scratch.save(shared.where((F.col("bits") == F.col("required")) & (bound >= limits - 1e-9)).select(*_SEGMENT, "template", "license", "n", "words", "dot"))
+
+    renamed = {c: f"_{c}" for c in _SEGMENT}
+    same = F.col("doc_id").eqNullSafe(F.col("_doc_id")) & (F.col("v") == F.col("_v")) & (F.col("kind") == F.col("_kind")) & (F.col("k") == F.col("_k"))
+    mine = close.select(*_SEGMENT).distinct().withColumnsRenamed(renamed)
+    tf = _segments(docs, kinds).join(mine, same, "left_semi").select(*_SEGMENT, F.explode("terms").alias("t")).groupBy(*_SEGMENT, "t").agg(F.count("*").alias("c"))
+    weighed = tf.join(frequencies.withColumnRenamed("n", "df"), "t").withColumn("w", F.col("c") * inverse_frequency(F.col("df").cast("double"), float(total)))
+    norms = weighed.groupBy(*_SEGMENT).agg(F.sqrt(F.sum(F.col("w") * F.col("w"))).alias("norm"))
+    out = close.join(norms.withColumnsRenamed(renamed), same)
+    # rows of one id and one text were added up in dot and in norm alike
+    out = out.withColumn("score", F.round(F.col("dot") / F.col("norm"), 6)).where(F.col("score") >= limits)
+    return out.select(*_SEGMENT, F.col("n").cast("long").alias("n"), F.col("words").cast("long").alias("words"), "license", "score")
+
+
+def own_licenses(docs: DataFrame, scratch: Scratch, notice: float = 0.6, whole: float = WHOLE) -> DataFrame:
+    """(doc_id, v, license, score, share) for each document text with a licence of its own.
+
+    The full text that it is as a whole, or else its best notice; licences of equal score are all named, in
+    order, with " OR " between them.  share is the part of its words in notices, 1 for a full text.
     """
-    spark, idf = docs.sparkSession, inverse_frequencies(docs)
-    templates = F.broadcast(spark.createDataFrame(_unit_vectors(TEMPLATES, idf), "template int, license string, t string, wt double"))  # fixed size
-    weights = F.broadcast(spark.createDataFrame([(t, idf[t]) for t in VOCABULARY], "t string, idf double"))
-    segments = docs.where(F.regexp("text", F.lit(CUE))).select("doc_id", F.xxhash64("text").alias("v"), F.posexplode(F.split("text", parts)).alias("k", "s"))
-    sizes = segments.groupBy("doc_id", "v").agg(F.sum(F.size(_terms(F.col("s")))).alias("words"))
-    words = segments.where(F.regexp("s", F.lit(CUE))).select("doc_id", "v", "k", F.explode(_terms(F.col("s"))).alias("t"))
-    tf = words.groupBy("doc_id", "v", "k", "t").agg(F.count("*").alias("tf")).join(weights, "t", "left").withColumn("w", F.col("tf") * F.coalesce("idf", F.lit(idf[""])))
-    norms = tf.groupBy("doc_id", "v", "k").agg(F.sqrt(F.sum(F.col("w") * F.col("w"))).alias("norm"), F.sum("tf").alias("n"))
-    dots = tf.join(templates, "t").groupBy("doc_id", "v", "k", "template", "license").agg(F.sum(F.col("w") * F.col("wt")).alias("dot"))
-    close = dots.join(norms, ["doc_id", "v", "k"]).withColumn("score", F.round(F.col("dot") / F.col("norm"), 6)).where(F.col("score") >= least)
-    best = close.groupBy("doc_id", "v", "k").agg(F.max(F.struct("score", (-F.col("template")).alias("order"), "license", "n")).alias("b"))
-    per_doc = best.groupBy("doc_id", "v").agg(F.max(F.struct("b.score", "b.order", "b.license")).alias("b"), F.sum("b.n").alias("n"))
-    out = per_doc.join(sizes, ["doc_id", "v"]).select("doc_id", F.col("b.license").alias("license"), F.col("b.score").alias("score"), (F.col("n") / F.greatest("words", F.lit(1))).alias("share"))
-    return out.groupBy("doc_id").agg(F.max(F.struct("score", "license", "share")).alias("b")).select("doc_id", "b.license", "b.score", "b.share")
+    found = scratch.save(similar_segments(docs, scratch, notice, whole).withColumn("text", F.col("kind") == TEXT))
+    best = found.groupBy("doc_id", "v").agg(F.max(F.struct("text", "score")).alias("b")).select(F.col("doc_id").alias("_d"), F.col("v").alias("_v"), F.col("b.text").alias("_text"), F.col("b.score").alias("_score"))
+    same = F.col("doc_id").eqNullSafe(F.col("_d")) & (F.col("v") == F.col("_v"))
+    top = found.join(best, same & (F.col("text") == F.col("_text")) & (F.col("score") == F.col("_score")))
+    names = top.groupBy("doc_id", "v").agg(F.array_join(F.array_sort(F.collect_set("license")), " OR ").alias("license"), F.max("score").alias("score"))
+    covered = found.groupBy("doc_id", "v", "kind", "k", "n", "words").agg(F.max("score")).groupBy("doc_id", "v", "kind").agg((F.sum("n") / F.greatest(F.max("words"), F.lit(1))).alias("part"))
+    shares = covered.groupBy(F.col("doc_id").alias("_d"), F.col("v").alias("_v")).agg(F.least(F.max("part"), F.lit(1.0)).alias("share"))
+    return names.join(shares, same).select("doc_id", "v", "license", "score", "share")
 
 
 def parent(path: Column) -> Column:
@@ -173,31 +243,41 @@ def ancestors(folder: Column) -> Column:
     return F.transform(F.sequence(F.lit(0), F.size(parts)), lambda n: F.struct(n.alias("depth"), F.array_join(F.slice(parts, 1, n), "/").alias("folder")))
 
 
+def nearest_holders(folders: DataFrame, held: DataFrame) -> DataFrame:
+    """(folder, inherited_from, from_license): the nearest folder at or above each folder that ``held`` (folder, from_license) has.
+
+    Every folder looks up all folders above it.  The root and other folders near it are above many, so look-ups
+    are salted by the folder that asks.
+    """
+    salt = F.pmod(F.xxhash64("folder"), F.lit(SALTS))
+    asked = folders.select(F.col("folder").alias("at"), salt.alias("salt"), F.inline(ancestors(F.col("folder"))))
+    copies = held.withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))))
+    found = asked.join(copies, ["folder", "salt"]).groupBy("at").agg(F.max(F.struct("depth", "folder", "from_license")).alias("b"))
+    return found.select(F.col("at").alias("folder"), F.col("b.folder").alias("inherited_from"), F.col("b.from_license").alias("from_license"))
+
+
 def license_scan(files: DataFrame, least: float = 0.6, file_share: float = 0.2) -> DataFrame:
     """(doc_id, path, own_license, score, license, inherited_from) for every row of ``files`` (doc_id, path, text).
 
-    A document's own licence is the full text that it is as a whole, or else its best notice on a line, in a
-    sentence or in a block of lines.  It is a licence file of its folder if it is a full text, if notices fill
-    ``file_share`` of its words or more, or if it has a licence and the name of a licence file; of
-    several in one folder the best score counts, then the first name.  license is the document's own licence,
-    or else that of the nearest folder at or above its own with a licence file, or null.
+    A file's own licence is the full text that it is as a whole, or else its best notice on a line, in a
+    sentence or in a block of lines (see ``own_licenses``).  It is a licence file of its folder if it is a full
+    text, if notices fill ``file_share`` of its words or more, or if it has a licence and the name of a licence
+    file; of several in one folder the best score counts, then the last name.  license is the file's own
+    licence, or else that of the nearest folder at or above its own with a licence file, or null.
 
-    Null and empty texts have no notice of their own; a null path is the root.  Rows that repeat a doc_id
-    share the best notice among them and come back each.  An empty table gives an empty result.
+    Null and empty texts have no licence of their own; a null path is the root.  Texts are read whole, however
+    long.  Rows that repeat a doc_id come back each, with the licence of their own text; a null doc_id is an id
+    like others.  An empty table gives an empty result; other columns are ignored.
     """
     docs = files.select("doc_id", F.coalesce("path", F.lit("")).alias("path"), F.col("text").cast("string").alias("text"))
-    ranked = [notices(docs, least, cut).withColumn("rank", F.lit(k)) for k, cut in enumerate((BLOCK, BREAK))]
-    ranked.append(whole_texts(docs).withColumn("share", F.lit(1.0)).withColumn("rank", F.lit(2)))
-    found = ranked[0].unionByName(ranked[1]).unionByName(ranked[2])
-    first = F.max(F.struct((F.col("rank") == 2).alias("whole"), "score", "rank", "license"))
-    own = found.groupBy("doc_id").agg(first.alias("b"), F.max("share").alias("share")).select("doc_id", "b.license", "b.score", "share")
-    thin = docs.select("doc_id", "path", parent(F.col("path")).alias("folder"))
-    holders = thin.join(own, "doc_id").where((F.col("share") >= file_share) | F.regexp("path", F.lit(FILE_NAME)))
-    held = holders.groupBy("folder").agg(F.max(F.struct("score", "license")).alias("b")).select("folder", F.col("b.license").alias("from_license"))
-    folders = thin.select("folder").distinct()
-    above = folders.select(F.col("folder").alias("at"), F.inline(ancestors(F.col("folder"))))
-    nearest = above.join(held, "folder").groupBy("at").agg(F.max(F.struct("depth", "folder", "from_license")).alias("b")).select(F.col("at").alias("folder"), F.col("b.folder").alias("inherited_from"), F.col("b.from_license").alias("from_license"))
-    out = thin.join(own, "doc_id", "left").join(nearest, "folder", "left")
+    scratch = Scratch(files.sparkSession, "licenses")
+    own = scratch.save(own_licenses(docs, scratch, least)).withColumnsRenamed({"doc_id": "_doc_id", "v": "_v"})
+    thin = docs.select("doc_id", "path", F.xxhash64("text").alias("v"), parent(F.col("path")).alias("folder"))
+    own_of = F.col("doc_id").eqNullSafe(F.col("_doc_id")) & (F.col("v") == F.col("_v"))
+    holders = thin.join(own, own_of).where((F.col("share") >= file_share) | F.regexp("path", F.lit(FILE_NAME)))
+    held = scratch.save(holders.groupBy("folder").agg(F.max(F.struct("score", "license")).alias("b")).select("folder", F.col("b.license").alias("from_license")))
+    nearest = nearest_holders(thin.select("folder").distinct(), held)
+    out = thin.join(own, own_of, "left").join(nearest, "folder", "left")
     has = F.col("license").isNotNull()
     return out.select("doc_id", "path", F.col("license").alias("own_license"), "score", F.coalesce("license", "from_license").alias("license"), F.when(~has, F.col("inherited_from")).alias("inherited_from"))
 
