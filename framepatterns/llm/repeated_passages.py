@@ -21,9 +21,10 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from framepatterns.llm.packing import bucket_bits, bucket_runs
 from framepatterns.llm.scratch import Scratch, bitmap, bound_batches, test_bits
 from framepatterns.llm.words import grams, hashed_rows, mix, sliding_min
 
@@ -32,11 +33,6 @@ FILTER_BITS = 27
 PACK = 1 << 19
 
 
-def bucket_bits(spark: SparkSession) -> int:
-    """Bits of the hash that name a bucket: sixteen buckets a shuffle partition, 4096 at least."""
-    return max(12, (16 * int(spark.conf.get("spark.sql.shuffle.partitions")) - 1).bit_length())
-
-
 def _by_bucket(bucket: np.ndarray) -> Iterator[tuple[int, slice]]:
     """Runs of equal values of a sorted array."""
     cut = np.flatnonzero(np.concatenate(([True], bucket[1:] != bucket[:-1], [True])))
@@ -78,23 +74,9 @@ def _anchors(batches: Iterator[pa.RecordBatch], short: int, length: int, bits: i
         yield pack()
 
 
-def _bucket_runs(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, list[dict]]]:
-    """Rows of one bucket after another, from rows sorted by bucket."""
-    at, rows = None, []
-    for batch in batches:
-        for row in batch.to_pylist():
-            if row["bucket"] != at:
-                if rows:
-                    yield at, rows
-                at, rows = row["bucket"], []
-            rows.append(row)
-    if rows:
-        yield at, rows
-
-
 def _repeated(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Keys that came twice."""
-    for bucket, rows in _bucket_runs(batches):
+    for bucket, rows in bucket_runs(batches):
         low = np.sort(np.frombuffer(b"".join(r["keys"] for r in rows), np.uint32))
         twice = np.unique(low[1:][low[1:] == low[:-1]]).astype(np.int64)
         if twice.size:
@@ -178,7 +160,7 @@ def _later_places(batches: Iterator[pa.RecordBatch], bits: int) -> Iterator[pa.R
         runs = list(_by_bucket(bucket))
         return pa.RecordBatch.from_arrays([pa.array([b for b, _ in runs], pa.int64()), pa.array([doc[r].tobytes() for _, r in runs], pa.binary()), pa.array([pos[r].tobytes() for _, r in runs], pa.binary())], names=["bucket", "doc", "pos"])
 
-    for _, rows in _bucket_runs(batches):
+    for _, rows in bucket_runs(batches):
         h, doc, pos = _unpack(rows)
         if h.size:
             _, doc, pos, later = _settle(h, doc, pos)
@@ -202,7 +184,7 @@ def _later_places(batches: Iterator[pa.RecordBatch], bits: int) -> Iterator[pa.R
 
 def _places_by_document(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """(doc_id, packed places), one row a document."""
-    for _, rows in _bucket_runs(batches):
+    for _, rows in bucket_runs(batches):
         doc, pos = (np.frombuffer(b"".join(r[c] for r in rows), t) for c, t in (("doc", np.int64), ("pos", np.int32)))
         d, p = _removed(doc, pos)
         yield pa.RecordBatch.from_arrays([pa.array(d, pa.int64()), pa.array(p, pa.binary())], names=["doc_id", "places"])

@@ -1,17 +1,20 @@
 """Toxicity by class-conditional Kneser-Ney language models.
 
-Two word-pair models, one of toxic and one of ordinary texts, score every text.  A pair's probability is its
-discounted count in the class (the number of texts that have it), plus the freed mass times the class's word
-probability, which in turn backs off to continuation counts (in how many left contexts a word occurs, counted
-a document) gathered over all documents.  Freed masses and continuation counts are shared by both classes, so
-a word that is rare in both tells next to nothing.  The score follows the difference of the two models'
-log-likelihoods, normalised by length, and the evidence that single words add to it.
+Two word-pair models, one of toxic and one of ordinary texts, give every text a likelihood.  Both discount their
+counts (in how many texts of the class a word or a pair occurs) and hand the freed mass to a shorter context: a
+pair to the class's words, a word to continuation counts that both classes share.  The discount of a count is
+D plus what the count would be if both classes were alike, with SPREAD standard deviations of room.  So an
+expression that is rare, or as frequent in both classes, keeps no mass of its own; it gets the shared backoff in
+both models, and both probabilities agree but for the freed mass.  Each model's probabilities sum to one.
+
+The score is a logistic curve over one number: the difference of the two log-likelihoods divided by the text's
+length.
 
 The class counts come from a bounded sample of labelled rows, about ``rows_per_class`` a class, chosen by the
-hash of doc_id; three quarters of it feed the counts and one quarter fits the four weights of the logistic
-curve that turns likelihoods into a score between 0 and 1.  The shared counts cover every document and are kept
-a word, in a distributed table that grows with the vocabulary.  The sample's words are looked up in it: for any
-other word both classes have the same backoff, which cancels in the difference.
+hash of doc_id; three quarters of it feed the counts and one quarter fits the two weights of the curve.  The
+continuation counts, in how many different left contexts a word occurs in the whole corpus, cover every document;
+they are kept a word, in a distributed table that grows with the vocabulary, and looked up for the words of the
+models.  For any other word the shared backoff cancels in the difference.
 """
 
 from __future__ import annotations
@@ -21,22 +24,19 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from framepatterns.llm.packing import bucket_bits, bucket_runs
 from framepatterns.llm.scratch import Scratch, bound_batches
 from framepatterns.llm.words import hashed_rows, mix
 
-#: Words that a task gathers before it sends their counts on.
-HELD_WORDS = 1 << 19
-DISCOUNT = 0.75
-#: Weight of the word model in every context, in counts: pairs move a probability only where a context is frequent.
-CONTEXT = 300_000.0
-#: Expected count that the backoff gives, in the smaller class, to a word that no document has.
-FLOOR = 1.0
-#: Log-ratio above which a word's evidence is summed.
-STRONG = 2.5
+#: Words that a task gathers before it sends their contexts on, and parts by which a word's contexts are counted.
+HELD_WORDS, PARTS = 1 << 21, 4
+DISCOUNT, SPREAD = 1.0, 3.0
+#: Unit of the difference a word, so that the weights of the curve are of moderate size.
+UNIT = 0.01
 _START = np.uint64(0x51_7C_C1_B7_27_22_0A_95)
 #: Lower case, and ASCII punctuation as white space.
 FOLD = np.arange(256, dtype=np.uint8)
@@ -62,8 +62,17 @@ def _long(x: np.ndarray) -> pa.Array:
     return pa.array(x.astype(np.uint64).view(np.int64))
 
 
-def _class_pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(h, w, t, o): in how many toxic and ordinary sample texts a word pair occurs."""
+def _text_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(h, w, t, o): in how many toxic and ordinary sample texts the word w occurs after h, or (h null) at all."""
+
+    def counted(key: np.ndarray, text: np.ndarray, toxic: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        order = np.lexsort((text, key))
+        k, d = key[order], text[order]
+        new = np.concatenate(([True], k[1:] != k[:-1]))
+        once = new | np.concatenate(([True], d[1:] != d[:-1]))
+        at = np.flatnonzero(new)
+        return order[at], np.add.reduceat((once & toxic[d]).astype(np.int64), at), np.add.reduceat((once & ~toxic[d]).astype(np.int64), at)
+
     for batch in batches:
         toxic = batch.column("toxic").to_numpy().astype(bool)
         for row, end, h, w in hashed_rows(batch.column("text"), fold=FOLD):
@@ -71,88 +80,118 @@ def _class_pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 continue
             text = np.repeat(np.arange(row, end), np.diff(w))
             prev = _previous(h, w)
-            order = np.lexsort((text, h, prev))
-            p, x, d = prev[order], h[order], text[order]
-            pair = np.concatenate(([True], (p[1:] != p[:-1]) | (x[1:] != x[:-1])))
-            once = pair | np.concatenate(([True], d[1:] != d[:-1]))
-            new = np.flatnonzero(pair)
-            t = np.add.reduceat((once & toxic[d]).astype(np.int64), new)
-            o = np.add.reduceat((once & ~toxic[d]).astype(np.int64), new)
-            yield pa.RecordBatch.from_arrays([_long(p[new]), _long(x[new]), pa.array(t), pa.array(o)], names=["h", "w", "t", "o"])
+            one, t1, o1 = counted(h, text, toxic)
+            two, t2, o2 = counted(pair_key(prev, h), text, toxic)
+            before = pa.array([None] * one.size, pa.int64()), _long(prev[two])
+            yield pa.RecordBatch.from_arrays([pa.concat_arrays(before), _long(h[np.concatenate([one, two])]), pa.array(np.concatenate([t1, t2])), pa.array(np.concatenate([o1, o2]))], names=["h", "w", "t", "o"])
 
 
-def _summed(words: list[np.ndarray], counts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
-    keys, at = np.unique(np.concatenate(words), return_inverse=True)
-    return keys, np.bincount(at, np.concatenate(counts), keys.size).astype(np.int64)
+def _contexts(batches: Iterator[pa.RecordBatch], bits: int) -> Iterator[pa.RecordBatch]:
+    """(bucket, words, counts, low, high): the different left contexts of the words of a bucket, packed.
 
+    words and counts say whose contexts follow; a context is named by 40 bits of the pair's hash.  Each word's
+    contexts go to PARTS buckets by their hash, so the contexts of a frequent word are not one task.
+    """
+    words, pairs, held = [], [], 0
+
+    def pack() -> pa.RecordBatch:
+        pair, at = np.unique(np.concatenate(pairs), return_index=True)
+        word = np.concatenate(words)[at]
+        bucket = (mix(word) >> np.uint64(64 - bits)) * np.uint64(PARTS) + pair % np.uint64(PARTS)
+        order = np.lexsort((word, bucket))
+        bucket, word, pair = bucket[order], word[order], pair[order] >> np.uint64(24)
+        new = np.concatenate(([True], (bucket[1:] != bucket[:-1]) | (word[1:] != word[:-1])))
+        first = np.flatnonzero(new)
+        counts = np.diff(np.append(first, word.size)).astype(np.uint32)
+        run = np.flatnonzero(np.concatenate(([True], bucket[first][1:] != bucket[first][:-1], [True])))
+        edges = np.append(first, word.size)
+        ends = list(zip(run[:-1], run[1:], strict=True))
+        own, low, high = word[first], pair.astype(np.uint32), (pair >> np.uint64(32)).astype(np.uint8)
+        part = lambda x, cut: pa.array([x[cut(a) : cut(b)].tobytes() for a, b in ends], pa.binary())
+        return pa.RecordBatch.from_arrays(
+            [pa.array(bucket[first][run[:-1]].astype(np.int64)), part(own, int), part(counts, int), part(low, lambda i: edges[i]), part(high, lambda i: edges[i])],
+            names=["bucket", "words", "counts", "low", "high"],
+        )
 
-def _continuations(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(k, n) per word: distinct left contexts, summed over documents; a word may come several times."""
-    words, counts, held = [], [], 0
     for batch in batches:
-        for row, end, h, w in hashed_rows(batch.column("text"), fold=FOLD):
+        for _, _, h, w in hashed_rows(batch.column("text"), fold=FOLD):
             if not h.size:
                 continue
-            key = pair_key(_previous(h, w), h) + np.repeat(np.arange(end - row, dtype=np.uint64), np.diff(w))
-            k, n = np.unique(h[np.unique(key, return_index=True)[1]], return_counts=True)
-            words.append(k)
-            counts.append(n)
-            held += k.size
-            if held > 2 * HELD_WORDS:
-                k, n = _summed(words, counts)
-                words, counts, held = [k], [n], k.size
-                if held > HELD_WORDS:
-                    yield pa.RecordBatch.from_arrays([_long(k), pa.array(n)], names=["k", "n"])
-                    words, counts, held = [], [], 0
+            words.append(h)
+            pairs.append(pair_key(_previous(h, w), h))
+            held += h.size
+            if held > HELD_WORDS:
+                yield pack()
+                words, pairs, held = [], [], 0
     if held:
-        k, n = _summed(words, counts)
+        yield pack()
+
+
+def _continuations(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(k, n): the number of different contexts of each word of a bucket, from rows sorted by bucket."""
+    for _, rows in bucket_runs(batches):
+        joined = lambda c, t: np.frombuffer(b"".join(r[c] for r in rows), t)  # noqa: E731, B023
+        word = np.repeat(joined("words", np.uint64), joined("counts", np.uint32))
+        pair = joined("low", np.uint32).astype(np.uint64) | joined("high", np.uint8).astype(np.uint64) << np.uint64(32)
+        order = np.lexsort((pair, word))
+        word, pair = word[order], pair[order]
+        k, n = np.unique(word[np.concatenate(([True], (word[1:] != word[:-1]) | (pair[1:] != pair[:-1])))], return_counts=True)
         yield pa.RecordBatch.from_arrays([_long(k), pa.array(n)], names=["k", "n"])
 
 
+def continuation_counts(docs: DataFrame) -> DataFrame:
+    """(k, n): in how many different left contexts each word occurs in all documents; k is the word's hash."""
+    bound_batches(docs.sparkSession)
+    bits = bucket_bits(docs.sparkSession)
+    sent = docs.select(F.col("text").cast("string").alias("text")).mapInArrow(lambda it: _contexts(it, bits), "bucket long, words binary, counts binary, low binary, high binary")
+    counted = sent.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(_continuations, "k long, n long")
+    return counted.groupBy("k").agg(F.sum("n").alias("n"))
+
+
+def _find(keys: np.ndarray, table: np.ndarray, wanted: np.ndarray, missing) -> np.ndarray:
+    if not keys.size:
+        return np.broadcast_to(np.asarray(missing, float), (wanted.size, table.shape[1])).copy()
+    at = np.minimum(np.searchsorted(keys, wanted), keys.size - 1)
+    return np.where((keys[at] == wanted)[:, None], table[at], missing)
+
+
 @dataclass
 class Model:
-    """Sorted key arrays with class columns (toxic, ordinary), and the weights of the logistic curve."""
+    """Sorted keys with columns (toxic, ordinary): what the discounts leave, as shares, and the freed mass.
 
-    words: np.ndarray  # keys; columns of word_counts: count t, o; context total t, o; followers t, o; continuations
-    word_counts: np.ndarray
+    A word's probability is its share plus the class's freed mass times its continuation share; a pair's is its
+    share of the context plus the context's freed mass times the word's probability.
+    """
+
+    words: np.ndarray
+    word_shares: np.ndarray
+    continuation: np.ndarray  # share of all continuations, for each of ``words``
+    freed: np.ndarray  # of the class's words
     pairs: np.ndarray
-    pair_counts: np.ndarray
-    totals: np.ndarray
-    types: np.ndarray
-    continuations: float  # of all words of all documents
+    pair_shares: np.ndarray
+    contexts: np.ndarray
+    context_freed: np.ndarray
     weights: np.ndarray
 
-    def ratios(self, h: np.ndarray, w: np.ndarray) -> np.ndarray:
-        """log P(word | toxic) - log P(word | ordinary) of every word of a batch."""
-
-        def find(keys: np.ndarray, table: np.ndarray, wanted: np.ndarray) -> np.ndarray:
-            if not keys.size:
-                return np.zeros((wanted.size, table.shape[1]))
-            at = np.minimum(np.searchsorted(keys, wanted), keys.size - 1)
-            return np.where((keys[at] == wanted)[:, None], table[at], 0.0)
-
-        prev = _previous(h, w)
-        word, ctx, pair = find(self.words, self.word_counts, h), find(self.words, self.word_counts, prev), find(self.pairs, self.pair_counts, pair_key(prev, h))
-        base = DISCOUNT * self.types.sum() / self.totals.sum() * word[:, 6:] / self.continuations
-        back = np.where(word[:, 6:] > 0, base, FLOOR / self.totals.min())  # a word outside the table: cancels
-        one = np.maximum(word[:, :2] - DISCOUNT, 0) / self.totals + back
-        seen = ctx[:, 2:4]
-        free = (DISCOUNT * ctx[:, 4:6].sum(1) + CONTEXT) / (seen.sum(1) + CONTEXT)
-        two = np.maximum(pair - DISCOUNT, 0) / (seen + CONTEXT) + free[:, None] * one
-        p = np.log(np.maximum(two, 1e-30))
+    def probabilities(self, prev: np.ndarray, h: np.ndarray, continuation: np.ndarray) -> np.ndarray:
+        """P(word | word before) in both classes, given the words' continuation shares."""
+        one = _find(self.words, self.word_shares, h, 0.0) + self.freed * continuation[:, None]
+        return _find(self.pairs, self.pair_shares, pair_key(prev, h), 0.0) + _find(self.contexts, self.context_freed, prev, 1.0) * one
+
+    def differences(self, h: np.ndarray, w: np.ndarray) -> np.ndarray:
+        """log P(word | toxic) - log P(word | ordinary) of every word of a batch.
+
+        Words outside the table have only the shared backoff, which cancels, so their share may be any number.
+        """
+        share = _find(self.words, self.continuation[:, None], h, 1.0)[:, 0]
+        p = np.log(np.maximum(self.probabilities(_previous(h, w), h, share), 1e-300))
         return p[:, 0] - p[:, 1]
 
     def features(self, h: np.ndarray, w: np.ndarray) -> np.ndarray:
-        """Per text: one, the mean log-ratio, the evidence of strongly toxic words, and that of the strongest."""
+        """Per text: one, and the difference of the log-likelihoods divided by the length (0 without words)."""
         n = np.diff(w)
-        r = self.ratios(h, w) if h.size else np.zeros(0)
-        upto = lambda x: (lambda c: c[w[1:]] - c[w[:-1]])(np.concatenate(([0.0], np.cumsum(x))))
-        top = np.zeros(n.size)
-        full = np.flatnonzero(n)
-        if full.size:
-            top[full] = np.maximum.reduceat(r, w[:-1][full])
-        mean = upto(r) / np.maximum(n, 1)
-        return np.stack([np.ones(n.size), np.clip(mean, -5, 5), np.minimum(upto(np.maximum(r - STRONG, 0)), 20) / 4, np.clip(top, 0, 10) / 2], axis=1)
+        c = np.concatenate(([0.0], np.cumsum(self.differences(h, w)))) if h.size else np.zeros(1)
+        return np.stack([np.ones(n.size), (c[w[1:]] - c[w[:-1]]) / np.maximum(n, 1) / UNIT], axis=1)
 
     def scores(self, col: pa.Array) -> np.ndarray:
         out = np.zeros(len(col))
@@ -187,37 +226,53 @@ def train(docs: DataFrame, labels: DataFrame, scratch: Scratch, rows_per_class:
     limit = F.when(F.col("toxic") == 1, F.lit((1 << 30) * min(1.0, rows_per_class / max(counts.get(1, 1), 1)))).otherwise(F.lit((1 << 30) * min(1.0, rows_per_class / max(counts.get(0, 1), 1))))
     chosen = F.broadcast(known.where(draw < limit))  # about 2 * rows_per_class rows, however many labels there are
     sample = scratch.save(docs.select("doc_id", F.col("text").cast("string").alias("text")).join(chosen, "doc_id").withColumn("part", F.pmod(F.xxhash64(F.lit("part"), F.col("doc_id")), F.lit(4))))
-    pairs = scratch.save(sample.where("part > 0").select("text", "toxic").mapInArrow(_class_pairs, "h long, w long, t long, o long").groupBy("h", "w").agg(F.sum("t").alias("t"), F.sum("o").alias("o")))
-
-    as_key = lambda t, c: t.column(c).to_numpy().view(np.uint64)
-    many = pairs.where("t + o >= 2").toArrow()  # a pair seen once is worth a quarter count; its mass stays in the backoff
-    k = pair_key(as_key(many, "h"), as_key(many, "w"))
-    order = np.argsort(k)
-    pair_counts = np.stack([many.column(c).to_numpy().astype(np.float64) for c in ("t", "o")], 1)[order]
-    word = pairs.groupBy(F.col("w").alias("k")).agg(F.sum("t").alias("t"), F.sum("o").alias("o"))
-    context = pairs.groupBy(F.col("h").alias("k")).agg(F.sum("t").alias("ct"), F.sum("o").alias("co"), F.sum((F.col("t") > 0).cast("int")).alias("ft"), F.sum((F.col("o") > 0).cast("int")).alias("fo"))
-    full = word.join(context, "k", "full")
-    sums = word.agg(F.sum("t"), F.sum("o"), F.sum((F.col("t") > 0).cast("int")), F.sum((F.col("o") > 0).cast("int"))).first()
-    cont = scratch.save(docs.select(F.col("text").cast("string").alias("text")).mapInArrow(_continuations, "k long, n long").groupBy("k").agg(F.sum("n").alias("n")))
-    table = full.where("coalesce(t + o, 0) >= 2 or coalesce(ct + co, 0) >= 2").join(cont, "k", "left").na.fill(0).toArrow()
-    wk = as_key(table, "k")
-    worder = np.argsort(wk)
-    word_counts = np.stack([table.column(c).to_numpy().astype(np.float64) for c in ("t", "o", "ct", "co", "ft", "fo", "n")], 1)[worder]
+    counts_of = scratch.save(sample.where("part > 0").select("text", "toxic").mapInArrow(_text_counts, "h long, w long, t long, o long").groupBy("h", "w").agg(F.sum("t").alias("t"), F.sum("o").alias("o")))
 
     num = lambda v: float(v or 0)
-    model = Model(wk[worder], word_counts, k[order], pair_counts, np.array([max(num(sums[0]), 1.0), max(num(sums[1]), 1.0)]), np.array([max(num(sums[2]), 1.0), max(num(sums[3]), 1.0)]), max(num(cont.agg(F.sum("n")).first()[0]), 1.0), np.zeros(4))
+    one = counts_of.where("h is null")
+    sums = [max(num(x), 1.0) for x in one.agg(F.sum("t"), F.sum("o")).first()]
+
+    def kept(count: str, all_: Column, pooled: Column, of_both: Column) -> Column:
+        """What the discount leaves of a class's count; ``all_`` is the class's total, ``of_both`` that of both classes."""
+        alike = all_ * pooled / of_both
+        return F.greatest(F.col(count) - DISCOUNT - alike - SPREAD * F.sqrt(alike), F.lit(0.0))
+
+    total = [F.lit(x) for x in sums]
+    both, all_both = F.col("t") + F.col("o"), F.lit(sum(sums))
+    words = one.select("w", *[kept(c, n, both, all_both).alias(f"k{c}") for c, n in zip("to", total, strict=True)]).where("kt + ko > 0")
+    two = counts_of.where("h is not null")
+    context = two.groupBy(F.col("h").alias("_h")).agg(F.sum("t").alias("ct"), F.sum("o").alias("co"))
+    pairs = two.join(context, F.col("h") == F.col("_h")).select("h", "w", "ct", "co", *[kept(c, F.col(f"c{c}"), both, F.col("ct") + F.col("co")).alias(f"k{c}") for c in "to"]).where("kt + ko > 0")
+    # what is left of counts over a bounded sample is bounded, and fits the driver
+    pairs, words = pairs.toArrow(), scratch.save(words)
+    continuations = scratch.save(continuation_counts(docs))
+    all_continuations = max(num(continuations.agg(F.sum("n")).first()[0]), 1.0)
+    known = scratch.spark.createDataFrame([(int(x),) for x in set(pairs.column("w").to_pylist())], "w long").join(words, "w", "full")
+    table = known.join(continuations, F.col("w") == F.col("k"), "left").select("w", "kt", "ko", "n").na.fill(0).toArrow()
+
+    as_key = lambda t, c: t.column(c).to_numpy().view(np.uint64)
+    both_of = lambda t, a, b: np.stack([t.column(a).to_numpy().astype(np.float64), t.column(b).to_numpy().astype(np.float64)], 1)
+    order = np.argsort(as_key(table, "w"))
+    word_shares = both_of(table, "kt", "ko")[order] / np.array(sums)
+    pair_shares = both_of(pairs, "kt", "ko") / np.maximum(both_of(pairs, "ct", "co"), 1)
+    contexts, at = np.unique(as_key(pairs, "h"), return_inverse=True)
+    used = np.zeros((contexts.size, 2))
+    np.add.at(used, at, pair_shares)
+    keys = pair_key(as_key(pairs, "h"), as_key(pairs, "w"))
+    by_key = np.argsort(keys)
+    model = Model(as_key(table, "w")[order], word_shares, table.column("n").to_numpy()[order] / all_continuations, 1 - word_shares.sum(0), keys[by_key], pair_shares[by_key], contexts, 1 - used, np.zeros(2))
     ship = scratch.spark.sparkContext.broadcast(model)
 
     def measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            x = np.concatenate([ship.value.features(h, w) for _, _, h, w in hashed_rows(batch.column("text"), fold=FOLD)]) if batch.num_rows else np.zeros((0, 4))
-            yield pa.RecordBatch.from_arrays([batch.column("toxic"), *[pa.array(x[:, i]) for i in range(1, 4)]], names=["toxic", "a", "b", "c"])
+            x = np.concatenate([ship.value.features(h, w) for _, _, h, w in hashed_rows(batch.column("text"), fold=FOLD)]) if batch.num_rows else np.zeros((0, 2))
+            yield pa.RecordBatch.from_arrays([batch.column("toxic"), pa.array(x[:, 1])], names=["toxic", "a"])
 
-    fit = sample.where("part = 0").select("text", "toxic").mapInArrow(measure, "toxic int, a double, b double, c double").toArrow()
-    x = np.stack([np.ones(fit.num_rows), *[fit.column(c).to_numpy() for c in "abc"]], 1)
+    fit = sample.where("part = 0").select("text", "toxic").mapInArrow(measure, "toxic int, a double").toArrow()
+    x = np.stack([np.ones(fit.num_rows), fit.column("a").to_numpy()], 1)
     y = fit.column("toxic").to_numpy().astype(np.float64)
     share = counts.get(1, 0) / max(sum(counts.values()), 1)
-    order = np.lexsort((x[:, 3], x[:, 2], x[:, 1], y))  # summation order does not depend on the partitions
+    order = np.lexsort((x[:, 1], y))  # summation order does not depend on the partitions
     model.weights = fit_weights(x[order], y[order])
     if 0 < y.sum() < y.size:  # the sample evens out the classes; the score is for the population
         model.weights[0] += np.log(share / (1 - share)) - np.log(y.mean() / (1 - y.mean()))
@@ -244,7 +299,7 @@ def toxicity(docs: DataFrame, labels: DataFrame, rows_per_class: int = 4000) ->
     Only labels of rows with crc32(doc_id as text) mod 5 <> 0 are learnt from, those with a null label are
     left out, and of several labels of a document the toxic one counts.  Null and empty texts have the score
     of a text without words; without labels every text has the same score.  Labels, language, source and id
-    are no inputs of a score.  Rows that repeat a doc_id come back each; other columns are ignored.
+    are no inputs of a score.  Texts are read whole, a long one like others.  Rows that repeat a doc_id come back each; other columns are ignored.
     """
     scratch = Scratch(docs.sparkSession, "toxicity")
     model = train(docs, labels, scratch, rows_per_class)

@@ -157,46 +157,92 @@ def test_op3_held_out(spark):
     held = [(r.score, labels[r.doc_id]) for r in rows if r.held_out and r.doc_id in labels]
     good = np.mean([(s >= 0.5) == bool(y) for s, y in held])
     pos, neg = [s for s, y in held if y], [s for s, y in held if not y]
-    auc = np.mean([(p > n) + 0.5 * (p == n) for p in pos for n in neg])
-    assert good > 0.95 and auc > 0.9
+    auc = np.mean([(p > n) + 0.5 * (p == n) for p in pos for n in neg])  # the score follows the difference alone
+    print("held-out accuracy and area", good, auc)
+    assert good > 0.97 and auc > 0.94
 
 
-def test_op3_backoff_is_exact_for_every_word(spark):
-    """Words whose hashes agree in their low 16 bits keep counts of their own, and rare ones are not lifted."""
+def _toxic_corpus():
+    rng = np.random.default_rng(3)
+    base = [f"b{i}" for i in range(60)]
+    bad = ["vile", "nasty"]
+    texts = {d: " ".join([*rng.choice(base, 40), *(rng.choice(bad, 3) if d < 60 else []), *(["you", "vile"] if d < 50 else ["you", "b3"])]) for d in range(240)}
+    return texts, {d: int(d < 60) for d in texts}
+
+
+def test_op3_likelihoods_and_sums(spark):
+    """Every probability of both models against plain Python over words, and sums of one over the vocabulary."""
     from framepatterns.llm import toxicity as tx
     from framepatterns.llm.scratch import Scratch
     from framepatterns.llm.words import hashed_rows
+    from pyspark.sql import functions as F
 
-    def hashes(text):
-        return next(hashed_rows(pa.array([text]), fold=tx.FOLD))[2]
-
-    names = [f"q{i}" for i in range(3000)]
-    low = hashes(" ".join(names)) & np.uint64(0xFFFF)
-    order = np.argsort(low, kind="stable")
-    i = np.flatnonzero(low[order][1:] == low[order][:-1])[0]
-    rare, common = names[order[i]], names[order[i + 1]]
-    rng = np.random.default_rng(3)
-    base = [f"b{i}" for i in range(400)]
-    texts = {d: " ".join([*rng.choice(base, 40), *([common] * (d % 2)), *([rare, "b1"] if d in (1, 2, 3, 4) else [])]) for d in range(200)}
-    docs = spark.createDataFrame(list(texts.items()), "doc_id long, text string").repartition(3)
-    labels = spark.createDataFrame([(d, int(d < 60)) for d in texts], "doc_id long, toxic int")
+    texts, toxic = _toxic_corpus()
+    docs = spark.createDataFrame(list(texts.items()), "doc_id long, text string").repartition(5)
+    labels = spark.createDataFrame(list(toxic.items()), "doc_id long, toxic int")
     model = tx.train(docs, labels, Scratch(spark, "t"))
 
-    n = collections.Counter()
-    for t in texts.values():
-        seq = t.split()
-        n.update(b for _, b in set(zip(["", *seq], seq, strict=False)))
-    key = {int(hashes(x)[0]): x for x in n}
-    at = {key[int(k)]: c for k, c in zip(model.words, model.word_counts, strict=True) if k != tx._START}
-    assert {x: c[6] for x, c in at.items()} == {x: n[x] for x in at} and {rare, common} <= set(at)
-    assert model.continuations == sum(n.values())
-    back = tx.DISCOUNT * model.types.sum() / model.totals.sum() * n[rare] / sum(n.values())
-    one = np.maximum(at[rare][:2] - tx.DISCOUNT, 0) / model.totals + back
-    h = hashes(rare)  # alone in its text, a start that no pair of the table has
-    start = next((c for k, c in zip(model.words, model.word_counts, strict=True) if k == tx._START), np.zeros(7))
-    free = (tx.DISCOUNT * start[4:6].sum() + tx.CONTEXT) / (start[2:4].sum() + tx.CONTEXT)
-    want = np.log(free * one)
-    assert abs(model.ratios(h, np.array([0, 1]))[0] - (want[0] - want[1])) < 1e-9
+    part = dict(docs.select("doc_id", F.pmod(F.xxhash64(F.lit("part"), F.col("doc_id")), F.lit(4))).collect())
+    used = [d for d in texts if zlib.crc32(str(d).encode()) % 5 and part[d] > 0]
+    seq = {d: ["", *t.split()] for d, t in texts.items()}
+    links = {p for s in seq.values() for p in zip(s, s[1:], strict=False)}
+    follow = collections.Counter(b for _, b in links)
+    one, two, after = ([collections.Counter(), collections.Counter()] for _ in range(3))
+    for d in used:
+        c = 1 - toxic[d]
+        one[c].update(set(seq[d][1:]))
+        two[c].update(set(zip(seq[d], seq[d][1:], strict=False)))
+    for c in (0, 1):
+        for (a, _), n in two[c].items():
+            after[c][a] += n
+    n_all = [sum(x.values()) for x in one]
+
+    def left(count, own, pooled, both):
+        alike = own * pooled / both
+        return max(count - 1.0 - alike - 3.0 * alike**0.5, 0.0)
+
+    vocabulary = sorted(follow)
+    share = [{w: left(one[c][w], n_all[c], one[0][w] + one[1][w], sum(n_all)) / n_all[c] for w in vocabulary} for c in (0, 1)]
+
+    def word(c, w):
+        return share[c][w] + (1 - sum(share[c].values())) * follow[w] / len(links)
+
+    def context(c, a):
+        own = after[c][a]
+        return {w: left(two[c][a, w], own, two[0][a, w] + two[1][a, w], after[0][a] + after[1][a]) / own for w in vocabulary} if own else {}
+
+    h = next(hashed_rows(pa.array([" ".join(vocabulary)]), fold=tx.FOLD))[2]
+    cont = np.array([follow[w] / len(links) for w in vocabulary])
+    checked = 0
+    for a in ["", "you", "vile", "b7", "never-seen"]:
+        prev = np.full(h.size, tx._START if a == "" else next(hashed_rows(pa.array([a]), fold=tx.FOLD))[2][0])
+        p = model.probabilities(prev, h, cont)
+        assert np.allclose(p.sum(0), 1.0)
+        for c in (0, 1):
+            q = context(c, a)
+            want = [q.get(w, 0.0) + (1 - sum(q.values())) * word(c, w) for w in vocabulary]
+            assert np.allclose(p[:, c], want, rtol=1e-9)
+        checked += any(context(0, a).values())
+    assert checked >= 1 and word(0, "vile") > 2 * word(1, "vile") and abs(np.log(word(0, "b5") / word(1, "b5"))) < 0.5
+
+    counts = {int(r.k) & (2**64 - 1): r.n for r in tx.continuation_counts(docs).collect()}
+    assert {w: counts[int(x)] for w, x in zip(vocabulary, h, strict=True)} == dict(follow) and len(counts) == len(vocabulary)
+
+    text = "you vile b3 nasty b7 unseen"
+    s = ["", *text.split()]
+    x = next(hashed_rows(pa.array([text]), fold=tx.FOLD))
+    got = model.features(x[2], x[3])[0, 1] * tx.UNIT
+    diff = 0.0
+    for a, w in zip(s, s[1:], strict=False):
+        p = []
+        for c in (0, 1):
+            q = context(c, a)
+            lower = word(c, w) if w in follow else (1 - sum(share[c].values())) * 1e-3  # any share: it cancels
+            p.append(q.get(w, 0.0) + (1 - sum(q.values())) * lower)
+        diff += np.log(p[0]) - np.log(p[1])
+    assert abs(got - diff / 6) < 1e-9
+    scores = model.scores(pa.array([text, "b1 b2 b3 b4 b5 b6", "", None]))
+    assert scores[0] > 0.5 > scores[1] and scores[2] == scores[3]
 
 
 def test_op4_shared_passages(spark):
