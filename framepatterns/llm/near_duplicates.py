@@ -7,12 +7,12 @@ similarity.  Candidates share the registers of a band; the similarity of a candi
 joint likelihood of its registers (how many are above, below, equal) given both set sizes; what passes is
 verified on the full shingle sets.
 
-Work stays linear in large groups.  Equal sets are merged first.  Every band, alone and joined with its
-neighbours, links its members to one pivot; the verified links are contracted to components; only pairs of
-one band bucket that lie in different components are compared again, inside the bucket, in blocks of bounded
-size, by a finer sketch that only the texts with candidates have.  Each such pair is emitted once and only if
-its likelihood passes.  So every candidate pair is either verified, or rejected by its likelihood, or already
-inside one component.
+Nothing grows with the square of a group.  Equal sets are merged first.  Every band, alone and joined with its
+neighbours, links its members to one pivot; the verified links are contracted to components.  What is left are
+band buckets with several components.  They are compared block by block, members of the largest component only
+with the others, and the full sets are verified inside the block, so that no pair leaves it but links that join
+two components.  So every candidate pair is either verified, or rejected by its likelihood, or already inside
+one component, and the rows that travel are the open buckets' members, not their pairs.
 """
 
 from __future__ import annotations
@@ -28,31 +28,30 @@ from framepatterns.llm.components import connected_components
 from framepatterns.llm.scratch import Scratch, bitmap, test_bits
 from framepatterns.llm.words import hashed_rows, shingle_set
 
-REGISTERS, BAND, FINE = 96, 4, 768
+REGISTERS, BAND = 96, 4
 BASE, RATE, TOP = 1.001, 20.0, (1 << 16) - 2
-#: The fine sketch has a coarser scale, so that a register takes one byte.
-FINE_BASE, FINE_TOP = 1.12, (1 << 8) - 2
-_MUL = np.random.default_rng(11).integers(1, 1 << 32, FINE, dtype=np.uint32) | np.uint32(1)
-_ADD = np.random.default_rng(12).integers(0, 1 << 32, FINE, dtype=np.uint32)
+_MUL = np.random.default_rng(11).integers(1, 1 << 32, 768, dtype=np.uint32)[:REGISTERS] | np.uint32(1)
+_ADD = np.random.default_rng(12).integers(0, 1 << 32, 768, dtype=np.uint32)[:REGISTERS]
 #: A pair is rejected unverified when its best similarity below the threshold is e**9 times likelier than the threshold.
 REJECT = 9.0
-BLOCK_ROWS = 4096
+#: Members of a bucket and bytes of their sets on one side of a block.
+BLOCK_ROWS, BLOCK_BYTES = 1024, 32 << 20
+#: Documents that are picked by a bit set (of 8 bits each); more are picked by a join.
+FEW = 1 << 24
 
 
-def registers(shingles: np.ndarray, fine: bool = False) -> np.ndarray:
+def registers(shingles: np.ndarray) -> np.ndarray:
     """SetSketch registers of a set of 64-bit shingle hashes (all zero for the empty set); any prefix is a sketch."""
-    count, base, top, kind = (FINE, FINE_BASE, FINE_TOP, np.uint8) if fine else (REGISTERS, BASE, TOP, np.uint16)
     if shingles.size == 0:
-        return np.zeros(count, kind)
+        return np.zeros(REGISTERS, np.uint16)
     h = (shingles >> np.uint64(32)).astype(np.uint32)
-    low = np.full(count, (1 << 32) - 1, np.uint32)
-    step = 2048 * REGISTERS // count
-    for at in range(0, h.size, step):
-        v = h[None, at : at + step] * _MUL[:count, None]
-        v += _ADD[:count, None]
+    low = np.full(REGISTERS, (1 << 32) - 1, np.uint32)
+    for at in range(0, h.size, 2048):
+        v = h[None, at : at + 2048] * _MUL[:, None]
+        v += _ADD[:, None]
         np.minimum(low, v.min(axis=1), out=low)
     x = -np.log1p(-(low.astype(np.float64) + 0.5) / 2.0**32)
-    return np.clip(np.floor(1 - np.log(x / RATE) / np.log(base)), 0, top + 1).astype(kind)
+    return np.clip(np.floor(1 - np.log(x / RATE) / np.log(BASE)), 0, TOP + 1).astype(np.uint16)
 
 
 def merge(a: np.ndarray, b: np.ndarray) -> np.ndarray:
@@ -60,21 +59,21 @@ def merge(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return np.maximum(a, b)
 
 
-def _log_likelihood(j, above, below, n1, n2, count=REGISTERS, base=BASE):
+def _log_likelihood(j, above, below, n1, n2, count=REGISTERS):
     """Log-likelihood of similarity j, given how many registers of the first set are above or below the second's."""
     u, v = n1 / (n1 + n2), n2 / (n1 + n2)
-    p = lambda x: np.clip(-np.log1p(-np.clip(x, 0, 1) * (base - 1) / base) / np.log(base), 1e-6, 1)
+    p = lambda x: np.clip(-np.log1p(-np.clip(x, 0, 1) * (BASE - 1) / BASE) / np.log(BASE), 1e-6, 1)
     up, down = p(u - v * j), p(v - u * j)
     same = np.clip(1 - up - down, 1e-6, 1)
     return above * np.log(up) + below * np.log(down) + (count - above - below) * np.log(same)
 
 
-def likely(above: np.ndarray, below: np.ndarray, n1: np.ndarray, n2: np.ndarray, percent: int, count: int = REGISTERS, base: float = BASE) -> np.ndarray:
+def likely(above: np.ndarray, below: np.ndarray, n1: np.ndarray, n2: np.ndarray, percent: int) -> np.ndarray:
     """False where the registers all but exclude a similarity of ``percent`` or more."""
-    at = _log_likelihood(percent / 100, above, below, n1, n2, count, base)
+    at = _log_likelihood(percent / 100, above, below, n1, n2)
     best = at
     for j in np.linspace(0, percent / 100, 33)[:-1]:
-        best = np.maximum(best, _log_likelihood(j, above, below, n1, n2, count, base))
+        best = np.maximum(best, _log_likelihood(j, above, below, n1, n2))
     return best - at <= REJECT
 
 
@@ -84,6 +83,11 @@ def estimate(a: np.ndarray, b: np.ndarray, n1: int, n2: int) -> float:
     return float(grid[np.argmax(_log_likelihood(grid, int((a > b).sum()), int((a < b).sum()), n1, n2, a.size))])
 
 
+def _name(s: np.ndarray) -> tuple[np.uint64, np.uint64]:
+    """Two hashes that, with the size, name a set."""
+    return np.add.reduce(s * np.uint64(0xD6E8FEB86659FD93)).astype(np.uint64), np.bitwise_xor.reduce(s) if s.size else np.uint64(0)
+
+
 def _sketch(batches: Iterator[pa.RecordBatch], k: int) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         n, fa, fb, regs = [], [], [], []
@@ -91,25 +95,28 @@ def _sketch(batches: Iterator[pa.RecordBatch], k: int) -> Iterator[pa.RecordBatc
             for i in range(end - row):
                 s = shingle_set(h[w[i] : w[i + 1]], k)
                 n.append(s.size)
-                fa.append(np.add.reduce(s * np.uint64(0xD6E8FEB86659FD93)).astype(np.uint64))
-                fb.append(np.bitwise_xor.reduce(s) if s.size else np.uint64(0))
+                a, b = _name(s)
+                fa.append(a)
+                fb.append(b)
                 regs.append(registers(s).tobytes())
-        as_long = lambda x: pa.array(np.array(x, np.uint64).view(np.int64))
-        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n, pa.int64()), as_long(fa), as_long(fb), pa.array(regs, pa.binary())], names=["doc_id", "n", "fa", "fb", "regs"])
+        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n, pa.int64()), _as_long(fa), _as_long(fb), pa.array(regs, pa.binary())], names=["doc_id", "n", "fa", "fb", "regs"])
+
+
+def _as_long(x) -> pa.Array:
+    return pa.array(np.array(x, np.uint64).view(np.int64))
 
 
 def _sets(batches: Iterator[pa.RecordBatch], k: int, wanted) -> Iterator[pa.RecordBatch]:
+    """(n, fa, fb, s): the full sets of the wanted documents."""
     for batch in batches:
-        take = test_bits(wanted.value, batch.column("key").to_numpy().view(np.uint64))
-        rows = batch.filter(pa.array(take))
-        for at in range(0, rows.num_rows, 512):
-            part, out, fine = rows.slice(at, 512), [], []
+        if wanted is not None:
+            batch = batch.filter(pa.array(test_bits(wanted.value, batch.column("key").to_numpy().view(np.uint64))))
+        for at in range(0, batch.num_rows, 512):
+            part, out = batch.slice(at, 512), []
             for row, end, h, w in hashed_rows(part.column("text"), lower=True):
-                for i in range(end - row):
-                    s = shingle_set(h[w[i] : w[i + 1]], k)
-                    out.append(s.tobytes())
-                    fine.append(registers(s, True).tobytes())
-            yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(out, pa.binary()), pa.array(fine, pa.binary())], names=["id", "s", "fine"])
+                out += [shingle_set(h[w[i] : w[i + 1]], k) for i in range(end - row)]
+            names = [_name(s) for s in out]
+            yield pa.RecordBatch.from_arrays([pa.array([s.size for s in out], pa.int64()), _as_long([a for a, _ in names]), _as_long([b for _, b in names]), pa.array([s.tobytes() for s in out], pa.binary())], names=["n", "fa", "fb", "s"])
 
 
 def _verify(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordBatch]:
@@ -155,39 +162,47 @@ def _runs(batches: Iterator[pa.RecordBatch], names: list[str]) -> Iterator[pa.Ta
         yield from cut(pa.Table.from_batches(held).combine_chunks())
 
 
-def _cross_pairs(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordBatch]:
-    """Likely pairs of different components inside each bucket block, each in its first common band only."""
-    xs, ys, have = [], [], 0
+def _cross_links(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordBatch]:
+    """(u, v): links that join components, between the members with home i and those with home j of every block.
+
+    A pair is looked at in its first common band only.  Components that a link joins are one from then on, so a
+    block emits fewer links than it has components.
+    """
     for t in _runs(batches, ["key", "i", "j"]):
-        ids, comp, n, band, home = (t.column(c).to_numpy() for c in ("rep", "comp", "n", "band", "home"))
+        ids, comp, n, band, home = (t.column(c).to_numpy() for c in ("id", "comp", "n", "band", "home"))
         i, j, b = int(t.column("i")[0].as_py()), int(t.column("j")[0].as_py()), int(band[0])
-        regs = np.frombuffer(b"".join(t.column("fine").to_pylist()), np.uint8).reshape(-1, FINE)
-        coarse = np.frombuffer(b"".join(t.column("regs").to_pylist()), np.uint16).reshape(-1, REGISTERS)
-        names, counts = np.unique(comp, return_counts=True)
-        major = names[counts.argmax()]
-        left = np.flatnonzero(home == i) if i != j else np.flatnonzero(comp != major)
+        left, right = np.flatnonzero(home == i), np.flatnonzero(home == j)
+        if not left.size or not right.size:
+            continue
+        regs = np.frombuffer(b"".join(t.column("regs").to_pylist()), np.uint16).reshape(-1, REGISTERS)
+        shingles = np.frombuffer(b"".join(t.column("s").to_pylist()), np.uint64)
+        end = np.cumsum(n)
+        universe, code = np.unique(shingles, return_inverse=True)
+        mark, root = np.zeros(universe.size, bool), np.unique(comp, return_inverse=True)[1]
+        us, vs = [], []
         for r in left:
-            other = (comp != comp[r]) & (100 * np.minimum(n, n[r]) >= percent * np.maximum(n, n[r]))
-            other &= (home == j) if i != j else (comp == major) | (ids > ids[r])
-            c = np.flatnonzero(other)
-            if not c.size:
-                continue
-            if b:
-                same = coarse[c, : b * BAND] == coarse[r, : b * BAND]
+            c = right[(root[right] != root[r]) & (100 * np.minimum(n[right], n[r]) >= percent * np.maximum(n[right], n[r]))]
+            if i == j:
+                c = c[ids[c] > ids[r]]
+            if b and c.size:
+                same = regs[c, : b * BAND] == regs[r, : b * BAND]
                 c = c[~same.reshape(c.size, -1, BAND).all(2).any(1)]
-            for sketch, base in ((coarse, BASE), (regs, FINE_BASE)):
-                if c.size:
-                    up, down = (sketch[r] > sketch[c]).sum(1), (sketch[r] < sketch[c]).sum(1)
-                    c = c[likely(up, down, np.full(c.size, n[r]), n[c], percent, sketch.shape[1], base)]
             if c.size:
-                xs.append(np.full(c.size, ids[r]))
-                ys.append(ids[c])
-                have += c.size
-        if have > 50_000:
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(xs)), pa.array(np.concatenate(ys))], names=["x", "y"])
-            xs, ys, have = [], [], 0
-    if have:
-        yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(xs)), pa.array(np.concatenate(ys))], names=["x", "y"])
+                c = c[likely((regs[r] > regs[c]).sum(1), (regs[r] < regs[c]).sum(1), np.full(c.size, n[r]), n[c], percent)]
+            if not c.size:
+                continue
+            own = code[end[r] - n[r] : end[r]]
+            mark[own] = True
+            starts = np.concatenate(([0], np.cumsum(n[c])[:-1]))
+            common = np.add.reduceat(mark[np.concatenate([code[end[x] - n[x] : end[x]] for x in c])].astype(np.int64), starts)
+            mark[own] = False
+            for x in c[100 * common >= percent * (n[r] + n[c] - common)]:
+                if root[x] != root[r]:
+                    us.append(ids[r])
+                    vs.append(ids[x])
+                    root[root == root[x]] = root[r]
+        if us:
+            yield pa.RecordBatch.from_arrays([pa.array(us, pa.int64()), pa.array(vs, pa.int64())], names=["u", "v"])
 
 
 def _band_keys(width: int) -> list:
@@ -196,6 +211,30 @@ def _band_keys(width: int) -> list:
     return [F.xxhash64(F.lit(width * 1000 + i), F.substring("regs", i * size + 1, size)) for i in range(REGISTERS // (BAND * width))]
 
 
+_CLASS = F.xxhash64  # of n, fa, fb: the id of a class of equal sets
+
+
+def _open_blocks(members: DataFrame, sets: DataFrame) -> DataFrame:
+    """Blocks of the band buckets that hold several components: key, i, j, home and a member with its set.
+
+    A bucket's members outside its largest component are cut into parts, and so are the others.  Parts of the
+    former meet each other and the latter; members of the largest component never meet.
+    """
+    size = F.col("n") * 8
+    rows = members.select("id", "comp", "n", F.posexplode(F.array(*_band_keys(1))).alias("band", "key"))
+    by_comp = rows.groupBy("key", "comp").agg(F.count("*").alias("c"), F.sum(size).alias("b"))
+    per_key = by_comp.groupBy("key").agg(F.max(F.struct("c", "b", "comp")).alias("m"), F.sum("c").alias("c"), F.sum("b").alias("b")).where(F.col("c") > F.col("m.c"))
+    parts = lambda c, b: F.greatest(F.ceil(c / BLOCK_ROWS), F.ceil(b / BLOCK_BYTES)).cast("long")
+    open_ = per_key.select("key", F.col("m.comp").alias("major"), parts(F.col("c") - F.col("m.c"), F.col("b") - F.col("m.b")).alias("few"), parts(F.col("m.c"), F.col("m.b")).alias("many"))
+    at = rows.join(open_, "key")
+    draw, major = F.xxhash64(F.lit("home"), F.col("id")), F.col("comp") == F.col("major")
+    at = at.withColumn("home", F.when(major, F.col("few") + F.pmod(draw, F.col("many"))).otherwise(F.pmod(draw, F.col("few"))))
+    others = F.when(major, F.sequence(F.lit(0).cast("long"), F.col("few") - 1)).otherwise(F.sequence(F.lit(0).cast("long"), F.col("few") + F.col("many") - 1))
+    meets = at.select("key", "band", "id", "comp", "home", F.explode(others).alias("o"))
+    meets = meets.select("key", "band", "id", "comp", "home", F.least("home", "o").alias("i"), F.greatest("home", "o").alias("j"))
+    return meets.join(sets.select("id", "n", "regs", "s"), "id")
+
+
 def near_duplicates(docs: DataFrame, shingle: int = 4, percent: int = 80) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept) for every row of ``docs`` (columns doc_id and text).
 
@@ -204,45 +243,53 @@ def near_duplicates(docs: DataFrame, shingle: int = 4, percent: int = 80) -> Dat
     confirmed on the full sets (as 64-bit hashes).  component_id is the smallest doc_id reachable by links.
 
     Null and empty texts and texts without words have an empty set and link with nothing, also not with each
-    other.  Rows that repeat a doc_id come back once per input row.  An empty table gives an empty result;
-    columns other than doc_id and text are ignored.
+    other.  Texts are read whole, however long.  Rows that repeat a doc_id are one document: each comes back with
+    its own text's n_shingles, and what one of its texts is linked with, the document is linked with.  A null
+    doc_id names no component.  An empty table gives an empty result; columns other than doc_id and text are
+    ignored.
     """
     spark = docs.sparkSession
     scratch = Scratch(spark, "near")
     source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    sketches = scratch.save(source.mapInArrow(lambda it: _sketch(it, shingle), "doc_id long, n long, fa long, fb long, regs binary"))
-    classes = scratch.save(sketches.where("n > 0").groupBy("n", "fa", "fb").agg(F.min("doc_id").alias("rep"), F.first("regs").alias("regs")))
-
-    banded = classes.select("rep", F.explode(F.array(*_band_keys(1), *_band_keys(3))).alias("key"))
-    pivots = banded.groupBy("key").agg(F.min("rep").alias("pivot"), F.count("*").alias("c")).where("c > 1").select("key", "pivot")
-    pairs = scratch.save(banded.join(pivots, "key").where("rep <> pivot").select(F.col("rep").alias("x"), F.col("pivot").alias("y")).distinct())
-    touched = pairs.select(F.explode(F.array("x", "y")).alias("id")).distinct()
-
-    wanted = spark.sparkContext.broadcast(bitmap(touched.select(F.xxhash64("id").alias("h")), "h", 23))
-    keyed = source.withColumn("key", F.xxhash64("doc_id"))
-    raw = keyed.mapInArrow(lambda it: _sets(it, shingle, wanted), "id long, s binary, fine binary")
-    sized = classes.select(F.col("rep").alias("id"), "n", "regs")
-    sets = scratch.save(raw.join(touched, "id").dropDuplicates(["id"]).join(sized, "id"))
+    sketches = scratch.save(source.mapInArrow(lambda it: _sketch(it, shingle), "doc_id long, n long, fa long, fb long, regs binary").withColumn("id", _CLASS("n", "fa", "fb")))
+    classes = scratch.save(sketches.where("n > 0").groupBy("id").agg(F.min("doc_id").alias("rep"), F.first("n").alias("n"), F.first("regs").alias("regs")))
+
+    banded = classes.select("id", "n", F.explode(F.array(*_band_keys(1), *_band_keys(3))).alias("key"))
+    pivots = banded.groupBy("key").agg(F.min("id").alias("pivot"), F.count("*").alias("c")).where("c > 1").select("key", "pivot")
+    pairs = scratch.save(banded.join(pivots, "key").where("id <> pivot").select(F.col("id").alias("x"), F.col("pivot").alias("y")).distinct())
+    touched = scratch.save(pairs.select(F.explode(F.array("x", "y")).alias("id")).distinct())
+
+    # one document of each touched class gives the class's set
+    wanted = classes.join(touched, "id", "left_semi").select(F.xxhash64("rep").alias("key"))
+    keyed, few = source.withColumn("key", F.xxhash64("doc_id")), touched.count()
+    if few <= FEW:
+        bits = spark.sparkContext.broadcast(bitmap(wanted, "key", max(16, (8 * few).bit_length())))
+        raw = keyed.mapInArrow(lambda it: _sets(it, shingle, bits), "n long, fa long, fb long, s binary")
+    else:
+        raw = keyed.join(wanted.distinct(), "key", "left_semi").mapInArrow(lambda it: _sets(it, shingle, None), "n long, fa long, fb long, s binary")
+    full = raw.select(_CLASS("n", "fa", "fb").alias("id"), "s").join(touched, "id").dropDuplicates(["id"])
+    sets = scratch.save(full.join(classes.select("id", "n", "regs"), "id"))
 
     def confirmed(candidates: DataFrame) -> DataFrame:
         sx, sy = (sets.select(F.col("id").alias(v), F.col("s").alias("s" + v), F.col("n").alias("n" + v), F.col("regs").alias("r" + v)) for v in "xy")
         both = candidates.join(sx, "x").join(sy, "y").where(100 * F.least("nx", "ny") >= percent * F.greatest("nx", "ny"))
         return both.mapInArrow(lambda it: _verify(it, percent), "u long, v long")
 
-    links = scratch.save(confirmed(pairs))
+    # classes of one doc_id are one document
+    own = sketches.where("n > 0 and doc_id is not null").groupBy("doc_id").agg(F.min("id").alias("u"), F.max("id").alias("w")).where("u <> w")
+    repeated = sketches.where("n > 0").join(own, "doc_id").select("u", F.col("id").alias("v"))
+    links = scratch.save(confirmed(pairs).union(repeated))
     labels = connected_components(links, scratch)
 
-    members = sets.select("id", "n", "regs", "fine").join(labels, "id", "left").select(F.col("id").alias("rep"), "n", "regs", "fine", F.coalesce("component", "id").alias("comp"))
-    rows = members.select("rep", "n", "regs", "fine", "comp", F.posexplode(F.array(*_band_keys(1))).alias("band", "key"))
-    open_ = rows.groupBy("key").agg(F.min("comp").alias("a"), F.max("comp").alias("b"), F.count("*").alias("c")).where("a < b").select("key", F.ceil(F.col("c") / BLOCK_ROWS).alias("nb"))
-    placed = rows.join(open_, "key").withColumn("home", F.pmod(F.xxhash64("rep"), F.col("nb")).cast("long"))
-    blocks = placed.withColumn("o", F.explode(F.sequence(F.lit(0).cast("long"), F.col("nb") - 1))).select("key", "band", "rep", "n", "regs", "fine", "comp", "home", F.least("home", "o").alias("i"), F.greatest("home", "o").alias("j"))
-    crossing = blocks.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j").mapInArrow(lambda it: _cross_pairs(it, percent), "x long, y long")
-    links = scratch.save(links.union(confirmed(scratch.save(crossing.distinct()))))
+    members = sets.select("id", "n", "regs").join(labels, "id", "left").select("id", "n", "regs", F.coalesce("component", "id").alias("comp"))
+    blocks = _open_blocks(members, sets)
+    crossing = blocks.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j").mapInArrow(lambda it: _cross_links(it, percent), "u long, v long")
+    links = scratch.save(links.union(crossing))
     final = connected_components(links, scratch)
 
-    of_class = classes.join(final, classes.rep == final.id, "left").select("n", "fa", "fb", F.coalesce("component", "rep").alias("c"))
-    out = sketches.select("doc_id", "n", "fa", "fb").join(of_class, ["n", "fa", "fb"], "left")
+    named = classes.select("id", "rep").join(final, "id").groupBy("component").agg(F.min("rep").alias("c"))
+    of_class = classes.select("id", "rep").join(final, "id", "left").join(named, "component", "left").select("id", F.coalesce("c", "rep").alias("c"))
+    out = sketches.select("doc_id", "n", "id").join(of_class, "id", "left")
     comp = F.coalesce("c", "doc_id")
     return out.select("doc_id", F.col("n").alias("n_shingles"), comp.alias("component_id"), (F.col("doc_id") == comp).alias("kept"))
 

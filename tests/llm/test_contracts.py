@@ -141,11 +141,62 @@ def test_sketches_merge_and_estimate():
 
     rng = np.random.default_rng(0)
     x = rng.integers(0, 1 << 63, 3000, dtype=np.uint64)
-    for fine in (False, True):
-        a, b = np.unique(x[:2000]), np.unique(x[500:2500])
-        ra, rb = registers(a, fine), registers(b, fine)
-        assert (merge(ra, rb) == registers(np.union1d(a, b), fine)).all()
-    assert abs(estimate(registers(a), registers(b), a.size, b.size) - 1500 / 2500) < 0.2
+    a, b = np.unique(x[:2000]), np.unique(x[500:2500])
+    ra, rb = registers(a), registers(b)
+    assert (merge(ra, rb) == registers(np.union1d(a, b))).all()
+    assert abs(estimate(ra, rb, a.size, b.size) - 1500 / 2500) < 0.2
+
+
+def _edited(n, words, edits, seed):
+    """Texts that differ from one base in some words each."""
+    rng = np.random.default_rng(seed)
+    base = [f"w{i}" for i in range(words)]
+    rows = []
+    for d in range(n):
+        w = list(base)
+        for k, i in enumerate(rng.choice(words, edits, replace=False)):
+            w[i] = f"x{d}_{k}"
+        rows.append((d, " ".join(w), "", ""))
+    return rows
+
+
+@pytest.mark.parametrize("n", [300, 1200])
+def test_op2_near_misses_emit_no_pairs(spark, n, monkeypatch):
+    """A group whose similarities are all a little too small: its members meet in blocks, and nothing leaves them."""
+    from framepatterns.llm import near_duplicates as nd
+
+    rows = _edited(n, 300, 10, 7)  # ten edits break up to 80 of a pair's shingles: similarities around 0.77
+    saved = []
+    keep = nd.Scratch.save
+    monkeypatch.setattr(nd.Scratch, "save", lambda self, df, rows=None: saved.append(keep(self, df, rows)) or saved[-1])
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in nd.near_duplicates(spark.createDataFrame([(d, t) for d, t, _, _ in rows], "doc_id long, text string").repartition(4)).collect()}
+    assert max(x.count() for x in saved) <= 40 * n  # bands a document, not pairs
+    if n == 300:
+        assert got == brute_components(rows, 4, 80)
+    assert len({c for _, c in got.values()}) > 0.9 * n
+
+
+def test_op2_blocks_of_any_size(spark, monkeypatch):
+    """Buckets cut into many blocks, by rows and by bytes, and documents picked by a join give the same result."""
+    from framepatterns.llm import near_duplicates as nd
+
+    rows = _edited(60, 80, 2, 3) + [(1000 + d, t, "", "") for d, t, _, _ in _edited(60, 300, 9, 5)] + [(2000 + d, f"lone text number {d} of nothing else {d}", "", "") for d in range(20)]
+    df = spark.createDataFrame([(d, t) for d, t, _, _ in rows], "doc_id long, text string").repartition(3)
+    want = brute_components(rows, 4, 80)
+    for rows_, bytes_, few in ((1024, 32 << 20, 1 << 24), (7, 32 << 20, 1 << 24), (1024, 5000, 0)):
+        monkeypatch.setattr(nd, "BLOCK_ROWS", rows_)
+        monkeypatch.setattr(nd, "BLOCK_BYTES", bytes_)
+        monkeypatch.setattr(nd, "FEW", few)
+        assert {r.doc_id: (r.n_shingles, r.component_id) for r in nd.near_duplicates(df).collect()} == want
+
+
+def test_op2_one_id_with_several_texts(spark):
+    from framepatterns.llm.near_duplicates import near_duplicates
+
+    a, b = (" ".join(f"{c}{i}" for i in range(30)) for c in "ab")
+    rows = [(5, a), (5, b), (7, a), (8, b), (9, "something else entirely"), (None, b)]
+    got = sorted(((r.doc_id or 0), r.n_shingles, r.component_id, r.kept) for r in near_duplicates(spark.createDataFrame(rows, "doc_id long, text string")).collect())
+    assert got == [(0, 27, 5, None), (5, 27, 5, True), (5, 27, 5, True), (7, 27, 5, False), (8, 27, 5, False), (9, 1, 9, True)]
 
 
 def test_op3_held_out(spark):
