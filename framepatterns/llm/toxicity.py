@@ -32,8 +32,12 @@ from framepatterns.llm.packing import bucket_bits, bucket_runs
 from framepatterns.llm.scratch import Scratch, bound_batches
 from framepatterns.llm.words import hashed_rows, mix
 
-#: Words that a task gathers before it sends their contexts on, and parts by which a word's contexts are counted.
-HELD_WORDS, PARTS = 1 << 21, 4
+#: Words that a task gathers before it sends their contexts on.
+HELD_WORDS = 1 << 21
+#: Share of the sample's words from which a word's contexts are dealt by themselves and not by the word.
+HOT = 1e-3
+#: Low bits of a word's hash that the continuation counts do without.
+CUT = 16
 DISCOUNT, SPREAD = 1.0, 3.0
 #: Unit of the difference a word, so that the weights of the curve are of moderate size.
 UNIT = 0.01
@@ -86,32 +90,34 @@ def _text_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([pa.concat_arrays(before), _long(h[np.concatenate([one, two])]), pa.array(np.concatenate([t1, t2])), pa.array(np.concatenate([o1, o2]))], names=["h", "w", "t", "o"])
 
 
-def _contexts(batches: Iterator[pa.RecordBatch], bits: int) -> Iterator[pa.RecordBatch]:
-    """(bucket, words, counts, low, high): the different left contexts of the words of a bucket, packed.
+def _contexts(batches: Iterator[pa.RecordBatch], bits: int, hot: np.ndarray) -> Iterator[pa.RecordBatch]:
+    """(bucket, words, counts, contexts): the different left contexts of the words of a bucket, packed.
 
-    words and counts say whose contexts follow; a context is named by 40 bits of the pair's hash.  Each word's
-    contexts go to PARTS buckets by their hash, so the contexts of a frequent word are not one task.
+    words (48 bits of a word's hash) and counts say whose contexts follow; a context is 40 bits of the pair's
+    hash.  Words go to buckets by their hash, but the contexts of the words in ``hot`` by their own, so that those
+    of a frequent word are not one task.
     """
     words, pairs, held = [], [], 0
 
     def pack() -> pa.RecordBatch:
         pair, at = np.unique(np.concatenate(pairs), return_index=True)
         word = np.concatenate(words)[at]
-        bucket = (mix(word) >> np.uint64(64 - bits)) * np.uint64(PARTS) + pair % np.uint64(PARTS)
+        bucket = mix(np.where(np.isin(word, hot), pair, word)) >> np.uint64(64 - bits)
         order = np.lexsort((word, bucket))
-        bucket, word, pair = bucket[order], word[order], pair[order] >> np.uint64(24)
+        bucket, word, pair = bucket[order], word[order] >> np.uint64(CUT), pair[order] >> np.uint64(24)
+        place = np.arange(word.size)
         new = np.concatenate(([True], (bucket[1:] != bucket[:-1]) | (word[1:] != word[:-1])))
+        new |= (place - np.maximum.accumulate(np.where(new, place, 0))) % 255 == 0  # a count is one byte
         first = np.flatnonzero(new)
-        counts = np.diff(np.append(first, word.size)).astype(np.uint32)
-        run = np.flatnonzero(np.concatenate(([True], bucket[first][1:] != bucket[first][:-1], [True])))
-        edges = np.append(first, word.size)
-        ends = list(zip(run[:-1], run[1:], strict=True))
-        own, low, high = word[first], pair.astype(np.uint32), (pair >> np.uint64(32)).astype(np.uint8)
-        part = lambda x, cut: pa.array([x[cut(a) : cut(b)].tobytes() for a, b in ends], pa.binary())
-        return pa.RecordBatch.from_arrays(
-            [pa.array(bucket[first][run[:-1]].astype(np.int64)), part(own, int), part(counts, int), part(low, lambda i: edges[i]), part(high, lambda i: edges[i])],
-            names=["bucket", "words", "counts", "low", "high"],
-        )
+        counts = np.diff(np.append(first, word.size)).astype(np.uint8)
+        of = bucket[first]
+        run = np.flatnonzero(np.concatenate(([True], of[1:] != of[:-1], [True])))
+        edges, ends = np.append(first, word.size), list(zip(run[:-1], run[1:], strict=True))
+        own = np.ascontiguousarray(word[first].astype("<u8").view(np.uint8).reshape(-1, 8)[:, :6])
+        context = np.ascontiguousarray(pair.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :5])
+        columns = [pa.array([x[a:b].tobytes() for a, b in ends], pa.binary()) for x in (own, counts)]
+        columns.append(pa.array([context[edges[a] : edges[b]].tobytes() for a, b in ends], pa.binary()))
+        return pa.RecordBatch.from_arrays([pa.array(of[run[:-1]].astype(np.int64)), *columns], names=["bucket", "words", "counts", "contexts"])
 
     for batch in batches:
         for _, _, h, w in hashed_rows(batch.column("text"), fold=FOLD):
@@ -127,23 +133,34 @@ def _contexts(batches: Iterator[pa.RecordBatch], bits: int) -> Iterator[pa.Recor
         yield pack()
 
 
+def _wide(raw: bytes, width: int) -> np.ndarray:
+    """Numbers of ``width`` bytes each."""
+    out = np.zeros((len(raw) // width, 8), np.uint8)
+    out[:, :width] = np.frombuffer(raw, np.uint8).reshape(-1, width)
+    return out.view("<u8").ravel()
+
+
 def _continuations(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """(k, n): the number of different contexts of each word of a bucket, from rows sorted by bucket."""
     for _, rows in bucket_runs(batches):
-        joined = lambda c, t: np.frombuffer(b"".join(r[c] for r in rows), t)  # noqa: E731, B023
-        word = np.repeat(joined("words", np.uint64), joined("counts", np.uint32))
-        pair = joined("low", np.uint32).astype(np.uint64) | joined("high", np.uint8).astype(np.uint64) << np.uint64(32)
-        order = np.lexsort((pair, word))
-        word, pair = word[order], pair[order]
-        k, n = np.unique(word[np.concatenate(([True], (word[1:] != word[:-1]) | (pair[1:] != pair[:-1])))], return_counts=True)
+        joined = lambda c: b"".join(r[c] for r in rows)  # noqa: E731, B023
+        word = np.repeat(_wide(joined("words"), 6), np.frombuffer(joined("counts"), np.uint8))
+        context = _wide(joined("contexts"), 5)
+        order = np.lexsort((context, word))
+        word, context = word[order], context[order]
+        k, n = np.unique(word[np.concatenate(([True], (word[1:] != word[:-1]) | (context[1:] != context[:-1])))], return_counts=True)
         yield pa.RecordBatch.from_arrays([_long(k), pa.array(n)], names=["k", "n"])
 
 
-def continuation_counts(docs: DataFrame) -> DataFrame:
-    """(k, n): in how many different left contexts each word occurs in all documents; k is the word's hash."""
+def continuation_counts(docs: DataFrame, hot: list[int] | None = None) -> DataFrame:
+    """(k, n): in how many different left contexts each word occurs in all documents; k is its hash without the low CUT bits.
+
+    ``hot`` lists hashes of frequent words, whose contexts are spread over all tasks.
+    """
     bound_batches(docs.sparkSession)
     bits = bucket_bits(docs.sparkSession)
-    sent = docs.select(F.col("text").cast("string").alias("text")).mapInArrow(lambda it: _contexts(it, bits), "bucket long, words binary, counts binary, low binary, high binary")
+    many = np.array(hot or [], np.int64).view(np.uint64)
+    sent = docs.select(F.col("text").cast("string").alias("text")).mapInArrow(lambda it: _contexts(it, bits, many), "bucket long, words binary, counts binary, contexts binary")
     counted = sent.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(_continuations, "k long, n long")
     return counted.groupBy("k").agg(F.sum("n").alias("n"))
 
@@ -245,10 +262,11 @@ def train(docs: DataFrame, labels: DataFrame, scratch: Scratch, rows_per_class:
     pairs = two.join(context, F.col("h") == F.col("_h")).select("h", "w", "ct", "co", *[kept(c, F.col(f"c{c}"), both, F.col("ct") + F.col("co")).alias(f"k{c}") for c in "to"]).where("kt + ko > 0")
     # what is left of counts over a bounded sample is bounded, and fits the driver
     pairs, words = pairs.toArrow(), scratch.save(words)
-    continuations = scratch.save(continuation_counts(docs))
+    hot = [r[0] for r in one.where((F.col("t") + F.col("o")) > HOT * sum(sums)).select("w").collect()]  # 1 / HOT words at most
+    continuations = scratch.save(continuation_counts(docs, hot))
     all_continuations = max(num(continuations.agg(F.sum("n")).first()[0]), 1.0)
     known = scratch.spark.createDataFrame([(int(x),) for x in set(pairs.column("w").to_pylist())], "w long").join(words, "w", "full")
-    table = known.join(continuations, F.col("w") == F.col("k"), "left").select("w", "kt", "ko", "n").na.fill(0).toArrow()
+    table = known.join(continuations, F.shiftrightunsigned("w", CUT) == F.col("k"), "left").select("w", "kt", "ko", "n").na.fill(0).toArrow()
 
     as_key = lambda t, c: t.column(c).to_numpy().view(np.uint64)
     both_of = lambda t, a, b: np.stack([t.column(a).to_numpy().astype(np.float64), t.column(b).to_numpy().astype(np.float64)], 1)

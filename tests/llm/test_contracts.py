@@ -276,8 +276,12 @@ def test_op3_likelihoods_and_sums(spark):
         checked += any(context(0, a).values())
     assert checked >= 1 and word(0, "vile") > 2 * word(1, "vile") and abs(np.log(word(0, "b5") / word(1, "b5"))) < 0.5
 
-    counts = {int(r.k) & (2**64 - 1): r.n for r in tx.continuation_counts(docs).collect()}
-    assert {w: counts[int(x)] for w, x in zip(vocabulary, h, strict=True)} == dict(follow) and len(counts) == len(vocabulary)
+    some = [int(x) for x in h[:20].view(np.int64)]
+    for hot in (None, some):
+        counts = {r.k: r.n for r in tx.continuation_counts(docs, hot).collect()}
+        assert {w: counts[int(x) >> tx.CUT] for w, x in zip(vocabulary, h, strict=True)} == dict(follow) and len(counts) == len(vocabulary)
+    many = spark.createDataFrame([(i, " ".join(f"c{i}x{k} the" for k in range(700))) for i in range(3)], "doc_id long, text string").repartition(2)
+    assert max(r.n for r in tx.continuation_counts(many).collect()) == 2100  # runs longer than a byte counts
 
     text = "you vile b3 nasty b7 unseen"
     s = ["", *text.split()]
