@@ -314,6 +314,55 @@ def test_op4_shared_passages(spark):
     assert max(levels.values()) == 52 and set(levels) == set(range(20, 20 + 48))
 
 
+def _plain_levels(rows, length):
+    """Longest doubled level at every place whose window an earlier document has, by comparing the words."""
+    words = {}
+    for d, t in rows:
+        if d is not None:
+            words.setdefault(d, []).append(WORDS.findall(t or ""))
+    out, width = {}, length
+    while True:
+        first, some = {}, False
+        for d in sorted(words):
+            for w in words[d]:
+                for i in range(len(w) - width + 1):
+                    first.setdefault(tuple(w[i : i + width]), d)
+        for d in words:
+            for w in words[d]:
+                for i in range(len(w) - width + 1):
+                    if first[tuple(w[i : i + width])] < d:
+                        out[d, i], some = width, True
+        if not some:
+            return out
+        width *= 2
+
+
+@pytest.mark.parametrize("filter_bytes", [1 << 24, 0])
+def test_op4_levels_and_removal_against_plain_words(spark, monkeypatch, filter_bytes):
+    """The doubling loop and the removal, with the bit set and with a join in its place."""
+    from framepatterns.llm import repeated_passages as rp
+
+    monkeypatch.setattr(rp, "FILTER_BYTES", filter_bytes)
+    rng = np.random.default_rng(8)
+    vocab = [f"v{i}" for i in range(12)]
+    passages = [" ".join(rng.choice(vocab, n)) for n in (9, 13, 14, 25, 27, 60, 130)]
+    rows = [(int(d), " ".join(x for p in rng.choice(len(passages), 3) for x in (" ".join(f"u{d}_{p}_{i}" for i in range(rng.integers(0, 4))), passages[p]))) for d in range(40)]
+    rows += [(50, passages[6] + " " + passages[6]), (51, " ".join(vocab * 4)), (52, " ".join(vocab * 4)), (7, passages[5]), (None, passages[6]), (60, None), (61, "")]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(4)
+    want = _plain_levels(rows, 13)
+    assert {(r.doc_id, r.pos): r.length for r in rp.doubled_repeats(df).collect()} == want and max(want.values()) >= 104
+    spots = {}
+    for d, i in want:
+        spots.setdefault(d, set()).update(range(i, i + 13))
+    for r in rp.remove_repeats(df).collect():
+        if r.doc_id is None or r.doc_id == 7:  # the one has no id, the other two texts
+            assert r.doc_id is not None or r.n_removed == 0
+            continue
+        w = WORDS.findall(dict(rows)[r.doc_id] or "")
+        gone = {i for i in spots.get(r.doc_id, ()) if i < len(w)}
+        assert (r.n_words, r.n_removed, r.kept_text) == (len(w), len(gone), " ".join(x for i, x in enumerate(w) if i not in gone))
+
+
 def test_op5_turns_come_back(spark):
     """Every turn of every held-out conversation at sf0.01, with its text unchanged."""
     from framepatterns.llm.transcripts import held_out
