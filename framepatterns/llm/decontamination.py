@@ -1,11 +1,15 @@
-"""Benchmark decontamination by BM25 with block-max pruning.
+"""Benchmark decontamination by BM25 with block-max WAND.
 
-The test items form a small inverted index; the training passages are the queries.  Items are ordered by their
-score against themselves and cut into blocks; a block keeps, for each term, the largest weight of its items.
-A passage is scored against the items of a block only if the sum of its terms' block maxima reaches the
-smallest threshold in the block, so no item above its threshold is missed.  An item's threshold is a share of
-its score against itself.  What is retrieved is verified by the overlap of five-word shingles, for the item as
-a whole and for its question and its answer.
+The test items form a small inverted index; the training passages are the queries.  An item is retrieved when its
+score reaches a share of its score against itself, so every item has its own threshold; items are ordered by it and
+cut into short blocks of neighbours.  A term's posting list names the items that have it, with their weights, and
+for each block the largest weight.  For all passages of a batch at once the block maxima are added up; a block whose
+sum stays below its smallest threshold is dead.  In the live blocks of a passage, cursors go over the posting
+lists: in the order of their items their maxima are added until the sum reaches the threshold, which gives the
+pivot; cursors before it skip to it, and only an item on which they meet is scored.
+
+What is retrieved is verified by the words of the item that lie in a run of RUN words of the passage, for the item
+as a whole and for its question and its answer.  A replaced word costs itself and not its neighbours' runs.
 
 Passages are windows of twice the longest item's length that step by that length, so an item that occurs in a
 text lies whole in one passage, and texts are read whole.
@@ -13,6 +17,7 @@ text lies whole in one passage, and texts are read whole.
 
 from __future__ import annotations
 
+import itertools
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -20,40 +25,49 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from framepatterns.llm.scratch import bound_batches
+from framepatterns.llm.scratch import Scratch
 from framepatterns.llm.toxicity import FOLD
 from framepatterns.llm.words import grams, hashed_rows
 
 K1, B = 1.2, 0.75
-BLOCK, SHINGLE = 16, 5
-#: Items of one index; a larger benchmark is searched index by index, with statistics of all items.
+BLOCK, RUN = 4, 3
+#: Items of one index; a larger benchmark is searched index by index, one after the other, with statistics of all items.
 INDEX_ITEMS = 2048
+#: Texts with items whose hashes may be replicated: 16 MB.
+REPLICATED = 1_000_000
 
 
 @dataclass
 class Index:
-    """An inverted index with block maxima, small enough to broadcast: at most INDEX_ITEMS items."""
+    """An inverted index with block maxima, small enough to broadcast: at most INDEX_ITEMS items.
+
+    Lists are stored one after the other: those of term t are [edge[t], edge[t + 1]).
+    """
 
     ids: np.ndarray
     terms: np.ndarray
-    block_max: np.ndarray  # terms x blocks
-    place: np.ndarray  # terms x blocks: row of the term in the block's table, or -1
-    block_weight: list  # per block: its terms x its items
+    post_edge: np.ndarray
+    post_item: np.ndarray
+    post_weight: np.ndarray
+    block_edge: np.ndarray
+    block: np.ndarray
+    block_max: np.ndarray
     need: np.ndarray
-    block_need: np.ndarray
-    shingles: list  # per item: width and hashes of its shingles, and which of them end in the answer
+    words: list  # per item: its words, and how many of them are the question
     longest: int
 
 
 @dataclass
 class Statistics:
-    """Sorted terms of all items, the number of items that have each, the items with words and their mean length."""
+    """Sorted terms, the number of items that have each, the items with words, their mean length and the longest's."""
 
     terms: np.ndarray
     seen: np.ndarray
     items: int
     mean: float
+    longest: int
 
 
 def _words(text: str) -> np.ndarray:
@@ -81,39 +95,80 @@ def build_index(items: list[tuple[int, str]], share: float = 0.6, stats: Statist
     if stats is not None:
         seen, total, mean = stats.seen[np.searchsorted(stats.terms, terms)], stats.items, stats.mean
     idf = np.log(1 + (total - seen + 0.5) / (seen + 0.5))
-    own = []
+    own, need = [], []
     for w in words:
         t, tf = np.unique(np.searchsorted(terms, w), return_counts=True)
         own.append((t, idf[t] * tf * (K1 + 1) / (tf + K1 * (1 - B + B * w.size / mean))))
-    need = np.array([share * weight.sum() for _, weight in own])
+        need.append(share * own[-1][1].sum())
     order = np.argsort(need, kind="stable")
-    starts = np.arange(0, len(items), BLOCK)
-    block_max, block_weight = np.zeros((terms.size, starts.size), np.float32), []
-    place = np.full((terms.size, starts.size), -1, np.int32)
-    for k, a in enumerate(starts):
-        members = order[a : a + BLOCK]
-        t = np.unique(np.concatenate([own[j][0] for j in members]))
-        table = np.zeros((t.size, members.size))
-        for c, j in enumerate(members):
-            table[np.searchsorted(t, own[j][0]), c] = own[j][1]
-        block_max[t, k] = table.max(1)
-        place[t, k] = np.arange(t.size)
-        block_weight.append(table)
-    shingles = []
-    for j in order:
-        width = min(SHINGLE, words[j].size)
-        g = grams(words[j], width)
-        shingles.append((width, g, np.arange(g.size) + width > split_answer(items[j][1])))
+    t = np.concatenate([own[j][0] for j in order])
+    item = np.repeat(np.arange(len(items)), [own[j][0].size for j in order])
+    weight = np.concatenate([own[j][1] for j in order])
+    by = np.lexsort((item, t))
+    t, item, weight = t[by], item[by], weight[by]
+    new = np.flatnonzero(np.concatenate(([True], (t[1:] != t[:-1]) | (item[1:] // BLOCK != item[:-1] // BLOCK))))
+    edges = lambda x: np.searchsorted(x, np.arange(terms.size + 1))
     ids = np.array([items[j][0] for j in order], np.int64)
-    return Index(ids, terms, block_max, place, block_weight, need[order], np.minimum.reduceat(need[order], starts), shingles, max(w.size for w in words))
+    body = [(words[j], split_answer(items[j][1])) for j in order]
+    return Index(ids, terms, edges(t), item, weight, edges(t[new]), item[new] // BLOCK, np.maximum.reduceat(weight, new), np.array(need)[order], body, max(w.size for w in words) if stats is None else stats.longest)
 
 
 def _overlap(index: Index, j: int, passage: np.ndarray) -> tuple[float, float, float]:
-    """Shares of the item's shingles, of its question's and of its answer's that the passage holds."""
-    width, g, answer = index.shingles[j]
-    have = np.isin(g, grams(passage, width))
-    part = lambda m: float(have[m].mean()) if m.any() else 1.0
-    return float(have.mean()), part(~answer), part(answer)
+    """Shares of the item's words, of its question's and of its answer's that lie in runs which the passage has."""
+    own, question = index.words[j]
+    run = min(RUN, own.size)
+    have = np.isin(grams(own, run), grams(passage, run))
+    edge = np.zeros(own.size + 1, int)
+    edge[:-run] += have
+    edge[run:] -= have
+    covered = np.cumsum(edge)[:-1] > 0
+    part = lambda x: float(x.mean()) if x.size else 1.0
+    return part(covered), part(covered[:question]), part(covered[question:])
+
+
+def wand(index: Index, terms: np.ndarray, first: int, end: int) -> list[tuple[int, float]]:
+    """(item, score) of the items from ``first`` up to ``end`` that reach their threshold for a passage's terms."""
+    cursors = []  # item, place in the list, end of the list's part, largest weight
+    for t in terms:
+        lo, hi = int(index.post_edge[t]), int(index.post_edge[t + 1])
+        at = lo + int(np.searchsorted(index.post_item[lo:hi], first))
+        stop = lo + int(np.searchsorted(index.post_item[lo:hi], end))
+        if at < stop:
+            cursors.append([int(index.post_item[at]), at, stop, float(index.post_weight[at:stop].max())])
+    out = []
+    while cursors:
+        cursors.sort(key=lambda c: c[0])
+        # thresholds grow along the items, so that of the first item holds for all later ones
+        bound, pivot, least = 0.0, None, float(index.need[cursors[0][0]]) - 1e-9
+        for c in cursors:
+            bound += c[3]
+            if bound >= least:
+                pivot = c[0]
+                break
+        if pivot is None:
+            break
+        if cursors[0][0] == pivot:
+            score = sum(float(index.post_weight[c[1]]) for c in cursors if c[0] == pivot)
+            if score >= index.need[pivot] - 1e-9:
+                out.append((pivot, round(score, 9)))  # equal passages tie, however their sums were rounded
+            skip = pivot + 1
+        else:
+            skip = pivot
+        for c in cursors:
+            if c[0] < skip:
+                c[1] += int(np.searchsorted(index.post_item[c[1] : c[2]], skip))
+                c[0] = int(index.post_item[c[1]]) if c[1] < c[2] else -1
+        cursors = [c for c in cursors if c[0] >= 0]
+    return out
+
+
+def _live_blocks(index: Index, group: np.ndarray, t: np.ndarray, groups: int) -> np.ndarray:
+    """(groups, blocks): whether the block maxima of a passage's terms reach the smallest threshold of the block."""
+    blocks = -(-index.need.size // BLOCK)
+    n = index.block_edge[t + 1] - index.block_edge[t]
+    entry = np.repeat(index.block_edge[t] - np.concatenate(([0], np.cumsum(n)[:-1])), n) + np.arange(n.sum())
+    sums = np.bincount(np.repeat(group, n) * blocks + index.block[entry], index.block_max[entry], groups * blocks)
+    return sums.reshape(groups, blocks) >= index.need[::BLOCK] - 1e-9
 
 
 def search(index: Index, h: np.ndarray, w: np.ndarray, least: float, each: float) -> list[tuple[int, int, float, float, float, float]]:
@@ -135,30 +190,27 @@ def search(index: Index, h: np.ndarray, w: np.ndarray, least: float, each: float
     keys = np.unique(np.concatenate([half[opens] * size + term[known[opens]], (half[closes] - 1) * size + term[known[closes]]]))
     passage, t = keys // size, keys % size
     new = np.flatnonzero(np.concatenate(([True], passage[1:] != passage[:-1])))
-    group = np.repeat(np.arange(new.size), np.diff(np.append(new, keys.size)))
-    open_ = np.add.reduceat(index.block_max[t], new, axis=0) >= index.block_need - 1e-3
+    edge = np.append(new, keys.size)
     best: dict[tuple[int, int], tuple] = {}
-    for block in np.flatnonzero(open_.any(0)):
-        entry = np.flatnonzero(open_[group, block] & (index.place[t, block] >= 0))
-        if not entry.size:
-            continue
-        g = group[entry]
-        at = np.flatnonzero(np.concatenate(([True], g[1:] != g[:-1])))
-        s = np.add.reduceat(index.block_weight[block][index.place[t[entry], block]], at, axis=0)
-        for k, c in zip(*np.nonzero(s >= index.need[block * BLOCK : (block + 1) * BLOCK] - 1e-9), strict=True):
-            p, j = int(passage[new[g[at[k]]]]), int(block * BLOCK + c)
+    for part in range(0, new.size, 128):  # bounded: passages x blocks
+        some = slice(edge[part], edge[min(part + 128, new.size)])
+        groups = min(128, new.size - part)
+        live = _live_blocks(index, np.repeat(np.arange(groups), np.diff(edge[part : part + groups + 1])), t[some], groups)
+        for g, block in zip(*np.nonzero(live), strict=True):
+            p = int(passage[new[part + g]])
             r = int(np.searchsorted(first, p, side="right")) - 1
             start = w[r] + step * (p - first[r])
-            whole, question, answer = _overlap(index, j, h[start : min(start + 2 * step, w[r + 1])])
-            if whole >= least and question >= each and answer >= each:
-                hit = (r, j, float(s[k, c]), whole, question, answer)
-                if (r, j) not in best or hit[2:] > best[r, j][2:]:
-                    best[r, j] = hit
+            for j, score in wand(index, t[edge[part + g] : edge[part + g + 1]], int(block) * BLOCK, min(int(block + 1) * BLOCK, index.need.size)):
+                whole, question, answer = _overlap(index, j, h[start : min(start + 2 * step, w[r + 1])])
+                if whole >= least and question >= each and answer >= each:
+                    hit = (r, j, score, whole, question, answer)
+                    if (r, j) not in best or hit[2:] > best[r, j][2:]:
+                        best[r, j] = hit
     return list(best.values())
 
 
 def _item_terms(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(t, n, length) a block of items: in how many each term occurs; a row without a term counts items and words."""
+    """(t, n, length, longest) a block of items: in how many each term occurs; a row without a term counts items and words."""
     for batch in batches:
         for _, _, h, w in hashed_rows(batch.column("text"), fold=FOLD):
             if not h.size:
@@ -169,74 +221,115 @@ def _item_terms(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             once = np.concatenate(([True], (x[1:] != x[:-1]) | (i[1:] != i[:-1])))
             t, n = np.unique(x[once], return_counts=True)
             terms = pa.array([*t.view(np.int64).tolist(), None], pa.int64())
-            yield pa.RecordBatch.from_arrays([terms, pa.array([*n.tolist(), int((np.diff(w) > 0).sum())], pa.int64()), pa.array([*[0] * t.size, int(h.size)], pa.int64())], names=["t", "n", "length"])
+            yield pa.RecordBatch.from_arrays([terms, pa.array([*n.tolist(), int((np.diff(w) > 0).sum())], pa.int64()), pa.array([*[0] * t.size, int(h.size)], pa.int64()), pa.array([*[0] * t.size, int(np.diff(w).max())], pa.int64())], names=["t", "n", "length", "longest"])
 
 
-def _statistics(rows: DataFrame) -> Statistics:
-    """Statistics of all items, gathered in one distributed pass; they are as large as the indexes' terms."""
-    table = rows.select("text").mapInArrow(_item_terms, "t long, n long, length long").groupBy("t").agg(F.sum("n").alias("n"), F.sum("length").alias("length")).toArrow()
-    t, n, length = table.column("t"), table.column("n").to_numpy(), table.column("length").to_numpy()
-    known = t.is_valid().to_numpy()
-    terms, seen = t.drop_null().to_numpy().view(np.uint64), n[known]
-    order = np.argsort(terms)
-    items = int(n[~known].sum())
-    return Statistics(terms[order], seen[order], items, float(length[~known].sum()) / max(items, 1))
+def _item_rows(benchmark: DataFrame) -> DataFrame:
+    return benchmark.select(F.col("item_id").cast("long"), F.col("text").cast("string")).where("item_id is not null and text is not null").distinct()
 
 
-def _indexes(benchmark: DataFrame, share: float) -> list:
-    """Broadcast indexes over all items; each holds INDEX_ITEMS items at most."""
-    bound_batches(benchmark.sparkSession)
-    rows = benchmark.select(F.col("item_id").cast("long"), F.col("text").cast("string")).where("item_id is not null and text is not null").distinct()
-    total, sc = rows.count(), benchmark.sparkSession.sparkContext
+def item_statistics(rows: DataFrame) -> DataFrame:
+    """(t, n, length, longest): the items that have each term; the row without a term counts items with words, their words and the longest's."""
+    found = rows.select("text").mapInArrow(_item_terms, "t long, n long, length long, longest long")
+    return found.groupBy("t").agg(F.sum("n").alias("n"), F.sum("length").alias("length"), F.max("longest").alias("longest"))
+
+
+def _indexes(benchmark: DataFrame, share: float, scratch: Scratch) -> Iterator[Index]:
+    """Indexes over all items, one after the other; each holds INDEX_ITEMS items at most, and so do the rows that come to the driver."""
+    rows = scratch.save(_item_rows(benchmark))
+    total = rows.count()
+    if not total:
+        return
+    table = scratch.save(item_statistics(rows))
+    count = table.where("t is null").first()
+    items = int(count.n) if count else 0
     parts = -(-total // (INDEX_ITEMS // 2)) if total > INDEX_ITEMS else 1
-    stats = _statistics(rows) if total else None
-    out = []
     for k in range(parts):  # by hash, so that no part outgrows the bound
-        piece = sorted(tuple(r) for r in rows.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(parts)) == k).collect())
+        own = rows.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(parts)) == k)
+        seen = table.where("t is not null") if parts == 1 else table.join(item_statistics(own).where("t is not null").select("t"), "t")
+        found = seen.select("t", "n").toArrow()
+        terms = found.column("t").to_numpy().view(np.uint64)
+        order = np.argsort(terms)
+        stats = Statistics(terms[order], found.column("n").to_numpy()[order], items, float(count.length) / max(items, 1) if count else 0.0, int(count.longest) if count else 0)
+        piece = sorted(tuple(r) for r in own.collect())
         for a in range(0, len(piece), INDEX_ITEMS):
             if (index := build_index(piece[a : a + INDEX_ITEMS], share, stats)) is not None:
-                out.append(sc.broadcast(index))
-    return out
+                yield index
 
 
-def contaminated(docs: DataFrame, benchmark: DataFrame, least: float = 0.8, each: float = 0.5, share: float = 0.6) -> DataFrame:
-    """(doc_id, item_id, score, overlap, question_overlap, answer_overlap): texts that hold a benchmark item.
+_HITS = ["item_id", "score", "overlap", "question_overlap", "answer_overlap"]
 
-    One row for each document row and item whose best passage reaches ``share`` of the item's own BM25 score,
-    ``least`` of its shingles, and ``each`` of those of its question and of its answer.  Words are compared in
-    lower case (A-Z) without ASCII punctuation.  An item of fewer than five words is one shingle.
 
-    Null and empty texts and items match nothing; repeated items of one id count once if their text is equal;
-    rows that repeat a doc_id come back each.  An empty table gives an empty result.
-    """
-    indexes = _indexes(benchmark, share)
+def _search_texts(thin: DataFrame, index, least: float, each: float) -> DataFrame:
+    """Hits of one index, which is broadcast, with all columns of ``thin`` but the text."""
+    keep = [f for f in thin.schema.fields if f.name != "text"]
+    schema = T.StructType([*keep, T.StructField("item_id", T.LongType()), *[T.StructField(c, T.DoubleType()) for c in _HITS[1:]]])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            ids, rows, hits = batch.column("doc_id"), [], []
+            rows, hits = [], []
             for row, _, h, w in hashed_rows(batch.column("text"), fold=FOLD):
-                for index in indexes:
-                    for hit in search(index.value, h, w, least, each):
-                        rows.append(row + hit[0])
-                        hits.append((int(index.value.ids[hit[1]]), *hit[2:]))
+                for hit in search(index.value, h, w, least, each):
+                    rows.append(row + hit[0])
+                    hits.append((int(index.value.ids[hit[1]]), *hit[2:]))
             if rows:
-                yield pa.RecordBatch.from_arrays([ids.take(pa.array(rows)), *[pa.array(c) for c in zip(*hits, strict=True)]], names=["doc_id", "item_id", "score", "overlap", "question_overlap", "answer_overlap"])
+                names = [f.name for f in keep]
+                yield pa.RecordBatch.from_arrays([*[batch.column(c).take(pa.array(rows)) for c in names], *[pa.array(c) for c in zip(*hits, strict=True)]], names=[*names, *_HITS])
 
+    return thin.mapInArrow(run, schema)
+
+
+def _all_hits(thin: DataFrame, benchmark: DataFrame, least: float, each: float, share: float) -> DataFrame:
+    """Hits of all indexes.  One index is searched lazily; of several, only one is broadcast at a time and its hits are written."""
+    spark = thin.sparkSession
+    scratch, out, waiting = Scratch(spark, "items"), None, None
+    for index in _indexes(benchmark, share, scratch):
+        if waiting is not None:
+            part = scratch.save(_search_texts(thin, waiting, least, each))
+            waiting.destroy()
+            out = part if out is None else out.union(part)
+        waiting = spark.sparkContext.broadcast(index)
+    if waiting is None:
+        return thin.drop("text").where("false").select("*", F.lit(0).cast("long").alias("item_id"), *[F.lit(0.0).alias(c) for c in _HITS[1:]])
+    last = _search_texts(thin, waiting, least, each)
+    return last if out is None else out.union(last)
+
+
+def contaminated(docs: DataFrame, benchmark: DataFrame, least: float = 0.8, each: float = 0.5, share: float = 0.6) -> DataFrame:
+    """(doc_id, item_id, score, overlap, question_overlap, answer_overlap): texts that hold a benchmark item.
+
+    One row for each document row and item whose best passage reaches ``share`` of the item's own BM25 score,
+    covers ``least`` of its words in runs of RUN, and ``each`` of those of its question and of its answer.  Words
+    are compared in lower case (A-Z) without ASCII punctuation.  An item of fewer words is one run.
+
+    Null and empty texts and items match nothing; texts of any length are read whole; repeated items of one id
+    count once if their text is equal; rows that repeat a doc_id come back each.  An empty table gives an empty
+    result; other columns are ignored.
+    """
     thin = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    return thin.mapInArrow(run, "doc_id long, item_id long, score double, overlap double, question_overlap double, answer_overlap double")
+    return _all_hits(thin, benchmark, least, each, share)
 
 
 def decontaminate(docs: DataFrame, benchmark: DataFrame, least: float = 0.8, each: float = 0.5, share: float = 0.6) -> DataFrame:
     """The rows of ``docs``, with all columns, whose text holds no benchmark item (see ``contaminated``)."""
-    indexes = _indexes(benchmark, share)
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            clean = np.ones(batch.num_rows, bool)
-            for row, _, h, w in hashed_rows(batch.column("text"), fold=FOLD):
-                for index in indexes:
-                    for hit in search(index.value, h, w, least, each):
-                        clean[row + hit[0]] = False
-            yield batch.filter(pa.array(clean))
-
-    return docs.mapInArrow(run, docs.schema)
+    spark = docs.sparkSession
+    scratch = Scratch(spark, "items")
+    two = list(itertools.islice(_indexes(benchmark, share, scratch), 2))
+    if len(two) < 2:
+        index = spark.sparkContext.broadcast(two[0] if two else None)
+        return docs.mapInArrow(lambda it: _without_items(it, index, least, each), docs.schema)
+    text = F.col("text").cast("string")
+    names = [F.xxhash64(text).alias("_v"), F.crc32(F.coalesce(text, F.lit("")).cast("binary")).alias("_c")]  # texts by 96 bits
+    gone = scratch.save(_all_hits(docs.select(*names, text.alias("text")), benchmark, least, each, share).select(F.col("_v").alias("_x"), F.col("_c").alias("_y")).distinct())
+    few = gone.limit(REPLICATED + 1).count() <= REPLICATED
+    rows = docs.select(F.struct(*docs.columns).alias("_row"), *names)
+    return rows.join(F.broadcast(gone) if few else gone, (F.col("_v") == F.col("_x")) & (F.col("_c") == F.col("_y")), "left_anti").select("_row.*")
+
+
+def _without_items(batches: Iterator[pa.RecordBatch], index, least: float, each: float) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        clean = np.ones(batch.num_rows, bool)
+        for row, _, h, w in hashed_rows(batch.column("text"), fold=FOLD) if index.value is not None else ():
+            for hit in search(index.value, h, w, least, each):
+                clean[row + hit[0]] = False
+        yield batch.filter(pa.array(clean))
