@@ -1,10 +1,13 @@
 """Near-duplicate vectors by navigable small-world graphs, one for each shard.
 
 Vectors of one label and dimension are dealt into shards of about SHARD_ROWS rows.  A shard's graph has layers
-of geometrically fewer nodes; each node keeps diverse near neighbours of its layer and the links back to it.
+of geometrically fewer nodes.  It is built by insertion: a batch of new nodes searches the graph that is there,
+each takes diverse near neighbours among what it found and among its batch, and gets links back; one more link
+chains it behind the nearest node that was there before, so every node can be reached however crowded it is.
 Every vector queries every shard of its label: a search descends through the layers and ends with a beam on
 the lowest.  A beam that is full of matches is widened and searched again, and so is a whole batch as long as
-an audit against brute force on part of the batch misses a match.  Matches are verified in double precision.
+an audit against brute force on part of the batch finds too few of all matches, or too few of a query's own on
+average.  Matches are verified in double precision.
 
 Queries of a batch advance together, so each step is a few numpy calls for hundreds of queries.
 """
@@ -22,58 +25,96 @@ from framepatterns.llm.components import connected_components
 from framepatterns.llm.scratch import Scratch
 
 SHARD_ROWS, DEGREE, BATCH, BEAM, AUDIT_EVERY = 8192, 16, 256, 48, 16
+#: Beam of an insertion, and recall that an audit asks for.
+INSERT_BEAM, RECALL = 48, 0.995
 
 
 class Graph:
-    """Layers of neighbour lists over unit vectors; -1 pads a list."""
+    """Layers of neighbour lists over unit vectors; -1 pads a list.
+
+    A list holds the neighbours that a node chose, links back from nodes that chose it, and the next node of its
+    chain.
+    """
 
     def __init__(self, unit: np.ndarray, ids: np.ndarray):
         self.x = unit.astype(np.float32)
         n = len(unit)
-        draw = np.random.default_rng(n).random(n)
-        level = np.minimum((-np.log(np.maximum(draw, 1e-12)) / np.log(DEGREE)).astype(int), 8)
-        self.layers: list[tuple[np.ndarray, np.ndarray]] = []
-        for at in range(level.max() + 1 if n else 0):
-            nodes = np.flatnonzero(level >= at)
-            self.layers.append((nodes, self._connect(nodes, DEGREE * (2 if at == 0 else 1))))
-
-    def _connect(self, nodes: np.ndarray, degree: int) -> np.ndarray:
-        x, n = self.x[nodes], len(nodes)
-        width = min(2 * degree, n - 1)
-        near = np.full((n, degree), -1, np.int32)
-        for a in range(0, n, 256) if width > 0 else []:
-            rows = np.arange(a, min(a + 256, n))
-            s = x[rows] @ x.T
-            s[np.arange(rows.size), rows] = -2
-            cand = np.argpartition(-s, width - 1, axis=1)[:, :width]
-            sim = np.take_along_axis(s, cand, 1)
-            order = np.argsort(-sim, axis=1)
-            cand, sim = np.take_along_axis(cand, order, 1), np.take_along_axis(sim, order, 1)
-            among = np.einsum("qad,qbd->qab", x[cand], x[cand])
-            crowd = np.full_like(sim, -2)
-            chosen = np.zeros(sim.shape, bool)
-            for c in range(width):  # diverse neighbours first: nearer to the node than to any chosen one
-                take = (sim[:, c] > crowd[:, c]) & (chosen.sum(1) < degree)
-                chosen[:, c] = take
-                crowd[take] = np.maximum(crowd[take], among[take, c])
-            rank = np.argsort(np.where(chosen, 0, 1) * 10.0 - sim, axis=1)[:, :degree]  # then the nearest
-            near[rows, : rank.shape[1]] = np.take_along_axis(cand, rank, 1)
-        src = np.repeat(np.arange(n), degree)[near.ravel() >= 0]
-        dst = near.ravel()[near.ravel() >= 0]
+        rng = np.random.default_rng(n)
+        level = np.minimum((-np.log(np.maximum(rng.random(n), 1e-12)) / np.log(DEGREE)).astype(int), 8)
+        order = rng.permutation(n)
+        self.layers: list[tuple[np.ndarray, np.ndarray]] = [None] * (int(level.max()) + 1 if n else 0)
+        for at in range(len(self.layers) - 1, -1, -1):  # nodes of higher layers come first, a search starts from them
+            nodes = order[level[order] >= at]
+            nodes = nodes[np.argsort(-np.minimum(level[nodes], at + 1), kind="stable")]
+            degree = DEGREE * (2 if at == 0 else 1)
+            self.layers[at] = (nodes, np.full((n, 2 * degree + 1), -1, np.int32))
+            self._insert(nodes, at, degree)
+
+    def _insert(self, nodes: np.ndarray, at: int, degree: int) -> None:
+        table = self.layers[at][1]
+        filled = np.zeros(len(self.x), int)  # links back
+        done = 0
+        while done < len(nodes):
+            batch = nodes[done : done + min(BATCH, max(done, 64))]
+            q = self.x[batch]
+            old = np.zeros((len(batch), 0), np.int64)
+            if done:
+                old, sims = self._beam(q, at, self._starts(q, at, nodes[: min(done, 4 * DEGREE)]), min(INSERT_BEAM, done))
+                old = np.take_along_axis(old, np.argsort(-sims, axis=1), 1)
+                old[np.isin(old, batch)] = -1
+            width = min(degree, len(batch) - 1)
+            s = q @ q.T
+            np.fill_diagonal(s, -2)
+            new = batch[np.argpartition(-s, width - 1, axis=1)[:, :width]] if width > 0 else np.zeros((len(batch), 0), np.int64)
+            near = self._diverse(q, np.concatenate([old, new], axis=1), degree)
+            table[batch, : near.shape[1]] = near
+            self._link_back(table, filled, batch, near, degree)
+            if done:
+                for node, before in zip(batch, old.tolist(), strict=True):
+                    spot = next((x for x in before if x >= 0), nodes[0])
+                    table[node, -1], table[spot, -1] = table[spot, -1], node
+            else:
+                table[batch[:-1], -1] = batch[1:]
+            done += len(batch)
+
+    def _diverse(self, q: np.ndarray, cand: np.ndarray, degree: int) -> np.ndarray:
+        """Of each row's candidates those that are nearer to the node than to any chosen one, then the nearest."""
+        sim = np.where(cand >= 0, np.einsum("qwd,qd->qw", self.x[np.maximum(cand, 0)], q), -3.0)
+        order = np.argsort(-sim, axis=1, kind="stable")
+        cand, sim = np.take_along_axis(cand, order, 1), np.take_along_axis(sim, order, 1)
+        among = np.einsum("qad,qbd->qab", self.x[np.maximum(cand, 0)], self.x[np.maximum(cand, 0)])
+        crowd, chosen = np.full_like(sim, -2), np.zeros(sim.shape, bool)
+        for c in range(cand.shape[1]):
+            take = (sim[:, c] > crowd[:, c]) & (sim[:, c] > -2) & (chosen.sum(1) < degree)
+            chosen[:, c] = take
+            crowd[take] = np.maximum(crowd[take], among[take, c])
+        rank = np.argsort(np.where(chosen, 0, 1) * 10.0 - sim, axis=1, kind="stable")[:, :degree]
+        return np.take_along_axis(cand, rank, 1)
+
+    @staticmethod
+    def _link_back(table: np.ndarray, filled: np.ndarray, batch: np.ndarray, near: np.ndarray, degree: int) -> None:
+        src, dst = np.repeat(batch, near.shape[1]), near.ravel()
+        src, dst = src[dst >= 0], dst[dst >= 0]
         order = np.argsort(dst, kind="stable")
-        back_to, back_from = dst[order], src[order]
-        start = np.searchsorted(back_to, np.arange(n + 1))
-        back = np.full((n, degree), -1, np.int32)
-        spot = np.arange(back_to.size) - start[back_to] if back_to.size else np.zeros(0, int)
+        src, dst = src[order], dst[order]
+        start = np.flatnonzero(np.concatenate(([True], dst[1:] != dst[:-1]))) if dst.size else np.zeros(0, int)
+        spot = np.arange(dst.size) - np.repeat(start, np.diff(np.append(start, dst.size))) + filled[dst]
         fits = spot < degree
-        back[back_to[fits], spot[fits]] = back_from[fits]
-        both = np.concatenate([near, back], axis=1)
-        return np.where(both >= 0, nodes[np.maximum(both, 0)], -1).astype(np.int32)
+        table[dst[fits], degree + spot[fits]] = src[fits]
+        np.add.at(filled, dst[fits], 1)
+
+    def _starts(self, q: np.ndarray, layer: int, first: np.ndarray) -> np.ndarray:
+        """Where a search of a layer begins: what a descent through the layers above it finds."""
+        top = len(self.layers) - 1
+        if layer == top:
+            return np.tile(first, (len(q), 1))
+        starts = np.tile(self.layers[top][0][: 4 * DEGREE], (len(q), 1))
+        for at in range(top, layer, -1):
+            starts = self._beam(q, at, starts, 16)[0]
+        return starts
 
     def _beam(self, q: np.ndarray, layer: int, starts: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray]:
         nodes, table = self.layers[layer]
-        row_of = np.full(len(self.x), -1, np.int32)
-        row_of[nodes] = np.arange(nodes.size)
         m = len(q)
         width = min(width, nodes.size)
         seen = np.zeros((m, len(self.x) + 1), bool)
@@ -111,18 +152,14 @@ class Graph:
             chosen = np.where(valid, np.take_along_axis(ids[who], pick, 1), -1)
             rows, cols = np.nonzero(valid)
             done[who[rows], pick[rows, cols]] = True
-            nxt = table[row_of[np.maximum(chosen, 0)]]
+            nxt = table[np.maximum(chosen, 0)]
             nxt = np.where((chosen >= 0)[:, :, None], nxt, -1).reshape(len(who), -1)
             offer(who, nxt.astype(np.int64))
 
     def search(self, q: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray]:
         """For each query, up to ``width`` near nodes and their similarities (-1 pads)."""
         q = q.astype(np.float32)
-        top = len(self.layers) - 1
-        starts = np.tile(self.layers[top][0][: 4 * DEGREE], (len(q), 1))
-        for layer in range(top, 0, -1):
-            starts = self._beam(q, layer, starts, 16)[0]
-        return self._beam(q, 0, starts, width)
+        return self._beam(q, 0, self._starts(q, 0, self.layers[0][0][: 4 * DEGREE]), width)
 
 
 def matches(graph: Graph, unit: np.ndarray, q: np.ndarray, least: float, salt: int = 0) -> tuple[list[np.ndarray], float]:
@@ -140,9 +177,10 @@ def matches(graph: Graph, unit: np.ndarray, q: np.ndarray, least: float, salt: i
     audit = np.arange(salt % AUDIT_EVERY, len(q), AUDIT_EVERY)
     while True:
         exact = unit @ q[audit].T >= least
-        true, got = int(exact.sum()), sum(int(exact[found[i], k].sum()) for k, i in enumerate(audit))
-        recall = got / true if true else 1.0
-        if recall >= 0.995 or width >= n:
+        true, got = exact.sum(0), np.array([int(exact[found[i], k].sum()) for k, i in enumerate(audit)])
+        each = (got / np.maximum(true, 1))[true > 0]
+        recall = min(float(got.sum() / true.sum()), float(each.mean())) if each.size else 1.0
+        if recall >= RECALL or width >= n:
             return found, recall
         width = min(4 * width, n)
         ids, sims = graph.search(q, width)
@@ -240,7 +278,8 @@ def near_vectors(vectors: DataFrame, least: float = 0.98) -> DataFrame:
     """(vec_id, n_links, component_id, kept, recall) for every vector of ``vectors`` (vec_id, label, embedding).
 
     Two vectors of equal, non-null label link when their cosine in double precision is ``least`` or more.
-    recall is the share of matches that the audits of the vector's own searches found, averaged over shards.
+    recall is what the audits of the vector's own searches measured, averaged over shards: the share of all matches
+    that were found, or the mean of the audited queries' own shares where that is less.
 
     Vectors that are null, zero or hold null or non-finite components, and those without a label or id, link
     with nothing; vectors of different length never link.  Rows that repeat a vec_id are one vector (the
