@@ -5,8 +5,8 @@ curve, so a run of consecutive cells is compact in every dimension and a file th
 minima and maxima in all of them.  Rows are numbered along the curve and cut into shards of equal row counts.
 
 Numbering never sorts the table in one place: a row's number is the rows of earlier cells, plus the rows of
-earlier slices of its own cell, plus its place in its slice.  Cells are bounded by the grid and slices split a
-cell that holds a large part of all rows by the hash of its key.
+earlier slices of its own cell, plus its place in its slice.  Cells are bounded by the grid; slices split a cell by
+the hash of its rows' keys, at least SLICES and so many that a slice has about SLICE_ROWS rows at most.
 """
 
 from __future__ import annotations
@@ -17,7 +17,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import window as W
 
-SLICES = 64
+SLICES, SLICE_ROWS = 64, 65_536
 
 
 def log_scale(size: Column, bits: int) -> Column:
@@ -75,16 +75,26 @@ def curve_shards(docs: DataFrame, shards: int = 24, dims: list[Column] | None =
     of ``key``, then ``key``, then ``tie``; rows equal in all of these are interchangeable.  ``carry`` names the
     columns to keep (default all).
 
-    Null dimensions are cells of their own and null keys come first; with fewer rows than shards the last
-    shards are empty; an empty table gives an empty result.  Columns named like a result are replaced.
+    A null dimension counts as 0 and null keys come first; with fewer rows than shards the last shards are empty;
+    an empty table gives an empty result; texts of any length only travel.  Columns named like a result are
+    replaced.
     """
-    dims = document_dimensions(bits) if dims is None else dims
+    dims = [F.coalesce(d, F.lit(0)) for d in (document_dimensions(bits) if dims is None else dims)]
     names = [f"_d{i}" for i in range(len(dims))]
-    slice_ = F.pmod(F.xxhash64(F.col(key)), F.lit(SLICES)).cast("int")
+    placed = [d.alias(n) for d, n in zip(dims, names, strict=True)]
+    # cells with more rows than SLICES slices should hold: fewer than one for each SLICES * SLICE_ROWS rows
+    large = docs.select(*placed).groupBy(*names).agg(F.count("*").alias("_m")).where(F.col("_m") > SLICES * SLICE_ROWS)
+    large = F.broadcast(large.select(*[F.col(n).alias(f"_l{n}") for n in names], F.ceil(F.col("_m") / SLICE_ROWS).alias("_slices")))
+
+    def sliced(df: DataFrame, by: str) -> DataFrame:
+        same = reduce(lambda a, b: a & b, [F.col(n) == F.col(f"_l{n}") for n in names])
+        slice_ = F.pmod(F.xxhash64(F.col(by)), F.coalesce(F.col("_slices"), F.lit(SLICES))).cast("int")
+        return df.join(large, same, "left").withColumn("_slice", slice_).drop("_slices", *[f"_l{n}" for n in names])
+
     keep = [c for c in docs.columns if c not in ("curve", "shard", "slot")] if carry is None else carry
     tie = F.lit(0) if tie is None else tie
-    rows = docs.select(F.struct(*keep).alias("_row"), *[d.alias(n) for d, n in zip(dims, names, strict=True)], slice_.alias("_slice"), F.col(key).alias("_key"), tie.alias("_tie"))
-    parts = docs.select(*[d.alias(n) for d, n in zip(dims, names, strict=True)], slice_.alias("_slice")).groupBy(*names, "_slice").agg(F.count("*").alias("_n"))
+    rows = sliced(docs.select(F.struct(*keep).alias("_row"), *placed, F.col(key).alias("_key"), tie.alias("_tie")), "_key")
+    parts = sliced(docs.select(*placed, F.col(key).alias("_key")), "_key").groupBy(*names, "_slice").agg(F.count("*").alias("_n"))
     in_cell = W.Window.partitionBy(*names).orderBy("_slice").rowsBetween(W.Window.unboundedPreceding, -1)
     parts = parts.withColumn("_before", F.coalesce(F.sum("_n").over(in_cell), F.lit(0)))
     cells = parts.groupBy(*names).agg(F.sum("_n").alias("_cell_n")).withColumn("curve", hilbert_index([F.col(n) for n in names], bits))
@@ -131,7 +141,7 @@ def write_shards(sharded: DataFrame, path: str, rows_per_file: int = 1_000_000)
     """
     piece = F.floor(F.col("slot") / rows_per_file)
     placed = sharded.withColumn("_piece", piece)
-    placed.repartition("shard", "_piece").sortWithinPartitions("shard", "slot").drop("_piece").write.partitionBy("shard").parquet(path)
+    placed.repartition("shard", "_piece").sortWithinPartitions("shard", "slot").drop("_piece").write.option("maxRecordsPerFile", rows_per_file).partitionBy("shard").parquet(path)
 
 
 def prune(manifest: DataFrame, bounds: dict[str, tuple]) -> DataFrame:

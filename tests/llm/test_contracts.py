@@ -78,6 +78,35 @@ def test_op1(spark, sf, docs):
     assert along == sorted(along)
 
 
+def test_op1_slices_follow_the_rows(spark, sf, docs, monkeypatch):
+    """Cells cut into many slices, null dimensions, and files written by shard, in slot order."""
+    from framepatterns.llm import curve_shards as c
+    from pyspark.sql import functions as F
+
+    monkeypatch.setattr(c, "SLICES", 2)
+    monkeypatch.setattr(c, "SLICE_ROWS", 3)
+    df = spark.read.parquet(f"{sf}/documents.parquet")
+    dims = [F.when(F.col("doc_id") % 3 > 0, F.col("doc_id") % 2), F.lit(5)]
+    got = c.curve_shards(df, 7, dims, 3).select("doc_id", "curve", "shard", "slot").collect()
+    counts = collections.Counter(r.shard for r in got)
+    assert len({r.doc_id for r in got}) == len(got) == len(docs) and max(counts.values()) - min(counts.values()) <= 1
+    assert all(sorted(r.slot for r in got if r.shard == k) == list(range(n)) for k, n in counts.items())
+    along = [r.curve for r in sorted(got, key=lambda r: (r.shard, r.slot))]
+    assert along == sorted(along) and len(set(along)) == 2
+
+
+def test_op1_written_shards_come_back(spark, sf, docs, tmp_path):
+    from framepatterns.llm import curve_shards as c
+
+    out = c.curve_shards(spark.read.parquet(f"{sf}/documents.parquet"), 5)
+    c.write_shards(out, f"{tmp_path}/s", rows_per_file=11)
+    back = spark.read.parquet(f"{tmp_path}/s")
+    assert sorted((r.doc_id, r.shard, r.slot) for r in back.collect()) == sorted((r.doc_id, r.shard, r.slot) for r in out.collect())
+    one = next((tmp_path / "s" / "shard=2").glob("*.parquet"))
+    slots = [r.slot for r in spark.read.parquet(str(one)).collect()]
+    assert slots == sorted(slots) and max(slots) - min(slots) < 11
+
+
 def test_op1_prunes(spark, sf):
     from framepatterns.llm import curve_shards as c
 
