@@ -121,7 +121,7 @@ def _sets(batches: Iterator[pa.RecordBatch], k: int, wanted) -> Iterator[pa.Reco
 
 def _verify(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        x, y = batch.column("x").to_numpy(), batch.column("y").to_numpy()
+        x, y = batch.column("ux").to_numpy(), batch.column("uy").to_numpy()
         sx, sy = batch.column("sx"), batch.column("sy")
         rx, ry = (np.frombuffer(b"".join(batch.column(c).to_pylist()), np.uint16).reshape(-1, REGISTERS) for c in ("rx", "ry"))
         nx, ny = batch.column("nx").to_numpy(), batch.column("ny").to_numpy()
@@ -169,7 +169,7 @@ def _cross_links(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa
     block emits fewer links than it has components.
     """
     for t in _runs(batches, ["key", "i", "j"]):
-        ids, comp, n, band, home = (t.column(c).to_numpy() for c in ("id", "comp", "n", "band", "home"))
+        ids, nodes, comp, n, band, home = (t.column(c).to_numpy() for c in ("id", "node", "comp", "n", "band", "home"))
         i, j, b = int(t.column("i")[0].as_py()), int(t.column("j")[0].as_py()), int(band[0])
         left, right = np.flatnonzero(home == i), np.flatnonzero(home == j)
         if not left.size or not right.size:
@@ -198,8 +198,8 @@ def _cross_links(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa
             mark[own] = False
             for x in c[100 * common >= percent * (n[r] + n[c] - common)]:
                 if root[x] != root[r]:
-                    us.append(ids[r])
-                    vs.append(ids[x])
+                    us.append(nodes[r])
+                    vs.append(nodes[x])
                     root[root == root[x]] = root[r]
         if us:
             yield pa.RecordBatch.from_arrays([pa.array(us, pa.int64()), pa.array(vs, pa.int64())], names=["u", "v"])
@@ -212,6 +212,8 @@ def _band_keys(width: int) -> list:
 
 
 _CLASS = F.xxhash64  # of n, fa, fb: the id of a class of equal sets
+#: Nodes from here on are classes without any doc_id.
+NAMELESS = 1 << 62
 
 
 def _open_blocks(members: DataFrame, sets: DataFrame) -> DataFrame:
@@ -232,7 +234,7 @@ def _open_blocks(members: DataFrame, sets: DataFrame) -> DataFrame:
     others = F.when(major, F.sequence(F.lit(0).cast("long"), F.col("few") - 1)).otherwise(F.sequence(F.lit(0).cast("long"), F.col("few") + F.col("many") - 1))
     meets = at.select("key", "band", "id", "comp", "home", F.explode(others).alias("o"))
     meets = meets.select("key", "band", "id", "comp", "home", F.least("home", "o").alias("i"), F.greatest("home", "o").alias("j"))
-    return meets.join(sets.select("id", "n", "regs", "s"), "id")
+    return meets.join(sets.select("id", "node", "n", "regs", "s"), "id")
 
 
 def near_duplicates(docs: DataFrame, shingle: int = 4, percent: int = 80) -> DataFrame:
@@ -245,14 +247,15 @@ def near_duplicates(docs: DataFrame, shingle: int = 4, percent: int = 80) -> Dat
     Null and empty texts and texts without words have an empty set and link with nothing, also not with each
     other.  Texts are read whole, however long.  Rows that repeat a doc_id are one document: each comes back with
     its own text's n_shingles, and what one of its texts is linked with, the document is linked with.  A null
-    doc_id names no component.  An empty table gives an empty result; columns other than doc_id and text are
+    doc_id names no component; ids are below 2**62.  An empty table gives an empty result; columns other than doc_id and text are
     ignored.
     """
     spark = docs.sparkSession
     scratch = Scratch(spark, "near")
     source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     sketches = scratch.save(source.mapInArrow(lambda it: _sketch(it, shingle), "doc_id long, n long, fa long, fb long, regs binary").withColumn("id", _CLASS("n", "fa", "fb")))
-    classes = scratch.save(sketches.where("n > 0").groupBy("id").agg(F.min("doc_id").alias("rep"), F.first("n").alias("n"), F.first("regs").alias("regs")))
+    node = F.coalesce("rep", F.col("id").bitwiseAND(F.lit(NAMELESS - 1)) + NAMELESS)  # a class goes by its smallest doc_id
+    classes = scratch.save(sketches.where("n > 0").groupBy("id").agg(F.min("doc_id").alias("rep"), F.first("n").alias("n"), F.first("regs").alias("regs")).withColumn("node", node))
 
     banded = classes.select("id", "n", F.explode(F.array(*_band_keys(1), *_band_keys(3))).alias("key"))
     pivots = banded.groupBy("key").agg(F.min("id").alias("pivot"), F.count("*").alias("c")).where("c > 1").select("key", "pivot")
@@ -268,27 +271,27 @@ def near_duplicates(docs: DataFrame, shingle: int = 4, percent: int = 80) -> Dat
     else:
         raw = keyed.join(wanted.distinct(), "key", "left_semi").mapInArrow(lambda it: _sets(it, shingle, None), "n long, fa long, fb long, s binary")
     full = raw.select(_CLASS("n", "fa", "fb").alias("id"), "s").join(touched, "id").dropDuplicates(["id"])
-    sets = scratch.save(full.join(classes.select("id", "n", "regs"), "id"))
+    sets = scratch.save(full.join(classes.select("id", "node", "n", "regs"), "id"))
 
     def confirmed(candidates: DataFrame) -> DataFrame:
-        sx, sy = (sets.select(F.col("id").alias(v), F.col("s").alias("s" + v), F.col("n").alias("n" + v), F.col("regs").alias("r" + v)) for v in "xy")
+        sx, sy = (sets.select(F.col("id").alias(v), F.col("node").alias("u" + v), F.col("s").alias("s" + v), F.col("n").alias("n" + v), F.col("regs").alias("r" + v)) for v in "xy")
         both = candidates.join(sx, "x").join(sy, "y").where(100 * F.least("nx", "ny") >= percent * F.greatest("nx", "ny"))
         return both.mapInArrow(lambda it: _verify(it, percent), "u long, v long")
 
-    # classes of one doc_id are one document
-    own = sketches.where("n > 0 and doc_id is not null").groupBy("doc_id").agg(F.min("id").alias("u"), F.max("id").alias("w")).where("u <> w")
-    repeated = sketches.where("n > 0").join(own, "doc_id").select("u", F.col("id").alias("v"))
+    # a doc_id with several texts is a node beside those of its classes
+    own = sketches.where("n > 0 and doc_id is not null").groupBy("doc_id").agg(F.min("id").alias("a"), F.max("id").alias("b")).where("a <> b").select("doc_id")
+    repeated = sketches.where("n > 0").join(own, "doc_id").join(classes.select("id", "node"), "id").select(F.col("doc_id").alias("u"), F.col("node").alias("v"))
     links = scratch.save(confirmed(pairs).union(repeated))
     labels = connected_components(links, scratch)
 
-    members = sets.select("id", "n", "regs").join(labels, "id", "left").select("id", "n", "regs", F.coalesce("component", "id").alias("comp"))
+    members = sets.select("id", "node", "n", "regs").join(labels.withColumnRenamed("id", "node"), "node", "left").select("id", "n", "regs", F.coalesce("component", "node").alias("comp"))
     blocks = _open_blocks(members, sets)
     crossing = blocks.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j").mapInArrow(lambda it: _cross_links(it, percent), "u long, v long")
     links = scratch.save(links.union(crossing))
     final = connected_components(links, scratch)
 
-    named = classes.select("id", "rep").join(final, "id").groupBy("component").agg(F.min("rep").alias("c"))
-    of_class = classes.select("id", "rep").join(final, "id", "left").join(named, "component", "left").select("id", F.coalesce("c", "rep").alias("c"))
+    of_class = classes.select("id", "node").join(final.withColumnRenamed("id", "node"), "node", "left").withColumn("c", F.coalesce("component", "node"))
+    of_class = of_class.select("id", F.when(F.col("c") < NAMELESS, F.col("c")).alias("c"))
     out = sketches.select("doc_id", "n", "id").join(of_class, "id", "left")
     comp = F.coalesce("c", "doc_id")
     return out.select("doc_id", F.col("n").alias("n_shingles"), comp.alias("component_id"), (F.col("doc_id") == comp).alias("kept"))
