@@ -32,8 +32,8 @@ from framepatterns.llm.packing import bucket_bits, bucket_runs
 from framepatterns.llm.scratch import Scratch, bound_batches
 from framepatterns.llm.words import hashed_rows, mix
 
-#: Words that a task gathers before it sends their contexts on.
-HELD_WORDS = 1 << 21
+#: Pairs that a task holds before it sends them on, and words after which it drops the pairs that it has already.
+HELD_PAIRS, MERGED_WORDS = 1 << 21, 1 << 20
 #: Share of the sample's words from which a word's contexts are dealt by themselves and not by the word.
 HOT = 1e-3
 #: Low bits of a word's hash that the continuation counts do without.
@@ -99,9 +99,7 @@ def _contexts(batches: Iterator[pa.RecordBatch], bits: int, hot: np.ndarray) ->
     """
     words, pairs, held = [], [], 0
 
-    def pack() -> pa.RecordBatch:
-        pair, at = np.unique(np.concatenate(pairs), return_index=True)
-        word = np.concatenate(words)[at]
+    def pack(word: np.ndarray, pair: np.ndarray) -> pa.RecordBatch:
         bucket = mix(np.where(np.isin(word, hot), pair, word)) >> np.uint64(64 - bits)
         order = np.lexsort((word, bucket))
         bucket, word, pair = bucket[order], word[order] >> np.uint64(CUT), pair[order] >> np.uint64(24)
@@ -126,11 +124,15 @@ def _contexts(batches: Iterator[pa.RecordBatch], bits: int, hot: np.ndarray) ->
             words.append(h)
             pairs.append(pair_key(_previous(h, w), h))
             held += h.size
-            if held > HELD_WORDS:
-                yield pack()
-                words, pairs, held = [], [], 0
-    if held:
-        yield pack()
+            if held > MERGED_WORDS:
+                pair, at = np.unique(np.concatenate(pairs), return_index=True)
+                words, pairs, held = [np.concatenate(words)[at]], [pair], 0
+                if pair.size > HELD_PAIRS:
+                    yield pack(words[0], pair)
+                    words, pairs = [], []
+    if words:
+        pair, at = np.unique(np.concatenate(pairs), return_index=True)
+        yield pack(np.concatenate(words)[at], pair)
 
 
 def _wide(raw: bytes, width: int) -> np.ndarray:
