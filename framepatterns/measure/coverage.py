@@ -24,7 +24,7 @@ COVERED: dict[str, dict[str, str]] = {
         "operators.rows.clip": "clip",
         "operators.rows.mask": "mask where",
         "operators.rows.sample_rows": "sample",
-        "patterns.local_kernel": "map_partitions pipe",
+        "functions.kernel.local": "map_partitions pipe",
         "functions.udf.scalar": "map applymap transform_scalar",
         "functions.udf.missing_filled": "fillna",
         "column.isin": "isin", "column.between": "between", "column.isNull": "isna isnull", "column.isNotNull": "notna notnull", "column.cast": "astype",

@@ -33,13 +33,15 @@ class Hashed:
 class Ordered:
     """Partition i holds the keys from pivot i-1 up to pivot i; a key that is a pivot may lie on both sides of it.
 
-    Pivots are numbers for one numeric key, else tuples of one value a key.
+    Pivots are numbers for one numeric key, else tuples of one value a key; ``hot`` tells that one of them is the
+    key of many rows.
     """
 
     keys: tuple[str, ...]
     pivots: tuple
     partitions: int
     ascending: bool = True
+    hot: bool = False
 
 
 @dataclass(frozen=True)

@@ -78,7 +78,8 @@ def global_reduce(x: Frame | DataFrame, *aggs: Column, replicate: bool = False)
 def _dealt_in_order(df: DataFrame, below: Column, upto: Column, n: int, order: list[Column], hot: bool) -> DataFrame:
     """Deal rows by their range and merge what every partition receives.
 
-    Where pivots repeat (``hot``), rows that equal them fill all partitions that may hold them.  Then every
+    Where a pivot's key fills half a partition or more (``hot``), rows that equal pivots fill all partitions that
+    may hold them.  Then every
     partition is sorted first, by all columns that can be ordered, and a row's place says to which of several
     partitions it goes: rows that tie there are equal, so a task that runs again sends the same rows.
     """
@@ -97,14 +98,25 @@ def order_by_range(x: Frame | DataFrame, key: str, partitions: int, bins: int =
     """
     f = as_frame(x)
     whole_input(f.df, "a global sort")
-    pivots = quantile_pivots(f.df, key, partitions) if sketch else histogram_pivots(f.df, key, partitions, bins)
-    return deal_by_pivots(f, Ordered((key,), tuple(pivots), len(pivots) + 1), ascending, "quantile sketch" if sketch else "histogram")
+    fine = FINER * partitions
+    pivots, hot = _every(quantile_pivots(f.df, key, fine) if sketch else histogram_pivots(f.df, key, fine, bins))
+    return deal_by_pivots(f, Ordered((key,), tuple(pivots), len(pivots) + 1, hot=hot), ascending, "quantile sketch" if sketch else "histogram")
+
+
+#: Cuts that are looked at for each partition, to see which pivots stand in a crowded key.
+FINER = 4
+
+
+def _every(grid: list) -> tuple[list, bool]:
+    """Every FINER-th cut as pivots, and whether one of them has equals on both sides: a key that fills half a partition."""
+    at = range(FINER - 1, len(grid), FINER)
+    return [grid[i] for i in at], any(grid[i - 1] == grid[i] == grid[i + 1] for i in at)
 
 
 def deal_by_pivots(x: Frame | DataFrame, layout: Ordered, ascending: bool = True, how: str = "earlier") -> Frame:
     """Deal a frame by the pivots of an ordered layout, so that frames ordered alike can be merged without looking at their rows again."""
     f, n, pivots = as_frame(x), layout.partitions, list(layout.pivots)
-    hot = len(set(pivots)) < len(pivots)
+    hot = layout.hot or len(set(pivots)) < len(pivots)
     if len(layout.keys) == 1 and all(isinstance(p, float) for p in pivots):
         key = layout.keys[0]
         below, upto = (F.when(F.col(key).isNull(), n - 1).otherwise(range_pid(F.col(key).cast("double"), pivots, F.lit, strict)) for strict in (True, False))
@@ -126,8 +138,8 @@ def order_by_sample(x: Frame | DataFrame, keys: list, partitions: int, per_parti
     """
     f = as_frame(x)
     whole_input(f.df, "a global sort")
-    pivots = choose_pivots(regular_sample(f.df, _columns(keys), per_partition), partitions)
-    layout = Ordered(tuple(keys), tuple(tuple(p.values()) for p in pivots), len(pivots) + 1)
+    pivots, hot = _every(choose_pivots(regular_sample(f.df, _columns(keys), per_partition), FINER * partitions))
+    layout = Ordered(tuple(keys), tuple(tuple(p.values()) for p in pivots), len(pivots) + 1, hot=hot)
     return deal_by_pivots(f, layout, how="regular sample")
 
 

@@ -16,10 +16,19 @@ RUNTIME = {
 }
 
 
+#: Settings of a session that is not yet running.
+START = {"spark.speculation": "true", "spark.speculation.quantile": "0.9"}
+
+
 def start(master: str = "local[*]", app: str = "framepatterns", **settings: str) -> SparkSession:
-    """A new session, or the running one with its run-time settings adjusted."""
+    """A new session, or the running one with its run-time settings adjusted.
+
+    A new session also runs slow tasks twice: with small tasks dealt as workers become free (``oversplit``), this
+    stands in for work stealing.
+    """
     b = SparkSession.builder.master(master).appName(app)
-    for k, v in (RUNTIME | settings).items():
+    fixed = START if SparkSession.getActiveSession() is None else {}
+    for k, v in (fixed | RUNTIME | settings).items():
         b = b.config(k, v)
     return b.getOrCreate()
 

@@ -13,7 +13,7 @@ from framepatterns.baselines import serial
 from framepatterns.measure.balance import balance
 from framepatterns.measure.shuffle_volume import shuffle_volume
 from framepatterns.measure.timing import timed
-from framepatterns.operators import columnagg, grouping, joining, rows
+from framepatterns.operators import columnagg, grouping, joining, ordering, rows
 from framepatterns.plans.cardinality import cardinality, combine_ratio
 from framepatterns.plans.choose import choose_group_pattern
 from framepatterns.workloads.frames import UNIVERSE, bench_a, bench_b
@@ -59,6 +59,20 @@ def strong_scaling_table(spark: SparkSession, sf_dir: str, parallelism: list[int
     return out + [{"operator": n, "parallelism": 0, "seconds": s, "speed_up": 1.0, "max_over_mean": None, "failure": None} for n, s in base.items()]
 
 
+def sort_table(spark: SparkSession, sf_dir: str, partitions: int, copies: int = 1, reps: int = 3) -> list[dict]:
+    """Both sorts and the engine's own on even and on hot keys: seconds, and the longest partition over the mean."""
+    from pyspark.sql import functions as F
+
+    x = spread(bench_a(spark, sf_dir, 0.9), partitions, copies)
+    out = []
+    for keys, df in (("even", x), ("half in one key", x.withColumn("k", F.when(F.col("v") % 2 == 0, 0).otherwise(F.col("k"))))):
+        for algorithm in ("range", "sample", "native"):
+            make = lambda a=algorithm, d=df: ordering.sort(d, ["k"], algorithm=a, partitions=partitions).df
+            out.append({"keys": keys, "algorithm": algorithm, "seconds": timed(make, reps).seconds, "max_over_mean": balance(make()).max_over_mean})
+    x.unpersist()
+    return out
+
+
 def cardinality_table(spark: SparkSession, sf_dir: str, partitions: int, copies: int = 1, reps: int = 3) -> list[dict]:
     """Both group-by patterns at every cardinality: seconds, rows and bytes sent, the measured ratio and the choice."""
     out = []

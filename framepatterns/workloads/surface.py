@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import window as W
 
 from framepatterns.catalog import query
-from framepatterns.functions import udf
+from framepatterns.functions import kernel, udf
 from framepatterns.operators import ordering, rows, windows
 from framepatterns.session import shared_root
 from framepatterns.sources import readers, writers
@@ -178,6 +178,26 @@ def interpolate(spark, d):
     return windows.interpolate(e, ["user_id"], "event_id", "v", "filled").select("event_id", F.round("filled", 6).alias("filled"))
 
 
+def _arrow_double(t):
+    import pyarrow as pa
+    import pyarrow.compute as pc
+
+    return pa.table({"p_partkey": t["p_partkey"], "y": pc.multiply(t["p_retailprice"], 2.0)})
+
+
+def _pandas_double(t):
+    return t.assign(y=t["p_retailprice"] * 2.0)[["p_partkey", "y"]]
+
+
+@query("local_kernels", "SELECT kind, p_partkey, p_retailprice * 2.0 AS y FROM part, (VALUES ('sql'), ('arrow'), ('pandas')) k(kind)")
+def local_kernels(spark, d):
+    """The same local operator in three languages behind one interface."""
+    part = table(spark, d, "part").select("p_partkey", "p_retailprice")
+    kinds = {"sql": kernel.SqlKernel({"y": F.col("p_retailprice") * 2.0}), "arrow": kernel.ArrowKernel(_arrow_double, "p_partkey long, y double"), "pandas": kernel.PandasKernel(_pandas_double, "p_partkey long, y double")}
+    parts = [kernel.local(part, k).df.select(F.lit(name).alias("kind"), "p_partkey", "y") for name, k in kinds.items()]
+    return parts[0].union(parts[1]).union(parts[2])
+
+
 @query("udf_scalar", "SELECT p_partkey, p_retailprice * 2 + 1 AS y FROM part")
 def udf_scalar(spark, d):
     twice = udf.scalar(lambda s: s * 2 + 1, "double")

@@ -1,4 +1,4 @@
-"""Print the strong-scaling and cardinality tables: python scaling.py [directory of tables] [copies of the rows].
+"""Print the strong-scaling, cardinality and sort tables: python scaling.py [directory of tables] [copies of the rows].
 
 Every parallelism runs in a program of its own with that many cores and as many partitions.
 """
@@ -18,7 +18,9 @@ def measure(cores: int, sf_dir: str, copies: int, what: str) -> list[dict]:
     spark = session.start(f"local[{cores}]", "scaling", **{"spark.sql.shuffle.partitions": str(cores), "spark.ui.enabled": "false", "spark.ui.showConsoleProgress": "false", "spark.driver.memory": "8g", "spark.sql.autoBroadcastJoinThreshold": "-1"})
     spark.sparkContext.setLogLevel("ERROR")
     try:
-        return scaling.strong_scaling_table(spark, sf_dir, [cores], copies) if what == "scaling" else scaling.cardinality_table(spark, sf_dir, cores, copies)
+        if what == "scaling":
+            return scaling.strong_scaling_table(spark, sf_dir, [cores], copies)
+        return (scaling.sort_table if what == "sorts" else scaling.cardinality_table)(spark, sf_dir, cores, copies)
     finally:
         spark.stop()
 
@@ -41,7 +43,8 @@ def main() -> None:
     for p in [p for p in (1, 2, 4, 8, 16, 32) if p <= cpus]:
         rows += [r for r in run("scaling", p) if r["parallelism"] or not any(x["parallelism"] == 0 and x["operator"] == r["operator"] for x in rows)]
     print(markdown(sorted(rows, key=lambda r: (r["operator"], r["parallelism"]))), end="\n\n")
-    print(markdown(run("cardinality", cpus)))
+    print(markdown(run("cardinality", cpus)), end="\n\n")
+    print(markdown(run("sorts", cpus)))
 
 
 if __name__ == "__main__":
