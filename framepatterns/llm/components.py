@@ -10,10 +10,14 @@ from framepatterns.llm.scratch import Scratch
 
 #: A node with more than this share of all edge ends is a hub; there are fewer than 1 / HUB of them.
 HUB = 1e-3
+#: Edges up to which one task may hold a hub's: they are 16 bytes each.
+FEW_EDGES = 1 << 22
 
 
 def _with_low(edges: DataFrame, low: DataFrame, rows: int) -> DataFrame:
-    """Edges with their u's m.  Hubs are replicated, their number is bounded, so their edges stay where they are."""
+    """Edges with their u's m.  In large tables hubs are replicated, their number is bounded, so their edges stay where they are."""
+    if rows <= FEW_EDGES:
+        return edges.join(low.select("u", "m"), "u")
     hubs = low.where(F.col("c") > HUB * rows).select("u", F.col("m").alias("h"))
     seen = edges.join(F.broadcast(hubs), "u", "left")
     rest = seen.where("h is null").select("u", "v").join(low.select("u", "m"), "u")
@@ -36,8 +40,8 @@ def connected_components(edges: DataFrame, scratch: Scratch, max_rounds: int = 6
     """(id, component) for every id that has a link to another id; component is the smallest reachable id.
 
     ``edges`` has long columns u and v; direction, repeats, self-links and nulls don't matter.  Smallest neighbours
-    come from aggregations with map-side combine, and the links of hubs are not brought together; each round is
-    written to the shared folder.  An empty edge table gives an empty result.
+    come from aggregations with map-side combine, and of more than FEW_EDGES links those of hubs are not brought
+    together; each round is written to the shared folder.  An empty edge table gives an empty result.
     """
     e = edges.where("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct()
     e, seen = scratch.save(e), None

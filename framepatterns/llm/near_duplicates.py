@@ -35,7 +35,7 @@ _ADD = np.random.default_rng(12).integers(0, 1 << 32, 768, dtype=np.uint32)[:REG
 #: A pair is rejected unverified when its best similarity below the threshold is e**9 times likelier than the threshold.
 REJECT = 9.0
 #: Members of a bucket and bytes of their sets on one side of a block.
-BLOCK_ROWS, BLOCK_BYTES = 512, 32 << 20
+BLOCK_ROWS, BLOCK_BYTES = 512, 8 << 20
 #: Documents that are picked by a bit set (of 8 bits each); more are picked by a join.
 FEW = 1 << 24
 

@@ -63,8 +63,12 @@ def test_bit_sets_have_no_false_negatives(spark):
 test_bits.__test__ = False
 
 
+@pytest.mark.parametrize("few", [1 << 22, 0])
 @pytest.mark.parametrize("shape", ["path", "star", "random", "loops", "empty"])
-def test_components(spark, shape):
+def test_components(spark, shape, few, monkeypatch):
+    from framepatterns.llm import components
+
+    monkeypatch.setattr(components, "FEW_EDGES", few)
     rng = np.random.default_rng(4)
     edges = {
         "path": [(i, i + 1) for i in range(150)],
