@@ -33,7 +33,7 @@ from framepatterns.llm.scratch import Scratch, bound_batches
 from framepatterns.llm.words import hashed_rows, mix
 
 #: Pairs that a task holds before it sends them on, and words after which it drops the pairs that it has already.
-HELD_PAIRS, MERGED_WORDS = 3 << 19, 1 << 19
+HELD_PAIRS, MERGED_WORDS = 1 << 20, 1 << 18
 #: Share of the sample's words from which a word's contexts are dealt by themselves and not by the word.
 HOT = 1e-3
 #: Low bits of a word's hash that the continuation counts do without.
