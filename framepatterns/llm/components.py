@@ -36,15 +36,16 @@ def _small_star(edges: DataFrame, rows: int) -> DataFrame:
     return moved.union(low.select("u", F.col("m").alias("v")))
 
 
-def connected_components(edges: DataFrame, scratch: Scratch, max_rounds: int = 64) -> DataFrame:
+def connected_components(edges: DataFrame, scratch: Scratch, max_rounds: int = 64, rows: int | None = None) -> DataFrame:
     """(id, component) for every id that has a link to another id; component is the smallest reachable id.
 
     ``edges`` has long columns u and v; direction, repeats, self-links and nulls don't matter.  Smallest neighbours
     come from aggregations with map-side combine, and of more than FEW_EDGES links those of hubs are not brought
-    together; each round is written to the shared folder.  An empty edge table gives an empty result.
+    together; each round is written to the shared folder.  ``rows`` is about the number of edges, where it is known,
+    and only sets how many files they go to.  ``edges`` is computed once.  An empty edge table gives an empty result.
     """
     e = edges.where("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct()
-    e, seen = scratch.save(e), None
+    e, seen = scratch.save(e, rows=rows), None
     for _ in range(max_rounds):
         state = e.agg(F.count("*"), F.bit_xor(F.xxhash64("u", "v")), F.sum(F.pmod(F.xxhash64("v", "u"), F.lit(1 << 30)))).first()
         if tuple(state) == seen or state[0] == 0:

@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from framepatterns.llm.components import connected_components
-from framepatterns.llm.scratch import Scratch, bitmap, test_bits
+from framepatterns.llm.scratch import Scratch, bitmap, few_pieces, pieces, test_bits
 from framepatterns.llm.words import hashed_rows, shingle_set
 
 REGISTERS, BAND = 96, 4
@@ -36,6 +36,8 @@ _ADD = np.random.default_rng(12).integers(0, 1 << 32, 768, dtype=np.uint32)[:REG
 REJECT = 9.0
 #: Members of a bucket and bytes of their sets on one side of a block.
 BLOCK_ROWS, BLOCK_BYTES = 512, 8 << 20
+#: Bytes of a sketched class or a result row with its overhead; a class has a key a band and one a group of three bands.
+ROW_BYTES, KEYS = 320, REGISTERS // BAND + REGISTERS // (3 * BAND)
 #: Documents that are picked by a bit set (of 8 bits each); more are picked by a join.
 FEW = 1 << 24
 
@@ -253,25 +255,27 @@ def near_duplicates(docs: DataFrame, shingle: int = 4, percent: int = 80) -> Dat
     spark = docs.sparkSession
     scratch = Scratch(spark, "near")
     source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    sketches = scratch.save(source.mapInArrow(lambda it: _sketch(it, shingle), "doc_id long, n long, fa long, fb long, regs binary").withColumn("id", _CLASS("n", "fa", "fb")))
+    sketches = scratch.save(few_pieces(source).mapInArrow(lambda it: _sketch(it, shingle), "doc_id long, n long, fa long, fb long, regs binary").withColumn("id", _CLASS("n", "fa", "fb")))
+    rows = sketches.count()
     node = F.coalesce("rep", F.col("id").bitwiseAND(F.lit(NAMELESS - 1)) + NAMELESS)  # a class goes by its smallest doc_id
-    classes = scratch.save(sketches.where("n > 0").groupBy("id").agg(F.min("doc_id").alias("rep"), F.first("n").alias("n"), F.first("regs").alias("regs")).withColumn("node", node))
+    classes = scratch.save(sketches.where("n > 0").groupBy("id").agg(F.min("doc_id").alias("rep"), F.first("n").alias("n"), F.first("regs").alias("regs")).withColumn("node", node).coalesce(pieces(rows, rows * ROW_BYTES)))
 
     banded = classes.select("id", "n", F.explode(F.array(*_band_keys(1), *_band_keys(3))).alias("key"))
     pivots = banded.groupBy("key").agg(F.min("id").alias("pivot"), F.count("*").alias("c")).where("c > 1").select("key", "pivot")
-    pairs = scratch.save(banded.join(pivots, "key").where("id <> pivot").select(F.col("id").alias("x"), F.col("pivot").alias("y")).distinct())
-    touched = scratch.save(pairs.select(F.explode(F.array("x", "y")).alias("id")).distinct())
+    pairs = scratch.save(banded.join(pivots, "key").where("id <> pivot").select(F.col("id").alias("x"), F.col("pivot").alias("y")).distinct(), KEYS * rows)
+    touched = scratch.save(pairs.select(F.explode(F.array("x", "y")).alias("id")).distinct(), rows)
+    few, size = classes.join(touched, "id", "left_semi").agg(F.count("*"), F.coalesce(F.sum(8 * F.col("n") + ROW_BYTES), F.lit(0))).first()
 
     # one document of each touched class gives the class's set
     wanted = classes.join(touched, "id", "left_semi").select(F.xxhash64("rep").alias("key"))
-    keyed, few = source.withColumn("key", F.xxhash64("doc_id")), touched.count()
+    keyed = source.withColumn("key", F.xxhash64("doc_id"))
     if few <= FEW:
         bits = spark.sparkContext.broadcast(bitmap(wanted, "key", max(16, (8 * few).bit_length())))
         raw = keyed.mapInArrow(lambda it: _sets(it, shingle, bits), "n long, fa long, fb long, s binary")
     else:
         raw = keyed.join(wanted.distinct(), "key", "left_semi").mapInArrow(lambda it: _sets(it, shingle, None), "n long, fa long, fb long, s binary")
     full = raw.select(_CLASS("n", "fa", "fb").alias("id"), "s").join(touched, "id").dropDuplicates(["id"])
-    sets = scratch.save(full.join(classes.select("id", "node", "n", "regs"), "id"))
+    sets = scratch.save(full.join(classes.select("id", "node", "n", "regs"), "id").coalesce(pieces(few, size)))
 
     def confirmed(candidates: DataFrame) -> DataFrame:
         sx, sy = (sets.select(F.col("id").alias(v), F.col("node").alias("u" + v), F.col("s").alias("s" + v), F.col("n").alias("n" + v), F.col("regs").alias("r" + v)) for v in "xy")
@@ -281,18 +285,19 @@ def near_duplicates(docs: DataFrame, shingle: int = 4, percent: int = 80) -> Dat
     # a doc_id with several texts is a node beside those of its classes
     own = sketches.where("n > 0 and doc_id is not null").groupBy("doc_id").agg(F.min("id").alias("a"), F.max("id").alias("b")).where("a <> b").select("doc_id")
     repeated = sketches.where("n > 0").join(own, "doc_id").join(classes.select("id", "node"), "id").select(F.col("doc_id").alias("u"), F.col("node").alias("v"))
-    links = scratch.save(confirmed(pairs).union(repeated))
-    labels = connected_components(links, scratch)
+    n_pairs = pairs.count()
+    verified = confirmed(pairs).coalesce(pieces(n_pairs, 2 * n_pairs * size // max(few, 1)))
+    links = scratch.save(verified.union(repeated.coalesce(pieces(rows))))
+    labels = connected_components(links, scratch, rows=n_pairs + rows)
 
     members = sets.select("id", "node", "n", "regs").join(labels.withColumnRenamed("id", "node"), "node", "left").select("id", "n", "regs", F.coalesce("component", "node").alias("comp"))
     blocks = _open_blocks(members, sets)
     crossing = blocks.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j").mapInArrow(lambda it: _cross_links(it, percent), "u long, v long")
-    links = scratch.save(links.union(crossing))
-    final = connected_components(links, scratch)
+    final = connected_components(links.union(crossing), scratch, rows=KEYS * rows)
 
     of_class = classes.select("id", "node").join(final.withColumnRenamed("id", "node"), "node", "left").withColumn("c", F.coalesce("component", "node"))
     of_class = of_class.select("id", F.when(F.col("c") < NAMELESS, F.col("c")).alias("c"))
-    out = sketches.select("doc_id", "n", "id").join(of_class, "id", "left")
+    out = sketches.select("doc_id", "n", "id").join(of_class, "id", "left").coalesce(pieces(rows, rows * ROW_BYTES))
     comp = F.coalesce("c", "doc_id")
     return out.select("doc_id", F.col("n").alias("n_shingles"), comp.alias("component_id"), (F.col("doc_id") == comp).alias("kept"))
 

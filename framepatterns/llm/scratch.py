@@ -24,7 +24,7 @@ def _delete(spark: SparkSession, path: str) -> None:
 
 
 BATCH_BYTES = 4 << 20
-ROWS_PER_FILE = 100_000
+ROWS_PER_FILE, FILE_BYTES = 100_000, 4 << 20
 
 
 def bound_batches(spark: SparkSession) -> None:
@@ -39,6 +39,21 @@ def bound_batches(spark: SparkSession) -> None:
             spark.conf.set(key, str(BATCH_BYTES))
 
 
+def pieces(rows: int, size: int = 0) -> int:
+    """Files for at most ``rows`` rows of about ``size`` bytes together."""
+    return max(1, -(-rows // ROWS_PER_FILE), -(-size // FILE_BYTES))
+
+
+def few_pieces(df: DataFrame) -> DataFrame:
+    """``df``, a table's rows, with small input partitions put together to FILE_BYTES, but for two a core at least.
+
+    The size is the engine's estimate, from the files; where it has none, and for larger partitions, nothing changes.
+    """
+    size = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    least = 2 * df.sparkSession.sparkContext.defaultParallelism
+    return df.coalesce(max(least, -(-size // FILE_BYTES))) if size < FILE_BYTES << 20 else df
+
+
 class Scratch:
     """A private folder of durable intermediate tables; the whole folder goes when the program ends."""
 
@@ -51,11 +66,12 @@ class Scratch:
     def save(self, df: DataFrame, rows: int | None = None) -> DataFrame:
         """Write ``df`` once and return the written table.
 
-        Where the number of rows is known to be at most ``rows``, it goes to one file for each ROWS_PER_FILE.
+        Where the number of rows is known to be about ``rows`` at most, it goes to one file for each ROWS_PER_FILE: a
+        file costs an executor several short-lived processes on a local file system.
         """
         self.n += 1
         path = f"{self.root}/t{self.n}"
-        (df if rows is None else df.coalesce(max(1, -(-rows // ROWS_PER_FILE)))).write.parquet(path)
+        (df if rows is None else df.coalesce(pieces(rows))).write.parquet(path)
         out = self.spark.read.schema(df.schema).parquet(path)
         out._scratch_path = path
         return out

@@ -219,6 +219,32 @@ def test_op2_blocks_of_any_size(spark, monkeypatch):
         assert {r.doc_id: (r.n_shingles, r.component_id) for r in nd.near_duplicates(df).collect()} == want
 
 
+def test_op2_files_follow_the_rows(spark, tmp_path, monkeypatch):
+    """A small table goes to few files, however many partitions its shuffles and its input have, with the same result."""
+    from framepatterns.llm import near_duplicates as nd
+
+    rows = _edited(60, 80, 2, 3) + [(1000 + d, t, "", "") for d, t, _, _ in _edited(60, 300, 9, 5)]
+    spark.createDataFrame([(d, t) for d, t, _, _ in rows], "doc_id long, text string").repartition(40).write.parquet(f"{tmp_path}/docs")
+    many = {"spark.sql.shuffle.partitions": "64", "spark.sql.adaptive.coalescePartitions.enabled": "false", "spark.sql.files.maxPartitionBytes": "4k", "spark.sql.files.openCostInBytes": "4k"}
+    before, saved, keep = {k: spark.conf.get(k) for k in many}, [], nd.Scratch.save
+
+    def save(self, *args, **named):
+        saved.append(out := keep(self, *args, **named))
+        saved[-1] = len(out.inputFiles())
+        return out
+
+    monkeypatch.setattr(nd.Scratch, "save", save)
+    try:
+        for k, v in many.items():
+            spark.conf.set(k, v)
+        got = {r.doc_id: (r.n_shingles, r.component_id) for r in nd.near_duplicates(spark.read.parquet(f"{tmp_path}/docs")).collect()}
+    finally:
+        for k, v in before.items():
+            spark.conf.set(k, v)
+    assert got == brute_components(rows, 4, 80)
+    assert max(saved) <= 16 and sum(saved) <= 40
+
+
 def test_op2_one_id_with_several_texts(spark):
     from framepatterns.llm.near_duplicates import near_duplicates
 
