@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from framepatterns.llm.components import connected_components
-from framepatterns.llm.scratch import Scratch, bitmap, few_pieces, pieces, test_bits
+from framepatterns.llm.scratch import Scratch, bitmap, few_pieces, map_batches, pieces, test_bits
 from framepatterns.llm.words import hashed_rows, shingle_set
 
 REGISTERS, BAND = 96, 4
@@ -255,7 +255,7 @@ def near_duplicates(docs: DataFrame, shingle: int = 4, percent: int = 80) -> Dat
     spark = docs.sparkSession
     scratch = Scratch(spark, "near")
     source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    sketches = scratch.save(few_pieces(source).mapInArrow(lambda it: _sketch(it, shingle), "doc_id long, n long, fa long, fb long, regs binary").withColumn("id", _CLASS("n", "fa", "fb")))
+    sketches = scratch.save(map_batches(few_pieces(source), lambda it: _sketch(it, shingle), "doc_id long, n long, fa long, fb long, regs binary").withColumn("id", _CLASS("n", "fa", "fb")))
     rows = sketches.count()
     node = F.coalesce("rep", F.col("id").bitwiseAND(F.lit(NAMELESS - 1)) + NAMELESS)  # a class goes by its smallest doc_id
     classes = scratch.save(sketches.where("n > 0").groupBy("id").agg(F.min("doc_id").alias("rep"), F.first("n").alias("n"), F.first("regs").alias("regs")).withColumn("node", node).coalesce(pieces(rows, rows * ROW_BYTES)))
@@ -271,16 +271,16 @@ def near_duplicates(docs: DataFrame, shingle: int = 4, percent: int = 80) -> Dat
     keyed = source.withColumn("key", F.xxhash64("doc_id"))
     if few <= FEW:
         bits = spark.sparkContext.broadcast(bitmap(wanted, "key", max(16, (8 * few).bit_length())))
-        raw = keyed.mapInArrow(lambda it: _sets(it, shingle, bits), "n long, fa long, fb long, s binary")
+        raw = map_batches(keyed, lambda it: _sets(it, shingle, bits), "n long, fa long, fb long, s binary")
     else:
-        raw = keyed.join(wanted.distinct(), "key", "left_semi").mapInArrow(lambda it: _sets(it, shingle, None), "n long, fa long, fb long, s binary")
+        raw = map_batches(keyed.join(wanted.distinct(), "key", "left_semi"), lambda it: _sets(it, shingle, None), "n long, fa long, fb long, s binary")
     full = raw.select(_CLASS("n", "fa", "fb").alias("id"), "s").join(touched, "id").dropDuplicates(["id"])
     sets = scratch.save(full.join(classes.select("id", "node", "n", "regs"), "id").coalesce(pieces(few, size)))
 
     def confirmed(candidates: DataFrame) -> DataFrame:
         sx, sy = (sets.select(F.col("id").alias(v), F.col("node").alias("u" + v), F.col("s").alias("s" + v), F.col("n").alias("n" + v), F.col("regs").alias("r" + v)) for v in "xy")
         both = candidates.join(sx, "x").join(sy, "y").where(100 * F.least("nx", "ny") >= percent * F.greatest("nx", "ny"))
-        return both.mapInArrow(lambda it: _verify(it, percent), "u long, v long")
+        return map_batches(both, lambda it: _verify(it, percent), "u long, v long")
 
     # a doc_id with several texts is a node beside those of its classes
     own = sketches.where("n > 0 and doc_id is not null").groupBy("doc_id").agg(F.min("id").alias("a"), F.max("id").alias("b")).where("a <> b").select("doc_id")
@@ -292,7 +292,7 @@ def near_duplicates(docs: DataFrame, shingle: int = 4, percent: int = 80) -> Dat
 
     members = sets.select("id", "node", "n", "regs").join(labels.withColumnRenamed("id", "node"), "node", "left").select("id", "n", "regs", F.coalesce("component", "node").alias("comp"))
     blocks = _open_blocks(members, sets)
-    crossing = blocks.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j").mapInArrow(lambda it: _cross_links(it, percent), "u long, v long")
+    crossing = map_batches(blocks.repartition("key", "i", "j").sortWithinPartitions("key", "i", "j"), lambda it: _cross_links(it, percent), "u long, v long")
     final = connected_components(links.union(crossing), scratch, rows=KEYS * rows)
 
     of_class = classes.select("id", "node").join(final.withColumnRenamed("id", "node"), "node", "left").withColumn("c", F.coalesce("component", "node"))

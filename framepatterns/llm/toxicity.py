@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from framepatterns.llm.packing import bucket_bits, bucket_runs
-from framepatterns.llm.scratch import Scratch, bound_batches
+from framepatterns.llm.scratch import Scratch, bound_batches, map_batches
 from framepatterns.llm.words import hashed_rows, mix
 
 #: Pairs that a task holds before it sends them on, and words after which it drops the pairs that it has already.
@@ -90,6 +90,24 @@ def _text_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([pa.concat_arrays(before), _long(h[np.concatenate([one, two])]), pa.array(np.concatenate([t1, t2])), pa.array(np.concatenate([o1, o2]))], names=["h", "w", "t", "o"])
 
 
+def _among(values: np.ndarray, few: np.ndarray) -> np.ndarray:
+    """Which values are in the sorted array ``few``; np.isin sorts the values for this."""
+    return few[np.minimum(np.searchsorted(few, values), few.size - 1)] == values if few.size else np.zeros(values.size, bool)
+
+
+def _distinct(words: list[np.ndarray], pairs: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+    """The different pairs in order and the word of each; empties both lists, so that no array is held twice."""
+    pair = np.concatenate(pairs)
+    pairs.clear()
+    order = np.argsort(pair, kind="stable")
+    pair = pair[order]
+    new = np.concatenate(([True], pair[1:] != pair[:-1]))
+    pair, order = pair[new], order[new]
+    word = np.concatenate(words)
+    words.clear()
+    return word[order], pair
+
+
 def _contexts(batches: Iterator[pa.RecordBatch], bits: int, hot: np.ndarray) -> Iterator[pa.RecordBatch]:
     """(bucket, words, counts, contexts): the different left contexts of the words of a bucket, packed.
 
@@ -100,19 +118,25 @@ def _contexts(batches: Iterator[pa.RecordBatch], bits: int, hot: np.ndarray) ->
     words, pairs, held = [], [], 0
 
     def pack(word: np.ndarray, pair: np.ndarray) -> pa.RecordBatch:
-        bucket = mix(np.where(np.isin(word, hot), pair, word)) >> np.uint64(64 - bits)
+        bucket = mix(np.where(_among(word, hot), pair, word)) >> np.uint64(64 - bits)
         order = np.lexsort((word, bucket))
-        bucket, word, pair = bucket[order], word[order] >> np.uint64(CUT), pair[order] >> np.uint64(24)
+        bucket, word, pair = bucket[order], word[order], pair[order]
+        del order
+        word >>= np.uint64(CUT)
+        pair >>= np.uint64(24)
         place = np.arange(word.size)
         new = np.concatenate(([True], (bucket[1:] != bucket[:-1]) | (word[1:] != word[:-1])))
         new |= (place - np.maximum.accumulate(np.where(new, place, 0))) % 255 == 0  # a count is one byte
         first = np.flatnonzero(new)
+        del place, new
         counts = np.diff(np.append(first, word.size)).astype(np.uint8)
         of = bucket[first]
         run = np.flatnonzero(np.concatenate(([True], of[1:] != of[:-1], [True])))
         edges, ends = np.append(first, word.size), list(zip(run[:-1], run[1:], strict=True))
+        del bucket
         own = np.ascontiguousarray(word[first].astype("<u8").view(np.uint8).reshape(-1, 8)[:, :6])
         context = np.ascontiguousarray(pair.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :5])
+        del word, pair
         columns = [pa.array([x[a:b].tobytes() for a, b in ends], pa.binary()) for x in (own, counts)]
         columns.append(pa.array([context[edges[a] : edges[b]].tobytes() for a, b in ends], pa.binary()))
         return pa.RecordBatch.from_arrays([pa.array(of[run[:-1]].astype(np.int64)), *columns], names=["bucket", "words", "counts", "contexts"])
@@ -125,14 +149,12 @@ def _contexts(batches: Iterator[pa.RecordBatch], bits: int, hot: np.ndarray) ->
             pairs.append(pair_key(_previous(h, w), h))
             held += h.size
             if held > MERGED_WORDS:
-                pair, at = np.unique(np.concatenate(pairs), return_index=True)
-                words, pairs, held = [np.concatenate(words)[at]], [pair], 0
-                if pair.size > HELD_PAIRS:
-                    yield pack(words[0], pair)
-                    words, pairs = [], []
+                words[:], pairs[:] = ([x] for x in _distinct(words, pairs))
+                held = 0
+                if pairs[0].size > HELD_PAIRS:
+                    yield pack(words.pop(), pairs.pop())
     if words:
-        pair, at = np.unique(np.concatenate(pairs), return_index=True)
-        yield pack(np.concatenate(words)[at], pair)
+        yield pack(*_distinct(words, pairs))
 
 
 def _wide(raw: bytes, width: int) -> np.ndarray:
@@ -161,9 +183,9 @@ def continuation_counts(docs: DataFrame, hot: list[int] | None = None) -> DataFr
     """
     bound_batches(docs.sparkSession)
     bits = bucket_bits(docs.sparkSession)
-    many = np.array(hot or [], np.int64).view(np.uint64)
-    sent = docs.select(F.col("text").cast("string").alias("text")).mapInArrow(lambda it: _contexts(it, bits, many), "bucket long, words binary, counts binary, contexts binary")
-    counted = sent.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(_continuations, "k long, n long")
+    many = np.sort(np.array(hot or [], np.int64).view(np.uint64))
+    sent = map_batches(docs.select(F.col("text").cast("string").alias("text")), lambda it: _contexts(it, bits, many), "bucket long, words binary, counts binary, contexts binary")
+    counted = map_batches(sent.repartition("bucket").sortWithinPartitions("bucket"), _continuations, "k long, n long")
     return counted.groupBy("k").agg(F.sum("n").alias("n"))
 
 
@@ -245,7 +267,7 @@ def train(docs: DataFrame, labels: DataFrame, scratch: Scratch, rows_per_class:
     limit = F.when(F.col("toxic") == 1, F.lit((1 << 30) * min(1.0, rows_per_class / max(counts.get(1, 1), 1)))).otherwise(F.lit((1 << 30) * min(1.0, rows_per_class / max(counts.get(0, 1), 1))))
     chosen = F.broadcast(known.where(draw < limit))  # about 2 * rows_per_class rows, however many labels there are
     sample = scratch.save(docs.select("doc_id", F.col("text").cast("string").alias("text")).join(chosen, "doc_id").withColumn("part", F.pmod(F.xxhash64(F.lit("part"), F.col("doc_id")), F.lit(4))))
-    counts_of = scratch.save(sample.where("part > 0").select("text", "toxic").mapInArrow(_text_counts, "h long, w long, t long, o long").groupBy("h", "w").agg(F.sum("t").alias("t"), F.sum("o").alias("o")))
+    counts_of = scratch.save(map_batches(sample.where("part > 0").select("text", "toxic"), _text_counts, "h long, w long, t long, o long").groupBy("h", "w").agg(F.sum("t").alias("t"), F.sum("o").alias("o")))
 
     num = lambda v: float(v or 0)
     one = counts_of.where("h is null")
@@ -267,7 +289,8 @@ def train(docs: DataFrame, labels: DataFrame, scratch: Scratch, rows_per_class:
     hot = [r[0] for r in one.where((F.col("t") + F.col("o")) > HOT * sum(sums)).select("w").collect()]  # 1 / HOT words at most
     continuations = scratch.save(continuation_counts(docs, hot))
     all_continuations = max(num(continuations.agg(F.sum("n")).first()[0]), 1.0)
-    known = scratch.spark.createDataFrame([(int(x),) for x in set(pairs.column("w").to_pylist())], "w long").join(words, "w", "full")
+    # from an Arrow table; rows of a Python list go through a second pool of workers, which stay beside the others
+    known = scratch.spark.createDataFrame(pa.table({"w": pairs.column("w").unique()})).join(words, "w", "full")
     table = known.join(continuations, F.shiftrightunsigned("w", CUT) == F.col("k"), "left").select("w", "kt", "ko", "n").na.fill(0).toArrow()
 
     as_key = lambda t, c: t.column(c).to_numpy().view(np.uint64)
@@ -288,7 +311,7 @@ def train(docs: DataFrame, labels: DataFrame, scratch: Scratch, rows_per_class:
             x = np.concatenate([ship.value.features(h, w) for _, _, h, w in hashed_rows(batch.column("text"), fold=FOLD)]) if batch.num_rows else np.zeros((0, 2))
             yield pa.RecordBatch.from_arrays([batch.column("toxic"), pa.array(x[:, 1])], names=["toxic", "a"])
 
-    fit = sample.where("part = 0").select("text", "toxic").mapInArrow(measure, "toxic int, a double").toArrow()
+    fit = map_batches(sample.where("part = 0").select("text", "toxic"), measure, "toxic int, a double").toArrow()
     x = np.stack([np.ones(fit.num_rows), fit.column("a").to_numpy()], 1)
     y = fit.column("toxic").to_numpy().astype(np.float64)
     share = counts.get(1, 0) / max(sum(counts.values()), 1)
@@ -310,7 +333,7 @@ def score(docs: DataFrame, model: Model) -> DataFrame:
         for batch in batches:
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(ship.value.scores(batch.column("text")))], names=[*batch.schema.names, "toxicity"])
 
-    return base.mapInArrow(run, schema)
+    return map_batches(base, run, schema)
 
 
 def toxicity(docs: DataFrame, labels: DataFrame, rows_per_class: int = 4000) -> DataFrame:
