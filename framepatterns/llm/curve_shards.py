@@ -11,13 +11,18 @@ the hash of its rows' keys, at least SLICES and so many that a slice has about S
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from functools import reduce
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import window as W
 
+from framepatterns.llm.scratch import Scratch, few_pieces, pieces, short_reads
+
 SLICES, SLICE_ROWS = 64, 65_536
+#: Bytes of documents that one task reads at least for their digests, however many cores are free.
+READ_BYTES = 64 << 20
 
 
 def log_scale(size: Column, bits: int) -> Column:
@@ -31,6 +36,11 @@ def category(value: Column, bits: int) -> Column:
     return F.pmod(F.crc32(F.coalesce(F.concat(F.lit("="), value.cast("string")), F.lit("")).cast("binary")), F.lit(1 << bits)).cast("int")
 
 
+def once(value: Column, use: Callable[[Column], Column]) -> Column:
+    """``use(value)`` with ``value`` evaluated once a row, however often and in whatever inner function it is used."""
+    return F.element_at(F.transform(F.array(value), use), 1)
+
+
 def hilbert_index(dims: list[Column], bits: int) -> Column:
     """Position of a grid cell on the Hilbert curve through 2**bits cells a dimension.
 
@@ -51,16 +61,20 @@ def hilbert_index(dims: list[Column], bits: int) -> Column:
             lambda v, j: F.when(flip, F.when(j == 0, v.bitwiseXOR(low)).otherwise(v)).otherwise(F.when((j == 0) | (j == i), F.when(i == 0, v).otherwise(v.bitwiseXOR(swap))).otherwise(v)),
         )
 
+    def low_bits(gray: Column) -> Column:
+        return F.aggregate(
+            F.array(*[F.lit(b) for b in range(bits - 1, 0, -1)]),
+            F.lit(0),
+            lambda t, b: F.when(F.call_function("shiftright", F.element_at(gray, -1), b).bitwiseAND(F.lit(1)) == 1, t.bitwiseXOR(F.call_function("shiftleft", F.lit(1), b) - 1)).otherwise(t),
+        )
+
+    def interleaved(final: Column) -> Column:
+        return F.aggregate(places, F.lit(0).cast("long"), lambda acc, p: acc * 2 + F.call_function("shiftright", F.element_at(final, p["i"] + 1), p["b"]).bitwiseAND(F.lit(1)))
+
+    places = F.array(*[F.struct(F.lit(b).alias("b"), F.lit(i).alias("i")) for b in range(bits - 1, -1, -1) for i in range(n)])
     turned = F.aggregate(steps, F.array(*[d.cast("int") for d in dims]), turn)
     gray = F.aggregate(turned, F.expr("cast(array() as array<int>)"), lambda acc, v: F.concat(acc, F.array(v.bitwiseXOR(F.coalesce(F.try_element_at(acc, F.lit(-1)), F.lit(0))))))
-    fix = F.aggregate(
-        F.array(*[F.lit(b) for b in range(bits - 1, 0, -1)]),
-        F.lit(0),
-        lambda t, b: F.when(F.call_function("shiftright", F.element_at(gray, -1), b).bitwiseAND(F.lit(1)) == 1, t.bitwiseXOR(F.call_function("shiftleft", F.lit(1), b) - 1)).otherwise(t),
-    )
-    final = F.transform(gray, lambda v: v.bitwiseXOR(fix))
-    places = F.array(*[F.struct(F.lit(b).alias("b"), F.lit(i).alias("i")) for b in range(bits - 1, -1, -1) for i in range(n)])
-    return F.aggregate(places, F.lit(0).cast("long"), lambda acc, p: acc * 2 + F.call_function("shiftright", F.element_at(final, p["i"] + 1), p["b"]).bitwiseAND(F.lit(1)))
+    return once(gray, lambda gray: once(low_bits(gray), lambda fix: once(F.transform(gray, lambda v: v.bitwiseXOR(fix)), interleaved)))
 
 
 def document_dimensions(bits: int = 6) -> list[Column]:
@@ -116,16 +130,19 @@ def curve_shards(docs: DataFrame, shards: int = 24, dims: list[Column] | None =
 def document_shards(docs: DataFrame, shards: int = 24, bits: int = 6) -> DataFrame:
     """Shards of all documents as digests: doc_id, size (bytes of the text plus 8), text_crc32, curve, shard, slot.
 
-    Texts don't travel: only numbers are shuffled.  A null text has no bytes and the checksum of no bytes.
+    Texts don't travel: they are read once, and only numbers are kept and shuffled.  The result has a partition for
+    each ROWS_PER_FILE rows at most.  A null text has no bytes and the checksum of no bytes.
     """
-    thin = docs.select(
+    thin = few_pieces(docs, READ_BYTES, 0).select(
         "doc_id",
         (F.coalesce(F.octet_length("text"), F.lit(0)) + 8).cast("long").alias("size"),
         F.crc32(F.coalesce(F.col("text"), F.lit("")).cast("binary")).alias("text_crc32"),
         *[d.alias(f"dim{i}") for i, d in enumerate(document_dimensions(bits))],
     )
+    with short_reads(docs.sparkSession):
+        thin = Scratch(docs.sparkSession, "curve_shards").save(thin)
     done = curve_shards(thin, shards, [F.col(f"dim{i}") for i in range(3)], bits, tie=F.col("text_crc32"))
-    return done.select("doc_id", "size", "text_crc32", "curve", "shard", "slot", "dim0", "dim1", "dim2")
+    return done.select("doc_id", "size", "text_crc32", "curve", "shard", "slot", "dim0", "dim1", "dim2").coalesce(pieces(thin.count()))
 
 
 def shard_manifest(sharded: DataFrame, dims: list[str]) -> DataFrame:

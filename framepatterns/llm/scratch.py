@@ -29,6 +29,7 @@ def _delete(spark: SparkSession, path: str) -> None:
 
 BATCH_BYTES = 4 << 20
 ROWS_PER_FILE, FILE_BYTES = 100_000, 4 << 20
+READ_ROWS = 256
 
 
 def bound_batches(spark: SparkSession) -> None:
@@ -43,6 +44,24 @@ def bound_batches(spark: SparkSession) -> None:
             spark.conf.set(key, str(BATCH_BYTES))
 
 
+@contextlib.contextmanager
+def short_reads(spark: SparkSession) -> Iterator[None]:
+    """Parquet read by what runs inside comes in batches of READ_ROWS rows; afterwards the session's setting is as it was.
+
+    A column's batch is one array, grown by doubling: at the engine's 4096 rows those of long texts are tens of MB each.
+    """
+    key = "spark.sql.parquet.columnarReaderBatchSize"
+    before = spark.conf.get(key, None)
+    spark.conf.set(key, str(READ_ROWS if before is None else min(int(before), READ_ROWS)))
+    try:
+        yield
+    finally:
+        if before is None:
+            spark.conf.unset(key)
+        else:
+            spark.conf.set(key, before)
+
+
 def give_back() -> None:
     """Return memory that this process has freed to the system, where the C library can do so."""
     pa.default_memory_pool().release_unused()
@@ -71,14 +90,14 @@ def pieces(rows: int, size: int = 0) -> int:
     return max(1, -(-rows // ROWS_PER_FILE), -(-size // FILE_BYTES))
 
 
-def few_pieces(df: DataFrame) -> DataFrame:
-    """``df``, a table's rows, with small input partitions put together to FILE_BYTES, but for two a core at least.
+def few_pieces(df: DataFrame, each: int = FILE_BYTES, a_core: int = 2) -> DataFrame:
+    """``df``, a table's rows, with small input partitions put together to ``each`` bytes, but for ``a_core`` a core at least.
 
     The size is the engine's estimate, from the files; where it has none, and for larger partitions, nothing changes.
     """
     size = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
-    least = 2 * df.sparkSession.sparkContext.defaultParallelism
-    return df.coalesce(max(least, -(-size // FILE_BYTES))) if size < FILE_BYTES << 20 else df
+    least = max(1, a_core * df.sparkSession.sparkContext.defaultParallelism)
+    return df.coalesce(max(least, -(-size // each))) if size < FILE_BYTES << 20 else df
 
 
 class Scratch:

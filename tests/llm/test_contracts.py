@@ -107,6 +107,45 @@ def test_op1_written_shards_come_back(spark, sf, docs, tmp_path):
     assert slots == sorted(slots) and max(slots) - min(slots) < 11
 
 
+def test_op1_reads_texts_once_and_writes_few_files(spark, sf, docs, monkeypatch):
+    """With many small partitions, and in batches of few rows; the session's settings come back."""
+    from framepatterns.llm import curve_shards as c
+    from framepatterns.llm import scratch
+
+    key, saved = "spark.sql.parquet.columnarReaderBatchSize", []
+    held = {"spark.sql.shuffle.partitions": "61", "spark.sql.adaptive.coalescePartitions.enabled": "false", "spark.sql.files.maxPartitionBytes": "8k", "spark.sql.files.openCostInBytes": "1k"}
+    before = {k: spark.conf.get(k) for k in held}
+    plain = scratch.Scratch.save
+    monkeypatch.setattr(scratch.Scratch, "save", lambda self, df, *a: (saved.append((spark.conf.get(key), df.rdd.getNumPartitions())), plain(self, df, *a))[1])
+    try:
+        for k, v in held.items():
+            spark.conf.set(k, v)
+        table = spark.read.parquet(f"{sf}/documents.parquet")
+        assert table.rdd.getNumPartitions() > 8
+        out = registry.op1_hilbert_shards(spark, sf)
+        assert not any("documents.parquet" in f for f in out.inputFiles())
+        assert saved == [("256", 1)] and spark.conf.get(key, None) is None
+        assert out.rdd.getNumPartitions() == 1 and out.count() == len(docs)
+        spark.conf.set(key, "100")
+        c.document_shards(table)
+        assert saved[1:] == [("100", 1)] and spark.conf.get(key) == "100"
+    finally:
+        spark.conf.unset(key)
+        for k, v in before.items():
+            spark.conf.set(k, v)
+
+
+def test_hilbert_index_takes_each_step_once(spark):
+    """An inner function that names a step by its expression evaluates it for each element, within each other."""
+    from pyspark.sql import functions as F
+
+    from framepatterns.llm.curve_shards import hilbert_index
+
+    grid = spark.range(1).select(hilbert_index([F.length(F.concat(F.lit(s), F.col("id").cast("string"))) for s in ("one", "two", "three")], 6).alias("h"))
+    plan = grid._jdf.queryExecution().optimizedPlan().toString()
+    assert [plan.count(f"concat({s}, ") for s in ("one", "two", "three")] == [1, 1, 1]
+
+
 def test_op1_prunes(spark, sf):
     from framepatterns.llm import curve_shards as c
 
