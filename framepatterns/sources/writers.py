@@ -1,10 +1,15 @@
-"""Writers: one file a partition, one file in all, bucketed tables."""
+"""Writers: one file a partition, one file in all, bucketed tables, intermediate tables of one program."""
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+import atexit
+import contextlib
+import uuid
+
+from pyspark.sql import DataFrame, SparkSession
 
 from framepatterns.collectives import GATHER_ROWS
+from framepatterns.session import shared_root
 
 
 def write_partitioned(df: DataFrame, path: str, fmt: str = "parquet", by: list[str] | None = None, rows_per_file: int = 0, mode: str = "error", **options) -> None:
@@ -26,3 +31,23 @@ def write_bucketed(df: DataFrame, table: str, keys: list[str], buckets: int, sor
     """A table dealt by key hash, so later joins and aggregations on the keys move nothing."""
     w = df.write.bucketBy(buckets, *keys)
     (w.sortBy(*keys) if sort else w).mode("overwrite").saveAsTable(table)
+
+
+def private_folder(spark: SparkSession, label: str) -> str:
+    """A new name below the shared folder; what is written there goes when the program ends."""
+    path = f"{shared_root(spark)}/{label}_{uuid.uuid4().hex}"
+
+    def delete() -> None:
+        with contextlib.suppress(Exception):
+            p = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+            p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
+
+    atexit.register(delete)
+    return path
+
+
+def written_once(df: DataFrame, label: str) -> DataFrame:
+    """``df`` as a written table: its rows are computed once, and every later read sees the same ones."""
+    path = private_folder(df.sparkSession, label)
+    write_partitioned(df, path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)

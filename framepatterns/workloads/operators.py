@@ -2,13 +2,17 @@
 
 from __future__ import annotations
 
+from itertools import accumulate
+
 from pyspark.sql import functions as F
 
 from framepatterns.catalog import query
 from framepatterns.layout.rebalance import weighted_pid, with_position
+from framepatterns.layout.sampling import row_index
 from framepatterns.operators import columnagg, grouping, joining, ordering, reshape, rows, setops, windows
 from framepatterns.operators.aggregates import GEOMETRIC_MEAN, STD_MOMENTS
 from framepatterns.patterns import Frame, all_reduce, local_kernel
+from framepatterns.sources import writers
 from framepatterns.workloads.frames import money, table
 
 M = "CAST({} AS DECIMAL(18,2))"
@@ -458,9 +462,16 @@ def melt_money(spark, d):
 
 
 def _numbered(frame, name="at"):
-    """Global positions read off a sorted frame's partitions: shows the order that the sort made."""
-    f = frame.df.withColumn("_p", F.spark_partition_id()).withColumn("_i", F.monotonically_increasing_id())
-    return with_position(f, ["_p", "_i"], name).drop("_p", "_i")
+    """Global positions read off a sorted frame's partitions: shows the order that the sort made.
+
+    The engine's own sort draws its pivots anew in each run, so a row's partition and place in it are written once,
+    and lengths and positions are both taken from what was written.
+    """
+    placed = writers.written_once(frame.df.withColumns({"_p": F.spark_partition_id(), "_i": row_index()}), "sorted")
+    lengths = dict(placed.groupBy("_p").count().collect())
+    offsets = list(accumulate((lengths.get(i, 0) for i in range(max(lengths, default=0))), initial=0))
+    shift = F.element_at(F.array(*[F.lit(o).cast("long") for o in offsets]), F.col("_p") + 1)
+    return placed.withColumn(name, shift + F.col("_i")).drop("_p", "_i")
 
 
 @query("sort_range", "SELECT row_number() OVER (ORDER BY o_orderkey) - 1 AS at, o_orderkey FROM orders")
