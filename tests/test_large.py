@@ -31,3 +31,10 @@ def test_native_sort_is_numbered_in_one_order(spark, tmp_path, uncoalesced):
     want = sorted(k for _, k in orders(spark, tmp_path))
     keys, at = positions(catalog.queries()["sort_native"](spark, str(tmp_path)))
     assert at == list(range(len(want))) and keys == want
+
+
+def test_native_sort_of_several_keys_is_numbered_in_one_order(spark, tmp_path, uncoalesced):
+    rows = sorted(orders(spark, tmp_path), key=lambda r: r[1])
+    want = [k for _, k in sorted(rows, key=lambda r: r[0], reverse=True)]
+    keys, at = positions(catalog.queries()["sort_multikey"](spark, str(tmp_path)))
+    assert at == list(range(len(want))) and keys == want
