@@ -4,6 +4,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from framepatterns import catalog
+from framepatterns.baselines import serial
 
 
 @pytest.fixture
@@ -38,3 +39,42 @@ def test_native_sort_of_several_keys_is_numbered_in_one_order(spark, tmp_path, u
     want = [k for _, k in sorted(rows, key=lambda r: r[0], reverse=True)]
     keys, at = positions(catalog.queries()["sort_multikey"](spark, str(tmp_path)))
     assert at == list(range(len(want))) and keys == want
+
+
+def lineitem(spark, folder, sf, n=20_000):
+    """Some lines repeated, with nulls in the columns that keys and values are made of."""
+    li = spark.read.parquet(f"{sf}/lineitem.parquet").limit(2_000).crossJoin(spark.range(n // 2_000))
+    null = lambda c, every: F.when(F.col("l_suppkey") % every == 0, None).otherwise(F.col(c)).alias(c)
+    changed = {c: null(c, m) for c, m in (("l_orderkey", 5), ("l_linenumber", 3), ("l_partkey", 4))}
+    li.select(*[changed.get(c, F.col(c)) for c in li.columns if c != "id"]).coalesce(1).write.parquet(f"{folder}/lineitem.parquet")
+
+
+def by_sql(folder, name):
+    import duckdb
+
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW lineitem AS SELECT * FROM read_parquet('{folder}/lineitem.parquet/*.parquet')")
+    return con.execute(catalog.oracles()[name]).fetchall()
+
+
+def test_serial_group_brings_no_rows_to_the_driver(spark, sf, tmp_path, monkeypatch):
+    lineitem(spark, tmp_path, sf)
+    cls = type(spark.range(1))
+    with monkeypatch.context() as m:
+        for way in ("toPandas", "toArrow", "collect", "toLocalIterator"):
+            m.setattr(cls, way, lambda *a, **k: pytest.fail("rows at the driver"))
+        df = catalog.queries()["b1_serial_groupby"](spark, str(tmp_path))
+    assert sorted(map(repr, map(tuple, df.collect()))) == sorted(map(repr, by_sql(tmp_path, "b1_serial_groupby")))
+
+
+def test_serial_sums_of_pieces_add_up():
+    import pyarrow as pa
+
+    keys = [None if i % 11 == 0 else 7 if i % 2 else i % 13 for i in range(5_000)]
+    values = [None if k == 4 or i % 3 == 0 else (1 << 60) + i if i < 3 else i for i, k in enumerate(keys)]
+    batches = pa.table({"k": pa.array(keys, pa.int64()), "v": pa.array(values, pa.int64())}).to_batches(max_chunksize=100)
+    want = {k: None if all(v is None for v in vs) else sum(v for v in vs if v is not None) for k in set(keys) for vs in [[v for x, v in zip(keys, values) if x == k]]}
+    parts = [t for t in serial.sums_of_pieces(iter(batches), 700)]
+    assert len(parts) == 8
+    got = pa.Table.from_batches(serial.total_sums(b for t in parts for b in t.to_batches())).to_pylist()
+    assert {r["k"]: r["v"] for r in got} == want and len(got) == len(want)
