@@ -33,16 +33,16 @@ def write_bucketed(df: DataFrame, table: str, keys: list[str], buckets: int, sor
     (w.sortBy(*keys) if sort else w).mode("overwrite").saveAsTable(table)
 
 
+def drop_folder(spark: SparkSession, path: str) -> None:
+    with contextlib.suppress(Exception):  # at the end of the program the session may be gone
+        p = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+        p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
+
+
 def private_folder(spark: SparkSession, label: str) -> str:
     """A new name below the shared folder; what is written there goes when the program ends."""
     path = f"{shared_root(spark)}/{label}_{uuid.uuid4().hex}"
-
-    def delete() -> None:
-        with contextlib.suppress(Exception):
-            p = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
-            p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
-
-    atexit.register(delete)
+    atexit.register(drop_folder, spark, path)
     return path
 
 

@@ -91,7 +91,7 @@ def w4_join_fk(spark, d):
 
 @query("w5_join_broadcast_only", _J)
 def w5_join_broadcast_only(spark, d):
-    return broadcast_only.join(bench_a(spark, d, 0.9).withColumnRenamed("v", "v_x"), bench_b(spark, d, 0.9).withColumnRenamed("v", "v_y"), ["k"])
+    return broadcast_only.join_by_pieces(bench_a(spark, d, 0.9).withColumnRenamed("v", "v_x"), bench_b(spark, d, 0.9).withColumnRenamed("v", "v_y"), ["k"])
 
 
 @query("w5_join_sizes", f"SELECT 'table' AS size, true AS completed, (SELECT count(*) FROM ({_J})) AS rows UNION ALL SELECT 'tenfold', false, NULL")

@@ -4,7 +4,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from framepatterns import catalog
-from framepatterns.baselines import serial
+from framepatterns.baselines import broadcast_only, serial
 
 
 @pytest.fixture
@@ -78,3 +78,40 @@ def test_serial_sums_of_pieces_add_up():
     assert len(parts) == 8
     got = pa.Table.from_batches(serial.total_sums(b for t in parts for b in t.to_batches())).to_pylist()
     assert {r["k"]: r["v"] for r in got} == want and len(got) == len(want)
+
+
+@pytest.fixture
+def replicated(monkeypatch):
+    """At most 500 rows of two numbers at once; the rows of each frame that is replicated."""
+    monkeypatch.setattr(broadcast_only, "AT_ONCE", 32 * 500, raising=False)
+    sizes, real = [], F.broadcast
+
+    def seen(df):
+        sizes.append(df.count())
+        return real(df)
+
+    monkeypatch.setattr(broadcast_only.F, "broadcast", seen)
+    return sizes
+
+
+def test_broadcast_only_join_replicates_pieces(spark, sf, same_as_sql, replicated):
+    same_as_sql(catalog.queries()["w5_join_broadcast_only"], catalog.oracles()["w5_join_broadcast_only"])
+    assert len(replicated) > 5 and max(replicated) <= 1_000
+    assert sum(replicated) == spark.read.parquet(f"{sf}/lineitem.parquet").count()
+
+
+@pytest.mark.parametrize("keys", ["even", "hot", "null", "nan", "none on the left"])
+def test_pieces_are_the_whole_join(spark, replicated, keys):
+    key = {"even": F.col("id") % 900, "hot": F.when(F.col("id") % 10 > 0, 7).otherwise(F.col("id")), "null": F.lit(None), "nan": F.when(F.col("id") % 5 == 0, float("nan")).otherwise(F.col("id")), "none on the left": F.col("id")}[keys]
+    right = spark.range(0, 3_000, 1, 3).select(key.cast("double").alias("k"), F.col("id").alias("b"))
+    left = spark.range(0, 0 if keys == "none on the left" else 40, 1, 2).select(key.cast("double").alias("k"), F.col("id").alias("a"))
+    want = sorted(map(repr, map(tuple, left.join(right, ["k"]).collect())))
+    got = broadcast_only.join_by_pieces(left, right, ["k"])
+    assert got.columns == ["k", "a", "b"] and sorted(map(repr, map(tuple, got.collect()))) == want
+    assert max(replicated) <= 1_000 and bool(want) == (keys in ("even", "hot", "nan"))
+
+
+def test_pieces_need_keys_of_one_type(spark):
+    a, b = spark.range(3), spark.range(3).select(F.col("id").cast("int"))
+    with pytest.raises(ValueError):
+        next(broadcast_only.pieces(a, b, ["id"]))
