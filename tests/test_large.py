@@ -100,6 +100,12 @@ def test_broadcast_only_join_replicates_pieces(spark, sf, same_as_sql, replicate
     assert sum(replicated) == spark.read.parquet(f"{sf}/lineitem.parquet").count()
 
 
+def test_broadcast_only_sizes_replicate_pieces(spark, sf, same_as_sql, replicated):
+    same_as_sql(catalog.queries()["w5_join_sizes"], catalog.oracles()["w5_join_sizes"])
+    assert len(replicated) > 5 and max(replicated) <= 1_000
+    assert sum(replicated) == spark.read.parquet(f"{sf}/lineitem.parquet").count()
+
+
 @pytest.mark.parametrize("keys", ["even", "hot", "null", "nan", "none on the left"])
 def test_pieces_are_the_whole_join(spark, replicated, keys):
     key = {"even": F.col("id") % 900, "hot": F.when(F.col("id") % 10 > 0, 7).otherwise(F.col("id")), "null": F.lit(None), "nan": F.when(F.col("id") % 5 == 0, float("nan")).otherwise(F.col("id")), "none on the left": F.col("id")}[keys]
