@@ -5,6 +5,7 @@ from pyspark.sql import functions as F
 
 from framepatterns import catalog
 from framepatterns.baselines import broadcast_only, serial
+from framepatterns.plans import cardinality
 
 
 @pytest.fixture
@@ -121,3 +122,37 @@ def test_pieces_need_keys_of_one_type(spark):
     a, b = spark.range(3), spark.range(3).select(F.col("id").cast("int"))
     with pytest.raises(ValueError):
         next(broadcast_only.pieces(a, b, ["id"]))
+
+
+def test_combine_ratio_of_everything_needs_no_single_task(spark, tmp_path, sf, monkeypatch):
+    lineitem(spark, tmp_path, sf)
+    cls = type(spark.range(1))
+    with monkeypatch.context() as m:
+        for way in ("coalesce", "mapInArrow"):
+            m.setattr(cls, way, lambda *a, **k: pytest.fail("all rows in one task"))
+        got = catalog.queries()["s0b_combine_ratio"](spark, str(tmp_path)).collect()
+    assert sorted(map(tuple, got)) == sorted(by_sql(tmp_path, "s0b_combine_ratio"))
+
+
+def test_keys_seen_are_merged_a_few_times_only(monkeypatch):
+    """Merging sorts all keys so far, so its work must not grow with the number of batches."""
+    import numpy as np
+    import pyarrow as pa
+
+    n, size = 400_000, 1_000
+    values = np.arange(n, dtype=np.int64) * 7919 % 250_007
+    sorted_rows, real = [], np.unique
+    monkeypatch.setattr(np, "unique", lambda a, *r, **k: (sorted_rows.append(len(a)), real(a, *r, **k))[1])
+    batches = (pa.RecordBatch.from_arrays([pa.array(values[i : i + size])], names=["h"]) for i in range(0, n, size))
+    (found,) = cardinality._distinct(batches)
+    assert found.to_pylist() == [{"n": n, "d": 250_007}]
+    calls = list(sorted_rows)
+    assert calls and len(calls) <= 4 and sum(calls) <= 4 * n
+
+
+def test_whole_ratio_of_nulls_and_nothing(spark):
+    import math
+
+    df = spark.createDataFrame([(1, "a"), (1, None), (None, "a"), (2, "b"), (2, "b")], "k int, s string")
+    assert cardinality.whole_ratio(df, ["k"]) == 2 / 5 and cardinality.whole_ratio(df, ["k", "s"]) == 2 / 5
+    assert math.isnan(cardinality.whole_ratio(df.limit(0), ["k"]))
