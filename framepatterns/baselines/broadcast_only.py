@@ -15,6 +15,9 @@ from framepatterns.sources.writers import drop_folder, private_folder, write_par
 #: Bytes of rows that are replicated at once; the driver holds them several times over while it builds their table.
 AT_ONCE = 32 << 20
 
+#: Bytes of a row group of what pieces are read from: small, so that a piece skips the others'.
+ROW_GROUP = 1 << 20
+
 
 class MemoryGuard(Exception):
     """The replicated side is larger than an executor may hold."""
@@ -38,10 +41,10 @@ def rows_at_once(right: DataFrame, at_once: int | None = None) -> int:
 def pieces(left: DataFrame, right: DataFrame, on: list[str], at_once: int | None = None) -> Iterator[DataFrame]:
     """Frames that together are the whole inner join, each with a piece of the right side that may be replicated at once.
 
-    Both sides are written once, in folders by a hash of the key, which moves no row to another worker; a piece reads
-    only its own folder of either side, so the work follows the rows and not rows times pieces.  A folder whose right
-    side holds more than two pieces, from hot keys, is cut by the rows' numbers.  Take a frame's result before asking
-    for the next, and only one piece is held at a time.
+    Both sides are written once, a file a task with its rows in the order of a hash of the key, which moves no row to
+    another worker; a piece reads only the row groups and pages with its own part of either side, so the work follows
+    the rows and not rows times pieces.  A part whose right side holds more than two pieces, from hot keys, is cut by
+    the rows' numbers.  Take a frame's result before asking for the next, and only one piece is held at a time.
     """
     if len({tuple(dict(x.dtypes)[c] for c in on) for x in (left, right)}) > 1:
         raise ValueError("the keys of both sides need the same types")
@@ -54,7 +57,7 @@ def pieces(left: DataFrame, right: DataFrame, on: list[str], at_once: int | None
 
     def dealt(df: DataFrame, name: str) -> DataFrame:
         own = df.where(reduce(and_, [F.col(c).isNotNull() for c in on])).withColumn("_part", F.pmod(F.xxhash64(*on), F.lit(parts)).cast("int"))
-        write_partitioned(own, f"{folder}/{name}", by=["_part"])
+        write_partitioned(own.sortWithinPartitions("_part"), f"{folder}/{name}", **{"parquet.block.size": str(ROW_GROUP)})
         return spark.read.schema(own.schema).parquet(f"{folder}/{name}")
 
     try:
@@ -76,7 +79,7 @@ def join_by_pieces(left: DataFrame, right: DataFrame, on: list[str], at_once: in
     path, schema = private_folder(left.sparkSession, "joined"), None
     for piece in pieces(left, right, on, at_once):
         schema = piece.schema
-        write_partitioned(piece, path, mode="append")
+        write_partitioned(piece.coalesce(left.sparkSession.sparkContext.defaultParallelism), path, mode="append")
     return left.sparkSession.read.schema(schema).parquet(path)
 
 
